@@ -6,11 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cellfleet.llm import quality
+from cellfleet.llm import mixing, packing, quality, simhash
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op7_quality_rules": quality.op7_quality_rules}
+    return {
+        "op1_mix_sources": mixing.op1_mix_sources,
+        "op3_pack": packing.op3_pack,
+        "op6_simhash_near_dedup": simhash.op6_simhash_near_dedup,
+        "op7_quality_rules": quality.op7_quality_rules,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
