@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cellfleet.llm import mixing, packing, quality, simhash
+from cellfleet.llm import mixing, packing, quality, secrets, simhash, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_pack": packing.op3_pack,
         "op6_simhash_near_dedup": simhash.op6_simhash_near_dedup,
         "op7_quality_rules": quality.op7_quality_rules,
+        "op8_secret_scan": secrets.op8_secret_scan,
+        "op10_warc_index": warc.op10_warc_index,
     }
 
 
