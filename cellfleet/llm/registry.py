@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cellfleet.llm import html_main, mixing, packing, quality, secrets, simhash, warc
+from cellfleet.llm import embeddings, html_main, mixing, packing, quality, secrets, simhash, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,6 +14,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_mix_sources": mixing.op1_mix_sources,
         "op3_pack": packing.op3_pack,
         "op4_main_text": html_main.op4_main_text,
+        "op5_embedding_near_dedup": embeddings.op5_embedding_near_dedup,
         "op6_simhash_near_dedup": simhash.op6_simhash_near_dedup,
         "op7_quality_rules": quality.op7_quality_rules,
         "op8_secret_scan": secrets.op8_secret_scan,
