@@ -44,6 +44,13 @@ def scratch(spark: SparkSession, kind: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{kind}-{uuid.uuid4().hex}"
 
 
+def stored(df: DataFrame, kind: str) -> DataFrame:
+    """The same rows, written once as a compressed table in the shared folder: for wide or long ones that are read again."""
+    path = scratch(df.sparkSession, kind)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def components(spark: SparkSession, links: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Connected components of ``links(a, b)``: one row (node, component) per node, component = smallest node.
 

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cellfleet.llm import embeddings, html_main, mixing, packing, quality, secrets, simhash, warc
+from cellfleet.llm import embeddings, html_main, mixing, packing, quality, secrets, simhash, substrings, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -18,6 +18,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_simhash_near_dedup": simhash.op6_simhash_near_dedup,
         "op7_quality_rules": quality.op7_quality_rules,
         "op8_secret_scan": secrets.op8_secret_scan,
+        "op9_substring_dedup": substrings.op9_substring_dedup,
         "op10_warc_index": warc.op10_warc_index,
     }
 
