@@ -33,10 +33,19 @@ def shared_dir(spark: SparkSession) -> str:
     return there
 
 
-def cut(df: DataFrame) -> DataFrame:
+#: Rows of narrow tables that one task writes: a table of known size is written in as many files as it needs.
+ROWS = 200_000
+
+
+def gathered(df: DataFrame, rows: int | None) -> DataFrame:
+    """``df`` in no more partitions than ``rows`` ask for: many tiny files cost a store more than they hold."""
+    return df if rows is None else df.coalesce(max(1, -(-rows // ROWS)))
+
+
+def cut(df: DataFrame, rows: int | None = None) -> DataFrame:
     """The same rows, written once to the shared folder, so that later steps neither recompute nor lose them."""
     shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+    return gathered(df, rows).checkpoint(eager=True)
 
 
 def scratch(spark: SparkSession, kind: str) -> str:
@@ -44,22 +53,24 @@ def scratch(spark: SparkSession, kind: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{kind}-{uuid.uuid4().hex}"
 
 
-def stored(df: DataFrame, kind: str) -> DataFrame:
+def stored(df: DataFrame, kind: str, rows: int | None = None) -> DataFrame:
     """The same rows, written once as a compressed table in the shared folder: for wide or long ones that are read again."""
     path = scratch(df.sparkSession, kind)
-    df.write.parquet(path)
+    gathered(df, rows).write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def components(spark: SparkSession, links: DataFrame, max_rounds: int = 60) -> DataFrame:
+def components(links: DataFrame, rows: int | None = None, max_rounds: int = 60) -> DataFrame:
     """Connected components of ``links(a, b)``: one row (node, component) per node, component = smallest node.
 
     Each round a node takes the smallest label among its neighbours (partial aggregation before the shuffle keeps
     hubs cheap) and then the label of its label. Rounds are cut to the shared folder; the loop ends when no label
-    moves, or fails loudly past ``max_rounds``. Nodes may be of any ordered type. No links: no rows.
+    moves, or fails loudly past ``max_rounds``. ``rows``: about how many links there are, if known. Nodes may be of any ordered type. No links: no rows.
     """
-    both = cut(links.where("a <> b").select("a", "b").union(links.where("a <> b").select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
-    labels = cut(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("component")))
+    links = links.where("a <> b").select("a", "b")
+    both = cut(links.union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), rows)
+    n = both.count()
+    labels = cut(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("component")), n)
     for _ in range(max_rounds):
         near = (
             both.join(labels.withColumnRenamed("node", "b"), "b")
@@ -67,7 +78,7 @@ def components(spark: SparkSession, links: DataFrame, max_rounds: int = 60) -> D
         )
         stepped = labels.join(near, "node").select("node", F.col("component").alias("old"), F.least("component", "m").alias("mid"))
         jump = labels.select(F.col("node").alias("mid"), F.col("component").alias("top"))
-        moved = cut(stepped.join(jump, "mid", "left").select("node", "old", F.least("mid", F.coalesce("top", "mid")).alias("component")))
+        moved = cut(stepped.join(jump, "mid", "left").select("node", "old", F.least("mid", F.coalesce("top", "mid")).alias("component")), n)
         changed = moved.where("component <> old").limit(1).count()
         labels = moved.select("node", "component")
         if not changed:

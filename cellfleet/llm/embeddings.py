@@ -176,7 +176,7 @@ def classes(vectors: DataFrame, key: str = "vec_id", vector: str = "embedding",
         found = found.unionByName(join_cells(distinct.where(F.size("v") == r["k"]), cosine, block, most_pivots))
     found = cut(found)
     counts = found.groupBy(F.col("a").alias("rep")).agg(F.sum("n").alias("n"))
-    tops = components(spark, found.select("a", "b")).withColumnRenamed("node", "rep")
+    tops = components(found.select("a", "b")).withColumnRenamed("node", "rep")
     known = distinct.join(counts, "rep", "left").join(tops, "rep", "left")
     known = known.select(F.col("v").alias("k_v"), (F.coalesce("n", F.lit(0)) + F.col("w") - 1).alias("n_links"), F.coalesce("component", "rep").alias("top"))
     out = all_.where("ok").join(known, F.col("v") == F.col("k_v")).select("id", "n_links", "top")

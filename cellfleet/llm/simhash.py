@@ -93,18 +93,18 @@ def _forests(radius: int):
     return run
 
 
-def links(fps: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame:
+def links(fps: DataFrame, radius: int = RADIUS, block: int = BLOCK, rows: int | None = None) -> DataFrame:
     """(a, b) links between distinct fingerprints ``fps(fp)`` within the radius, enough of them to connect all that link."""
 
     def apart(x: str, y: str) -> Column:
         return F.bit_count(F.col(x).bitwiseXOR(F.col(y)))
 
-    rows = fps.select("fp", F.posexplode(F.array(*[F.col("fp").bitwiseAND(F.lit(m)) for m in masks(radius)])).alias("t", "k"))
-    buckets = cut(rows.groupBy("t", "k").agg(F.count("*").alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).where("n > 1"))
+    masked = fps.select("fp", F.posexplode(F.array(*[F.col("fp").bitwiseAND(F.lit(m)) for m in masks(radius)])).alias("t", "k"))
+    buckets = cut(masked.groupBy("t", "k").agg(F.count("*").alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).where("n > 1"), rows and rows * len(masks(radius)))
     pairs = buckets.where("n = 2").where(apart("a", "b") <= radius).select("a", "b")
     large = buckets.where("n > 2").select("t", "k", F.ceil(F.col("n") / block).alias("m"))
     blocks = (
-        rows.join(large, ["t", "k"])
+        masked.join(large, ["t", "k"])
         .groupBy("t", "k", "m", F.pmod(F.xxhash64("fp"), "m").alias("i"))
         .agg(F.sort_array(F.collect_list("fp")).alias("fps"))
     )
@@ -119,8 +119,9 @@ def links(fps: DataFrame, radius: int = RADIUS, block: int = BLOCK) -> DataFrame
 def classes(docs: DataFrame, text: str = "text", key: str = "doc_id", radius: int = RADIUS) -> DataFrame:
     """(key, fp, component_id): component_id is the smallest key reachable by links."""
     fps = cut(fingerprints(docs, text, key))
-    distinct = cut(fps.groupBy("fp").agg(F.min(key).alias("first")))
-    found = components(docs.sparkSession, links(distinct.select("fp"), radius))
+    n = fps.count()
+    distinct = cut(fps.groupBy("fp").agg(F.min(key).alias("first")), n)
+    found = components(links(distinct.select("fp"), radius, rows=n), n)
     tops = distinct.join(found.select(F.col("node").alias("fp"), "component"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
     firsts = tops.groupBy("component").agg(F.min("first").alias("component_id"))
     by_fp = tops.join(firsts, "component").select("fp", "component_id")

@@ -28,7 +28,8 @@ from pyspark.sql import functions as F
 from cellfleet.llm.common import cut, scratch, table
 
 EPOCH = "2024-01-01 00:00:00"
-FILE_RECORDS = 5000
+#: Payload of an archive file, about, and the most records it has.
+FILE_BYTES, FILE_RECORDS = 16 << 20, 20_000
 BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 INDEX = "page_id bigint, url string, url_key string, captured string, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint, file string, offset bigint, length bigint"
 
@@ -44,14 +45,16 @@ def digest(payload: Column) -> Column:
     return F.concat(*out)
 
 
-def typed(pages: DataFrame) -> DataFrame:
-    """(page_id, url, w_html, w_digest, w_type, w_first): only page_id and digest are compared, htmls are shuffled once, by page."""
+def typed(pages: DataFrame) -> tuple[DataFrame, int]:
+    """(page_id, url, w_html, w_digest, w_type, w_first) and the bytes of all different payloads of a page: only page_id and
+    digest are compared, htmls are shuffled once, by page."""
     d = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("w_html")).withColumn("w_digest", digest(F.col("w_html").cast("binary")))
-    small = cut(d.select("page_id", "w_digest").distinct())
+    small = cut(d.select("page_id", "w_digest", F.octet_length("w_html").alias("w_bytes")).distinct(), pages.count())
     first = small.groupBy("w_digest").agg(F.min("page_id").alias("w_first"))
     known = small.join(first, "w_digest").select(F.col("page_id").alias("k_id"), F.col("w_digest").alias("k_digest"), "w_first")
     out = d.join(known, F.col("page_id").eqNullSafe(F.col("k_id")) & (F.col("w_digest") == F.col("k_digest")))
-    return out.withColumn("w_type", F.when(F.col("page_id").eqNullSafe(F.col("w_first")), "response").otherwise("revisit"))
+    out = out.withColumn("w_type", F.when(F.col("page_id").eqNullSafe(F.col("w_first")), "response").otherwise("revisit"))
+    return out, small.agg(F.sum("w_bytes").alias("n")).first()["n"] or 0
 
 
 def record(crlf: str = "\r\n") -> Column:
@@ -76,9 +79,10 @@ def record(crlf: str = "\r\n") -> Column:
     return F.concat(F.concat_ws(crlf, *lines), F.lit(crlf * 2), block)
 
 
-def write(pages: DataFrame, path: str, file_records: int = FILE_RECORDS) -> None:
-    out = typed(pages).select(record().alias("value"))
-    out.write.option("lineSep", "\r\n\r\n").option("compression", "gzip").option("maxRecordsPerFile", file_records).text(path)
+def write(pages: DataFrame, path: str, file_bytes: int = FILE_BYTES, file_records: int = FILE_RECORDS) -> None:
+    out, payload = typed(pages)
+    out = out.select(record().alias("value")).coalesce(max(1, -(-payload // file_bytes)))
+    out.write.option("lineSep", "\r\n\r\n").option("compression", "gzip").option("zlib.compress.level", "BEST_SPEED").option("maxRecordsPerFile", file_records).text(path)
 
 
 def url_key(url: str) -> str:
