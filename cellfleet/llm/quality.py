@@ -175,7 +175,9 @@ def keep(docs: DataFrame, text: str = "text", threshold: float = 0.5) -> DataFra
     """The rows of ``docs`` whose documents are kept, in their own columns; texts are measured twice and never shuffled."""
     measured = with_votes(features(docs, text))
     share, chance = fit(patterns(measured))
-    return measured.where(~base_failed() & (probability(share, chance) >= threshold)).select(*docs.columns)
+    # the optimizer would write every measure out in the filter, once for each use; it keeps filters above such a column
+    measured = measured.withColumn("q_barrier", F.monotonically_increasing_id())
+    return measured.where(~base_failed() & (probability(share, chance) >= threshold) & (F.col("q_barrier") >= 0)).select(*docs.columns)
 
 
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

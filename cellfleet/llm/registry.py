@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cellfleet.llm import embeddings, html_main, mixing, packing, quality, secrets, simhash, substrings, warc
+from cellfleet.llm import embeddings, html_main, mixing, packing, quality, secrets, simhash, substrings, token_counts, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_mix_sources": mixing.op1_mix_sources,
+        "op2_token_counts": token_counts.op2_token_counts,
         "op3_pack": packing.op3_pack,
         "op4_main_text": html_main.op4_main_text,
         "op5_embedding_near_dedup": embeddings.op5_embedding_near_dedup,
