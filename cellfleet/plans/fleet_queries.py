@@ -1 +1,349 @@
-"""x"""
+"""Queries of the fleet packer, of moving objects and of the competing indexes and fleets."""
+
+from __future__ import annotations
+
+import math
+
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from cellfleet.baselines import fleets, indexes
+from cellfleet.functions.geometry import box_disk_d2, dist2, micro
+from cellfleet.operators import access, costs, kdpart, maintain, packing, pivots, snapshot
+from cellfleet.plans.index_queries import MICRO, P, assigned_sql, chosen, knn_sql, ranged, range_sql, R, z_sql
+from cellfleet.plans.registry import query
+from cellfleet.sources import views
+from cellfleet.sources.views import SQL
+
+BITS, LEVELS, CAP, SERVERS, EXTENT = 32, 24, 500, 4, 50_000.0
+
+
+def leaves_sql(cap: int = CAP) -> str:
+    z = z_sql("x", "y").replace("+ (((((x) >> 16)", "+ 0 * (((((x) >> 16)")
+    return f"""pts as ({SQL['skewed']}), zz as (select oid, x, y, {z} as z from pts),
+    pre as (select zz.oid, d.depth, zz.z >> ({BITS} - d.depth) as prefix from zz, (select unnest(range({LEVELS + 1})) as depth) d),
+    cnt as (select depth, prefix, count(*) as n from pre group by all),
+    own as (select p.oid, min(p.depth) as depth from pre p join cnt c using (depth, prefix) where c.n <= {cap} or p.depth = {LEVELS} group by p.oid),
+    lf as (select o.oid, o.depth, p.prefix from own o join pre p on p.oid = o.oid and p.depth = o.depth),
+    leaf as (select depth, prefix, count(*) as n from lf group by all),
+    num as (select depth, prefix, n, prefix << ({BITS} - depth) as z0, row_number() over (order by prefix << ({BITS} - depth)) - 1 as pid from leaf),
+    asg as (select lf.oid, zz.x, zz.y, num.pid from lf join num using (depth, prefix) join zz on zz.oid = lf.oid)"""
+
+
+def leaves(spark: SparkSession, d: str, cap: int = CAP) -> tuple[DataFrame, DataFrame]:
+    pts = kdpart.coded(views.skewed(spark, d))
+    return pts, kdpart.with_boxes(kdpart.build(pts, cap, BITS, LEVELS), BITS)
+
+
+def monday_patterns(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    pts, boxed = leaves(spark, d)
+    ts = views.table(spark, d, "events").select(F.col("event_id").alias("oid"), "ts").where(F.dayofweek("ts") == 2)
+    return access.patterns(kdpart.assign(pts, boxed, BITS).join(ts, "oid").select("pid", "ts")), boxed
+
+
+PATTERNS = f"""{leaves_sql()}, acc as (select a.pid, (hour(e.ts)*12 + minute(e.ts)//5)::int as t from asg a join events e on e.event_id = a.oid where dayofweek(e.ts) = 1),
+    pat as (select pid, t, count(*)::double as a from acc group by all), grid as (select pid, t::int as t from num, (select unnest(range(288)) as t) g),
+    ful as (select pid, t, coalesce(a, 0.0) as a from grid left join pat using (pid, t))"""
+STEPS = "select pid, sum(abs(a - b)) as delta from (select pid, a, lag(a) over (partition by pid order by t) as b from ful) group by pid"
+
+
+@query("kd_leaves", f"with {leaves_sql()} select depth::int as depth, prefix, n from leaf")
+def kd_leaves(spark, d):
+    return leaves(spark, d)[1].select("depth", "prefix", "n")
+
+
+@query("kd_assign", f"with {leaves_sql()} select oid, pid from asg")
+def kd_assign(spark, d):
+    return kdpart.assign(*leaves(spark, d), BITS).select("oid", "pid")
+
+
+@query("access_patterns", f"with {PATTERNS} select * from pat")
+def access_patterns(spark, d):
+    return monday_patterns(spark, d)[0]
+
+
+@query("access_patterns_times_1000", f"with {PATTERNS} select pid, t, a*1000 as a from pat")
+def access_patterns_scaled(spark, d):
+    pts, boxed = leaves(spark, d)
+    ts = views.table(spark, d, "events").select(F.col("event_id").alias("oid"), "ts").where(F.dayofweek("ts") == 2)
+    return access.patterns(kdpart.assign(pts, boxed, BITS).join(ts, "oid").select("pid", "ts"), 1000.0)
+
+
+@query("access_flatness", f"with {PATTERNS}, n as (select pid, abs(max(a) filter (t = 287) - max(a) filter (t = 0)) as net from ful group by pid) select s.pid, s.delta as variation, n.net from ({STEPS}) s join n using (pid) where pid in (select pid from pat)")
+def access_flatness(spark, d):
+    v = access.vectors(monday_patterns(spark, d)[0])
+    return v.select("pid", access.flatness(F.col("v")).alias("variation"), access.flatness(F.col("v"), "net").alias("net"))
+
+
+@query("pair_flatness", f"with {PATTERNS}, pr as (select l.pid as a, r.pid as b, l.t, l.a + r.a as s from ful l join ful r on l.t = r.t and l.pid < r.pid), st as (select a, b, abs(s - lag(s) over (partition by a, b order by t)) as d from pr) select a, b, sum(d) as delta from st where a in (select pid from pat) and b in (select pid from pat) group by a, b")
+def pair_flatness(spark, d):
+    return access.pair_flatness(access.vectors(monday_patterns(spark, d)[0]))
+
+
+LOADS = f"""{PATTERNS}, pln as (select pid, pid % {SERVERS} as server, n from num), ld as (select server, t, sum(a) as load from pat join pln using (pid) group by all),
+    rw as (select server, sum(n)::bigint as rows from pln group by server), lo as (select rw.server, coalesce(max(load), 0.0) as peak, coalesce(sum(load), 0.0) as used, rows from rw left join ld using (server) group by rw.server, rows),
+    tr as (select * from (values (0, 4.0, 1500, 0.1), (1, 8.0, 3000, 0.2), (2, 16.0, 6000, 0.4), (3, 32.0, 12000, 0.8)) v(tier, capacity, storage, price)),
+    ch as (select lo.*, tr.tier, tr.capacity, tr.price from lo join tr on peak < capacity and rows <= storage qualify row_number() over (partition by server order by price) = 1)"""
+OF = costs.tiers(4.0, 1500, 0.1)
+
+
+def planned(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    pat, boxed = monday_patterns(spark, d)
+    plan = boxed.select("pid", (F.col("pid") % SERVERS).alias("server"), "n")
+    rows = plan.groupBy("server").agg(F.sum("n").alias("rows"))
+    return costs.server_loads(access.server_load(pat, plan), rows), costs.frame(spark, OF)
+
+
+@query("tier_choice", f"with {LOADS} select server, peak, rows, tier::int as tier, capacity::double as capacity, price::double as price from ch")
+def tier_choice(spark, d):
+    loads, of = planned(spark, d)
+    return costs.choose_tier(loads.select("server", "peak", "rows"), of).drop("over")
+
+
+@query("idle_time", f"with {LOADS} select server, tier::int as tier, capacity*288 - used as idle, {MICRO.format('used/(capacity*288)')} as utilisation from ch")
+def idle_time(spark, d):
+    return costs.idle(*planned(spark, d)).select("server", "tier", "idle", micro(F.col("utilisation")).alias("utilisation"))
+
+
+@query("day_cost", f"with {LOADS} select count(*) as servers, sum(capacity*288 - used) as total_idle, sum((price*24)::decimal(18,4))::decimal(28,4) as cost from ch")
+def day_cost(spark, d):
+    return costs.day_cost(costs.idle(*planned(spark, d)))
+
+
+_CX = f"select pid, n, ((z0 & 1) | ((z0 >> 1) & 2) | ((z0 >> 2) & 4) | ((z0 >> 3) & 8) | ((z0 >> 4) & 16) | ((z0 >> 5) & 32) | ((z0 >> 6) & 64) | ((z0 >> 7) & 128) | ((z0 >> 8) & 256) | ((z0 >> 9) & 512) | ((z0 >> 10) & 1024) | ((z0 >> 11) & 2048) | ((z0 >> 12) & 4096) | ((z0 >> 13) & 8192) | ((z0 >> 14) & 16384) | ((z0 >> 15) & 32768)) as cx from num"
+
+
+@query("cosine_load", f"with {leaves_sql()}, c as ({_CX}) select pid, t::int as t, {MICRO.format(f'n*(1 + cos({2 * math.pi!r}*(t/288.0::double - cx/{EXTENT!r}::double)))/2')} as a from c, (select unnest(range(288)) as t) g")
+def cosine_load(spark, d):
+    _, boxed = leaves(spark, d)
+    return access.cosine_load(boxed.select("pid", "n", F.col("x0").alias("cx")), EXTENT).select("pid", "t", micro(F.col("a")).alias("a"))
+
+
+@query("zipf_load", f"with {leaves_sql()}, g as (select pid, n, t, row_number() over (partition by pid order by md5(pid || ':' || t)) as rank from num, (select unnest(range(288)) as t) g) select pid, t::int as t, {MICRO.format('n*power(rank::double, -1.5)')} as a from g")
+def zipf_load(spark, d):
+    _, boxed = leaves(spark, d)
+    return access.zipf_load(boxed.select("pid", "n"), 1.5).select("pid", "t", micro(F.col("a")).alias("a"))
+
+
+_GRID = f"""{leaves_sql()}, gc as (select depth, prefix, count(*) as n from pre where depth % 2 = 0 group by all), gd as (select coalesce(min(depth), {LEVELS}) as depth from (select depth, max(n) as most from gc group by depth) where most <= {CAP}),
+    cells as (select depth, prefix, n from gc where depth = (select depth from gd))"""
+
+
+@query("grid_static_cells", f"with {_GRID} select depth::int as depth, prefix, n from cells")
+def grid_static_cells(spark, d):
+    return fleets.grid_cells(kdpart.coded(views.skewed(spark, d)), CAP, BITS, LEVELS)
+
+
+@query("grid_scattered_servers", f"with {_GRID} select ('0x' || substr(md5('7:' || prefix), 1, 7))::bigint % {SERVERS} as server, count(*) as cells, sum(n)::bigint as n from cells group by 1")
+def grid_scattered_servers(spark, d):
+    return fleets.scattered(grid_static_cells(spark, d), SERVERS).groupBy("server").agg(F.count("*").alias("cells"), F.sum("n").alias("n"))
+
+
+@query("plan_transfer", f"with {leaves_sql()} select sum(case when pid % 4 <> pid % 3 then n else 0 end)::bigint as moved, sum(n)::bigint as total, {MICRO.format('sum(case when pid % 4 <> pid % 3 then n else 0 end)::double/sum(n)::double')} as ratio from num")
+def plan_transfer(spark, d):
+    _, boxed = leaves(spark, d)
+    t = costs.transfer(boxed.select("pid", (F.col("pid") % 4).alias("server")), boxed.select("pid", (F.col("pid") % 3).alias("server")), boxed.select("pid", F.col("n").alias("rows")))
+    return t.select("moved", "total", micro(F.col("ratio")).alias("ratio"))
+
+
+_QS = "q as (select c_custkey as qid, cast(floor((c_acctbal+1000)*5) as bigint) as x, (c_custkey % 1000)*49 as y from customer where c_custkey <= 200)"
+
+
+def skewed_queries(spark: SparkSession, d: str, r: float) -> DataFrame:
+    c = views.table(spark, d, "customer").where("c_custkey <= 200")
+    return c.selectExpr("c_custkey as qid", "cast(floor((c_acctbal+1000)*5) as bigint) as x", "(c_custkey % 1000)*49 as y").withColumn("r", F.lit(float(r)))
+
+
+def kd_run(spark: SparkSession, d: str, r: float) -> DataFrame:
+    pts, boxed = leaves(spark, d)
+    q = skewed_queries(spark, d, r).select("qid", F.col("x").alias("qx"), F.col("y").alias("qy"), "r")
+    meets = box_disk_d2(F.col("qx"), F.col("qy"), F.col("x0"), F.col("y0"), F.col("x1"), F.col("y1")) <= F.col("r") * F.col("r")
+    t = q.join(F.broadcast(boxed.select("pid", "x0", "y0", "x1", "y1")), meets).select("qid", "qx", "qy", "r", "pid")
+    d2 = dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy"))
+    return kdpart.assign(pts, boxed, BITS).join(t, "pid").withColumn("d2", d2).where(F.col("d2") <= F.col("r") * F.col("r")).select("qid", "oid", "d2")
+
+
+for _name, _share in (("small", 0.001), ("middle", 0.005), ("large", 0.01)):
+    _r = int(_share * EXTENT * 10)
+
+    @query(f"kd_range_query_{_name}", f"with pts as ({SQL['skewed']}), {_QS}, h as (select qid, oid, (p.x-q.x)*(p.x-q.x) + (p.y-q.y)*(p.y-q.y) as d2 from pts p, q) select * from h where d2 <= {_r}::bigint*{_r}")
+    def kd_range_query(spark, d, r=_r):
+        return kd_run(spark, d, r)
+
+
+@query("kd_route", f"with {leaves_sql()}, {_QS}, qz as (select qid, {z_sql('x', 'y')} as z from q) select qid, min(pid) as pid, (qid % {SERVERS} <> min(pid) % {SERVERS})::bigint as msgs from qz join num on qz.z >> ({BITS} - num.depth) = num.prefix group by qid")
+def kd_route(spark, d):
+    """One-hop routing by the prefix of a query's code."""
+    _, boxed = leaves(spark, d)
+    q = kdpart.assign(kdpart.coded(skewed_queries(spark, d, 1.0)), boxed, BITS)
+    return q.select("qid", "pid", (F.col("qid") % SERVERS != F.col("pid") % SERVERS).cast("long").alias("msgs"))
+
+
+@query("leaf_changes", f"with {leaves_sql()}, pts2 as (select * from zz where oid % 3 <> 0), pre2 as (select p.oid, d.depth, p.z >> ({BITS} - d.depth) as prefix from pts2 p, (select unnest(range({LEVELS + 1})) as depth) d), cnt2 as (select depth, prefix, count(*) as n from pre2 group by all), own2 as (select p.oid, min(p.depth) as depth from pre2 p join cnt2 c using (depth, prefix) where c.n <= {CAP} or p.depth = {LEVELS} group by p.oid), lf2 as (select distinct o.depth, p.prefix from own2 o join pre2 p on p.oid = o.oid and p.depth = o.depth) select depth::int as depth, prefix, 'gone' as change from (select depth, prefix from leaf except select depth, prefix from lf2) union all select depth::int, prefix, 'new' from (select depth, prefix from lf2 except select depth, prefix from leaf)")
+def leaf_changes(spark, d):
+    """Leaves that a third of the objects leaving takes away and makes."""
+    pts = kdpart.coded(views.skewed(spark, d))
+    deep = F.expr(f"shiftright(z, {BITS - LEVELS})")
+    counts = pts.groupBy(deep.alias("z")).agg(F.count("*").alias("n"))
+    changes = pts.where("oid % 3 = 0").groupBy(deep.alias("z")).agg((-F.count("*")).alias("dn"))
+    after = counts.join(changes, "z", "left").select("z", (F.col("n") + F.coalesce("dn", F.lit(0))).alias("n")).where("n > 0")
+    old, new = kdpart.leaves(counts, CAP, LEVELS, LEVELS), kdpart.leaves(after, CAP, LEVELS, LEVELS)
+    gone = old.join(new, ["depth", "prefix"], "left_anti").select("depth", "prefix", F.lit("gone").alias("change"))
+    return gone.unionByName(new.join(old, ["depth", "prefix"], "left_anti").select("depth", "prefix", F.lit("new").alias("change")))
+
+
+@query("region_hour_load", "select r.r_name as region, hour(e.ts)::int as hour, count(*) as n from events e join nation n on n.n_nationkey = e.user_id % 25 join region r on r.r_regionkey = n.n_regionkey group by all")
+def region_hour_load(spark, d):
+    e, n, r = (views.table(spark, d, t) for t in ("events", "nation", "region"))
+    at = e.select((F.col("user_id") % 25).alias("k"), F.hour("ts").alias("hour"))
+    named = n.join(F.broadcast(r), n.n_regionkey == r.r_regionkey).select("n_nationkey", F.col("r_name").alias("region"))
+    return at.join(F.broadcast(named), F.col("k") == F.col("n_nationkey")).groupBy("region", "hour").agg(F.count("*").alias("n"))
+
+
+@query("latest_positions", f"with rep as ({SQL['reports']}) select obj as oid, x, y from rep where ts <= timestamp '2024-01-20 00:00:00' qualify row_number() over (partition by obj order by ts desc, event_id desc) = 1")
+def latest_positions(spark, d):
+    return snapshot.latest(views.reports(spark, d), "2024-01-20 00:00:00").select("oid", "x", "y")
+
+
+@query("trajectory_slots", f"with rep as ({SQL['reports']}), s as (select *, time_bucket(interval '25 minutes', ts, timestamp '1970-01-01') as slot from rep) select obj, slot, count(*) over (partition by obj, slot) as n, x, y from s qualify row_number() over (partition by obj, slot order by ts desc, event_id desc) = 1")
+def trajectory_slots(spark, d):
+    return snapshot.trajectories(views.reports(spark, d))
+
+
+_MOVE = "floor(({lo} + ('0x' || substr(md5('{s}:' || oid), 1, 6))::bigint % 151) * 10)::bigint * (case when ('0x' || substr(md5('{s}:' || oid), 7, 2))::bigint % 2 = 0 then 1 else -1 end)"
+
+
+@query("moved_objects", f"with pts as ({SQL['uniform']}) select oid, x as x0, y as y0, x + {_MOVE.format(lo=100, s='x')} as x1, y + {_MOVE.format(lo=100, s='y')} as y1 from pts where ('0x' || substr(md5('u:' || oid), 1, 7))::bigint % 100 < 6")
+def moved_objects(spark, d):
+    """The objects that update, six percent of them, and their steps."""
+    hexa = lambda s, a, n: F.conv(F.substring(F.md5(F.concat(F.lit(f"{s}:"), F.col("oid").cast("string"))), a, n), 16, 10).cast("long")
+    step = lambda s: (100 + hexa(s, 1, 6) % 151) * 10 * F.when(hexa(s, 7, 2) % 2 == 0, 1).otherwise(-1)
+    p = views.uniform(spark, d).where(hexa("u", 1, 7) % 100 < 6)
+    return p.select("oid", F.col("x").alias("x0"), F.col("y").alias("y0"), (F.col("x") + step("x")).alias("x1"), (F.col("y") + step("y")).alias("y1"))
+
+
+@query("update_messages", "select n::bigint as nodes, floor((log2(n) + 3*log2(n/4.0))*1e6+0.5)/1e6 as per_update, floor(log2(n)*1e6+0.5)/1e6 as routing from (values (32), (64), (96), (128)) v(n)")
+def update_messages(spark, d):
+    rows = [(n, math.floor(indexes.overlay_update_messages(n) * 1e6 + 0.5) / 1e6, math.floor(indexes.ring_messages(n) * 1e6 + 0.5) / 1e6) for n in (32, 64, 96, 128)]
+    return spark.createDataFrame(rows, "nodes long, per_update double, routing double")
+
+
+@query("break_even", f"with {assigned_sql('uniform')} select {MICRO.format('avg((oid % 8 <> pid)::int)')} as beta, floor(avg((oid % 8 <> pid)::int)/(log2(128) + 3*log2(32))*1e6+0.5)/1e6 as share from asg")
+def break_even(spark, d):
+    """Objects that change nodes in a rebuild, and the share of updates from which on it needs fewer messages than updates in place."""
+    at = pivots.assign(*chosen(spark, d))
+    beta = at.agg(F.avg((F.col("oid") % P != F.col("pid")).cast("int")).alias("beta"))
+    return beta.select(micro(F.col("beta")).alias("beta"), micro(F.col("beta") / indexes.overlay_update_messages(128)).alias("share"))
+
+
+@query("range_hashed", f"{range_sql(R)} select * from ans")
+def range_hashed(spark, d):
+    return indexes.hashed_range(indexes.hashed_snapshot(views.uniform(spark, d), P), ranged(spark, d))
+
+
+@query("knn_hashed_8", f"{knn_sql(8)} select qid, rank, oid, d2 from r")
+def knn_hashed(spark, d):
+    return indexes.hashed_knn(indexes.hashed_snapshot(views.uniform(spark, d), P), views.uniform_queries(spark, d), 8)
+
+
+_TILES = f"with pts as ({SQL['uniform']}), s as (select *, ntile(8) over (order by x, oid) as slice from pts), t as (select *, ntile(8) over (partition by slice order by y, oid) as tile from s), lv as (select slice::int as slice, tile::int as tile, count(*) as n, min(x) as x0, min(y) as y0, max(x) as x1, max(y) as y1 from t group by all)"
+
+
+@query("packed_leaves", f"{_TILES} select * from lv")
+def packed_leaves(spark, d):
+    return indexes.packed_leaves(views.uniform(spark, d), 8, 8)
+
+
+@query("packed_leaves_touched", f"{_TILES}, q as ({SQL['uniform_queries']}) select qid, count(*) as leaves from q, lv where power(greatest(x0 - x, x - x1, 0), 2) + power(greatest(y0 - y, y - y1, 0), 2) <= {R}::double*{R} group by qid")
+def packed_leaves_touched(spark, d):
+    return indexes.leaves_touched(packed_leaves(spark, d), ranged(spark, d))
+
+
+@query("router_load", f"with q as ({SQL['uniform_queries']}), l as (select qid % 64 as leaf, level from q, (select unnest(range(4)) as level)) select level::int as level, (leaf // power(4, 3 - level)::bigint)::bigint as node, count(*) as n from l group by all")
+def router_load(spark, d):
+    return indexes.router_load(views.uniform_queries(spark, d), 4, 3)
+
+
+@query("snapshot_drift", f"with {assigned_sql('skewed')}, rep as ({SQL['reports']}), day as (select unnest(generate_series(timestamp '2024-01-05', timestamp '2024-01-25', interval 5 day)) as day), lst as (select day, obj, x, y from rep, day where ts <= day qualify row_number() over (partition by day, obj order by ts desc, event_id desc) = 1), nr as (select day, obj, pid, row_number() over (partition by day, obj order by (l.x-v.x)*(l.x-v.x)+(l.y-v.y)*(l.y-v.y), pid) as k from lst l, piv v) select day::timestamp as day, pid, count(*) as n from nr where k = 1 group by all")
+def snapshot_drift(spark, d):
+    """Objects of each fixed piece, cycle by cycle, as they move."""
+    _, piv = chosen(spark, d, "skewed")
+    r = views.reports(spark, d)
+    out = None
+    for day in ("2024-01-05", "2024-01-10", "2024-01-15", "2024-01-20", "2024-01-25"):
+        at, _, _ = snapshot.cycle(snapshot.latest(r, f"{day} 00:00:00"), piv, P, "never")
+        n = at.groupBy("pid").agg(F.count("*").alias("n")).select(F.lit(f"{day} 00:00:00").cast("timestamp_ntz").cast("timestamp").alias("day"), "pid", "n")
+        out = n if out is None else out.unionByName(n)
+    return out
+
+
+def fleet_matrix(spark: SparkSession, d: str, load: str, cap: int) -> tuple[np.ndarray, np.ndarray, list[tuple]]:
+    pts, boxed = leaves(spark, d, cap)
+    if load == "real":
+        ts = views.table(spark, d, "events").select(F.col("event_id").alias("oid"), "ts").where(F.dayofweek("ts") == 2)
+        long = access.patterns(kdpart.assign(pts, boxed, BITS).join(ts, "oid").select("pid", "ts"))
+    elif load == "cosine":
+        long = access.cosine_load(boxed.select("pid", "n", F.col("x0").alias("cx")), EXTENT)
+    else:
+        long = access.zipf_load(boxed.select("pid", "n"), float(load))
+    _, a, rows = packing.matrix(access.vectors(long), boxed.select("pid", "n"))
+    unit = max(float(a.max()) * 1.01, float(a.sum(axis=0).max()) / 24)
+    return a, rows, costs.tiers(unit, max(1, int(rows.sum()) // 6), 0.1)
+
+
+def fleet_costs(spark: SparkSession, d: str, load: str, cap: int) -> DataFrame:
+    """(method, servers, idle, cost) of a day for the packer with and without search and the grids."""
+    a, rows, tiers = fleet_matrix(spark, d, load, cap)
+    wanted = max(2, int(np.ceil(max(a.sum(axis=0).max() / tiers[-1][1], rows.sum() / tiers[-1][2]))) + 1)
+    out = []
+    for name, search in (("packer", False), ("packer_search", True)):
+        plan = packing.pack(a, rows, wanted, tiers, search)
+        out.append((name, len(np.unique(plan)), float(packing.total_idle(plan, a, rows, tiers)), fleets.static_cost(a, rows, plan, tiers)))
+    own = np.arange(len(a))
+    out.append(("piece_each", len(a), float(packing.total_idle(own, a, rows, tiers)), fleets.static_cost(a, rows, own, tiers)))
+    scattered = own * 7919 % wanted
+    out.append(("scattered", len(np.unique(scattered)), float(packing.total_idle(scattered, a, rows, tiers)), fleets.static_cost(a, rows, scattered, tiers)))
+    reactive = fleets.Reactive(a, rows, tiers, [[i] for i in own.tolist()])
+    cost = reactive.run()
+    out.append(("reactive", len(reactive.servers), 0.0, cost))
+    return spark.createDataFrame([(m, s, math.floor(min(i, 1e15) * 1e3) / 1e3, math.floor(c * 1e4) / 1e4) for m, s, i, c in out], "method string, servers int, idle double, cost double")
+
+
+for _load in ("real", "cosine", "0.0", "1.0", "2.0", "3.0"):
+
+    @query(f"fleet_costs_{'zipf_' + _load[0] if _load[0].isdigit() else _load}")
+    def fleet_costs_query(spark, d, load=_load):
+        return fleet_costs(spark, d, load, CAP)
+
+
+@query("fleet_costs_by_pieces")
+def fleet_costs_by_pieces(spark, d):
+    """Server cost as pieces get smaller."""
+    out = None
+    for cap in (2000, 1000, 500, 200):
+        r = fleet_costs(spark, d, "cosine", cap).withColumn("cap", F.lit(cap))
+        out = r if out is None else out.unionByName(r)
+    return out
+
+
+@query("incremental_transfer")
+def incremental_transfer(spark, d):
+    """(share, repacked, incremental): rows that move when 1, 5 or 10 % are inserted, packed anew or placed one by one."""
+    a, rows, tiers = fleet_matrix(spark, d, "cosine", CAP)
+    before = packing.agglomerate(a, rows, 4, tiers)
+    capacity = max(t[1] for t in tiers)
+    out = []
+    order = np.argsort(np.arange(len(a)) * 7919 % 104729)
+    for share in (0.01, 0.05, 0.10):
+        hit = order[: max(1, int(np.ceil(2 * share * len(a))))]  # the pieces that all new rows fall into
+        grown = np.ones(len(a))
+        grown[hit] += share * rows.sum() / rows[hit].sum()
+        after = packing.agglomerate(a * grown[:, None], (rows * grown).astype(np.int64), 4, tiers)
+        new = (rows * grown).astype(np.int64) - rows
+        repacked = float((rows[after != before].sum() + new.sum()) / (rows.sum() + new.sum()))
+        fleet = maintain.Fleet(capacity)
+        first = fleet.place_all({i: a[i] for i in range(len(a))})
+        moved = sum(int(rows[i]) for i in hit.tolist() if fleet.update(i, a[i] * grown[i]) != first[i])
+        out.append((share, math.floor(repacked * 1e6) / 1e6, math.floor((moved + int(new.sum())) / float(rows.sum() + new.sum()) * 1e6) / 1e6))
+    return spark.createDataFrame(out, "share double, repacked double, incremental double")
