@@ -289,7 +289,7 @@ def fleet_matrix(spark: SparkSession, d: str, load: str, cap: int) -> tuple[np.n
         long = access.zipf_load(boxed.select("pid", "n"), float(load))
     _, a, rows = packing.matrix(access.vectors(long), boxed.select("pid", "n"))
     unit = max(float(a.max()) * 1.01, float(a.sum(axis=0).max()) / 24)
-    return a, rows, costs.tiers(unit, max(1, int(rows.sum()) // 6), 0.1)
+    return a, rows, costs.tiers(unit, max(1, int(rows.sum()) // 24), 0.1)
 
 
 def fleet_costs(spark: SparkSession, d: str, load: str, cap: int) -> DataFrame:
