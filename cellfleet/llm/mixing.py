@@ -23,6 +23,8 @@ WEIGHTS, LIMIT, SEED = (5.0, 2.0, 1.0), 3, 1
 #: Rows of a bucket, the least number of buckets of all sources together, and the most sources that a mix may have:
 #: weights are set source by source, so their table is small by nature; a mix of more fails and isn't cut short.
 BUCKET_ROWS, LEAST_BUCKETS, MOST_SOURCES = 50_000, 2048, 100_000
+#: Hexadecimal digits of the hash that make a bucket, and buckets of a stretch of prefix sums.
+DIGITS, STRETCH = 12, 32
 
 
 def size() -> Column:
@@ -64,16 +66,22 @@ def plan(measured: DataFrame, weights: Sequence[float] | Mapping[str | None, flo
 
 def positions(rows: DataFrame, sources: DataFrame, key: str = "doc_id", seed: int = SEED) -> DataFrame:
     """``rows`` (with size and source) with their source's plan and m_taken: the words of each that the mix takes."""
-    h = F.xxhash64(F.lit(seed), F.col(key))
+    h = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(key).cast("string"), F.lit(""))))
     placed = rows.join(F.broadcast(sources.withColumnRenamed("source", "m_source")), F.col("source").eqNullSafe(F.col("m_source")))
-    unit = (h.cast("double") / F.lit(2.0**64)) + F.lit(0.5)
+    unit = F.conv(F.substring(h, 1, DIGITS), 16, 10).cast("double") / F.lit(16.0**DIGITS)
     placed = placed.withColumn("m_hash", h).withColumn("m_bucket", F.least(F.floor(unit * F.col("buckets")), F.col("buckets") - 1))
     # a null source can't be joined on; its place among the sources stands for it
     placed = placed.withColumn("m_null", F.col("source").isNull()).withColumn("m_source", F.coalesce("source", F.lit("")))
     by = ["m_null", "m_source", "m_bucket"]
     sums = placed.groupBy(*by).agg(F.sum("size").alias("m_sum"))
-    before = Window.partitionBy("m_null", "m_source").orderBy("m_bucket").rowsBetween(Window.unboundedPreceding, -1)
-    starts = sums.withColumn("m_start", F.coalesce(F.sum("m_sum").over(before), F.lit(0))).drop("m_sum")
+    # prefix sums in three steps, so that no task holds all buckets of a source: over stretches of buckets, and within each
+    own = ["m_null", "m_source"]
+    before = lambda part, order: Window.partitionBy(*part).orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
+    sums = sums.withColumn("m_stretch", F.floor(F.col("m_bucket") / STRETCH))
+    tops = sums.groupBy(*own, "m_stretch").agg(F.sum("m_sum").alias("m_total"))
+    tops = tops.withColumn("m_first", F.coalesce(F.sum("m_total").over(before(own, "m_stretch")), F.lit(0))).drop("m_total")
+    within = F.coalesce(F.sum("m_sum").over(before([*own, "m_stretch"], "m_bucket")), F.lit(0))
+    starts = sums.withColumn("m_within", within).join(tops, [*own, "m_stretch"]).select(*by, (F.col("m_first") + F.col("m_within")).alias("m_start"))
     inside = Window.partitionBy(*by).orderBy("m_hash", key, "size").rowsBetween(Window.unboundedPreceding, -1)
     at = placed.join(starts, by).withColumn("m_at", F.col("m_start") + F.coalesce(F.sum("size").over(inside), F.lit(0)))
     whole = F.when(F.col("source_size") > 0, F.floor(F.col("budget") / F.greatest(F.col("source_size"), F.lit(1)))).otherwise(0)
@@ -109,3 +117,23 @@ def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     measured = cut(docs.select("doc_id", "source", size().alias("size")))
     return positions(measured, plan(measured.select("source", "size"))).select("doc_id", "size", "source_size", "target", F.col("m_taken").alias("taken"))
+
+
+#: The same rows: weights by place, targets by the level at which the sources not at their limit share the rest, takes by running sums.
+ORACLE_SQL = r"""
+with d as (select doc_id, source, len(list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> ''))::bigint as size from documents),
+s as (select source, sum(size)::bigint as source_size from d group by source),
+w as (select *, case (row_number() over (order by source is null, source) - 1) % 3 when 0 then 5.0 when 1 then 2.0 else 1.0 end::double as w from s),
+c as (select *, 3.0 * source_size / w as cap, sum(source_size) over () as total from w),
+l as (select *, (total - coalesce(sum(3.0 * source_size) over (order by cap, source is null, source rows between unbounded preceding and 1 preceding), 0))
+  / sum(w) over (order by cap, source is null, source rows between current row and unbounded following) as level from c),
+v as (select min(level) filter (level <= cap) as level, sum(w) as whole from l),
+t as (select l.source, source_size, case when source_size = 0 then 0.0 when v.level * w > 3 * source_size then 3.0 * source_size
+  when not exists (select 1 from l x where x.level > x.cap) then total * w / v.whole else v.level * w end::double as target from l, v),
+b as (select *, floor(target + 0.5)::bigint as budget from t),
+r as (select d.doc_id, d.size, b.source_size, b.target, b.budget,
+  coalesce(sum(d.size) over (partition by d.source order by md5('1:' || coalesce(d.doc_id::varchar, '')), d.doc_id, d.size rows between unbounded preceding and 1 preceding), 0) as run
+  from d join b on d.source is not distinct from b.source)
+select doc_id, size, source_size, target, case when source_size = 0 then 0 else
+  (budget // source_size) * size + greatest(0, least(size, budget % source_size - run)) end::bigint as taken from r
+"""
