@@ -186,3 +186,13 @@ def classes(vectors: DataFrame, key: str = "vec_id", vector: str = "embedding",
 
 def op5_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classes(table(spark, sf_dir, "embeddings"))
+
+
+ORACLE_SQL = f"""
+with recursive v as (select vec_id, case when embedding is null or len(embedding) = 0 or len(list_filter(embedding, lambda x: x is null or isnan(x) or isinf(x))) > 0
+   or len(list_filter(embedding, lambda x: x <> 0)) = 0 then null else embedding::double[] end as e from embeddings),
+l as (select a.vec_id as a, b.vec_id as b from v a join v b on a.vec_id <> b.vec_id and len(a.e) = len(b.e) and list_cosine_similarity(a.e, b.e) >= {COSINE}),
+r as (select vec_id as a, vec_id as b from v union select r.a, l.b from r join l on r.b = l.a),
+c as (select a as vec_id, min(b) as component_id from r group by a), n as (select a as vec_id, count(*) as n from l group by a)
+select c.vec_id, coalesce(n.n, 0)::bigint as n_links, c.component_id, c.vec_id = c.component_id as kept from c left join n using (vec_id)
+"""

@@ -221,3 +221,14 @@ def remove(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFram
 
 def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
+
+
+ORACLE_SQL = rf"""
+with d as (select doc_id, list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') as w from documents),
+win as (select doc_id, p, md5(array_to_string(list_slice(w, p, p + {WINDOW - 1}), ' ')) as h from (select doc_id, w, unnest(range(1, len(w) - {WINDOW - 2})) as p from d)),
+least_ as (select h, min(doc_id) as m from win group by h),
+gone as (select distinct doc_id, p + k as pos from win join least_ using (h), (select unnest(range({WINDOW})) as k) where doc_id > m),
+word as (select doc_id, unnest(w) as x, unnest(range(1, len(w) + 1)) as pos from d),
+kept as (select doc_id, count(*) as n, string_agg(x, ' ' order by pos) as t from word anti join gone using (doc_id, pos) group by doc_id)
+select doc_id, len(w)::bigint as n_words, (len(w) - coalesce(n, 0))::bigint as n_removed, sha256(coalesce(t, '')) as kept_sha256 from d left join kept using (doc_id)
+"""

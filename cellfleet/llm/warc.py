@@ -211,4 +211,15 @@ def archive(pages: DataFrame, path: str) -> DataFrame:
 
 def op10_warc_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = archive(table(spark, sf_dir, "pages"), scratch(spark, "warc"))
-    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url_key", "captured")
+    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+_CHARS = " || ".join(
+    f"substr('{BASE32}', (((('0x' || substr(sha, {5 * i + 1}, 5))::bigint >> {shift}) & 31) + 1)::bigint, 1)" for i in range(8) for shift in (15, 10, 5, 0)
+)
+ORACLE_SQL = f"""
+with p as (select page_id, coalesce(html, '') as html from pages), h as (select page_id, octet_length(encode(html))::bigint as n, sha1(html) as sha from p),
+f as (select page_id, n, {_CHARS} as digest, min(page_id) over (partition by sha) as first from h)
+select page_id, n as payload_bytes, digest as payload_digest, case when page_id is not distinct from first then 'response' else 'revisit' end as record_type,
+ case when page_id is distinct from first then first end as refers_to from f
+"""
