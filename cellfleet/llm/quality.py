@@ -107,10 +107,11 @@ def fit(patterns: Sequence[tuple[Sequence[int], int]], rounds: int = 200, tolera
     be turned round, a bad vote stays at most ``MOST_ON_GOOD`` likely on good documents and at least ``LEAST_ODDS`` times
     as likely on bad ones, and a good vote or an abstention never speaks for bad. The share stays within 0.05 and 0.95. No rows: the values it starts from.
     """
-    share, chance = 0.8, [{-1: (0.02, 0.30), 0: (0.18, 0.20), 1: (0.80, 0.50)} for _ in RULES]
+    k = len(patterns[0][0]) if patterns else len(RULES)
+    share, chance = 0.8, [{-1: (0.02, 0.30), 0: (0.18, 0.20), 1: (0.80, 0.50)} for _ in range(k)]
     total = sum(n for _, n in patterns)
     for _ in range(rounds if total else 0):
-        good, seen = 0.0, [{v: [1.0, 1.0] for v in (-1, 0, 1)} for _ in RULES]
+        good, seen = 0.0, [{v: [1.0, 1.0] for v in (-1, 0, 1)} for _ in range(k)]
         for v, n in patterns:
             p = posterior(v, share, chance)
             good += p * n
@@ -119,7 +120,7 @@ def fit(patterns: Sequence[tuple[Sequence[int], int]], rounds: int = 200, tolera
                 seen[j][x][1] += n * (1 - p)
         new = []
         for s in seen:
-            g, b = (sum(s[v][k] for v in s) for k in (0, 1))
+            g, b = (sum(s[v][c] for v in s) for c in (0, 1))
             c = {v: (s[v][0] / g, s[v][1] / b) for v in s}
             rare = min(c[-1][0], MOST_ON_GOOD)
             new.append({-1: (rare, max(c[-1][1], LEAST_ODDS * rare)), 0: (c[0][0], min(c[0])), 1: (c[1][0], min(c[1]))})
