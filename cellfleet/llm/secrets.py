@@ -28,7 +28,8 @@ HEX_LONG, ACCESS_LONG = r"[0-9a-f]{16,}", r"AKIA[A-Z0-9]{14,}"
 
 RUN = r"[A-Za-z0-9+/_=-]{20,}"
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
-SAMPLE_DOCS, SAMPLE_RANDOM, LEAST_RATIO = 1000, 2000, 0.5
+SAMPLE_DOCS, SAMPLE_RANDOM, LEAST_RATIO = 1000, 2000, 1.0
+BACK_OFF, MOST_STEP = 10.0, 4.0
 MASK = "[SECRET]"
 
 SPAN = "array<struct<start:int,rank:int,end:int>>"
@@ -80,16 +81,22 @@ def samples(docs: DataFrame, text: str = "text", key: str = "doc_id", n_docs: in
 
 
 def train(labelled: DataFrame) -> list[float]:
-    """Log-ratio of the two models' chance of each character after each other, add-one smoothed, row by row.
+    """Log-ratio of the two models' chance of each character after each other, row by row, no step beyond ``MOST_STEP``.
 
+    A model's chances of what follows a character are drawn towards its chances of characters at all, by the weight of
+    ``BACK_OFF`` steps, so that characters which ordinary identifiers don't have speak for random ones wherever they stand.
     At most 2 * 68 * 68 counts reach the driver, whatever the sample."""
     size = len(ALPHABET) + 1
     pairs = labelled.select("random", F.explode(steps(places(F.col("token")))).alias("p")).groupBy("random", "p.a", "p.b").agg(F.count("*").alias("n"))
-    counts = {r: [[1.0] * size for _ in range(size)] for r in (True, False)}
+    counts = {r: [[0.0] * size for _ in range(size)] for r in (True, False)}
     for r in pairs.collect():
         counts[r["random"]][r["a"]][r["b"]] += r["n"]
-    chance = {r: [[x / sum(row) for x in row] for row in c] for r, c in counts.items()}
-    return [math.log(chance[True][i][j] / chance[False][i][j]) for i in range(size) for j in range(size)]
+    chance = {}
+    for label, c in counts.items():
+        each = [sum(row[j] for row in c) + 0.5 for j in range(size)]
+        share = [x / sum(each) for x in each]
+        chance[label] = [[(n + BACK_OFF * share[j]) / (sum(row) + BACK_OFF) for j, n in enumerate(row)] for row in c]
+    return [max(-MOST_STEP, min(MOST_STEP, math.log(chance[True][i][j] / chance[False][i][j]))) for i in range(size) for j in range(size)]
 
 
 def ratio(token: Column, model: list[float]) -> Column:
