@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellfleet.llm.common import cut, scratch, table
+from cellfleet.llm.common import cut, gathered, scratch, table
 
 EPOCH = "2024-01-01 00:00:00"
 #: Payload of an archive file, about, and the most records it has.
@@ -200,7 +200,8 @@ def merge(index: DataFrame) -> DataFrame:
                 out = []
         yield batch(out)
 
-    return index.repartitionByRange("url_key", "captured", "page_id", "offset").mapInArrow(one, INDEX)
+    merged = index.repartitionByRange("url_key", "captured", "page_id", "offset").mapInArrow(one, INDEX)
+    return gathered(merged, index.count())  # neighbouring ranges in one task: order stays
 
 
 def archive(pages: DataFrame, path: str) -> DataFrame:
