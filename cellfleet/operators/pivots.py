@@ -62,10 +62,13 @@ def elect(cand: DataFrame, p: int, objective: str = "sum_dist") -> DataFrame:
 
 
 def choose(pts: DataFrame, p: int, mult: int = 10, seed: int = SEED, objective: str = "sum_dist") -> list[Pivot]:
-    """The elected pivots on the driver, in order of pid; at most ``MOST_PIVOTS``."""
+    """The elected pivots on the driver, in order of pid; at most ``MOST_PIVOTS``. Of pivots at one place the first stays, as
+    no border lies between them."""
     if p > MOST_PIVOTS:
         raise ValueError(f"at most {MOST_PIVOTS} pivots")
-    return sorted((r["pid"], r["x"], r["y"]) for r in elect(candidates(pts, p * mult, seed), p, objective).collect())
+    found = sorted((r["pid"], r["x"], r["y"]) for r in elect(candidates(pts, p * mult, seed), p, objective).collect())
+    places = dict.fromkeys((x, y) for _, x, y in found)
+    return [(i, x, y) for i, (x, y) in enumerate(places)]
 
 
 def literal(piv: Sequence[Pivot]) -> Column:
