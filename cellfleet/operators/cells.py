@@ -242,9 +242,10 @@ def repair(made: DataFrame, points: DataFrame, piv: Sequence[Pivot], box: Sequen
     return made.where("exact").unionByName(fixed)
 
 
-def diagram(pts: DataFrame, piv: Sequence[Pivot], margin: float = 0.0, seeds: int = SEEDS, whole: bool = False) -> DataFrame:
-    """All cells, exact: pieces of nearest pivots, replicas within ``margin`` of a border, local cells, one round of repair."""
-    box = box_of(pts, whole)
+def diagram(pts: DataFrame, piv: Sequence[Pivot], margin: float = 0.0, seeds: int = SEEDS, whole: bool = False, around: DataFrame | None = None) -> DataFrame:
+    """All cells, exact: pieces of nearest pivots, replicas within ``margin`` of a border, local cells, one round of repair.
+    ``around``: more points (x, y) that the box holds."""
+    box = box_of(pts if around is None else pts.select("x", "y").unionByName(around.select("x", "y")), whole)
     at = pivots.assign(places(pts), piv)
     placed = borders.replicate(at, piv, margin) if margin > 0 else at.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica"))
     return repair(local(placed, piv, box, margin, seeds), at, piv, box)

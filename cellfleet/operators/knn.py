@@ -39,11 +39,37 @@ def bounds(queries: DataFrame, piv: Sequence[Pivot], stats: Sequence[tuple[int,
     return queries.withColumn("r", r * (1 + 1e-12) + 1e-6)
 
 
-def run(pts: DataFrame, queries: DataFrame, piv: Sequence[Pivot], k: int) -> DataFrame:
-    """Bound, one range join, rank: no rounds."""
+#: Squares to a side of the grid of counts that bounds a query's radius: one row of at most its square of them is broadcast.
+GRID = 64
+
+
+def grid_bounds(pts: DataFrame, queries: DataFrame, k: int, side: int = GRID) -> DataFrame:
+    """``queries`` with r from counts of a grid: squares in order of their furthest corner, up to the first that makes k."""
+    e = pts.agg(F.min("x").alias("x0"), F.min("y").alias("y0"), F.max("x").alias("x1"), F.max("y").alias("y1")).first()
+    if e["x0"] is None:
+        return queries.withColumn("r", F.lit(0.0))
+    sx, sy = (e["x1"] - e["x0"] + 1) / side, (e["y1"] - e["y0"] + 1) / side
+    cell = lambda c, low, s: F.floor((F.col(c) - low) / s)
+    counts = pts.groupBy(cell("x", e["x0"], sx).alias("gx"), cell("y", e["y0"], sy).alias("gy")).agg(F.count("*").alias("n"))
+    low_x, low_y = F.col("gx") * sx + e["x0"], F.col("gy") * sy + e["y0"]
+    whole = counts.agg(F.collect_list(F.struct(low_x.alias("x"), low_y.alias("y"), F.col("n").alias("n"))).alias("squares"))
+
+    def far(c: Column) -> Column:
+        dx = F.greatest(F.abs(F.col("x") - c["x"]), F.abs(F.col("x") - c["x"] - sx))
+        dy = F.greatest(F.abs(F.col("y") - c["y"]), F.abs(F.col("y") - c["y"] - sy))
+        return F.struct((dx * dx + dy * dy).alias("d2"), c["n"].alias("n"))
+
+    start = F.struct(F.lit(0).cast("long").alias("n"), F.lit(0.0).alias("d2"))
+    enough = F.aggregate(F.sort_array(F.transform("squares", far)), start, lambda a, p: F.when(a["n"] >= k, a).otherwise(F.struct((a["n"] + p["n"]).alias("n"), p["d2"].alias("d2"))), lambda a: a["d2"])
+    return queries.join(F.broadcast(whole)).withColumn("r", F.sqrt(enough) * (1 + 1e-12) + 1e-6).drop("squares")
+
+
+def run(pts: DataFrame, queries: DataFrame, piv: Sequence[Pivot], k: int, bound: str = "grid") -> DataFrame:
+    """Bound (by a grid of counts, or by the pieces' own counts), one range join, rank: no rounds."""
     index = pivots.assign(pts, piv)
     stats = [(r["pid"], r["n"], r["f2"]) for r in pivots.stats(index).collect()]
-    q = bounds(queries.select("qid", "x", "y"), piv, stats, k)
+    q = queries.select("qid", "x", "y")
+    q = grid_bounds(pts, q, k) if bound == "grid" else bounds(q, piv, stats, k)
     found = range_query.answers(index, range_query.targets(q, piv, [(p, f2) for p, _, f2 in stats]))
     return nearest(found, k)
 

@@ -13,8 +13,8 @@ from pyspark.sql import functions as F
 from cellfleet.functions.geometry import dist2
 
 SEED = 42
-#: Pivots that go into a plan as a literal array; beyond it a kernel compares blocks of points with a table of pivots.
-LITERAL_PIVOTS, MOST_PIVOTS = 512, 100_000
+#: Pivots that are compared within generated code; beyond it a kernel compares blocks of points with a table of pivots.
+LITERAL_PIVOTS, MOST_PIVOTS = 64, 100_000
 Pivot = tuple[int, int, int]
 
 
@@ -77,11 +77,17 @@ def literal(piv: Sequence[Pivot]) -> Column:
 
 
 def assign(pts: DataFrame, piv: Sequence[Pivot], method: str | None = None) -> DataFrame:
-    """``pts`` with pid and d2 of the nearest pivot, ties to the least pid. No shuffle: ``literal`` compares within the plan,
+    """``pts`` with pid and d2 of the nearest pivot, ties to the least pid. No shuffle: ``literal`` compares in generated code,
     ``kernel`` in Arrow batches."""
-    if (method or ("literal" if len(piv) <= LITERAL_PIVOTS else "kernel")) == "literal":
-        near = F.array_min(F.transform(literal(piv), lambda p: F.struct(dist2(F.col("x"), F.col("y"), p["x"], p["y"]).alias("d2"), p["pid"].alias("pid"))))
-        return pts.withColumn("near", near).select(*pts.columns, F.col("near.pid").alias("pid"), F.col("near.d2").alias("d2"))
+    n = len(piv)
+    if (method or ("literal" if n <= LITERAL_PIVOTS else "kernel")) == "literal":
+        # distance and place in one long: coordinates below 2 ** 26 leave room for both
+        each = [dist2(F.col("x"), F.col("y"), F.lit(x), F.lit(y)) * n + i for i, (_, x, y) in enumerate(piv)]
+        both = F.least(*each) if n > 1 else each[0]
+        d = pts.withColumn("a_near", both)
+        at = F.col("a_near") % n
+        pid = at if [i for i, *_ in piv] == list(range(n)) else F.get(F.array(*[F.lit(i).cast("long") for i, *_ in piv]), at.cast("int"))
+        return d.select(*pts.columns, pid.alias("pid"), F.expr(f"a_near div {n}").alias("d2"))
     ids, at = np.array([i for i, *_ in piv]), np.array([(x, y) for _, x, y in piv], dtype=np.int64)
     xi, yi = pts.columns.index("x"), pts.columns.index("y")
 

@@ -326,7 +326,8 @@ def cell_area_total(spark, d):
 def nearest_generator_cells(spark, d):
     """The nearest supplier of every customer: the one whose cell contains it."""
     pts, piv = chosen(spark, d, "suppliers", 4)
-    return cells.locate(cells.diagram(pts, piv), views.customers(spark, d).withColumnRenamed("oid", "qid")).groupBy("qid").agg(F.min("d2").alias("d2"))
+    q = views.customers(spark, d).withColumnRenamed("oid", "qid")
+    return cells.locate(cells.diagram(pts, piv, around=q), q).groupBy("qid").agg(F.min("d2").alias("d2"))
 
 
 @query("cells_wrong_before_repair")

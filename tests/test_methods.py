@@ -116,7 +116,8 @@ def test_knn_beyond_all(spark, cloud, k):
     pts = points(spark, cloud)
     piv = pivots.choose(pts, 5, 4)
     q = spark.createDataFrame([(1, 3000, 3000), (2, -50_000, 90_000)], "qid long, x long, y long")
-    got = [(r["qid"], r["rank"], r["oid"]) for r in knn.run(pts, q, piv, k).orderBy("qid", "rank").collect()]
+    got, again = ([(r["qid"], r["rank"], r["oid"]) for r in knn.run(pts, q, piv, k, bound).orderBy("qid", "rank").collect()] for bound in ("grid", "pieces"))
+    assert got == again
     want = []
     for i, x, y in ((1, 3000, 3000), (2, -50_000, 90_000)):
         best = sorted((((x - a) ** 2 + (y - b) ** 2), o) for o, (a, b) in enumerate(cloud))[:k]
