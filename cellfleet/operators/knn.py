@@ -43,16 +43,22 @@ def bounds(queries: DataFrame, piv: Sequence[Pivot], stats: Sequence[tuple[int,
 GRID = 64
 
 
-def grid_bounds(pts: DataFrame, queries: DataFrame, k: int, side: int = GRID) -> DataFrame:
-    """``queries`` with r from counts of a grid: squares in order of their furthest corner, up to the first that makes k."""
+Squares = tuple[DataFrame, float, float]
+
+
+def count_grid(pts: DataFrame, side: int = GRID) -> Squares:
+    """(one row with the array of squares, their width, their height): counts that serve all batches of a snapshot."""
     e = pts.agg(F.min("x").alias("x0"), F.min("y").alias("y0"), F.max("x").alias("x1"), F.max("y").alias("y1")).first()
-    if e["x0"] is None:
-        return queries.withColumn("r", F.lit(0.0))
-    sx, sy = (e["x1"] - e["x0"] + 1) / side, (e["y1"] - e["y0"] + 1) / side
-    cell = lambda c, low, s: F.floor((F.col(c) - low) / s)
-    counts = pts.groupBy(cell("x", e["x0"], sx).alias("gx"), cell("y", e["y0"], sy).alias("gy")).agg(F.count("*").alias("n"))
-    low_x, low_y = F.col("gx") * sx + e["x0"], F.col("gy") * sy + e["y0"]
-    whole = counts.agg(F.collect_list(F.struct(low_x.alias("x"), low_y.alias("y"), F.col("n").alias("n"))).alias("squares"))
+    x0, y0 = e["x0"] or 0, e["y0"] or 0
+    sx, sy = ((e["x1"] or 0) - x0 + 1) / side, ((e["y1"] or 0) - y0 + 1) / side
+    counts = pts.groupBy(F.floor((F.col("x") - x0) / sx).alias("gx"), F.floor((F.col("y") - y0) / sy).alias("gy")).agg(F.count("*").alias("n"))
+    low_x, low_y = F.col("gx") * sx + x0, F.col("gy") * sy + y0
+    return counts.agg(F.collect_list(F.struct(low_x.alias("x"), low_y.alias("y"), F.col("n").alias("n"))).alias("squares")), sx, sy
+
+
+def grid_bounds(queries: DataFrame, grid: Squares, k: int) -> DataFrame:
+    """``queries`` with r from counts of a grid: squares in order of their furthest corner, up to the first that makes k."""
+    whole, sx, sy = grid
 
     def far(c: Column) -> Column:
         dx = F.greatest(F.abs(F.col("x") - c["x"]), F.abs(F.col("x") - c["x"] - sx))
@@ -69,7 +75,7 @@ def run(pts: DataFrame, queries: DataFrame, piv: Sequence[Pivot], k: int, bound:
     index = pivots.assign(pts, piv)
     stats = [(r["pid"], r["n"], r["f2"]) for r in pivots.stats(index).collect()]
     q = queries.select("qid", "x", "y")
-    q = grid_bounds(pts, q, k) if bound == "grid" else bounds(q, piv, stats, k)
+    q = grid_bounds(q, count_grid(pts), k) if bound == "grid" else bounds(q, piv, stats, k)
     found = range_query.answers(index, range_query.targets(q, piv, [(p, f2) for p, _, f2 in stats]))
     return nearest(found, k)
 

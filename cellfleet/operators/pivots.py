@@ -14,7 +14,7 @@ from cellfleet.functions.geometry import dist2
 
 SEED = 42
 #: Pivots that are compared within generated code; beyond it a kernel compares blocks of points with a table of pivots.
-LITERAL_PIVOTS, MOST_PIVOTS = 64, 100_000
+LITERAL_PIVOTS, MOST_PIVOTS = 16, 100_000
 Pivot = tuple[int, int, int]
 
 

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+import math
+from collections.abc import Iterator, Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -26,7 +29,9 @@ def targets(queries: DataFrame, piv: Sequence[Pivot], stats: Sequence[tuple[int,
 
     ``stats``: (pid, squared distance of the furthest object); then pieces beyond that distance plus r are left out.
     ``rule`` ``far`` measures from the query point, which is sound; ``far_as_printed`` from the pivot of its piece, which
-    may lose answers and is here for study only."""
+    may lose answers and is here for study only. Few pivots are compared in the plan, many by a kernel."""
+    if len(piv) > pivots.LITERAL_PIVOTS and [i for i, *_ in piv] == list(range(len(piv))):
+        return _targets_by_kernel(queries, piv, stats, rule)
     q = pivots.assign(queries, piv)
     home = F.array(F.struct(F.col("pid").alias("pid"), F.lit(0.0).alias("hp")))
     out = q.select("qid", "x", "y", "r", F.col("pid").alias("home"), F.inline(F.concat(home, F.filter(borders.to_others(piv), lambda o: o["hp"] <= F.col("r")))))
@@ -41,6 +46,35 @@ def targets(queries: DataFrame, piv: Sequence[Pivot], stats: Sequence[tuple[int,
     return out.select("qid", "x", "y", "r", "home", "pid")
 
 
+def _targets_by_kernel(queries: DataFrame, piv: Sequence[Pivot], stats: Sequence[tuple[int, int]] | None, rule: str) -> DataFrame:
+    at = np.array([(x, y) for _, x, y in piv], dtype=np.int64)
+    gaps = np.sqrt(((at[:, None] - at[None]) ** 2).sum(axis=2).astype(np.float64))
+    far = np.full(len(piv), np.inf)
+    if stats is not None:
+        far = np.array([math.sqrt(f) if f is not None else -np.inf for f in (dict(stats).get(i) for i in range(len(piv)))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for s in range(0, whole.num_rows, 1024):
+                b = whole.slice(s, 1024)
+                x, y, r = (b.column(i).to_numpy(zero_copy_only=False) for i in (1, 2, 3))
+                d2 = (x[:, None] - at[None, :, 0]) ** 2 + (y[:, None] - at[None, :, 1]) ** 2
+                home = d2.argmin(axis=1)
+                rows = np.arange(len(x))
+                with np.errstate(invalid="ignore", divide="ignore"):
+                    near = (d2 - d2[rows, home][:, None]) / (2.0 * gaps[home]) <= r[:, None]
+                near[rows, home] = True
+                start = np.sqrt(d2.astype(np.float64)) if rule == "far" else gaps[home]
+                near &= start <= far[None, :] + r[:, None]
+                i, pid = near.nonzero()
+                taken = b.take(pa.array(i))
+                yield pa.RecordBatch.from_arrays([*taken.columns, pa.array(home[i], pa.int64()), pa.array(pid, pa.int64())], names=["qid", "x", "y", "r", "home", "pid"])
+
+    kind = queries.schema["qid"].dataType.simpleString()
+    typed = queries.select("qid", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y"), F.col("r").cast("double").alias("r"))
+    return typed.mapInArrow(run, f"qid {kind}, x bigint, y bigint, r double, home bigint, pid bigint")
+
+
 def answers(index: DataFrame, targeted: DataFrame, rows: int | None = None) -> DataFrame:
     """(qid, oid, d2) within r, inclusive, from pieces ``index(oid, x, y, pid)``. ``rows``: how many target rows there are, if
     known; few are broadcast so that the index isn't shuffled."""

@@ -73,7 +73,7 @@ def knn_sequential(spark, d):
 def knn_kd(spark, d):
     """Nearest neighbours over kd leaves: a bound from counts, then one range over the leaves' boxes."""
     pts, boxed = fq.leaves(spark, d)
-    q = knn.grid_bounds(pts, fq.skewed_queries(spark, d, 1.0).select("qid", "x", "y"), 8)
+    q = knn.grid_bounds(fq.skewed_queries(spark, d, 1.0).select("qid", "x", "y"), knn.count_grid(pts), 8)
     from cellfleet.functions.geometry import box_disk_d2, dist2
 
     named = q.select("qid", F.col("x").alias("qx"), F.col("y").alias("qy"), "r")

@@ -273,3 +273,15 @@ def test_message_formulas():
     assert indexes.overlay_update_messages(128) == 7 + 15 and indexes.ring_messages(128) == 7
     assert indexes.break_even(128, 1.0, 0.1) == pytest.approx(1.1 / 22)
     assert pivots.group_balanced([(0, 5), (1, 4), (2, 3), (3, 3)], 2) == {0: 0, 1: 1, 2: 1, 3: 0}
+
+
+@pytest.mark.parametrize("rule", [None, "far", "far_as_printed"])
+def test_kernel_finds_the_same_targets(spark, cloud, rule, monkeypatch):
+    pts = points(spark, cloud)
+    piv = pivots.choose(pts, 9, 4)
+    far = [(r["pid"], r["f2"]) for r in pivots.stats(pivots.assign(pts, piv)).collect()] if rule else None
+    q = pts.select(F.col("oid").alias("qid"), "x", "y", (F.col("oid") * 10.0).alias("r"))
+    rows = lambda: sorted(map(tuple, range_query.targets(q, piv, far, rule or "far").collect()))
+    in_plan = rows()
+    monkeypatch.setattr(pivots, "LITERAL_PIVOTS", 4)
+    assert rows() == in_plan
