@@ -19,7 +19,6 @@ from collections.abc import Iterator
 from functools import cache
 
 import numpy as np
-import pandas as pd
 import public_tokenizers
 import pyarrow as pa
 import tiktoken
@@ -137,20 +136,24 @@ def pack(found: DataFrame, key: str = "doc_id", capacity: int = CAPACITY, group_
     groups = max(1, -(-tails // (capacity * group_windows)))
     kind = found.schema[key].dataType.simpleString()
 
-    def run(g: tuple, p: pd.DataFrame) -> pd.DataFrame:
-        p = p.sort_values([key, "p_row", "start", "ids_crc32"], kind="stable").reset_index(drop=True)
-        size = p["length"].to_numpy()
+    def run(g: tuple[pa.Scalar, ...], t: pa.Table) -> pa.Table:
+        t = t.sort_by([(c, "ascending") for c in (key, "p_row", "start", "ids_crc32")])
+        size = t.column("length").to_numpy()
         full = size == capacity
-        seq = np.empty(len(p), dtype=np.int64)
+        seq = np.empty(len(size), dtype=np.int64)
         seq[full] = np.arange(full.sum())
         _, window = np.unique(windows(size[~full], capacity), return_inverse=True)
         seq[~full] = full.sum() + window
-        p["sequence_id"] = int(g[0]) * 2**32 + seq
-        p["offset"] = p.groupby("sequence_id")["length"].cumsum() - p["length"]
-        return p[[key, "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]]
+        order = np.argsort(seq, kind="stable")
+        run_ = size[order].cumsum() - size[order]
+        first = np.searchsorted(seq[order], seq[order])
+        offset = np.empty(len(size), dtype=np.int64)
+        offset[order] = run_ - run_[first]
+        out = t.select([key, "start", "length", "ids_crc32", "doc_tokens"])
+        return out.append_column("sequence_id", pa.array(g[0].as_py() * 2**32 + seq)).append_column("offset", pa.array(offset))
 
     dealt = found.withColumn("p_group", F.pmod(F.xxhash64(key, "start", "ids_crc32", "p_row"), F.lit(groups)))
-    return dealt.groupBy("p_group").applyInPandas(run, f"`{key}` {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint")
+    return dealt.groupBy("p_group").applyInArrow(run, f"`{key}` {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint")
 
 
 def pack_documents(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:

@@ -129,9 +129,11 @@ def classes(docs: DataFrame, text: str = "text", key: str = "doc_id", radius: in
 
 
 def keep_first(docs: DataFrame, text: str = "text", key: str = "doc_id", radius: int = RADIUS) -> DataFrame:
-    """One document of each group, that with the smallest key; of rows that share it, all stay together only if they are equal in key: one is kept."""
-    kept = classes(docs, text, key, radius).where(F.col(key) == F.col("component_id")).select(key).distinct()
-    return docs.join(kept, key, "left_semi").dropDuplicates([key])
+    """One document of each group, that with the smallest key; of rows that share that key one stays. Documents without a key
+    can't be named by a group and stay."""
+    known, unknown = docs.where(F.col(key).isNotNull()), docs.where(F.col(key).isNull())
+    kept = classes(known, text, key, radius).where(F.col(key) == F.col("component_id")).select(key).distinct()
+    return known.join(kept, key, "left_semi").select(*docs.columns).dropDuplicates([key]).unionByName(unknown)
 
 
 def op6_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -359,6 +359,33 @@ def test_loser_tree():
         assert list(warc.LoserTree(runs, lambda x: x)) == sorted(x for r in runs for x in r)
 
 
+def test_null_ids_and_repeated_rows(spark):
+    """Documents without an id are documents; so are repeated rows. Large ids stay exact beside nulls."""
+    big = 2**60 + 1
+    rows = [(None, PASSAGE, None, None, None), (None, None, None, None, None), (big, PASSAGE, "en", "s", 1), (big, PASSAGE, "en", "s", 1), (3, "some other words here " * 5, None, "s", None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    ids = lambda df: sorted((r["doc_id"] is None, r["doc_id"] or 0) for r in df.select("doc_id").collect())
+    want = ids(docs)
+    sized = docs.select("doc_id", "source", mixing.size().alias("size"))
+    assert ids(mixing.positions(sized, mixing.plan(sized.select("source", "size")))) == want
+    assert ids(quality.score(docs)) == want and ids(secrets.scan(docs)) == want and ids(simhash.classes(docs)) == want
+    assert ids(simhash.keep_first(docs)) == [(False, 3), (False, big), (True, 0), (True, 0)]
+    assert ids(token_counts.by_line(docs)) == want
+    packed = packing.pack_documents(docs).where("start = 0")
+    assert ids(packed) == want
+    removed = {(r["doc_id"], r["n_words"]): r["n_removed"] for r in substrings.remove(docs).collect()}
+    assert removed == {(None, 70): 70, (None, 0): 0, (big, 70): 0, (3, 20): 0}
+    pages = spark.createDataFrame([(None, None, "<p>a</p>"), (2, None, "<p>a</p>"), (2, None, "<p>a</p>")], "page_id long, url string, html string")
+    got = sorted((r["page_id"] or 0, r["record_type"], r["refers_to"]) for r in warc.archive(pages, str(shared(spark))).collect())
+    assert got == [(0, "revisit", 2), (2, "response", None), (2, "response", None)]
+
+
+def shared(spark):
+    from cellfleet.llm.common import scratch
+
+    return scratch(spark, "test")
+
+
 @pytest.mark.parametrize("name", sorted(registry.oracle_sql()))
 def test_oracles(spark, d, name):
     con = duckdb.connect()
