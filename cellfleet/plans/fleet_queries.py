@@ -31,8 +31,8 @@ def leaves_sql(cap: int = CAP) -> str:
     asg as (select lf.oid, zz.x, zz.y, num.pid from lf join num using (depth, prefix) join zz on zz.oid = lf.oid)"""
 
 
-def leaves(spark: SparkSession, d: str, cap: int = CAP) -> tuple[DataFrame, DataFrame]:
-    pts = kdpart.coded(views.skewed(spark, d))
+def leaves(spark: SparkSession, d: str, cap: int = CAP, pts: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    pts = kdpart.coded(views.skewed(spark, d) if pts is None else pts)
     return pts, kdpart.with_boxes(kdpart.build(pts, cap, BITS, LEVELS), BITS)
 
 
@@ -278,8 +278,8 @@ def snapshot_drift(spark, d):
     return out
 
 
-def fleet_matrix(spark: SparkSession, d: str, load: str, cap: int) -> tuple[np.ndarray, np.ndarray, list[tuple]]:
-    pts, boxed = leaves(spark, d, cap)
+def fleet_matrix(spark: SparkSession, d: str, load: str, cap: int, pts: DataFrame | None = None) -> tuple[np.ndarray, np.ndarray, list[tuple]]:
+    pts, boxed = leaves(spark, d, cap, pts)
     if load == "real":
         ts = views.table(spark, d, "events").select(F.col("event_id").alias("oid"), "ts").where(F.dayofweek("ts") == 2)
         long = access.patterns(kdpart.assign(pts, boxed, BITS).join(ts, "oid").select("pid", "ts"))
@@ -292,9 +292,9 @@ def fleet_matrix(spark: SparkSession, d: str, load: str, cap: int) -> tuple[np.n
     return a, rows, costs.tiers(unit, max(1, int(rows.sum()) // 24), 0.1)
 
 
-def fleet_costs(spark: SparkSession, d: str, load: str, cap: int) -> DataFrame:
+def fleet_costs(spark: SparkSession, d: str, load: str, cap: int, pts: DataFrame | None = None) -> DataFrame:
     """(method, servers, idle, cost) of a day for the packer with and without search and the grids."""
-    a, rows, tiers = fleet_matrix(spark, d, load, cap)
+    a, rows, tiers = fleet_matrix(spark, d, load, cap, pts)
     wanted = max(2, int(np.ceil(max(a.sum(axis=0).max() / tiers[-1][1], rows.sum() / tiers[-1][2]))) + 1)
     out = []
     for name, search in (("packer", False), ("packer_search", True)):
@@ -347,3 +347,31 @@ def incremental_transfer(spark, d):
         moved = sum(int(rows[i]) for i in hit.tolist() if fleet.update(i, a[i] * grown[i]) != first[i])
         out.append((share, math.floor(repacked * 1e6) / 1e6, math.floor((moved + int(new.sum())) / float(rows.sum() + new.sum()) * 1e6) / 1e6))
     return spark.createDataFrame(out, "share double, repacked double, incremental double")
+
+
+for _n in (10, 100, 1000):
+    for _varied in (False, True):
+
+        @query(f"fleet_costs_hotspots_{_n}{'_varied' if _varied else ''}")
+        def fleet_costs_hotspots(spark, d, n=_n, varied=_varied):
+            """Server cost by the number of hotspots, of one size or of varied ones."""
+            pts = views.hotspots(spark, d, n, varied)
+            return fleet_costs(spark, d, "cosine", max(50, pts.count() // 100), pts)
+
+
+@query("plan_servers_touched", f"with {leaves_sql()}, {_QS}, b as (select pid, depth, {'+'.join(f'((z0 >> {2 * i} & 1) << {i})' for i in range(16))} as x0, {'+'.join(f'((z0 >> {2 * i + 1} & 1) << {i})' for i in range(16))} as y0, ((prefix + 1) << ({BITS} - depth)) - 1 as z1 from num), c as (select pid, x0, y0, {'+'.join(f'((z1 >> {2 * i} & 1) << {i})' for i in range(16))} as x1, {'+'.join(f'((z1 >> {2 * i + 1} & 1) << {i})' for i in range(16))} as y1 from b), m as (select qid, pid from q, c where power(greatest(x0 - x, x - x1, 0), 2) + power(greatest(y0 - y, y - y1, 0), 2) <= 5000.0*5000.0) select qid, count(*) as pieces, count(distinct pid % {SERVERS}) as dealt, count(distinct pid // ((select count(*) from num) // {SERVERS} + 1)) as runs from m group by qid")
+def plan_servers_touched(spark, d):
+    """Servers that answer a range query together, for pieces dealt over servers and for runs of neighbouring pieces."""
+    _, boxed = leaves(spark, d)
+    per = boxed.count() // SERVERS + 1
+    q = skewed_queries(spark, d, 5000.0).select("qid", "x", "y", "r")
+    meets = box_disk_d2(F.col("x"), F.col("y"), F.col("x0"), F.col("y0"), F.col("x1"), F.col("y1")) <= F.col("r") * F.col("r")
+    t = q.join(F.broadcast(boxed.select("pid", "x0", "y0", "x1", "y1")), meets)
+    return t.groupBy("qid").agg(F.count("*").alias("pieces"), F.countDistinct(F.col("pid") % SERVERS).alias("dealt"), F.countDistinct(F.floor(F.col("pid") / per)).alias("runs"))
+
+
+@query("plan_with_copies", f"with {leaves_sql()} select pid, c as copy, (pid % {SERVERS} + c) % {SERVERS} as server from num, (select unnest(range(3)) as c)")
+def plan_with_copies(spark, d):
+    """Two copies of each piece for availability, none on a server that holds the piece."""
+    _, boxed = leaves(spark, d)
+    return packing.with_replicas(boxed.select("pid", (F.col("pid") % SERVERS).alias("server")), 2, SERVERS).withColumn("copy", F.col("copy").cast("long"))

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import math
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -36,6 +38,19 @@ def gaussian(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "embeddings").selectExpr("vec_id as oid", f"{c(0)} as x", f"{c(1)} as y")
 
 
+def hotspots(spark: SparkSession, d: str, n: int, varied: bool = False, sigma: float = 800.0) -> DataFrame:
+    """Points in ``n`` Gaussian hotspots within 65,536 x 65,536: centres from customers in digest order, offsets by the polar
+    method on digests of order lines. ``varied``: the first hotspots are far larger than the last ones."""
+    c = customers(spark, d).orderBy(F.md5(F.concat(F.lit("h:"), F.col("oid").cast("string"))), "oid").limit(n)
+    c = c.select((F.row_number().over(Window.orderBy(F.md5(F.concat(F.lit("h:"), F.col("oid").cast("string"))), "oid")) - 1).alias("k"), ((F.col("x") + 100_000) / 1_100_000 * 60_000 + 2_500).alias("cx"), (F.col("y") / 1_000_000 * 60_000 + 2_500).alias("cy"))
+    u = lambda a: (F.conv(F.substring(F.md5(F.concat(F.lit("g:"), F.col("oid").cast("string"))), a, 7), 16, 10).cast("double") + 1) / (16.0**7 + 1)
+    p = uniform(spark, d).select("oid", u(1).alias("u1"), u(8).alias("u2"), u(15).alias("u3"))
+    p = p.withColumn("k", F.floor(F.lit(n) * (F.col("u3") * F.col("u3") if varied else F.col("u3"))).cast("int"))
+    r, turn = F.sqrt(-2 * F.log("u1")) * sigma, 2 * math.pi * F.col("u2")
+    held = lambda v: F.least(F.lit(65_535), F.greatest(F.lit(0), F.floor(v))).cast("long")
+    return p.join(F.broadcast(c), "k").select("oid", held(F.col("cx") + r * F.cos(turn)).alias("x"), held(F.col("cy") + r * F.sin(turn)).alias("y"))
+
+
 def suppliers(spark: SparkSession, d: str) -> DataFrame:
     n = table(spark, d, "supplier").count()
     return table(spark, d, "supplier").selectExpr("s_suppkey as oid", f"{fixed('s_acctbal')} as x", f"s_suppkey*{1_000_000 // max(1, n)} as y")
