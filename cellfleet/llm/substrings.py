@@ -178,7 +178,8 @@ def repeats(docs: DataFrame) -> DataFrame:
     repeated = stored(every.join(shared, "anchor", "left_semi"), "repeated")
     found = stored(edges(repeated), "edges")
     whole = spans(repeated, compacted(found))
-    several = found.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor")
+    # written, so that both sides of the join are plain exchanges and an anchor of very many contents can be split
+    several = stored(found.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor"), "several")
     ends = found.join(several, "anchor", "left_semi").select("anchor", "content", F.col("src").alias("doc"))
     wanted = repeated.join(ends, ["anchor", "content", "doc"], "left_semi").select("doc", "at")
     rows = stored(window_rows(docs, wanted), "windows")
