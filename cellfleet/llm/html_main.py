@@ -95,16 +95,25 @@ class Page:
         self.out, self.good, self.header = [False], [False], [False]
         self.blocks: list[tuple[int, str, int]] = []  # element, text, characters in links
         self.stack, self.links, self.text, self.linked = [0], 0, [], 0
+        self.held: dict[int, tuple[list[str], int]] = {}  # text before an inline element that is left out
         self._read(html)
 
+    def _emit(self, at: int, text: list[str], linked: int) -> None:
+        whole = " ".join("".join(text).split())
+        if whole and not self.out[at] and not (self.header[at] and self.tag[at] not in HEADINGS):
+            self.blocks.append((at, whole, min(linked, len(whole))))
+
     def _flush(self) -> None:
         if self.text:
-            at = self.stack[-1]
-            whole = " ".join("".join(self.text).split())
-            if whole and not self.out[at] and not (self.header[at] and self.tag[at] not in HEADINGS):
-                self.blocks.append((at, whole, min(self.linked, len(whole))))
+            self._emit(self.stack[-1], self.text, self.linked)
             self.text, self.linked = [], 0
 
+    def _pop(self, depth: int) -> None:
+        for i in reversed(self.stack[depth:]):
+            if i in self.held:  # never closed: what stood before it is a block
+                self._emit(self.parent[i], *self.held.pop(i))
+        del self.stack[depth:]
+
     def _open(self, tag: str, attributes: str, kind: tuple) -> None:
         at = self.stack[-1]
         out, good, header, bonus = kind
@@ -127,7 +136,7 @@ class Page:
         for depth in range(len(self.stack) - 1, 0, -1):
             t = self.tag[self.stack[depth]]
             if t in tags:
-                del self.stack[depth:]
+                self._pop(depth)
                 return
             if t in up_to:
                 return
@@ -155,9 +164,10 @@ class Page:
             if closing:
                 if tag == "a":
                     self.links = max(0, self.links - 1)
-                elif tag in BLOCK or len(self.stack) > 1 and self.tag[self.stack[-1]] == tag:
-                    if tag in BLOCK:
-                        self._flush()
+                elif self.stack[-1] in self.held and self.tag[self.stack[-1]] == tag:
+                    self.text, self.linked = self.held.pop(self.stack.pop())
+                elif tag in BLOCK:
+                    self._flush()
                     self._close({tag}, {"td", "th"} if tag not in ("table", "tr", "tbody", "thead", "tfoot", "td", "th", "body", "html") else set())
             elif tag in RAW:
                 if tag not in ("svg", "math", "title", "object") or not attributes.rstrip().endswith("/"):
@@ -182,9 +192,12 @@ class Page:
                     self._close(*CLOSES[tag])
                 self._open(tag, attributes, _kind(tag, attributes))
             elif attributes and (kind := _kind(tag, attributes))[0]:
-                self._flush()
+                before = (self.text, self.linked)
                 self._open(tag, attributes, kind)
+                self.held[self.stack[-1]] = before
+                self.text, self.linked = [], 0
         self._flush()
+        self._pop(1)
 
     def main(self) -> str:
         if not self.blocks:
@@ -206,6 +219,12 @@ class Page:
             while i > 0:
                 points[i] += worth / (1 if level == 0 else 2 if level == 1 else 3 * level)
                 i, level = self.parent[i], level + 1
+        bare = [True] * n  # holds headings only
+        for at, _, inside in self.blocks:
+            if self.tag[at] not in HEADINGS or inside:
+                i = at
+                while i >= 0 and bare[i]:
+                    bare[i], i = False, self.parent[i]
         score = [p * (1 - linked[i] / chars[i]) if chars[i] else 0.0 for i, p in enumerate(points)]
         best = max(range(n), key=lambda i: (score[i] if self.tag[i] not in PARAGRAPHS else 0.0, i == 0))
         kept = {best}
@@ -214,7 +233,7 @@ class Page:
                 if self.parent[i] == above and chars[i] and i != best:
                     density = linked[i] / chars[i]
                     prose = self.tag[i] in PARAGRAPHS and density < 0.25 and (chars[i] > 80 or self.tag[i] in HEADINGS)
-                    if prose or self.tag[i] not in PARAGRAPHS and score[i] >= max(10.0, 0.2 * score[best]):
+                    if prose or bare[i] or self.tag[i] not in PARAGRAPHS and score[i] >= max(10.0, 0.2 * score[best]):
                         kept.add(i)
         lists = {i for i in range(1, n) if self.tag[i] in ("ul", "ol", "dl", "div", "section", "table") and i not in kept and anchors[i] > 1 and linked[i] > 0.7 * chars[i]}
         inside = [False] * n

@@ -136,6 +136,8 @@ def test_html(spark):
     assert html_main.main_text(None) == html_main.main_text("") == html_main.main_text("<script>x") == ""
     assert html_main.main_text("just text &lt;3 &am") == "just text <3 &am"
     assert html_main.main_text("<article><p>one<p class='unclosed>two</article>").startswith("one")
+    assert html_main.main_text("<article><p>end <span class='ad'>AD</span>tail<p>a <span class='ad'>b</p><p>c</p></article>") == "end tail\na\nc"
+    assert html_main.main_text("<div><div><h1>Head</h1></div><div><p>one, two</p><p>three</p></div></div>") == "Head\none, two\nthree"
     deep = "<div>" * 3000 + "<p>deep, text</p>"
     assert html_main.main_text(deep) == "deep, text"
     pages = spark.createDataFrame([(1, "u", PAGE), (2, None, None), (None, "u", "<p>x</p>")], "page_id long, url string, html string")
