@@ -38,9 +38,29 @@ def hashed_knn(snapshot: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     return knn.nearest(found.withColumn("own", own).where(F.col("own") <= k).select("qid", "oid", "d2"), k)
 
 
+#: Strips of x in which rows are ranked; a strip is what one task sorts.
+STRIPS = 4096
+
+
+def slices_by_x(pts: DataFrame, slices: int, strips: int = STRIPS) -> DataFrame:
+    """``pts`` with slice: equal counts in the order of (x, oid), as ntile gives, but ranked strip by strip: counts of strips
+    are prefix-summed, and no task sorts more than a strip."""
+    e = pts.agg(F.min("x").alias("x0"), F.max("x").alias("x1"), F.count("*").alias("n")).first()
+    n, width = e["n"], max(1, -(-((e["x1"] or 0) - (e["x0"] or 0) + 1) // strips))
+    at = pts.withColumn("strip", F.floor((F.col("x") - (e["x0"] or 0)) / width))
+    counts = at.groupBy("strip").agg(F.count("*").alias("c"))
+    before = F.coalesce(F.sum("c").over(Window.orderBy("strip").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    placed = at.join(F.broadcast(counts.select("strip", before.alias("before"))), "strip")
+    rank = F.col("before") + F.row_number().over(Window.partitionBy("strip").orderBy("x", "oid")) - 1
+    q, r = divmod(n, slices)
+    cut = r * (q + 1)
+    tile = F.when(rank < cut, F.floor(rank / (q + 1))).otherwise(r + F.floor((rank - cut) / max(1, q)))
+    return placed.withColumn("slice", (tile + 1).cast("int")).drop("strip", "before")
+
+
 def packed_leaves(pts: DataFrame, slices: int, per_slice: int) -> DataFrame:
     """Sort-tile leaves: (slice, tile, n, x0, y0, x1, y1): equal slices by x, equal tiles by y within each."""
-    s = pts.withColumn("slice", F.ntile(slices).over(Window.orderBy("x", "oid")))
+    s = slices_by_x(pts, slices)
     t = s.withColumn("tile", F.ntile(per_slice).over(Window.partitionBy("slice").orderBy("y", "oid")))
     return t.groupBy("slice", "tile").agg(F.count("*").alias("n"), F.min("x").alias("x0"), F.min("y").alias("y0"), F.max("x").alias("x1"), F.max("y").alias("y1"))
 
