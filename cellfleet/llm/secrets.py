@@ -5,7 +5,7 @@ that no base span touches are scored by two first-order Markov models over chara
 ordinary identifiers; a run whose mean log-likelihood ratio is at least ``LEAST_RATIO`` is a span of kind "random".
 
 The models are trained from labelled samples: random strings made by digests (labelled by construction), and tokens of
-``SAMPLE_DOCS`` documents without a base span, chosen by a hash of their key (labelled ordinary). That bound is the only
+those of ``SAMPLE_DOCS`` documents, chosen by a hash of their key, that have no base span (labelled ordinary). That bound is the only
 one; scans cover every document whole. Null texts are empty. Repeated rows get equal results. An empty table gives an
 empty result, and models that know random strings only.
 """
