@@ -151,7 +151,7 @@ _QS = "q as (select c_custkey as qid, cast(floor((c_acctbal+1000)*5) as bigint)
 
 
 def skewed_queries(spark: SparkSession, d: str, r: float) -> DataFrame:
-    c = views.table(spark, d, "customer").where("c_custkey <= 200")
+    c = views.table(spark, d, "customer").where(views.asking("c_custkey", 200))
     return c.selectExpr("c_custkey as qid", "cast(floor((c_acctbal+1000)*5) as bigint) as x", "(c_custkey % 1000)*49 as y").withColumn("r", F.lit(float(r)))
 
 

@@ -340,7 +340,7 @@ def stream_distinct(spark, d):
 def stream_standing_ranges(spark, d):
     """Standing range queries over the stream of reports, through the targets of the live index."""
     _, piv = chosen(spark, d, "skewed")
-    q = table(spark, d, "customer").where("c_custkey <= 50").selectExpr("c_custkey as qid", "cast(floor((c_acctbal+1000)*5) as bigint) as x", "(c_custkey % 1000)*49 as y", "2000.0D as r")
+    q = table(spark, d, "customer").where(views.asking("c_custkey", 50)).selectExpr("c_custkey as qid", "cast(floor((c_acctbal+1000)*5) as bigint) as x", "(c_custkey % 1000)*49 as y", "2000.0D as r")
     return streamed(spark, positions.inside(event_stream(spark, d), q, piv))
 
 

@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
+from contextlib import contextmanager
+from contextvars import ContextVar
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -65,10 +68,32 @@ def orders(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "orders").selectExpr("o_orderkey as oid", f"{fixed('o_totalprice')} as x", "cast(datediff(o_orderdate, date'1992-01-01') as bigint)*4000 as y")
 
 
+#: In whole batches every order or customer whose id this divides asks a query, so that batches grow with the tables.
+EVERY = 50
+_WHOLE = ContextVar("whole", default=False)
+
+
+@contextmanager
+def whole_batches() -> Iterator[None]:
+    """Query views made in here are whole batches."""
+    before = _WHOLE.set(True)
+    try:
+        yield
+    finally:
+        _WHOLE.reset(before)
+
+
+def asking(key: str, most: int) -> str:
+    """The condition on the ids that ask: up to ``most``, or a whole batch."""
+    return f"{key} % {EVERY} = 0" if _WHOLE.get() else f"{key} <= {most}"
+
+
 def uniform_queries(spark: SparkSession, d: str, n: int = 50) -> DataFrame:
-    """``n`` query points over the uniform view: those of least digest."""
+    """``n`` query points over the uniform view: those of least digest; or a whole batch."""
     c = table(spark, d, "customer").count()
     q = table(spark, d, "orders").selectExpr("o_orderkey as qid", f"{fixed('o_totalprice')} div 5 as x", f"o_custkey*{10_000_000 // max(1, c)} as y")
+    if _WHOLE.get():
+        return q.where(f"qid % {EVERY} = 0")
     return q.orderBy(F.md5(F.concat(F.lit("q:"), F.col("qid").cast("string"))), "qid").limit(n)
 
 
@@ -84,3 +109,4 @@ SQL = {
     "customers": f"select c_custkey as oid, {_F.format('c_acctbal')} as x, c_custkey*(1000000 // (select count(*) from customer)) as y from customer",
     "uniform_queries": f"select o_orderkey as qid, {_F.format('o_totalprice')} // 5 as x, o_custkey*(10000000 // (select count(*) from customer)) as y from orders order by md5('q:' || o_orderkey), o_orderkey limit 50",
 }
+SQL["uniform_query_batch"] = f"select o_orderkey as qid, {_F.format('o_totalprice')} // 5 as x, o_custkey*(10000000 // (select count(*) from customer)) as y from orders where o_orderkey % {EVERY} = 0"
