@@ -4,8 +4,10 @@ A page is cut into blocks of text under a tree of its block elements (unclosed p
 as browsers do). Elements that are never main text by their tag, role, class or id are left out of the tree's text. Every
 block passes points to the elements around it: one, one for each comma and one for each hundred characters up to three,
 whole to its container, half to the next, less further up. A container's points are discounted by the share of its
-characters that are links; articles and elements named as content start with a bonus. The best container is kept, with
-those of its siblings that have a good part of its points or are paragraphs of prose; lists of links inside it are not.
+characters that are links; articles and elements named as content start with a bonus. The best container is kept, or the whole
+article (else the main element, else the containers named as content) that it lies in, with those of its siblings that have a
+good part of its points or are paragraphs of prose, outside articles also containers of such paragraphs; lists of links inside
+it are not.
 
 Null pages are empty; a page without text gives an empty string. Repeated rows give repeated results, an empty table none.
 """
@@ -199,6 +201,20 @@ class Page:
         self._flush()
         self._pop(1)
 
+    def _whole(self, best: int) -> int:
+        """The outermost article around ``best``, else its main element, else the last of the content containers right above it."""
+        above = [best]
+        while above[-1] > 0:
+            above.append(self.parent[above[-1]])
+        for tag in ("article", "main"):
+            if found := [i for i in above if self.tag[i] == tag]:
+                return found[-1]
+        for i in above[1:]:
+            if not self.bonus[i] or self.tag[i] in ("html", "body"):
+                break
+            best = i
+        return best
+
     def main(self) -> str:
         if not self.blocks:
             return ""
@@ -227,13 +243,23 @@ class Page:
                     bare[i], i = False, self.parent[i]
         score = [p * (1 - linked[i] / chars[i]) if chars[i] else 0.0 for i, p in enumerate(points)]
         best = max(range(n), key=lambda i: (score[i] if self.tag[i] not in PARAGRAPHS else 0.0, i == 0))
+        most = score[best]
+        best = self._whole(best)
+        framed = self.tag[best] in ("article", "main")
+        prose_in = [False] * n  # holds a paragraph of unlinked prose
+        for at, text, inside in self.blocks:
+            if len(text) > 80 and inside < 0.25 * len(text) and self.tag[at] not in HEADINGS:
+                i = at
+                while i >= 0 and not prose_in[i]:
+                    prose_in[i], i = True, self.parent[i]
         kept = {best}
         if best > 0 and (above := self.parent[best]) >= 0:
             for i in range(1, n):
                 if self.parent[i] == above and chars[i] and i != best:
                     density = linked[i] / chars[i]
                     prose = self.tag[i] in PARAGRAPHS and density < 0.25 and (chars[i] > 80 or self.tag[i] in HEADINGS)
-                    if prose or bare[i] or self.tag[i] not in PARAGRAPHS and score[i] >= max(10.0, 0.2 * score[best]):
+                    part = score[i] >= max(10.0, 0.2 * max(most, score[best])) or not framed and prose_in[i] and density < 0.25
+                    if prose or bare[i] or self.tag[i] not in PARAGRAPHS and part:
                         kept.add(i)
         lists = {i for i in range(1, n) if self.tag[i] in ("ul", "ol", "dl", "div", "section", "table") and i not in kept and anchors[i] > 1 and linked[i] > 0.7 * chars[i]}
         inside = [False] * n

@@ -146,6 +146,16 @@ def test_html(spark):
     assert html_main.extract(pages.where("false")).count() == 0
 
 
+def test_html_unequal_sections():
+    p = "Prose of a section, with three commas, and enough, characters to count as a whole paragraph of five points " + "x" * 190
+    long, short = [f"{i} {p}" for i in range(20)], [f"s{i} {p}" for i in range(3)]
+    section = lambda tag, texts: f"<{tag}>" + "".join(f"<p>{x}</p>" for x in texts) + f"</{tag}>"
+    want = "\n".join(["Intro.", *long, *short])
+    for whole in ("article", "main", "div class=content"):
+        assert html_main.main_text(f"<body><{whole}><p>Intro.</p>{section('section', long)}{section('section', short)}</{whole.split()[0]}></body>") == want
+    assert html_main.main_text(f"<body><div>{section('div', long)}{section('div', short)}</div></body>") == "\n".join([*long, *short])
+
+
 def test_html_tables(spark, d):
     import html as H
 
