@@ -1,7 +1,9 @@
 """Main text of web pages by tree scoring.
 
 A page is cut into blocks of text under a tree of its block elements (unclosed paragraphs, list items and cells are closed
-as browsers do). Elements that are never main text by their tag, role, class or id are left out of the tree's text. Every
+as browsers do). Elements that are never main text by their tag, role, class or id are left out of the tree's text. A class or id
+counts by its main word, and not if content is named beside it, or if most of the page's unlinked prose is there; a page that
+names leave without text is read again without them. Every
 block passes points to the elements around it: one, one for each comma and one for each hundred characters up to three,
 whole to its container, half to the next, less further up. A container's points are discounted by the share of its
 characters that are links; articles and elements named as content start with a bonus. The best container is kept, or the whole
@@ -56,20 +58,39 @@ OTHER = COMMENTS | frozenset(
     " related recommended recommendations widget pagination pager skip".split()
 )
 CONTENT = frozenset("content article post entry story main text articlebody".split())
+#: Words before which a name says where or how, and after which it tells of a state.
+PLACES = frozenset(
+    "left right top bottom inner outer wrapper wrap container holder box area block section list item items link links button buttons bar slot unit group row col column"
+    " panel body zone space primary secondary posts post articles article stories story content main text title heading icon icons image img form fixed info law this us".split()
+)
+STATES = frozenset("has no with without is not non hide show open closed enabled disabled on off".split())
+#: Shares of the unlinked prose above which a name doesn't leave an element out: without and with prose in content elements.
+MOST, NEARLY_ALL, PROSE = 0.5, 0.8, 80
 BONUS, NAMED = 25.0, 10.0
 HEADER = "header"
 
 
-def _kind(tag: str, attributes: str) -> tuple[bool, bool, bool, float]:
-    """(left out, for good: no article inside counts, a header, bonus)."""
+def _word(name: str) -> str:
+    """What a class or id names: its last word that isn't a place; none for a state."""
+    parts = [x for x in (y.lower() for y in PARTS.findall(name)) if len(x) > 1 and not x.isdigit()]
+    if not parts or len(parts) > 1 and (parts[0] in STATES or parts[-1] in STATES):
+        return ""
+    return next((x for x in reversed(parts) if x not in PLACES), parts[-1])
+
+
+def _kind(tag: str, attributes: str, by_name: bool = True) -> tuple[bool, bool, bool, float, bool]:
+    """(left out, for good: no article inside counts, a header, bonus, left out or a header by class or id only); without names,
+    if not ``by_name``."""
     out = tag in LEFT_OUT
-    good, header, bonus = out, tag == HEADER, BONUS if tag in ("article", "main") else 0.0
+    good, header, bonus, named = out, tag == HEADER, BONUS if tag in ("article", "main") else 0.0, False
     if attributes and not attributes.isspace():
         names: set[str] = set()
+        words: set[str] = set()
         for name, a, b, c in ATTRIBUTE.findall(attributes):
             name, value = name.lower(), a or b or c
             if name in ("class", "id"):
                 names |= {x.lower() for x in PARTS.findall(value)} | set(value.lower().split())
+                words |= {_word(x) for x in value.split()} | set(value.lower().split())
             elif name == "role":
                 roles = set(value.lower().split())
                 out, bonus = out or bool(roles & ROLES), BONUS if roles & {"main", "article"} else bonus
@@ -79,20 +100,25 @@ def _kind(tag: str, attributes: str) -> tuple[bool, bool, bool, float]:
                 out = out or bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I))
             elif name == "hidden" or value.lower() == "true":
                 out = True
-        if names & COMMENTS and tag not in ("html", "body"):
-            out = good = True
-        elif names & OTHER and tag not in ("html", "body", "article", "main"):
-            out = True
-        header = header or HEADER in names and tag not in ("html", "body", "article", "main") and tag not in HEADINGS
         if names & CONTENT:
             bonus = max(bonus, NAMED)
-    return out, good, header, bonus
+        if by_name and tag not in ("html", "body"):
+            if words & COMMENTS:
+                out = good = True
+            elif not words & CONTENT and tag not in ("article", "main"):
+                if words & OTHER:
+                    named, out = not out, True
+                if HEADER in words and tag not in HEADINGS:
+                    named, header = named or not header and not out, True
+    return out, good, header, bonus, named
 
 
 class Page:
     """The blocks of a page and the tree of elements above them."""
 
-    def __init__(self, html: str):
+    def __init__(self, html: str, by_name: bool = True, spared: frozenset[int] = frozenset()):
+        self.by_name, self.spared, self.at = by_name, spared, 0  # where tags stand whose names don't count; where the open tag ends
+        self.named, self.start, self.prose = [-1], [0], {}  # outermost element that names leave out, ends of tags, prose by that element
         self.tag, self.parent, self.bonus = [""], [-1], [0.0]
         self.out, self.good, self.header = [False], [False], [False]
         self.blocks: list[tuple[int, str, int]] = []  # element, text, characters in links
@@ -102,6 +128,8 @@ class Page:
 
     def _emit(self, at: int, text: list[str], linked: int) -> None:
         whole = " ".join("".join(text).split())
+        if self.named[at] >= 0 and len(whole) - linked > PROSE and linked < 0.25 * len(whole):
+            self.prose[self.named[at]] = self.prose.get(self.named[at], 0) + len(whole) - linked
         if whole and not self.out[at] and not (self.header[at] and self.tag[at] not in HEADINGS):
             self.blocks.append((at, whole, min(linked, len(whole))))
 
@@ -118,11 +146,14 @@ class Page:
 
     def _open(self, tag: str, attributes: str, kind: tuple) -> None:
         at = self.stack[-1]
-        out, good, header, bonus = kind
+        out, good, header, bonus, named = kind
         if self.out[at] and not (tag in ("article", "main") and not out and not self.good[at]):
-            out, good = True, self.good[at] or good
+            out, good, named = True, self.good[at] or good, self.named[at] >= 0 and (named or not out)
         elif header and not (self._inside_article() and not out):
             out, header = out or not self._inside_article(), header
+        hidden = out or header and tag not in HEADINGS
+        self.named.append(self.named[at] if named and self.named[at] >= 0 else len(self.tag) if named and hidden else -1)
+        self.start.append(self.at)
         self.tag.append(tag)
         self.parent.append(at)
         self.out.append(out)
@@ -131,6 +162,22 @@ class Page:
         self.bonus.append(0.0 if out else bonus)
         self.stack.append(len(self.tag) - 1)
 
+    def _kind(self, tag: str, attributes: str) -> tuple:
+        return _kind(tag, attributes, self.by_name and self.at not in self.spared)
+
+    def overruled(self) -> frozenset[int]:
+        """Where the tag ends of the element that names leave out though most of the page's unlinked prose is in it."""
+        if not self.prose:
+            return frozenset()
+        kept = [(at, len(text) - inside) for at, text, inside in self.blocks if len(text) - inside > PROSE and inside < 0.25 * len(text)]
+        content = False
+        for i, _ in kept:
+            while i > 0 and not content:
+                content, i = self.bonus[i] > 0, self.parent[i]
+        i = max(self.prose, key=lambda i: (self.prose[i], -i))
+        large = self.prose[i] > (NEARLY_ALL if content else MOST) * (sum(self.prose.values()) + sum(x for _, x in kept))
+        return frozenset({self.start[i]}) if large else frozenset()
+
     def _inside_article(self) -> bool:
         return any(self.tag[i] in ("article", "main") for i in self.stack)
 
@@ -158,7 +205,7 @@ class Page:
                     self.linked += len(part.strip())
             if not m:
                 break
-            at = m.end()
+            at = self.at = m.end()
             tag = m[2] or m[5]
             if not tag:
                 continue
@@ -192,8 +239,8 @@ class Page:
                     self._close(HEADINGS, BLOCK - HEADINGS)
                 if tag in CLOSES:
                     self._close(*CLOSES[tag])
-                self._open(tag, attributes, _kind(tag, attributes))
-            elif attributes and (kind := _kind(tag, attributes))[0]:
+                self._open(tag, attributes, self._kind(tag, attributes))
+            elif attributes and (kind := self._kind(tag, attributes))[0]:
                 before = (self.text, self.linked)
                 self._open(tag, attributes, kind)
                 self.held[self.stack[-1]] = before
@@ -270,7 +317,14 @@ class Page:
 
 
 def main_text(html: str | None) -> str:
-    return Page(html).main() if html else ""
+    if not html:
+        return ""
+    page = Page(html)
+    spared: frozenset[int] = frozenset()
+    while more := page.overruled() - spared:
+        spared |= more
+        page = Page(html, True, spared)
+    return page.main() or Page(html, False).main()
 
 
 def extract(pages: DataFrame, html: str = "html", keep: tuple[str, ...] = ("page_id", "url")) -> DataFrame:

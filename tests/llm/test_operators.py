@@ -156,6 +156,19 @@ def test_html_unequal_sections():
     assert html_main.main_text(f"<body><div>{section('div', long)}{section('div', short)}</div></body>") == "\n".join([*long, *short])
 
 
+def test_html_names():
+    story = [f"{i} The story goes on, with commas, and with enough characters to be counted as prose by its length." for i in range(4)]
+    inner = "".join(f"<p>{x}</p>" for x in story)
+    for names in ('class="content has-sidebar"', 'id="main" class="no-sidebar"', 'class="text-widget"', 'class="social-science"', 'class="post comments-open"', 'class="page has-header"', 'class="widget"', 'class="header"'):
+        assert html_main.main_text(f"<body><div {names}>{inner}</div><div class=footer><p>Rights, reserved.</p></div></body>") == "\n".join(story)
+    for names in ("sidebar", "left-sidebar", "sidebar-left", "related-posts", "share-buttons", "comment-list", "sidebar-content", "ad-300x250", "comments"):
+        assert html_main.main_text(f"<body><div class=story>{inner}</div><div class='{names}'><p>{'Other words, ' * 9}</p></div></body>") == "\n".join(story)
+    nested = f"<div class=widget><div class=sidebar><nav>{inner}</nav>{inner}</div></div>"
+    assert html_main.main_text(nested) == "\n".join(story)
+    assert html_main.main_text("<div class=widget><p>short</p></div>") == "short"
+    assert html_main.main_text(f"<nav>{inner}</nav>") == ""
+
+
 def test_html_tables(spark, d):
     import html as H
 
