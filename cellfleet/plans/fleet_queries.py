@@ -327,26 +327,74 @@ def fleet_costs_by_pieces(spark, d):
     return out
 
 
+def rows_kept(old: np.ndarray, new: np.ndarray, rows: np.ndarray) -> int:
+    """Rows that stay when the new servers are named after the old ones, the largest common share first."""
+    names, labels = np.unique(old, return_inverse=True)[1], np.unique(new, return_inverse=True)[1]
+    common = np.zeros((names.max() + 1, labels.max() + 1), dtype=np.int64)
+    np.add.at(common, (names, labels), rows)
+    kept = 0
+    while common.size and common.max() > 0:
+        i, j = np.unravel_index(common.argmax(), common.shape)
+        kept += int(common[i, j])
+        common = np.delete(np.delete(common, i, 0), j, 1)
+    return kept
+
+
 @query("incremental_transfer")
 def incremental_transfer(spark, d):
-    """(share, repacked, incremental): rows that move when 1, 5 or 10 % are inserted, packed anew or placed one by one."""
+    """(change, skew, share, gone, made, repacked, incremental): leaves gone and made, and the share of rows sent, when 1, 5 or 10 %
+    of the objects are inserted or move, evenly over the pieces or by a zipf law, packed anew or placed one by one. A new object has
+    the mean load of its piece and is sent once; any other is sent if its server changes."""
+    pts, boxed = leaves(spark, d, CAP)
+    boxed = boxed.localCheckpoint()
+    at = kdpart.assign(pts, boxed, BITS).localCheckpoint()
     a, rows, tiers = fleet_matrix(spark, d, "cosine", CAP)
     before = packing.agglomerate(a, rows, 4, tiers)
-    capacity = max(t[1] for t in tiers)
+    deep = lambda z: F.expr(f"shiftleft(shiftright({z}, {BITS - LEVELS}), {BITS - LEVELS})").alias("z")
+    counts = at.groupBy(deep("z")).agg(F.count("*").alias("n")).localCheckpoint()
+    ids = {(r["depth"], r["prefix"]): r["pid"] for r in boxed.select("depth", "prefix", "pid").collect()}
     out = []
-    order = np.argsort(np.arange(len(a)) * 7919 % 104729)
-    for share in (0.01, 0.05, 0.10):
-        hit = order[: max(1, int(np.ceil(2 * share * len(a))))]  # the pieces that all new rows fall into
-        grown = np.ones(len(a))
-        grown[hit] += share * rows.sum() / rows[hit].sum()
-        after = packing.agglomerate(a * grown[:, None], (rows * grown).astype(np.int64), 4, tiers)
-        new = (rows * grown).astype(np.int64) - rows
-        repacked = float((rows[after != before].sum() + new.sum()) / (rows.sum() + new.sum()))
-        fleet = maintain.Fleet(capacity)
-        first = fleet.place_all({i: a[i] for i in range(len(a))})
-        moved = sum(int(rows[i]) for i in hit.tolist() if fleet.update(i, a[i] * grown[i]) != first[i])
-        out.append((share, math.floor(repacked * 1e6) / 1e6, math.floor((moved + int(new.sum())) / float(rows.sum() + new.sum()) * 1e6) / 1e6))
-    return spark.createDataFrame(out, "share double, repacked double, incremental double")
+    for change in ("insert", "move"):
+        for skew in (0.0, 1.0):
+            for share in (0.01, 0.05, 0.10):
+                total = round(share * int(rows.sum()))
+                k = maintain.spread(total, np.full(len(rows), total) if change == "insert" else rows, skew)
+                wanted = spark.createDataFrame(list(enumerate(k.tolist())), "pid long, k long")
+                if change == "insert":
+                    new = maintain.inserted(boxed, wanted)
+                    after = at.select("pid", "z", F.lit(0).alias("new")).unionByName(new.select("pid", "z", F.lit(1).alias("new")))
+                    changes = new.select(deep("z"), F.lit(1).alias("dn"))
+                else:
+                    new = maintain.moved(at, wanted, EXTENT / 100, 1 << BITS // 2).localCheckpoint()
+                    after = new.select("pid", F.coalesce("to", "z").alias("z"), F.lit(0).alias("new"))
+                    gone_from = new.where("to is not null")
+                    changes = gone_from.select(deep("z"), F.lit(-1).alias("dn")).unionByName(gone_from.select(deep("to"), F.lit(1).alias("dn")))
+                counted, gone, made = maintain.apply_changes(counts, changes, CAP, LEVELS, BITS)
+                both = gone.withColumn("gone", F.lit(True)).unionByName(made.withColumn("gone", F.lit(False))).collect()
+                gone, made = (sorted((r["depth"], r["prefix"]) for r in both if r["gone"] is x) for x in (True, False))
+                now = kdpart.with_boxes(kdpart.leaves(counted, CAP, BITS, LEVELS), BITS).localCheckpoint()
+                keys = {r["pid"]: (r["depth"], r["prefix"]) for r in now.select("pid", "depth", "prefix").collect()}
+                flow = kdpart.assign(after.withColumnRenamed("pid", "src"), now, BITS).groupBy("src", "pid", "new").agg(F.count("*").alias("n")).collect()
+                src, dst, fresh, n = (np.array(x, dtype=np.int64) for x in zip(*[(r["src"], r["pid"], r["new"], r["n"]) for r in flow]))
+                load, size = np.zeros((len(keys), a.shape[1])), np.zeros(len(keys), dtype=np.int64)
+                np.add.at(load, dst, a[src] * (n / rows[src])[:, None])
+                np.add.at(size, dst, n)
+                old, sent = fresh == 0, int(n[fresh == 1].sum())
+                plan = packing.agglomerate(load, size, 4, tiers)
+                repacked = sent + int(n[old].sum()) - rows_kept(before[src[old]], plan[dst[old]], n[old])
+                fleet = maintain.Fleet(max(t[1] for t in tiers))
+                first = fleet.place_all({i: a[i] for i in range(len(a))})
+                for key in gone:
+                    fleet.remove(ids[key])
+                name = {i: ids.get(keys[i], len(a) + i) for i in keys}
+                for i in keys:
+                    if keys[i] in ids and not np.allclose(load[i], fleet.pieces[name[i]]):
+                        fleet.update(name[i], load[i])
+                fleet.place_all({name[i]: load[i] for i in keys if keys[i] not in ids})
+                moves = sum(int(c) for s, t, c in zip(src[old].tolist(), dst[old].tolist(), n[old].tolist()) if fleet.where[name[t]] != first[s])
+                whole = float(size.sum())
+                out.append((change, skew, share, len(gone), len(made), math.floor(repacked / whole * 1e6) / 1e6, math.floor((sent + moves) / whole * 1e6) / 1e6))
+    return spark.createDataFrame(out, "change string, skew double, share double, gone long, made long, repacked double, incremental double")
 
 
 for _n in (10, 100, 1000):
