@@ -6,6 +6,10 @@ multiway differencing: of all partial partitions into k windows the two with the
 window of one with the emptiest of the other, until one partition with nearly equal windows is left. k starts at the least
 number that could hold the group and rises whenever a window is over capacity.
 
+Ids are those of byte_bpe_50k.json, which knows its added token (``ADDED``) wherever a text has it. Texts may be of any
+length and hold runs of any length: the rank encoder's pattern runs out of stack in white space of some hundred thousand
+characters, so that long runs are cut off where the pattern ends a piece anyway, and encoded as that piece.
+
 Only (key, start, length, checksum) of pieces is shuffled, never tokens. Null texts are empty documents: the end token
 alone. Repeated rows are documents of their own. An empty table gives an empty result.
 """
@@ -14,6 +18,7 @@ from __future__ import annotations
 
 import base64
 import heapq
+import re
 import zlib
 from collections.abc import Iterator
 from functools import cache
@@ -32,12 +37,37 @@ CAPACITY, ITEM, END = 1024, 256, 0
 GROUP_WINDOWS = 128
 
 
+# The added token of byte_bpe_50k.json, and the white space of the pattern.
+ADDED = {"<|endoftext|>": 50256}
+LONG_RUN = re.compile(r"[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]{1024,}")
+LEAST_RUN = 1024
+
+
 @cache
 def encoder(ranks: str) -> tiktoken.Encoding:
     """The byte-level vocabulary as ranks; its ids are those of the same vocabulary in byte_bpe_50k.json."""
     with open(ranks, "rb") as f:
         table_ = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-    return tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=table_, special_tokens={})
+    return tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=table_, special_tokens=ADDED)
+
+
+def token_ids(text: str | None, ranks: str) -> np.ndarray:
+    """Ids (unsigned 32 bits) of a whole text.
+
+    The pattern takes a run of white space that a character follows without its last character, which may begin the next
+    piece, and one that ends the text, or meets an added token, whole."""
+    enc, text = encoder(ranks), text or ""
+    if len(text) < LEAST_RUN or not (runs := list(LONG_RUN.finditer(text))):
+        return enc.encode_to_numpy(text, allowed_special="all")
+    out, at = [], 0
+    for m in runs:
+        ends = m.end() == len(text) or any(text.startswith(a, m.end()) for a in ADDED)
+        stop = m.end() if ends else m.end() - 1
+        out.append(enc.encode_to_numpy(text[at : m.start()], allowed_special="all"))
+        out.append(np.array(enc._encode_single_piece(text[m.start() : stop]), dtype=np.uint32))
+        at = stop
+    out.append(enc.encode_to_numpy(text[at:], allowed_special="all"))
+    return np.concatenate(out)
 
 
 def ranks_path() -> str:
@@ -61,12 +91,12 @@ def pieces(docs: DataFrame, text: str = "text", key: str = "doc_id", capacity: i
     kind, ranks = docs.schema[key].dataType.simpleString(), ranks or ranks_path()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, row = encoder(ranks), 0
+        row = 0
         for b in batches:
             at, start, length, crc, total, rows = [], [], [], [], [], []
             for i, t in enumerate(b.column(1)):
                 row += 1
-                ids = np.array([*enc.encode_ordinary(t.as_py() or ""), END], dtype="<u4")
+                ids = np.append(token_ids(t.as_py(), ranks), END).astype("<u4")
                 for s, n in cuts(len(ids), capacity, item):
                     at.append(i)
                     start.append(s)

@@ -11,8 +11,9 @@ binary search, and a token that meets several parts is allocated by a rule:
 
 Parts cover the text without gaps or overlaps; a part may be empty, and then has no tokens. By lines, every line has its line
 end; a text that ends in one has no empty line after it. By fields, the fields are joined by one line end, which belongs
-to the field before it, and a null field is empty. Null texts are empty: one empty line, no tokens. Repeated rows give
-repeated results. An empty table gives an empty result.
+to the field before it, and a null field is empty. Null texts are empty: one empty line, no tokens. Texts of any length are
+encoded whole, in one row of one task, with an added token as one token. Repeated rows give repeated results. An empty
+table gives an empty result.
 """
 
 from __future__ import annotations
@@ -25,20 +26,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from cellfleet.llm.common import table
-from cellfleet.llm.packing import encoder, ranks_path
+from cellfleet.llm.packing import ADDED, encoder, ranks_path, token_ids
 
 RULES = ("first", "last", "most", "split")
 
 
 @cache
 def byte_lengths(ranks: str) -> np.ndarray:
-    enc = encoder(ranks)
-    return np.array([len(enc.decode_single_token_bytes(i)) for i in range(enc.n_vocab)], dtype=np.int64)
+    enc, added = encoder(ranks), {i: a for a, i in ADDED.items()}
+    return np.array([len(added[i].encode() if i in added else enc.decode_single_token_bytes(i)) for i in range(enc.n_vocab)], dtype=np.int64)
 
 
 def spans(text: str, ranks: str) -> tuple[np.ndarray, np.ndarray]:
     """First character of each token and the one after its last."""
-    ids = np.array(encoder(ranks).encode_ordinary(text), dtype=np.int64)
+    ids = token_ids(text, ranks)
     data = np.frombuffer(text.encode("utf-8", "replace"), dtype=np.uint8)
     ends = byte_lengths(ranks)[ids].cumsum()
     character = ((data & 0xC0) != 0x80).cumsum() - 1
