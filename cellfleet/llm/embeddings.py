@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellfleet.llm.common import components, cut, table
+from cellfleet.llm.common import HEAVY, components, cut, onto, table
 
 COSINE, BLOCK, MOST_PIVOTS, TILE, MARGIN, SLACK = 0.95, 4096, 1024, 512, 1e-4, 1e-9
 SHIFT = 1 << 24  # blocks are numbered cell * SHIFT + block within the cell
@@ -69,7 +69,7 @@ def homes(vectors: DataFrame, pivots: np.ndarray) -> DataFrame:
 
 def reach(vectors: DataFrame, pivots: np.ndarray, radii: np.ndarray, eps: float) -> DataFrame:
     """``vectors`` with their cell and the list of cells, their own included, that may hold a partner."""
-    between = distances(pivots, pivots)
+    between, kind = distances(pivots, pivots), vectors.schema["v"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -84,7 +84,7 @@ def reach(vectors: DataFrame, pivots: np.ndarray, radii: np.ndarray, eps: float)
             cells = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], near.sum(axis=1).cumsum()]), pa.int32()), pa.array(near.nonzero()[1], pa.int32()))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(cell, pa.int32()), cells], names=["rep", "w", "v", "cell", "cells"])
 
-    return vectors.select("rep", "w", "v").mapInArrow(run, "rep bigint, w bigint, v array<float>, cell int, cells array<int>")
+    return vectors.select("rep", "w", "v").mapInArrow(run, f"rep bigint, w bigint, v {kind}, cell int, cells array<int>")
 
 
 def linked(a: np.ndarray, b: np.ndarray, cosine: float, same: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -166,10 +166,11 @@ def join_cells(vectors: DataFrame, cosine: float = COSINE, block: int = BLOCK, m
     return keyed.groupBy("x", "y").applyInArrow(joined(cosine), "a bigint, n bigint, b bigint")
 
 
-def classes(vectors: DataFrame, key: str = "vec_id", vector: str = "embedding", cosine: float = COSINE, block: int = BLOCK, most_pivots: int = MOST_PIVOTS) -> DataFrame:
+def classes(vectors: DataFrame, key: str = "vec_id", vector: str = "embedding", cosine: float = COSINE, block: int = BLOCK, most_pivots: int = MOST_PIVOTS, least: int = HEAVY) -> DataFrame:
     """(key, n_links, component_id, kept) of every vector."""
     spark = vectors.sparkSession
-    all_ = vectors.select(F.col(key).alias("id"), F.col(vector).cast("array<float>").alias("v")).withColumn("ok", valid(F.col("v")) & F.col("id").isNotNull())
+    kind = "array<double>" if "double" in vectors.schema[vector].dataType.simpleString() else "array<float>"
+    all_ = vectors.select(F.col(key).alias("id"), F.col(vector).cast(kind).alias("v")).withColumn("ok", valid(F.col("v")) & F.col("id").isNotNull())
     distinct = cut(all_.where("ok").groupBy("v").agg(F.min("id").alias("rep"), F.count("*").alias("w")))
     found = spark.createDataFrame([], "a long, n long, b long")
     for r in distinct.groupBy(F.size("v").alias("k")).count().orderBy("k").collect():
@@ -178,8 +179,10 @@ def classes(vectors: DataFrame, key: str = "vec_id", vector: str = "embedding",
     counts = found.groupBy(F.col("a").alias("rep")).agg(F.sum("n").alias("n"))
     tops = components(found.select("a", "b")).withColumnRenamed("node", "rep")
     known = distinct.join(counts, "rep", "left").join(tops, "rep", "left")
-    known = known.select(F.col("v").alias("k_v"), (F.coalesce("n", F.lit(0)) + F.col("w") - 1).alias("n_links"), F.coalesce("component", "rep").alias("top"))
-    out = all_.where("ok").join(known, F.col("v") == F.col("k_v")).select("id", "n_links", "top")
+    known = known.select("v", (F.coalesce("n", F.lit(0)) + F.col("w") - 1).alias("n_links"), F.coalesce("component", "rep").alias("top"))
+    # a vector that very many rows have is joined back apart from the rest
+    hot = cut(distinct.where(F.col("w") > least).select("v"), 1)
+    out = onto(all_.where("ok"), known, "v", None if hot.isEmpty() else hot).select("id", "n_links", "top")
     alone = all_.where("not ok").select("id", F.lit(0).cast("long").alias("n_links"), F.col("id").alias("top"))
     return out.unionByName(alone).select(F.col("id").alias(key), "n_links", F.col("top").alias("component_id"), (F.col("id") == F.col("top")).alias("kept"))
 

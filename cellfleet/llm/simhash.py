@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellfleet.llm.common import components, cut, table
+from cellfleet.llm.common import HEAVY, components, cut, onto, table
 
 RADIUS, SHINGLE, SEED, BLOCK, BITS = 3, 3, 42, 256, 64
 
@@ -116,16 +116,19 @@ def links(fps: DataFrame, radius: int = RADIUS, block: int = BLOCK, rows: int |
     return pairs.unionByName(met.select("parts").mapInArrow(_forests(radius), "a bigint, b bigint")).distinct()
 
 
-def classes(docs: DataFrame, text: str = "text", key: str = "doc_id", radius: int = RADIUS) -> DataFrame:
-    """(key, fp, component_id): component_id is the smallest key reachable by links."""
+def classes(docs: DataFrame, text: str = "text", key: str = "doc_id", radius: int = RADIUS, least: int = HEAVY) -> DataFrame:
+    """(key, fp, component_id): component_id is the smallest key reachable by links. Fingerprints of more than ``least``
+    documents (that of all empty ones, say) are joined back apart from the rest."""
     fps = cut(fingerprints(docs, text, key))
     n = fps.count()
-    distinct = cut(fps.groupBy("fp").agg(F.min(key).alias("first")), n)
+    distinct = cut(fps.groupBy("fp").agg(F.min(key).alias("first"), F.count("*").alias("n")), n)
     found = components(links(distinct.select("fp"), radius, rows=n), n)
     tops = distinct.join(found.select(F.col("node").alias("fp"), "component"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
-    firsts = tops.groupBy("component").agg(F.min("first").alias("component_id"))
-    by_fp = tops.join(firsts, "component").select("fp", "component_id")
-    return fps.join(by_fp, "fp").select(key, "fp", "component_id")
+    tops = cut(tops.select("fp", "first", "component"), n)
+    firsts = tops.groupBy("component").agg(F.min("first").alias("component_id"), F.count("*").alias("n"))
+    hot = lambda t, k: cut(t.where(F.col("n") > least).select(k), 1) if n > least else None
+    by_fp = onto(tops, firsts.drop("n"), "component", hot(firsts, "component")).select("fp", "component_id")
+    return onto(fps, by_fp, "fp", hot(distinct, "fp")).select(key, "fp", "component_id")
 
 
 def keep_first(docs: DataFrame, text: str = "text", key: str = "doc_id", radius: int = RADIUS) -> DataFrame:

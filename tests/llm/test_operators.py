@@ -42,26 +42,57 @@ def words(t):
     return WORD.findall(t or "")
 
 
+def targets(sizes, weights, limit):
+    """Rounds of resharing, as the contract tells it."""
+    out, rest = [0.0] * len(sizes), float(sum(sizes))
+    open_ = {i for i, w in enumerate(weights) if w > 0}
+    while open_ and rest > 0:
+        whole = sum(weights[i] for i in open_)
+        above = {i for i in open_ if rest * weights[i] / whole > limit * sizes[i]}
+        for i in above or open_:
+            out[i] = float(limit * sizes[i]) if above else rest * weights[i] / whole
+        if not above:
+            break
+        open_ -= above
+        rest -= sum(out[i] for i in above)
+    return out
+
+
+def planned(spark, sizes, weights, limit=3):
+    rows = [(f"s{i:03}" if i < len(sizes) - 1 else None, s) for i, s in enumerate(sizes)]
+    got = mixing.plan(spark.createDataFrame(rows, "m_source string, m_size long"), weights, limit).collect()
+    by = {r["m_source"]: r["m_target"] for r in got}
+    return [by[s] for s, _ in rows]
+
+
+def test_mix_targets(spark):
+    assert planned(spark, [10, 10], [5, 2]) == pytest.approx([100 / 7, 40 / 7])
+    assert planned(spark, [1, 100, 0], [5, 2, 1]) == pytest.approx([3, 98, 0])
+    assert sum(planned(spark, [3, 50, 7, 400], [5, 2, 1])) == pytest.approx(460)
+    assert planned(spark, [0, 0], [1, 1]) == [0, 0]
+    assert planned(spark, [10, 20, 30], {"s000": 1.0, None: 3.0}) == pytest.approx([15, 0, 45])
+    assert planned(spark, [10, 20], {"s000": 1.0}, 2) == pytest.approx([20, 0])
+    rng = np.random.default_rng(6)
+    for n in (1, 2, 7, 40):
+        sizes = (rng.integers(0, 1000, n) ** 2).tolist()
+        assert planned(spark, sizes, [5, 2, 1]) == pytest.approx(targets(sizes, [(5, 2, 1)[i % 3] for i in range(n)], 3))
+
+
 def test_mix_exact(spark, docs):
-    sized = docs.select("doc_id", "source", mixing.size().alias("size"))
-    sources = mixing.plan(sized.select("source", "size"))
-    got = mixing.positions(sized, sources).collect()
+    rows = mixing.sized(docs)
+    sources = mixing.plan(rows)
+    got = mixing.positions(rows, sources).collect()
     assert len(got) == len(TEXTS)
     for r in got:
-        assert r["size"] == len(words(TEXTS[r["doc_id"]])) and r["m_taken"] <= 3 * r["size"]
+        assert r["m_size"] == len(words(TEXTS[r["m_key"]])) and r["m_taken"] <= 3 * r["m_size"]
     by = {}
     for r in got:
-        by.setdefault(r["source"], [0, r["budget"]])[0] += r["m_taken"]
+        by.setdefault(r["m_source"], [0, r["m_budget"]])[0] += r["m_taken"]
     assert all(taken == budget for taken, budget in by.values())
-    again = {(r["doc_id"], r["m_taken"]) for r in mixing.positions(sized.repartition(7), sources).collect()}
-    assert again == {(r["doc_id"], r["m_taken"]) for r in got}
-
-
-def test_mix_targets():
-    assert mixing.targets([10, 10], [5, 2]) == pytest.approx([100 / 7, 40 / 7])
-    assert mixing.targets([1, 100, 0], [5, 2, 1]) == pytest.approx([3, 98, 0])
-    assert sum(mixing.targets([3, 50, 7, 400], [5, 2, 1, 5])) == pytest.approx(460)
-    assert mixing.targets([], []) == [] and mixing.targets([0, 0], [1, 1]) == [0, 0]
+    want = {(r["m_key"], r["m_taken"]) for r in got}
+    assert {(r["m_key"], r["m_taken"]) for r in mixing.positions(rows.repartition(7), sources).collect()} == want
+    # many sources, and a hot one, are joined another way
+    assert {(r["m_key"], r["m_taken"]) for r in mixing.positions(rows, sources, few=0, least=6).collect()} == want
 
 
 def test_mix_rows(docs, empty):
@@ -73,6 +104,22 @@ def test_mix_rows(docs, empty):
     assert mixing.mix(empty).count() == 0
 
 
+def test_mix_names(docs):
+    """Columns of any names, those that are used inside included."""
+    inside = ["size", "source_size", "target", "budget", "buckets", "taken", "m_row", "m_key", "m_source", "m_size", "m_hash", "m_null", "m_bucket", "m_target", "m_text", "m_words", "a.b"]
+    named = docs.select("*", *[F.lit(c).alias(c) for c in inside])
+    mixed = mixing.mix(named)
+    assert mixed.columns == named.columns
+    assert {r["a.b"] for r in mixed.collect()} == {"a.b"} and mixed.count() == mixing.mix(docs).count()
+
+
+def test_mix_without_ids(docs):
+    """Rows without an id spread over the buckets by their texts."""
+    lost = docs.withColumn("doc_id", F.lit(None).cast("long"))
+    assert mixing.sized(lost).select("m_hash").distinct().count() == len({t or "" for t in TEXTS})
+    assert abs(mixing.mix(lost).select(F.sum(mixing.size())).first()[0] - sum(len(words(t)) for t in TEXTS)) <= 4
+
+
 def test_token_counts(spark, docs, empty):
     tk = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
     got = {}
@@ -260,6 +307,31 @@ def test_simhash_components(spark, docs, empty):
     assert simhash.classes(empty).count() == 0 and simhash.keep_first(empty).count() == 0
 
 
+def test_hot_keys(spark, docs):
+    """Hubs, labels of giant components, fingerprints and vectors above a bound, set low here, give the same results."""
+    from cellfleet.llm import common
+
+    rng = np.random.default_rng(8)
+    pairs = [(0, i) for i in range(1, 40)] + [(100 + i, 101 + i) for i in range(60)] + [tuple(x) for x in rng.integers(200, 260, (50, 2)).tolist()]
+    links = spark.createDataFrame(pairs, "a long, b long")
+    told = lambda df: sorted(map(tuple, df.collect()))
+    found = told(common.components(links, least=5))
+    assert found == told(common.components(links)) and {c for n, c in found if n < 200} == {0, 100}
+    copies = docs.unionByName(docs.withColumn("doc_id", F.col("doc_id") + 1000)).unionByName(docs.withColumn("doc_id", F.col("doc_id") + 2000))
+    assert told(simhash.classes(copies, least=4)) == told(simhash.classes(copies))
+    vectors = spark.createDataFrame([(i, [1.0, 0.0, 0.001 * (i % 7)]) for i in range(60)], "vec_id long, embedding array<float>")
+    assert told(embeddings.classes(vectors, least=8)) == told(embeddings.classes(vectors))
+    assert {(r["n_links"], r["component_id"]) for r in embeddings.classes(vectors, least=8).collect()} == {(59, 0)}
+
+
+def test_double_vectors(spark):
+    """Components of double precision aren't narrowed: a cosine just below the threshold is none."""
+    out = 1e-9
+    a, b = [1.0, 0.0], [0.95 - out, (1 - (0.95 - out) ** 2) ** 0.5]
+    v = spark.createDataFrame([(0, a), (1, b), (2, [0.95 + out, (1 - (0.95 + out) ** 2) ** 0.5])], "vec_id long, embedding array<double>")
+    assert sorted((r["vec_id"], r["n_links"]) for r in embeddings.classes(v).collect()) == [(0, 1), (1, 1), (2, 2)]
+
+
 def test_quality(docs, empty):
     for r in quality.score(docs).collect():
         t = TEXTS[r["doc_id"]] or ""
@@ -404,8 +476,8 @@ def test_null_ids_and_repeated_rows(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
     ids = lambda df: sorted((r["doc_id"] is None, r["doc_id"] or 0) for r in df.select("doc_id").collect())
     want = ids(docs)
-    sized = docs.select("doc_id", "source", mixing.size().alias("size"))
-    assert ids(mixing.positions(sized, mixing.plan(sized.select("source", "size")))) == want
+    sized = mixing.sized(docs)
+    assert ids(mixing.positions(sized, mixing.plan(sized)).withColumnRenamed("m_key", "doc_id")) == want
     assert ids(quality.score(docs)) == want and ids(secrets.scan(docs)) == want and ids(simhash.classes(docs)) == want
     assert ids(simhash.keep_first(docs)) == [(False, 3), (False, big), (True, 0), (True, 0)]
     assert ids(token_counts.by_line(docs)) == want
