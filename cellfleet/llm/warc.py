@@ -1,15 +1,17 @@
 """WARC archives of pages, and their capture index merged from locally sorted runs.
 
-Pages are written as gzip-compressed WARC/1.1 files through Spark's text sink (any store Spark can write to): a record is
-its header and block, the line separator closes it. Of records with equal payloads the one with the smallest page_id is a
-response, all others are revisits that refer to it and carry no payload. Files are read back as binaries, parsed by their
-lengths and checked against their digests; each file gives one run of its captures sorted by URL key and time. The runs
-are dealt by ranges of that key and each range merges its share of every run with a loser tree, so that the ranges one
-after another are the globally ordered capture history.
-
-A null html is an empty payload, a null url is written as an empty one. Rows of equal page_id and payload are all
-responses if that page_id is the smallest. A null page_id is larger than any other. An empty table gives an empty result.
-A single payload must fit a gzip file in memory.
+Pages are written as WARC/1.1 files through Spark's text sink (any store Spark can write to), a gzip member per record, so
+that an index row's offset and length in the file are enough to read its record. The sink ends every row with a zero byte,
+which is the last byte of the member: the high byte of its length, or, from 16 MB on, the end of an empty member after it.
+Of records with equal payloads the one with the smallest page_id is a response, all others are revisits that refer to it and
+carry no payload. Files are read back as binaries, member by member, parsed by their lengths and checked against their
+digests; each file gives one run of its captures sorted by URL key and time. The runs are dealt by ranges of that key, as
+many as their rows ask for, and sorted by run in Spark's external sort; each range merges its share of every run with a loser
+tree, a few rows of a run at a time, so that the ranges one after another are the globally ordered capture history.
+
+A null html is an empty payload, a null url is written as an empty one. A null page_id is larger than any other. Of repeated
+rows of the smallest page_id one is the response. The capture time is a bounded function of the page_id, or a given column.
+An empty table gives an empty result. A single payload must fit memory, an archive file holds ``FILE_BYTES`` and one payload more.
 """
 
 from __future__ import annotations
@@ -18,16 +20,20 @@ import base64
 import gzip
 import hashlib
 import re
+import zlib
 from collections.abc import Callable, Iterator, Sequence
 from urllib.parse import urlsplit
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellfleet.llm.common import cut, gathered, scratch, table
+from cellfleet.llm.common import HEAVY, cut, onto, scratch, table
 
-EPOCH = "2024-01-01 00:00:00"
+EPOCH, CAPTURE_SECONDS = "2024-01-01 00:00:00", 100_000_000
+#: Captures of a range of the merge, about, and rows of a run that its reader holds.
+RANGE_ROWS, READ_ROWS = 100_000, 64
 #: Payload of an archive file, about, and the most records it has.
 FILE_BYTES, FILE_RECORDS = 16 << 20, 20_000
 BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
@@ -45,26 +51,39 @@ def digest(payload: Column) -> Column:
     return F.concat(*out)
 
 
-def typed(pages: DataFrame) -> tuple[DataFrame, int]:
-    """(page_id, url, w_html, w_digest, w_type, w_first) and the bytes of all different payloads of a page: only page_id and
-    digest are compared, htmls are shuffled once, by page."""
-    d = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("w_html")).withColumn("w_digest", digest(F.col("w_html").cast("binary")))
-    small = cut(d.select("page_id", "w_digest", F.octet_length("w_html").alias("w_bytes")).distinct(), pages.count())
-    first = small.groupBy("w_digest").agg(F.min("page_id").alias("w_first"))
-    known = small.join(first, "w_digest").select(F.col("page_id").alias("k_id"), F.col("w_digest").alias("k_digest"), "w_first")
-    out = d.join(known, F.col("page_id").eqNullSafe(F.col("k_id")) & (F.col("w_digest") == F.col("k_digest")))
-    out = out.withColumn("w_type", F.when(F.col("page_id").eqNullSafe(F.col("w_first")), "response").otherwise("revisit"))
-    return out, small.agg(F.sum("w_bytes").alias("n")).first()["n"] or 0
+def typed(pages: DataFrame, captured: str | None = None, least: int = HEAVY) -> tuple[DataFrame, int]:
+    """(page_id, url, w_html, w_digest, w_type, w_first, w_when) and the bytes of all payloads: only ids, urls and digests are
+    compared and shuffled. Rows that repeat in all of these stay one row with their number until the last step, so that a
+    group of them is no task's burden, and only its first row keeps the html."""
+    when_ = F.timestamp_seconds(F.unix_timestamp(F.lit(EPOCH)) + F.pmod(F.coalesce("page_id", F.lit(0)), F.lit(CAPTURE_SECONDS)))
+    when_ = when_ if captured is None else F.coalesce(F.col(captured).cast("timestamp"), when_)
+    d = pages.select("page_id", "url", F.coalesce("html", F.lit("")).alias("w_html"), when_.alias("w_when")).withColumn("w_digest", digest(F.col("w_html").cast("binary")))
+    same = ["page_id", "url", "w_digest", "w_when"]
+    small = cut(d.groupBy(*same).agg(F.count("*").alias("w_n"), F.max(F.octet_length("w_html")).alias("w_bytes")))
+    order_ = F.struct(F.col("page_id").isNull().alias("lost"), "page_id", "url", "w_when")
+    first = cut(small.groupBy("w_digest").agg(F.min(order_).alias("w_least"), F.count("*").alias("w_rows"), F.max("w_n").alias("w_most")))
+    hot = cut(first.where(F.col("w_rows") > least).select("w_digest"), 1)
+    known = onto(small, first.select("w_digest", "w_least"), "w_digest", None if hot.isEmpty() else hot)
+    known = known.withColumn("w_is_first", order_ == F.col("w_least")).withColumn("w_first", F.col("w_least.page_id"))
+    known = known.select(*[F.col(c).alias(f"k_{c}") for c in same], "w_n", "w_is_first", "w_first")
+    meets = [F.col(c).eqNullSafe(F.col(f"k_{c}")) for c in same]
+    if first.where("w_most > 1").isEmpty():
+        out = d.join(known, meets).withColumn("w_again", ~F.col("w_is_first"))
+    else:
+        whole = d.groupBy(*same).agg(F.first("w_html").alias("w_html")).join(known, meets)
+        out = whole.withColumn("w_i", F.explode(F.sequence(F.lit(1).cast("long"), F.col("w_n")))).withColumn("w_again", ~F.col("w_is_first") | (F.col("w_i") > 1))
+    total = small.agg(F.sum(F.col("w_bytes") * F.col("w_n")).alias("n")).first()["n"] or 0
+    return out.withColumn("w_type", F.when(F.col("w_again"), "revisit").otherwise("response")), total
 
 
 def record(crlf: str = "\r\n") -> Column:
-    """The record of a row of ``typed``, without the two line ends that close it."""
+    """The record of a row of ``typed``, with the two line ends that close it."""
     ident = lambda c: F.concat(F.lit("<urn:page:"), F.coalesce(c.cast("string"), F.lit("null")), F.lit(">"))
     n = F.octet_length("w_html").cast("string")
     http = F.concat(F.lit(f"HTTP/1.1 200 OK{crlf}Content-Type: text/html; charset=utf-8{crlf}Content-Length: "), n, F.lit(crlf * 2))
     again = F.col("w_type") == "revisit"
     block = F.concat(http, F.when(again, "").otherwise(F.col("w_html")))
-    when_ = F.date_format(F.timestamp_seconds(F.unix_timestamp(F.lit(EPOCH)) + F.coalesce("page_id", F.lit(0))), "yyyy-MM-dd'T'HH:mm:ss'Z'")
+    when_ = F.date_format("w_when", "yyyy-MM-dd'T'HH:mm:ss'Z'")
     lines = [
         F.lit("WARC/1.1"),
         F.concat(F.lit("WARC-Type: "), F.col("w_type")),
@@ -76,13 +95,50 @@ def record(crlf: str = "\r\n") -> Column:
         F.lit("Content-Type: application/http; msgtype=response"),
         F.concat(F.lit("Content-Length: "), F.octet_length(block).cast("string")),
     ]
-    return F.concat(F.concat_ws(crlf, *lines), F.lit(crlf * 2), block)
+    return F.concat(F.concat_ws(crlf, *lines), F.lit(crlf * 2), block, F.lit(crlf * 2))
 
 
-def write(pages: DataFrame, path: str, file_bytes: int = FILE_BYTES, file_records: int = FILE_RECORDS) -> None:
-    out, payload = typed(pages)
+#: An empty gzip member, which ends in a zero byte.
+NOTHING = gzip.compress(b"", 1, mtime=0)
+
+
+def member(record_: bytes, level: int = 1) -> bytes:
+    """A gzip member of the record, without the zero byte that it ends in."""
+    out = gzip.compress(record_, level, mtime=0)
+    return (out if out[-1] == 0 else out + NOTHING)[:-1]
+
+
+def compressed(records: DataFrame, level: int = 1) -> DataFrame:
+    """``records(value)`` as members, in text rows that hold their bytes as they are."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([member(x.as_buffer(), level) for x in b.column(0)], pa.binary())], names=["value"])
+
+    return records.mapInArrow(run, "value binary").select(F.col("value").cast("string").alias("value"))
+
+
+def members(data: bytes) -> Iterator[tuple[int, int, bytes]]:
+    """(offset, length, content) of the records of an archive, one unpacked at a time; an empty member belongs to the one before it."""
+    view, at = memoryview(data).cast("B"), 0
+    while at < len(view):
+        begin, parts = at, []
+        while at < len(view) and (not parts or view[at : at + len(NOTHING)] == NOTHING):
+            one = zlib.decompressobj(wbits=31)
+            # as much as the record needs: what follows it is handed in piece by piece
+            piece = 1 << 16
+            while not one.eof:
+                if at >= len(view):
+                    raise ValueError(f"no whole member at byte {begin}")
+                parts.append(one.decompress(view[at : at + piece]))
+                at += min(piece, len(view) - at) - len(one.unused_data)
+        yield begin, at - begin, b"".join(parts)
+
+
+def write(pages: DataFrame, path: str, file_bytes: int = FILE_BYTES, file_records: int = FILE_RECORDS, captured: str | None = None) -> None:
+    out, payload = typed(pages, captured)
     out = out.select(record().alias("value")).coalesce(max(1, -(-payload // file_bytes)))
-    out.write.option("lineSep", "\r\n\r\n").option("compression", "gzip").option("zlib.compress.level", "BEST_SPEED").option("maxRecordsPerFile", file_records).text(path)
+    compressed(out.select(F.col("value").cast("binary").alias("value"))).write.option("lineSep", "\0").option("compression", "none").option("maxRecordsPerFile", file_records).text(path)
 
 
 def url_key(url: str) -> str:
@@ -95,27 +151,28 @@ def url_key(url: str) -> str:
     return ",".join(reversed(host.split("."))) + ")" + (u.path or "/").lower() + (f"?{u.query.lower()}" if u.query else "")
 
 
+def page(ident: str) -> int | None:
+    number = re.fullmatch(r"<urn:page:(-?\d+|null)>", ident)[1]
+    return None if number == "null" else int(number)
+
+
 def parse(data: bytes, file: str) -> Iterator[tuple]:
     """Index rows of the records of an archive; raises if a length or digest doesn't hold."""
-    at = 0
-    number = lambda x: None if (m := re.fullmatch(r"<urn:page:(-?\d+|null)>", x)[1]) == "null" else int(m)
-    while at < len(data):
-        head = data.index(b"\r\n\r\n", at)
-        lines = data[at:head].decode("utf-8", "replace").split("\r\n")
+    for at, length, record_ in members(data):
+        head = record_.index(b"\r\n\r\n")
+        lines = record_[:head].decode("utf-8", "replace").split("\r\n")
         fields = dict(x.split(": ", 1) for x in lines[1:])
         start, n = head + 4, int(fields["Content-Length"])
         end = start + n
-        if lines[0] != "WARC/1.1" or data[end : end + 4] != b"\r\n\r\n":
+        if lines[0] != "WARC/1.1" or record_[end:] != b"\r\n\r\n":
             raise ValueError(f"no whole record at byte {at} of {file}")
-        body = data.index(b"\r\n\r\n", start) + 4
-        size = int(re.search(rb"\r\nContent-Length: (\d+)", data[start:body])[1])
+        body = record_.index(b"\r\n\r\n", start) + 4
+        size = int(re.search(rb"\r\nContent-Length: (\d+)", record_[start:body])[1])
         told, again = fields["WARC-Payload-Digest"].removeprefix("sha1:"), fields["WARC-Type"] == "revisit"
-        if not again and (end - body != size or base64.b32encode(hashlib.sha1(data[body:end]).digest()).decode() != told):
+        if not again and (end - body != size or base64.b32encode(hashlib.sha1(memoryview(record_)[body:end]).digest()).decode() != told):
             raise ValueError(f"digest of the record at byte {at} of {file} doesn't hold")
-        url = fields["WARC-Target-URI"]
-        refers = number(fields["WARC-Refers-To"]) if again else None
-        yield number(fields["WARC-Record-ID"]), url, url_key(url), fields["WARC-Date"], size, told, fields["WARC-Type"], refers, file, at, end + 4 - at
-        at = end + 4
+        url, refers = fields["WARC-Target-URI"], page(fields["WARC-Refers-To"]) if again else None
+        yield page(fields["WARC-Record-ID"]), url, url_key(url), fields["WARC-Date"], size, told, fields["WARC-Type"], refers, file, at, length
 
 
 def order(row: Sequence) -> tuple:
@@ -137,7 +194,7 @@ def runs(spark: SparkSession, path: str) -> DataFrame:
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for name, content in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                yield batch(sorted(parse(gzip.decompress(content.as_buffer()), name.rpartition("/")[2]), key=order))
+                yield batch(sorted(parse(content.as_buffer(), name.rpartition("/")[2]), key=order))
 
     files = spark.read.format("binaryFile").option("pathGlobFilter", "part-*").load(path)
     return files.select("path", "content").mapInArrow(read, INDEX)
@@ -180,33 +237,37 @@ class LoserTree:
             self._play(w)
 
 
-def merge(index: DataFrame) -> DataFrame:
-    """The capture history: ranges of (url_key, captured), each merged from its shares of the runs."""
+def reader(share: pa.Table, rows: int = READ_ROWS) -> Iterator[tuple]:
+    """The rows of a sorted run, a few at a time."""
+    for at in range(0, share.num_rows, rows):
+        yield from zip(*(c.to_pylist() for c in share.slice(at, rows).columns), strict=True)
+
+
+def merge(index: DataFrame, rows: int | None = None, range_rows: int = RANGE_ROWS) -> DataFrame:
+    """The capture history: ranges of (url_key, captured), each merged from its shares of the runs. ``rows``: of the index."""
+    rows = index.count() if rows is None else rows
 
     def one(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        by: dict[str, list[tuple]] = {}
-        for b in batches:
-            for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                by.setdefault(row[8], []).append(row)
-        shares = []
-        for share in by.values():  # a shuffle may deliver a share out of order
-            keys = [order(r) for r in share]
-            shares.append(share if all(x <= y for x, y in zip(keys, keys[1:], strict=False)) else sorted(share, key=order))
+        whole = pa.Table.from_batches(batches, ARROW)
+        files = whole.column("file").combine_chunks().dictionary_encode()
+        number = files.indices.to_numpy(zero_copy_only=False)
+        starts = [0, *(np.flatnonzero(np.diff(number)) + 1).tolist(), len(number)] if len(number) else [0]
         out: list[tuple] = []
-        for row in LoserTree(shares, order):
+        for row in LoserTree([reader(whole.slice(a, b - a)) for a, b in zip(starts, starts[1:], strict=False)], order):
             out.append(row)
             if len(out) == 4096:
                 yield batch(out)
                 out = []
         yield batch(out)
 
-    merged = index.repartitionByRange("url_key", "captured", "page_id", "offset").mapInArrow(one, INDEX)
-    return gathered(merged, index.count())  # neighbouring ranges in one task: order stays
+    keys = ["url_key", "captured", F.col("page_id").asc_nulls_last(), "file", "offset"]
+    dealt = index.repartitionByRange(max(1, -(-rows // range_rows)), *keys)
+    return dealt.sortWithinPartitions("file", *keys).mapInArrow(one, INDEX)
 
 
-def archive(pages: DataFrame, path: str) -> DataFrame:
+def archive(pages: DataFrame, path: str, captured: str | None = None) -> DataFrame:
     """Writes the archives to ``path`` and returns their merged index, read back from them."""
-    write(pages, path)
+    write(pages, path, captured=captured)
     return merge(cut(runs(pages.sparkSession, path)))
 
 
@@ -220,7 +281,7 @@ _CHARS = " || ".join(
 )
 ORACLE_SQL = f"""
 with p as (select page_id, coalesce(html, '') as html from pages), h as (select page_id, octet_length(encode(html))::bigint as n, sha1(html) as sha from p),
-f as (select page_id, n, {_CHARS} as digest, min(page_id) over (partition by sha) as first from h)
-select page_id, n as payload_bytes, digest as payload_digest, case when page_id is not distinct from first then 'response' else 'revisit' end as record_type,
- case when page_id is distinct from first then first end as refers_to from f
+f as (select page_id, n, {_CHARS} as digest, min(page_id) over (partition by sha) as first, row_number() over (partition by sha order by page_id nulls last) as place from h)
+select page_id, n as payload_bytes, digest as payload_digest, case when place = 1 then 'response' else 'revisit' end as record_type,
+ case when place > 1 then first end as refers_to from f
 """

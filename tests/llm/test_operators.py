@@ -462,6 +462,43 @@ def test_warc(spark, tmp_path):
     assert warc.archive(pages.where("false"), str(tmp_path / "e")).count() == 0
 
 
+def test_warc_members(spark, tmp_path):
+    """Index rows point at their records; ids of any size, records above 16 MB and hot groups of repeated rows."""
+    import gzip
+
+    large = "".join(chr(97 + i * i % 23) for i in range(1000)) * 17_000
+    rows = [(2**60, "http://a.org/", "<p>x</p>"), (-5, "http://a.org/", None), (None, None, None), (-(2**62), "http://b.org/", large)] + [(7, "http://c.org/", "<p>same</p>")] * 50
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(2)
+    path = str(tmp_path / "w")
+    got = warc.archive(pages, path).collect()
+    assert len(got) == len(rows)
+    for r in got:
+        with open(f"{path}/{r['file']}", "rb") as f:
+            f.seek(r["offset"])
+            record = gzip.decompress(f.read(r["length"]))
+        name = "null" if r["page_id"] is None else r["page_id"]
+        assert record.startswith(b"WARC/1.1\r\n") and f"<urn:page:{name}>".encode() in record and record.endswith(b"\r\n\r\n")
+    sevens = [(r["record_type"], r["refers_to"]) for r in got if r["page_id"] == 7]
+    assert sorted(sevens, key=str) == [("response", None)] + [("revisit", 7)] * 49
+    by = {r["page_id"]: (r["record_type"], r["refers_to"], r["payload_bytes"]) for r in got}
+    assert by[None] == ("revisit", -5, 0) and by[-(2**62)] == ("response", None, len(large))
+    for name in {r["file"] for r in got}:
+        with open(f"{path}/{name}", "rb") as f:
+            whole = gzip.decompress(f.read())
+        assert whole.count(b"WARC/1.1\r\n") == sum(r["file"] == name for r in got)
+    times = warc.archive(pages.withColumn("t", F.lit("2020-02-02 02:02:02")), str(tmp_path / "t"), captured="t").collect()
+    assert {r["captured"] for r in times} == {"2020-02-02T02:02:02Z"}
+
+
+def test_warc_ranges(spark):
+    """Many runs over many ranges, a hot key among them: one ordered history."""
+    rng = np.random.default_rng(9)
+    rows = [(int(rng.integers(0, 50)) if rng.random() < 0.9 else None, "u", "hot" if rng.random() < 0.4 else f"k{rng.integers(0, 30)}", f"t{rng.integers(0, 9)}", 1, "d", "response", None, f"f{i % 7}", i, 1) for i in range(1000)]
+    index = spark.createDataFrame(rows, warc.INDEX).repartition(5)
+    got = [tuple(r) for r in warc.merge(index, range_rows=90).collect()]
+    assert got == sorted(rows, key=lambda r: (r[2], r[3], r[0] is None, r[0] or 0, r[8], r[9]))
+
+
 def test_loser_tree():
     rng = np.random.default_rng(4)
     for k in (0, 1, 2, 3, 5, 8, 13):
@@ -487,7 +524,7 @@ def test_null_ids_and_repeated_rows(spark):
     assert removed == {(None, 70): 70, (None, 0): 0, (big, 70): 0, (3, 20): 0}
     pages = spark.createDataFrame([(None, None, "<p>a</p>"), (2, None, "<p>a</p>"), (2, None, "<p>a</p>")], "page_id long, url string, html string")
     got = sorted((r["page_id"] or 0, r["record_type"], r["refers_to"]) for r in warc.archive(pages, str(shared(spark))).collect())
-    assert got == [(0, "revisit", 2), (2, "response", None), (2, "response", None)]
+    assert got == [(0, "revisit", 2), (2, "response", None), (2, "revisit", 2)]
 
 
 def shared(spark):
