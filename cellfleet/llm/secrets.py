@@ -1,18 +1,23 @@
 """Secret scans in DataFrame functions: fixed patterns, and character Markov models for what they miss.
 
-Base patterns give spans in code points, leftmost and non-overlapping per kind. Besides them, long runs of token characters
+Base patterns give spans in code points, leftmost and non-overlapping per kind. Besides them, runs of token characters
 that no base span touches are scored by two first-order Markov models over characters, one of random strings and one of
-ordinary identifiers; a run whose mean log-likelihood ratio is at least ``LEAST_RATIO`` is a span of kind "random".
+ordinary identifiers; a run is a span of kind "random" if its mean log-likelihood ratio, or that of one of its parts between
+separators, is at least ``LEAST_RATIO``, so that an ordinary name glued to a secret doesn't hide it. Runs and parts of fewer than
+``LEAST_RUN`` characters tell too little and aren't scored.
 
 The models are trained from labelled samples: random strings made by digests (labelled by construction), and tokens of
 those of ``SAMPLE_DOCS`` documents, chosen by a hash of their key, that have no base span (labelled ordinary). That bound is the only
 one; scans cover every document whole. Null texts are empty. Repeated rows get equal results. An empty table gives an
-empty result, and models that know random strings only.
+empty result, and models that know random strings only. Very long texts and very many spans are read within their row, in time
+near to their length: places are prefix sums over blocks, overlaps are found by one merge of sorted ends, and texts are cut at
+pieces of ``PIECE`` characters, never counted through from their start for each span.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -26,7 +31,8 @@ LEAST_ASSIGNED = 12
 #: Greedy runs of 16 hex digits or more, and access keys of 18 characters or more: a shorter leftmost match hides no longer one.
 HEX_LONG, ACCESS_LONG = r"[0-9a-f]{16,}", r"AKIA[A-Z0-9]{14,}"
 
-RUN = r"[A-Za-z0-9+/_=-]{20,}"
+LEAST_RUN = 16
+RUN = rf"[A-Za-z0-9+/_=-]{{{LEAST_RUN},}}"
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
 SAMPLE_DOCS, SAMPLE_RANDOM, LEAST_RATIO = 1000, 2000, 1.0
 BACK_OFF, MOST_STEP = 10.0, 4.0
@@ -35,21 +41,69 @@ MASK = "[SECRET]"
 SPAN = "array<struct<start:int,rank:int,end:int>>"
 
 
-def spans_of(text: Column, pattern: str, rank: int, group: int = 0, least: int = 0) -> Column:
-    """Sorted spans of the matches whose ``group`` has at least ``least`` characters. The text is cut at the matches, so that
-    starts are running sums of lengths; all three arrays are arguments, evaluated once a row."""
+#: Elements of a block of prefix sums, and characters of a piece of text.
+BLOCK, PIECE = 64, 4096
+
+
+def let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body`` of a value that is worked out once a row, however often the body names it."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
+def running(values: Column, join: Callable[[Column, Column], Column], levels: int = 2) -> Column:
+    """Inclusive prefix sums (or prefix maxima, by ``join``) of an array of non-negative ints: within blocks, and over the blocks,
+    so that no array of all elements is copied for each of them."""
+
+    def plain(v: Column) -> Column:
+        start = F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("out"))
+        step = lambda a, x: let(join(a["at"], x), lambda y: F.struct(y.alias("at"), F.concat(a["out"], F.array(y)).alias("out")))
+        return F.aggregate(v, start, step, lambda a: a["out"])
+
+    if not levels:
+        return plain(values)
+
+    def blocked(v: Column) -> Column:
+        last = F.greatest(F.ceil(F.size(v) / BLOCK).cast("int") - 1, F.lit(0))
+        inner = F.transform(F.sequence(F.lit(0), last), lambda i: plain(F.slice(v, i * BLOCK + 1, BLOCK)))
+        return let(inner, lambda b: let(running(F.transform(b, lambda x: F.coalesce(F.get(x, F.size(x) - 1), F.lit(0))), join, levels - 1), lambda tops: F.flatten(
+            F.transform(b, lambda x, i: F.when(i == 0, x).otherwise(F.transform(x, lambda y: join(F.get(tops, i - 1), y)))))))
+
+    return let(values, lambda v: F.when(F.size(v) <= BLOCK, plain(v)).otherwise(blocked(v)))
+
+
+def matches(text: Column, pattern: str, group: int = 0, least: int = 0) -> Column:
+    """Sorted (start, end, m) of the matches whose ``group`` has at least ``least`` characters. The text is cut at the matches, so
+    that ends are running sums of lengths."""
     p = F.lit(pattern)
     z = F.arrays_zip(F.split(text, pattern, -1).alias("gap"), F.regexp_extract_all(text, p, F.lit(0)).alias("m"), F.regexp_extract_all(text, p, F.lit(group)).alias("v"))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast(SPAN).alias("out"))
+    whole = "array<struct<start:int,end:int,m:string>>"
+
+    def placed(x: Column) -> Column:
+        x = F.filter(x, lambda r: r["m"].isNotNull())
+        ends = lambda x: running(F.transform(x, lambda r: F.char_length(r["gap"]) + F.char_length(r["m"])), lambda a, b: a + b)
+        told = lambda x: F.zip_with(ends(x), x, lambda e, r: F.struct((e - F.char_length(r["m"])).alias("start"), e.alias("end"), r["m"].alias("m"), r["v"].alias("v")))
+        return F.transform(F.filter(let(x, told), lambda r: F.char_length(r["v"]) >= least), lambda r: F.struct(r["start"].alias("start"), r["end"].alias("end"), r["m"].alias("m")))
+
+    return F.when(text.rlike(pattern), let(z, placed)).otherwise(F.array().cast(whole))
+
 
-    def step(a: Column, x: Column) -> Column:
-        at = a["at"] + F.char_length(x["gap"])
-        end = at + F.char_length(x["m"])
-        span = F.array(F.struct(at.alias("start"), F.lit(rank).alias("rank"), end.alias("end")))
-        out = F.when(F.char_length(x["v"]) >= least, F.concat(a["out"], span)).otherwise(a["out"])
-        return F.when(x["m"].isNull(), a).otherwise(F.struct(end.alias("at"), out.alias("out")))
+def spans_of(text: Column, pattern: str, rank: int, group: int = 0, least: int = 0) -> Column:
+    found = matches(text, pattern, group, least)
+    return F.when(text.rlike(pattern), F.transform(found, lambda r: F.struct(r["start"].alias("start"), F.lit(rank).alias("rank"), r["end"].alias("end")))).otherwise(F.array().cast(SPAN))
+
+
+def untouched(runs: Column, base: Column) -> Column:
+    """Those ``runs`` that no ``base`` span overlaps: ends of runs and starts of spans in one order, and the furthest span's end so
+    far; a run's end comes before a span that starts there."""
+    run_ends = F.transform(runs, lambda r: F.struct(r["end"].alias("at"), F.lit(0).alias("kind"), r["start"].alias("other"), r["m"].alias("m")))
+    starts = F.transform(base, lambda s: F.struct(s["start"].alias("at"), F.lit(1).alias("kind"), s["end"].alias("other"), F.lit(None).cast("string").alias("m")))
+
+    def merged(e: Column) -> Column:
+        furthest = running(F.transform(e, lambda x: F.when(x["kind"] == 1, x["other"]).otherwise(0)), lambda a, b: F.greatest(a, b))
+        free = F.filter(F.zip_with(e, furthest, lambda x, f: F.struct(x.alias("x"), f.alias("f"))), lambda z: (z["x"]["kind"] == 0) & (z["f"] <= z["x"]["other"]))
+        return F.transform(free, lambda z: F.struct(z["x"]["other"].alias("start"), z["x"]["at"].alias("end"), z["x"]["m"].alias("m")))
 
-    return F.when(text.rlike(pattern), F.aggregate(z, start, step, lambda a: a["out"])).otherwise(F.array().cast(SPAN))
+    return F.when(F.size(base) == 0, runs).otherwise(let(F.array_sort(F.concat(run_ends, starts)), merged))
 
 
 def with_base(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -107,18 +161,20 @@ def ratio(token: Column, model: list[float]) -> Column:
     return total / F.greatest(F.char_length(token) - 1, F.lit(1))
 
 
+def looks_random(run: Column, model: list[float]) -> Column:
+    """Whether a run, or one of its parts between separators, is more likely under the model of random strings."""
+    parts = F.filter(F.split(run, "[=/_-]+"), lambda p: F.char_length(p) >= LEAST_RUN)
+    return F.exists(F.array_distinct(F.concat(F.array(run), parts)), lambda t: ratio(t, model) >= LEAST_RATIO)
+
+
 def scan(docs: DataFrame, text: str = "text", key: str = "doc_id", model: list[float] | None = None) -> DataFrame:
     """``docs`` with s_text, s_assign, s_access, s_hex, and the sorted arrays s_base and s_spans of (start, rank, end)."""
     model = model or train(samples(docs, text, key))
     d = with_base(docs, text).withColumn("s_base", F.sort_array(F.concat("s_assign", "s_access", "s_hex")))
-    runs = spans_of(F.col("s_text"), RUN, 3)
-
-    def more(c: Column) -> Column:
-        free = ~F.exists("s_base", lambda b: (b["start"] < c["end"]) & (c["start"] < b["end"]))
-        token = F.substring(F.col("s_text"), c["start"] + 1, c["end"] - c["start"])
-        return free & (ratio(token, model) >= LEAST_RATIO)
-
-    return d.withColumn("s_spans", F.sort_array(F.concat("s_base", F.filter(runs, more))))
+    free = untouched(matches(F.col("s_text"), RUN), F.col("s_base"))
+    more = F.transform(F.filter(free, lambda c: looks_random(c["m"], model)), lambda c: F.struct(c["start"].alias("start"), F.lit(3).alias("rank"), c["end"].alias("end")))
+    more = F.when(F.col("s_text").rlike(RUN), more).otherwise(F.array().cast(SPAN))
+    return d.withColumn("s_spans", F.sort_array(F.concat("s_base", more)))
 
 
 def told(spans: str) -> Column:
@@ -127,22 +183,34 @@ def told(spans: str) -> Column:
     return F.concat_ws(",", F.transform(spans, lambda s: F.concat_ws(":", F.get(kind, s["rank"]), s["start"].cast("string"), s["end"].cast("string"))))
 
 
+def masked(text: Column, spans: Column) -> Column:
+    """``text`` with its sorted spans, overlapping ones as one, replaced by a mask."""
+
+    def cut_out(pieces: Column, a: Column, b: Column) -> Column:
+        i, j = F.floor(a / PIECE).cast("int"), F.floor((b - 1) / PIECE).cast("int")
+        inner = F.substring(F.get(pieces, i), a % PIECE + 1, b - a)
+        across = F.concat(F.substring(F.get(pieces, i), a % PIECE + 1, F.lit(PIECE)), F.array_join(F.slice(pieces, i + 2, F.greatest(j - i - 1, F.lit(0))), ""), F.substring(F.get(pieces, j), F.lit(1), (b - 1) % PIECE + 1))
+        return F.when(b <= a, "").when(i == j, inner).otherwise(across)
+
+    def gaps(s: Column, reach: Column) -> Column:
+        """(a, b) of the text between spans, an empty one between two that touch; spans that begin within earlier ones have none."""
+        before = lambda i: F.when(i == 0, 0).otherwise(F.get(reach, i - 1))
+        each = F.transform(s, lambda x, i: F.struct(before(i).alias("a"), x["start"].alias("b")))
+        inner = F.filter(each, lambda g: (g["b"] >= g["a"]))
+        return F.concat(inner, F.array(F.struct(F.get(reach, F.size(reach) - 1).alias("a"), F.char_length(text).alias("b"))))
+
+    pieces = F.regexp_extract_all(text, F.lit(rf"(?s).{{1,{PIECE}}}"), F.lit(0))
+    return let(pieces, lambda p: let(spans, lambda s: let(running(F.transform(s, lambda x: x["end"]), lambda a, b: F.greatest(a, b)), lambda reach: F.array_join(
+        F.transform(gaps(s, reach), lambda g: cut_out(p, g["a"], g["b"])), MASK))))
+
+
 def redact(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """``docs`` in their own columns, each found span (overlapping ones as one) replaced by a mask; other texts unchanged."""
-    d = scan(docs, text, key)
-    t = F.col("s_text")
-    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
-
-    def step(a: Column, s: Column) -> Column:
-        gap = F.substring(t, a["at"] + 1, s["start"] - a["at"])
-        inside = F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["out"].alias("out"))
-        return F.when((s["start"] < a["at"]) & (a["at"] > 0), inside).otherwise(F.struct(s["end"].alias("at"), F.concat(a["out"], gap, F.lit(MASK)).alias("out")))
-
-    masked = F.aggregate("s_spans", start, step, lambda a: F.concat(a["out"], F.substring(t, a["at"] + 1, F.char_length(t))))
-    d = d.withColumn(text, F.when(F.size("s_spans") > 0, masked).otherwise(F.col(text)))
-    if "n_chars" in docs.columns:
-        d = d.withColumn("n_chars", F.when(F.size("s_spans") > 0, F.char_length(text).cast("long")).otherwise(F.col("n_chars")))
-    return d.select(*docs.columns)
+    """``docs`` in their own columns, of any names, each found span (overlapping ones as one) replaced by a mask; other texts unchanged."""
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("s_row"), F.col(text).alias("s_own"), F.col(key).alias("s_key"))
+    found = F.size("s_spans") > 0
+    d = scan(rows, "s_own", "s_key").withColumn("s_masked", F.when(found, masked(F.col("s_text"), F.col("s_spans"))).otherwise(F.col("s_own")))
+    fresh = {text: F.col("s_masked"), "n_chars": F.when(found, F.char_length("s_masked").cast("long")).otherwise(F.col("s_row.n_chars"))}
+    return d.select(*[(fresh[c] if c in fresh else F.col(f"s_row.`{c}`")).alias(c) for c in docs.columns])
 
 
 def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
