@@ -5,7 +5,8 @@ patterns (at most 3 ** rules rows, whatever the corpus) estimates how often each
 documents are; a document's posterior probability of being good then decides, instead of every rule having a veto.
 
 Null texts count as empty: no words, all rules abstain but the base ones fail. Repeated rows vote alike. An empty table
-gives an empty result. Other columns of the input are kept and may have any names except the ``q_`` ones made here.
+gives an empty result. Texts of any length are measured whole within their row, in time near to their length. ``keep`` takes
+columns of any names; ``score`` adds ``q_`` columns to those of its input.
 """
 
 from __future__ import annotations
@@ -16,17 +17,17 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellfleet.llm.common import SPACES, cut, table, words
+from cellfleet.llm.common import SPACES, cut, stored, table, words
 
 #: Base limits of the contract.
 MIN_WORDS, MAX_REPEAT_PERCENT = 10, 20
 WINDOW = 5
-#: A bad vote is at least this many times as likely on a bad document as on a good one.
-LEAST_ODDS = 8
-#: The rules' limits are set so that at most this share of good documents gets a bad vote from any one of them.
-MOST_ON_GOOD = 0.01
+#: What is believed of rules before any document is seen: the chances of a bad vote, none and a good one on good and on bad
+#: documents, and the share of good ones; it weighs as much as ``PRIOR`` of all documents, so that fits of any size are alike.
+BELIEVED = {-1: (0.005, 0.30), 0: (0.145, 0.20), 1: (0.85, 0.50)}
+BELIEVED_GOOD, PRIOR = 0.9, 0.02
 SYMBOLS = "#*$%&|<>"
-RULES = ("symbols", "capitals", "lines", "repeats", "word_length", "exclaims", "letters", "sentences")
+RULES = ("symbols", "capitals", "lines", "repeats", "word_length", "exclaims", "letters", "sentences", "alphabetic")
 
 
 def features(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -65,6 +66,7 @@ def features(docs: DataFrame, text: str = "text") -> DataFrame:
         .withColumn("q_n_dup_lines", (F.size("q_lines") - F.size(F.array_distinct("q_lines"))).cast("long"))
         .withColumn("q_n_lines", F.size("q_lines").cast("long"))
         .withColumn("q_n_repeat_words", F.coalesce(covered, F.lit(0)).cast("long"))
+        .withColumn("q_alphabetic", F.size(F.filter("q_words", lambda w: w.rlike(r"\p{L}"))).cast("long"))
         .withColumn("q_letters", F.char_length(letters).cast("long"))
         .withColumn("q_capitals", (F.char_length(letters) - F.char_length(F.regexp_replace(letters, r"\p{Lu}+", ""))).cast("long"))
         .withColumn("q_exclaims", (F.char_length("q_text") - F.char_length(F.translate("q_text", "!", ""))).cast("long"))
@@ -83,7 +85,7 @@ def votes() -> dict[str, Column]:
     def rule(part: Column, whole: Column, good: Column, bad: Column) -> Column:
         return F.when(whole == 0, 0).when(bad, -1).when(good, 1).otherwise(0)
 
-    c = {k: F.col(f"q_{k}") for k in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_lines", "n_repeat_words", "letters", "capitals", "exclaims", "stops")}
+    c = {k: F.col(f"q_{k}") for k in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_lines", "n_repeat_words", "letters", "capitals", "exclaims", "stops", "alphabetic")}
     n, ch = c["n_words"], c["word_chars"]
     up_to = lambda part, whole, lo, hi: rule(part, whole, part <= lo * whole, part > hi * whole)
     mean = ch / F.greatest(n, F.lit(1))
@@ -96,36 +98,53 @@ def votes() -> dict[str, Column]:
         "exclaims": up_to(c["exclaims"], n, 0.05, 0.20),
         "letters": rule(c["letters"], ch, c["letters"] >= 0.85 * ch, c["letters"] < 0.70 * ch),
         "sentences": F.when(n < 30, 0).otherwise(rule(c["stops"], n, (c["stops"] >= 0.02 * n) & (c["stops"] <= 0.35 * n), c["stops"] < 0.005 * n)),
+        "alphabetic": rule(c["alphabetic"], n, c["alphabetic"] >= 0.85 * n, c["alphabetic"] < 0.70 * n),
     }
 
 
-def fit(patterns: Sequence[tuple[Sequence[int], int]], rounds: int = 200, tolerance: float = 1e-9) -> tuple[float, list[dict[int, tuple[float, float]]]]:
+def start(k: int) -> tuple[float, list[dict[int, tuple[float, float]]]]:
+    return BELIEVED_GOOD, [dict(BELIEVED) for _ in range(k)]
+
+
+def evidence(patterns: Sequence[tuple[Sequence[int], int]], share: float, chance: Sequence[dict[int, tuple[float, float]]]) -> float:
+    """What a fit makes largest: the log-likelihood of the votes and the log of the prior density."""
+    total = PRIOR * sum(n for _, n in patterns)
+    out = total * (BELIEVED_GOOD * math.log(share) + (1 - BELIEVED_GOOD) * math.log(1 - share))
+    out += sum(total * (BELIEVED_GOOD, 1 - BELIEVED_GOOD)[c] * BELIEVED[v][c] * math.log(row[v][c]) for row in chance for v in BELIEVED for c in (0, 1))
+    for votes_, n in patterns:
+        good, bad = (math.log(s) + sum(math.log(row[v][c]) for v, row in zip(votes_, chance, strict=True)) for c, s in ((0, share), (1, 1 - share)))
+        top = max(good, bad)
+        out += n * (top + math.log(math.exp(good - top) + math.exp(bad - top)))
+    return out
+
+
+def step(patterns: Sequence[tuple[Sequence[int], int]], share: float, chance: Sequence[dict[int, tuple[float, float]]]) -> tuple[float, list[dict[int, tuple[float, float]]]]:
+    """One round: how good each pattern is (E), then shares of votes and classes with the prior's counts among them (M)."""
+    total = sum(n for _, n in patterns)
+    prior = (PRIOR * total * BELIEVED_GOOD, PRIOR * total * (1 - BELIEVED_GOOD))
+    good, seen = prior[0], [{v: [prior[c] * BELIEVED[v][c] for c in (0, 1)] for v in BELIEVED} for _ in chance]
+    for votes_, n in patterns:
+        p = posterior(votes_, share, chance)
+        good += p * n
+        for row, v in zip(seen, votes_, strict=True):
+            row[v][0] += n * p
+            row[v][1] += n * (1 - p)
+    sums = [[sum(row[v][c] for v in row) for c in (0, 1)] for row in seen]
+    return good / (total + sum(prior)), [{v: (row[v][0] / t[0], row[v][1] / t[1]) for v in row} for row, t in zip(seen, sums, strict=True)]
+
+
+def fit(patterns: Sequence[tuple[Sequence[int], int]], rounds: int = 500, tolerance: float = 1e-9) -> tuple[float, list[dict[int, tuple[float, float]]]]:
     """(share of good documents, {vote: (its chance on good, on bad documents)} of each rule) from (votes, count) rows.
 
     Expectation-maximisation for rules that vote independently given the class; a rule's good and bad votes have
-    accuracies of their own, as a rule that seldom speaks up may be right whenever it does. So that the classes can't
-    be turned round, a bad vote stays at most ``MOST_ON_GOOD`` likely on good documents and at least ``LEAST_ODDS`` times
-    as likely on bad ones, and a good vote or an abstention never speaks for bad. The share stays within 0.05 and 0.95. No rows: the values it starts from.
-    """
-    k = len(patterns[0][0]) if patterns else len(RULES)
-    share, chance = 0.8, [{-1: (0.02, 0.30), 0: (0.18, 0.20), 1: (0.80, 0.50)} for _ in range(k)]
-    total = sum(n for _, n in patterns)
-    for _ in range(rounds if total else 0):
-        good, seen = 0.0, [{v: [1.0, 1.0] for v in (-1, 0, 1)} for _ in range(k)]
-        for v, n in patterns:
-            p = posterior(v, share, chance)
-            good += p * n
-            for j, x in enumerate(v):
-                seen[j][x][0] += n * p
-                seen[j][x][1] += n * (1 - p)
-        new = []
-        for s in seen:
-            g, b = (sum(s[v][c] for v in s) for c in (0, 1))
-            c = {v: (s[v][0] / g, s[v][1] / b) for v in s}
-            rare = min(c[-1][0], MOST_ON_GOOD)
-            new.append({-1: (rare, max(c[-1][1], LEAST_ODDS * rare)), 0: (c[0][0], min(c[0])), 1: (c[1][0], min(c[1]))})
+    accuracies of their own, as a rule that seldom speaks up may be right whenever it does. Which of the two classes is the
+    good one, and that rules are rather right than wrong, is said by Dirichlet priors alone; each rule's chances sum to one in
+    each class, and no round lowers ``evidence``. No rows: what is believed before any."""
+    share, chance = start(len(patterns[0][0]) if patterns else len(RULES))
+    for _ in range(rounds if sum(n for _, n in patterns) else 0):
+        new_share, new = step(patterns, share, chance)
         moved = max(abs(x - y) for a, b in zip(new, chance, strict=True) for v in a for x, y in zip(a[v], b[v], strict=True))
-        share, chance = min(0.95, max(0.05, good / total)), new
+        share, chance = new_share, new
         if moved < tolerance:
             break
     return share, chance
@@ -173,12 +192,13 @@ def score(docs: DataFrame, text: str = "text", threshold: float = 0.5) -> DataFr
 
 
 def keep(docs: DataFrame, text: str = "text", threshold: float = 0.5) -> DataFrame:
-    """The rows of ``docs`` whose documents are kept, in their own columns; texts are measured twice and never shuffled."""
-    measured = with_votes(features(docs, text))
-    share, chance = fit(patterns(measured))
-    # the optimizer would write every measure out in the filter, once for each use; it keeps filters above such a column
-    measured = measured.withColumn("q_barrier", F.monotonically_increasing_id())
-    return measured.where(~base_failed() & (probability(share, chance) >= threshold) & (F.col("q_barrier") >= 0)).select(*docs.columns)
+    """The rows of ``docs`` whose documents are kept, in their own columns; they are written once with their votes, which the fit
+    and the verdict read, and never shuffled."""
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("q_row"), F.col(text).alias("q_own"))
+    measured = with_votes(features(rows, "q_own")).withColumn("q_failed", base_failed())
+    voted = stored(measured.select("q_row", "q_failed", *[f"q_vote_{r}" for r in RULES]), "votes")
+    share, chance = fit(patterns(voted))
+    return voted.where(~F.col("q_failed") & (probability(share, chance) >= threshold)).select(*[F.col(f"q_row.`{c}`").alias(c) for c in docs.columns])
 
 
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -355,14 +355,52 @@ def test_quality_labels(spark):
     got = quality.score(spark.read.parquet(f"{d}/documents.parquet")).join(spark.read.parquet(f"{d}/labels.parquet"), "doc_id")
     good = got.where("quality = 1 and not q_base_failed").agg(F.avg(F.col("q_kept").cast("int"))).first()[0]
     bad = got.where("quality = 0").agg(F.avg(F.col("q_kept").cast("int"))).first()[0]
-    assert good > 0.97 and bad < 0.5
+    assert good > 0.97 and bad < 0.2
+    found = quality.patterns(got)
+    share, chance = quality.fit(found)
+    assert all(abs(sum(c[v][i] for v in c) - 1) < 1e-9 for c in chance for i in (0, 1))
+
+
+def test_quality_names(docs):
+    inside = ["q_row", "q_own", "q_text", "q_words", "q_n_words", "q_failed", "q_vote_symbols", "a.b"]
+    named = docs.select("*", *[F.lit(c).alias(c) for c in inside])
+    kept = quality.keep(named)
+    assert kept.columns == named.columns and kept.count() == quality.keep(docs).count()
 
 
 def test_fit_prefers_rules_that_agree():
     rows = [((1, 1, -1, 0), 50), ((1, 1, 1, 1), 900), ((-1, -1, 1, 0), 50), ((0, 0, 0, 0), 5)]
     share, chance = quality.fit(rows)
     assert quality.posterior((1, 1, 1, 1), share, chance) > 0.5 > quality.posterior((-1, -1, 1, 0), share, chance)
-    assert quality.fit([])[0] == 0.8
+    assert quality.fit([])[0] == quality.BELIEVED_GOOD
+
+
+def test_fit_is_expectation_maximisation():
+    """Chances sum to one, no round lowers the evidence, and planted accuracies come out."""
+    rng = np.random.default_rng(12)
+    true_share, k, n = 0.85, 8, 40_000
+    true = [{-1: (0.01 + 0.01 * (j % 3), 0.35 + 0.05 * (j % 4)), 0: (0.1, 0.25)} for j in range(k)]
+    for c in true:
+        c[1] = tuple(1 - c[-1][i] - c[0][i] for i in (0, 1))
+    good = rng.random(n) < true_share
+    drawn = np.zeros((n, k), dtype=int)
+    for j, c in enumerate(true):
+        u = rng.random(n)
+        low, mid = np.where(good, c[-1][0], c[-1][1]), np.where(good, c[0][0], c[0][1])
+        drawn[:, j] = np.where(u < low, -1, np.where(u < low + mid, 0, 1))
+    rows, counts = np.unique(drawn, axis=0, return_counts=True)
+    rows = [(tuple(r), int(c)) for r, c in zip(rows.tolist(), counts, strict=True)]
+    share, chance = quality.start(k)
+    told = [quality.evidence(rows, share, chance)]
+    for _ in range(40):
+        share, chance = quality.step(rows, share, chance)
+        told.append(quality.evidence(rows, share, chance))
+        assert all(abs(sum(c[v][i] for v in c) - 1) < 1e-12 for c in chance for i in (0, 1))
+    assert all(b >= a - 1e-6 * abs(a) for a, b in zip(told, told[1:], strict=False))
+    share, chance = quality.fit(rows)
+    assert abs(share - true_share) < 0.02
+    for found, c in zip(chance, true, strict=True):
+        assert all(abs(found[v][i] - c[v][i]) < (0.02, 0.05)[i] for v in c for i in (0, 1))
 
 
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
