@@ -2,16 +2,16 @@
 
 A page is cut into blocks of text under a tree of its block elements (unclosed paragraphs, list items and cells are closed
 as browsers do). Elements that are never main text by their tag, role, class or id are left out of the tree's text. A class or id
-counts by its main word, and not if content is named beside it, or if most of the page's unlinked prose is there; a page that
-names leave without text is read again without them. Every
-block passes points to the elements around it: one, one for each comma and one for each hundred characters up to three,
+counts by its main word, and not if content is named beside it, or if the elements of that word hold most of the page's
+unlinked prose; a form counts like a name, as some pages are one form, and its labels and buttons never count. A page that
+names leave without text is read again without them. Every block passes points to the elements around it: one, one for each comma and one for each hundred characters up to three,
 whole to its container, half to the next, less further up. A container's points are discounted by the share of its
 characters that are links; articles and elements named as content start with a bonus. The best container is kept, or the whole
 article (else the main element, else the containers named as content) that it lies in, with those of its siblings that have a
 good part of its points or are paragraphs of prose, outside articles also containers of such paragraphs; lists of links inside
 it are not.
 
-Null pages are empty; a page without text gives an empty string. Repeated rows give repeated results, an empty table none.
+Null pages are empty; a page without text gives an empty string. Pages of any length are read whole, each in its row. Repeated rows give repeated results, an empty table none.
 """
 
 from __future__ import annotations
@@ -49,7 +49,7 @@ CLOSES = {
     "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "option": ({"option"}, set()),
     "tbody": ({"thead", "tbody", "tfoot"}, {"table"}), "tfoot": ({"thead", "tbody", "tfoot"}, {"table"}),
 }
-LEFT_OUT = frozenset("nav aside footer form button dialog menu fieldset head search".split())
+LEFT_OUT = frozenset("nav aside footer button dialog menu fieldset label optgroup option head search".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar toolbar".split())
 COMMENTS = frozenset("comment comments commentlist disqus reply replies respond".split())
 OTHER = COMMENTS | frozenset(
@@ -78,11 +78,13 @@ def _word(name: str) -> str:
     return next((x for x in reversed(parts) if x not in PLACES), parts[-1])
 
 
-def _kind(tag: str, attributes: str, by_name: bool = True) -> tuple[bool, bool, bool, float, bool]:
-    """(left out, for good: no article inside counts, a header, bonus, left out or a header by class or id only); without names,
-    if not ``by_name``."""
+def _kind(tag: str, attributes: str, by_name: bool = True) -> tuple[bool, bool, bool, float, str]:
+    """(left out, for good: no article inside counts, a header, bonus, the words by which alone it is left out or a header); without
+    names, if not ``by_name``."""
     out = tag in LEFT_OUT
-    good, header, bonus, named = out, tag == HEADER, BONUS if tag in ("article", "main") else 0.0, False
+    good, header, bonus, named = out, tag == HEADER, BONUS if tag in ("article", "main") else 0.0, ""
+    if tag == "form" and by_name:
+        out, named = True, "form"
     if attributes and not attributes.isspace():
         names: set[str] = set()
         words: set[str] = set()
@@ -93,23 +95,24 @@ def _kind(tag: str, attributes: str, by_name: bool = True) -> tuple[bool, bool,
                 words |= {_word(x) for x in value.split()} | set(value.lower().split())
             elif name == "role":
                 roles = set(value.lower().split())
-                out, bonus = out or bool(roles & ROLES), BONUS if roles & {"main", "article"} else bonus
+                out, named, bonus = out or bool(roles & ROLES), "" if roles & ROLES else named, BONUS if roles & {"main", "article"} else bonus
             elif name == "itemprop":
                 bonus = BONUS if value.lower() == "articlebody" else bonus
             elif name == "style":
-                out = out or bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I))
+                hides = bool(re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I))
+                out, named = out or hides, "" if hides else named
             elif name == "hidden" or value.lower() == "true":
-                out = True
+                out, named = True, ""
         if names & CONTENT:
             bonus = max(bonus, NAMED)
         if by_name and tag not in ("html", "body"):
             if words & COMMENTS:
-                out = good = True
+                out, good, named = True, True, ""
             elif not words & CONTENT and tag not in ("article", "main"):
-                if words & OTHER:
-                    named, out = not out, True
+                if (found := words & OTHER) and (named or not out):
+                    out, named = True, " ".join(sorted(found | set(named.split())))
                 if HEADER in words and tag not in HEADINGS:
-                    named, header = named or not header and not out, True
+                    named, header = named or (HEADER if not header and not out else ""), True
     return out, good, header, bonus, named
 
 
@@ -118,7 +121,8 @@ class Page:
 
     def __init__(self, html: str, by_name: bool = True, spared: frozenset[int] = frozenset()):
         self.by_name, self.spared, self.at = by_name, spared, 0  # where tags stand whose names don't count; where the open tag ends
-        self.named, self.start, self.prose = [-1], [0], {}  # outermost element that names leave out, ends of tags, prose by that element
+        # outermost element that names leave out, its words, where tags end, and prose by those words
+        self.named, self.words, self.start, self.prose = [-1], {}, [0], {}
         self.tag, self.parent, self.bonus = [""], [-1], [0.0]
         self.out, self.good, self.header = [False], [False], [False]
         self.blocks: list[tuple[int, str, int]] = []  # element, text, characters in links
@@ -129,7 +133,8 @@ class Page:
     def _emit(self, at: int, text: list[str], linked: int) -> None:
         whole = " ".join("".join(text).split())
         if self.named[at] >= 0 and len(whole) - linked > PROSE and linked < 0.25 * len(whole):
-            self.prose[self.named[at]] = self.prose.get(self.named[at], 0) + len(whole) - linked
+            words = self.words[self.named[at]]
+            self.prose[words] = self.prose.get(words, 0) + len(whole) - linked
         if whole and not self.out[at] and not (self.header[at] and self.tag[at] not in HEADINGS):
             self.blocks.append((at, whole, min(linked, len(whole))))
 
@@ -148,11 +153,15 @@ class Page:
         at = self.stack[-1]
         out, good, header, bonus, named = kind
         if self.out[at] and not (tag in ("article", "main") and not out and not self.good[at]):
-            out, good, named = True, self.good[at] or good, self.named[at] >= 0 and (named or not out)
+            out, good, named = True, self.good[at] or good, named if named or out else "above" if self.named[at] >= 0 else ""
         elif header and not (self._inside_article() and not out):
             out, header = out or not self._inside_article(), header
         hidden = out or header and tag not in HEADINGS
-        self.named.append(self.named[at] if named and self.named[at] >= 0 else len(self.tag) if named and hidden else -1)
+        # below an element that names leave out, what is left out for other reasons counts no prose
+        outermost = self.named[at] if named and self.named[at] >= 0 else len(self.tag) if named and named != "above" and hidden else -1
+        if outermost == len(self.tag):
+            self.words[outermost] = named
+        self.named.append(outermost)
         self.start.append(self.at)
         self.tag.append(tag)
         self.parent.append(at)
@@ -166,7 +175,7 @@ class Page:
         return _kind(tag, attributes, self.by_name and self.at not in self.spared)
 
     def overruled(self) -> frozenset[int]:
-        """Where the tag ends of the element that names leave out though most of the page's unlinked prose is in it."""
+        """Where the tags end of the elements that some words leave out though most of the page's unlinked prose is in them."""
         if not self.prose:
             return frozenset()
         kept = [(at, len(text) - inside) for at, text, inside in self.blocks if len(text) - inside > PROSE and inside < 0.25 * len(text)]
@@ -174,9 +183,9 @@ class Page:
         for i, _ in kept:
             while i > 0 and not content:
                 content, i = self.bonus[i] > 0, self.parent[i]
-        i = max(self.prose, key=lambda i: (self.prose[i], -i))
-        large = self.prose[i] > (NEARLY_ALL if content else MOST) * (sum(self.prose.values()) + sum(x for _, x in kept))
-        return frozenset({self.start[i]}) if large else frozenset()
+        words = max(sorted(self.prose), key=self.prose.__getitem__)
+        large = self.prose[words] > (NEARLY_ALL if content else MOST) * (sum(self.prose.values()) + sum(x for _, x in kept))
+        return frozenset(self.start[i] for i, w in self.words.items() if w == words) if large else frozenset()
 
     def _inside_article(self) -> bool:
         return any(self.tag[i] in ("article", "main") for i in self.stack)
@@ -262,9 +271,8 @@ class Page:
             best = i
         return best
 
-    def main(self) -> str:
-        if not self.blocks:
-            return ""
+    def scores(self) -> tuple[list[float], list[int], list[int], list[int]]:
+        """(score, characters, characters in links, blocks with links) of each element, all that is below it included."""
         n = len(self.tag)
         points, chars, linked, anchors = self.bonus[:], [0] * n, [0] * n, [0] * n
         for at, text, inside in self.blocks:
@@ -282,13 +290,19 @@ class Page:
             while i > 0:
                 points[i] += worth / (1 if level == 0 else 2 if level == 1 else 3 * level)
                 i, level = self.parent[i], level + 1
+        return [p * (1 - linked[i] / chars[i]) if chars[i] else 0.0 for i, p in enumerate(points)], chars, linked, anchors
+
+    def main(self) -> str:
+        if not self.blocks:
+            return ""
+        n = len(self.tag)
+        score, chars, linked, anchors = self.scores()
         bare = [True] * n  # holds headings only
         for at, _, inside in self.blocks:
             if self.tag[at] not in HEADINGS or inside:
                 i = at
                 while i >= 0 and bare[i]:
                     bare[i], i = False, self.parent[i]
-        score = [p * (1 - linked[i] / chars[i]) if chars[i] else 0.0 for i, p in enumerate(points)]
         best = max(range(n), key=lambda i: (score[i] if self.tag[i] not in PARAGRAPHS else 0.0, i == 0))
         most = score[best]
         best = self._whole(best)

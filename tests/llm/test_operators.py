@@ -229,10 +229,65 @@ def test_html_names():
     assert html_main.main_text(f"<nav>{inner}</nav>") == ""
 
 
-def test_html_tables(spark, d):
+def test_html_wrapped():
+    """Articles in elements whose names or tags speak against them."""
+    story = [f"{i} The story goes on, with commas, and with enough characters to be counted as prose by its length." for i in range(4)]
+    inner = "".join(f"<p>{x}</p>" for x in story)
+    want, frame = "\n".join(story), "<nav><a href=/>Home</a></nav>{}<footer><p>Rights, reserved.</p></footer>"
+    for whole in (
+        f"<div class='elementor-widget'><article>{inner}</article></div>", f"<div class='elementor-widget'>{inner}</div>", f"<div class='skip modal'><div>{inner}</div></div>",
+        f"<div class='elementor-widget'>{inner[: len(inner) // 2]}</div><div class='elementor-widget'>{inner[len(inner) // 2 :]}</div>",
+        f"<div class=promo-box>{inner}</div><div class=login><p>Your name</p></div>", f"<div class=notice>{inner}</div>",
+    ):
+        assert html_main.main_text(f"<body>{frame.format(whole)}</body>") == want
+        assert html_main.main_text(f"<body><form id=aspnet><label>Search</label><input><button>Go</button>{frame.format(whole)}</form></body>") == want
+    six = "".join(f"<div class=elementor-widget><p>{x}</p></div>" for x in story)
+    assert html_main.main_text(f"<body>{six}<div class=sidebar><p>Other words, and more of them, so that this is prose, by its length and all that.</p></div></body>") == want
+    part = f"<article>{inner}<section class='related-work'><h2>Related work</h2>{inner}</section></article>"
+    assert html_main.main_text(part) == f"{want}\nRelated work\n{want}"
+    asks = "<form><p>Sign up, dear reader, for more of these, it costs nothing, and takes a minute of your time, no more.</p></form>"
+    assert html_main.main_text(f"<body><div>{inner}{asks}</div></body>") == want
+
+
+@pytest.mark.parametrize("seed", range(20))
+def test_html_scores(seed):
+    """Scores of random trees against their definition, read from the tree top down."""
+    rng = np.random.default_rng(seed)
+
+    def tree(depth):
+        if depth == 0 or rng.random() < 0.3:
+            text = "x" * int(rng.integers(1, 500)) + "," * int(rng.integers(0, 5))
+            return ("p", text, "y" * int(rng.integers(0, 30)) if rng.random() < 0.3 else "")
+        return (str(rng.choice(["div", "section", "article"])), [tree(depth - 1) for _ in range(rng.integers(1, 4))])
+
+    def told(t):
+        return f"<p>{t[1]}{f'<a href=z>{t[2]}</a>' if t[2] else ''}</p>" if t[0] == "p" else f"<{t[0]}>{''.join(map(told, t[1]))}</{t[0]}>"
+
+    def below(t, level=-1):
+        """(level above the paragraph's container, characters, of them in links, commas) of each paragraph."""
+        return [(level, len(t[1]) + len(t[2]), len(t[2]), t[1].count(","))] if t[0] == "p" else [x for c in t[1] for x in below(c, level + 1)]
+
+    def naive(t):
+        found = below(t)
+        share = {0: 1, 1: 1 / 2}
+        points = sum((1 + c + min(n / 100, 3)) * (1 - m / n) * share.get(k, 1 / (3 * max(k, 1))) for k, n, m, c in found) + (25 if t[0] == "article" else 0)
+        return points * (1 - sum(m for _, _, m, _ in found) / sum(n for _, n, _, _ in found))
+
+    def inner(t):
+        return [] if t[0] == "p" else [t, *[x for c in t[1] for x in inner(c)]]
+
+    root = ("div", [tree(4), tree(3)])
+    page = html_main.Page(told(root))
+    got = [s for s, tag in zip(page.scores()[0], page.tag, strict=True) if tag not in ("", "p")]
+    assert got == pytest.approx([naive(t) for t in inner(root)])
+
+
+def test_html_tables(spark):
     import html as H
 
-    for r in spark.read.parquet(f"{d}/pages.parquet").limit(50).collect():
+    rows = spark.read.parquet("/root/testdata/sf0.01/pages.parquet").collect()
+    assert len(rows) > 200
+    for r in rows:
         body = re.search(r"<article>(.*?)(?:</article>|\Z)", r["html"], re.S)[1]
         blocks = [" ".join(H.unescape(re.sub(r"<[^>]*>", "", x)).split()) for x in re.split(r"</?(?:p|h1)>", body)]
         assert html_main.main_text(r["html"]) == "\n".join(b for b in blocks if b)
