@@ -1,19 +1,21 @@
-"""Removal of long passages that repeat across documents, by compacting a sampled de Bruijn graph of words.
-
-A window is ``WINDOW`` consecutive words. Each window's anchor is its k-mer of least hash, the leftmost of equals; it depends
-on the window's words alone, so that equal windows have equal anchors. Consecutive windows with one anchor occurrence form
-a run, an edge of the graph, about one for eighteen words; a run's content is known by its first and its last window,
-which overlap. Only anchors that occur in two documents or more go on.
-
-An edge's source is its first occurrence in the smallest document. Edges that follow each other in their source, and
-have no other neighbours anywhere, compact to a path; a path's occurrences elsewhere are spans, with their coordinates and
-the source's. All windows of a span also start in the source. Where an anchor has several contents (the ends of
-passages, and edits within them), the windows of each content's source are compared one by one.
-
-Hashes have 64 bits for words and windows, and windows and contents are compared together with their anchor's hash, that is,
-by 128 bits. Null texts have no words. A null id counts as larger than any other. doc_id is a key: repeated rows get equal
+"""Removal of long passages that repeat across documents, by compacting the de Bruijn graph of their words.
+
+The graph's edges are the k-mers of ``WINDOW`` consecutive words. They aren't shuffled one by one: each has an anchor, its
+``K``-word part of least hash, the leftmost of equals, which depends on the k-mer's words alone, so that equal k-mers have equal
+anchors. Consecutive k-mers with one occurrence of an anchor form a run (a super-k-mer), about one for eighteen words; a run's
+content is known by its first and its last k-mer, which overlap. Only anchors that occur in two documents or more go on.
+
+A content's source is its first occurrence in the smallest document. Contents that always follow each other, and have no
+other neighbour anywhere, compact to a path: each points to the one before it, and joins of pointers with pointers double their
+reach until all know the head of their path. A path's occurrences elsewhere are spans, with their coordinates and the source's.
+Where an anchor has several contents (the ends of passages, and edits within them), the k-mers of each content's source are
+compared one by one and those that repeat form spans too. Every span is verified: its words are compared, by a 128-bit
+digest of the words themselves, with those at its source's coordinates, and are left where they differ.
+
+Until then hashes have 64 bits for words and k-mers, and k-mers and contents are compared together with their anchor's hash, that
+is, by 128 bits. Null texts have no words. A null id counts as larger than any other. doc_id is a key: repeated rows get equal
 results and don't remove each other's words. An empty table gives an empty result. Long texts are whole documents in one
-task, and groups by document are bounded by its length.
+task, and groups by document are bounded by its length. Anchors, contents and passages of very many documents are joined apart.
 """
 
 from __future__ import annotations
@@ -27,7 +29,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from cellfleet.llm.common import stored, table
+from cellfleet.llm.common import HEAVY, cut, onto, stored, table
 
 WINDOW, K = 50, 16
 #: k-mers of a window; a run has at most as many windows, which its packed coordinates hold in the low bits.
@@ -112,35 +114,55 @@ def last_window(at: Column) -> Column:
     return F.floor(at / PACK) + F.pmod(at, F.lit(PACK))
 
 
+NONE = "named_struct('anchor', 0L, 'content', 0L)"
+
+
 def edges(repeated: DataFrame) -> DataFrame:
-    """(anchor, content, src, src_at, last_doc, only): the distinct edges with their source, and whether they branch nowhere.
+    """(anchor, content, src, src_at, last_doc, n, before, after): the distinct contents with their source and number, and the one
+    content before and after them, null where they branch.
 
     A neighbour that isn't a repeated run, or is none, counts as a branch."""
     along = Window.partitionBy("doc").orderBy("at")
+    node = F.struct("anchor", "content")
     near = repeated.distinct().select(
         "*",
-        F.when(F.lag(last_window(F.col("at"))).over(along) + 1 == first_window(F.col("at")), F.lag("content").over(along)).otherwise(F.lit(0)).alias("before"),
-        F.when(F.lead(first_window(F.col("at"))).over(along) == last_window(F.col("at")) + 1, F.lead("content").over(along)).otherwise(F.lit(0)).alias("after"),
+        F.when(F.lag(last_window(F.col("at"))).over(along) + 1 == first_window(F.col("at")), F.lag(node).over(along)).otherwise(F.expr(NONE)).alias("b"),
+        F.when(F.lead(first_window(F.col("at"))).over(along) == last_window(F.col("at")) + 1, F.lead(node).over(along)).otherwise(F.expr(NONE)).alias("a"),
     )
     found = near.groupBy("anchor", "content").agg(
-        F.min(F.struct("doc", "at")).alias("s"), F.max("doc").alias("last_doc"),
-        F.min("before").alias("b0"), F.max("before").alias("b1"), F.min("after").alias("a0"), F.max("after").alias("a1"),
+        F.min(F.struct("doc", "at")).alias("s"), F.max("doc").alias("last_doc"), F.count("*").alias("n"),
+        F.min("b").alias("b0"), F.max("b").alias("b1"), F.min("a").alias("a0"), F.max("a").alias("a1"),
     )
-    return found.select("anchor", "content", F.col("s.doc").alias("src"), F.col("s.at").alias("src_at"), "last_doc", ((F.col("b0") == F.col("b1")) & (F.col("b0") != 0)).alias("one_before"), ((F.col("a0") == F.col("a1")) & (F.col("a0") != 0)).alias("one_after"))
+    one = lambda x, y: F.when((F.col(x) == F.col(y)) & (F.col(x) != F.expr(NONE)), F.col(x))
+    return found.select("anchor", "content", F.col("s.doc").alias("src"), F.col("s.at").alias("src_at"), "last_doc", "n", one("b0", "b1").alias("before"), one("a0", "a1").alias("after"))
 
 
 def compacted(found: DataFrame) -> DataFrame:
-    """``found`` edges of two documents or more with ``path``: the first window, in their source, of the path they are on."""
-    along = Window.partitionBy("src").orderBy("src_at")
-    first, last = first_window(F.col("src_at")), last_window(F.col("src_at"))
-    joins = (F.lag(last).over(along) + 1 == first) & F.lag("one_after").over(along) & F.col("one_before")
-    starts = found.where("last_doc > src").withColumn("start", F.when(~F.coalesce(joins, F.lit(False)), first))
-    return starts.withColumn("path", F.last("start", ignorenulls=True).over(along.rowsBetween(Window.unboundedPreceding, 0))).select("anchor", "content", "src", "src_at", "path")
+    """``found`` contents of two documents or more with ``path``: the first window, in their source, of the path they are on.
 
+    A content whose one neighbour before has it as its one neighbour after points there. Each round, all that don't know their
+    head yet take over the pointer, or the head, of what they point to: the reach doubles, and no two point to the same. A path
+    begins where its source document, or the repeated part of it, does: there are no rings."""
+    shared = found.where("last_doc > src")
+    ends = shared.where("after is not null").select(F.col("after.anchor").alias("anchor"), F.col("after.content").alias("content"), F.struct("anchor", "content").alias("up"))
+    joined = shared.where("before is not null").select("anchor", "content", "before").join(ends, ["anchor", "content"]).where("before = up").select("anchor", "content", "up")
+    start = shared.select("anchor", "content", "src", "src_at", "n").join(joined, ["anchor", "content"], "left")
+    state = stored(start.withColumn("path", F.when(F.col("up").isNull(), first_window(F.col("src_at")))), "paths")
+    while not state.where("up is not null").isEmpty():
+        there = state.select(F.struct("anchor", "content").alias("up"), F.col("up").alias("next"), F.col("path").alias("head"))
+        moved = state.where("up is not null").drop("path").join(there, "up").select("anchor", "content", "src", "src_at", "n", F.col("next").alias("up"), F.col("head").alias("path"))
+        state = stored(state.where("up is null").unionByName(moved), "paths")
+    return state.drop("up")
 
-def spans(repeated: DataFrame, paths: DataFrame) -> DataFrame:
+
+def hot_keys(counted: DataFrame, key: list[str], rows: int, least: int) -> DataFrame | None:
+    """The keys of ``counted(…, n)``, a count of ``rows`` rows by key, that have more than ``least`` of them."""
+    return cut(counted.where(F.col("n") > least).select(*key), 1) if rows > least else None
+
+
+def spans(repeated: DataFrame, paths: DataFrame, hot: DataFrame | None = None) -> DataFrame:
     """(doc, start, end, src, src_start): the words [start, end) of doc repeat those of src from src_start on."""
-    hit = repeated.join(paths, ["anchor", "content"]).where("doc > src")
+    hit = onto(repeated, paths.drop("n"), ["anchor", "content"], hot).where("doc > src")
     shift = first_window(F.col("at")) - first_window(F.col("src_at"))
     return (
         hit.groupBy("doc", "src", "path", shift.alias("shift"))
@@ -171,35 +193,67 @@ def window_rows(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return docs.join(lists, "doc").select("doc", "text", "at").mapInArrow(run, "anchor bigint, window bigint, doc bigint, p bigint")
 
 
-def repeats(docs: DataFrame) -> DataFrame:
-    """(doc, start, end) of ``docs(doc, text)``: ranges of words that windows of smaller documents cover."""
+def told(w: list[bytes]) -> bytes:
+    return hashlib.blake2b(b" ".join(w), digest_size=16).digest()
+
+
+def sources_told(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """(src, src_start, len, told): the digest of the words at the source's coordinates, for the different ones among ``found`` spans."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows: list[tuple] = []
+            for doc, t, places in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist(), strict=True):
+                w = words(t.as_py())
+                rows += [(doc, p["src_start"], p["len"], told(w[p["src_start"] : p["src_start"] + p["len"]])) for p in places]
+            if rows:
+                columns = zip(*rows, strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int64(), pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["src", "src_start", "len", "told"])
+
+    lists = found.select(F.col("src").alias("doc"), "src_start", "len").distinct().groupBy("doc").agg(F.collect_list(F.struct("src_start", "len")).alias("places"))
+    # doc is a key: of rows that repeat it, one is enough
+    return docs.join(lists, "doc").select("doc", "text", "places").mapInArrow(run, "src bigint, src_start bigint, len bigint, told binary").groupBy("src", "src_start", "len").agg(F.min("told").alias("told"))
+
+
+def repeats(docs: DataFrame, least: int = HEAVY) -> DataFrame:
+    """(doc, start, end, src, src_start, told) of ``docs(doc, text)``: ranges of words that windows of smaller documents cover,
+    where these stand, and the digest of the words there. Keys of more than ``least`` rows are joined apart."""
     every = stored(runs(docs), "runs")
-    shared = stored(every.groupBy("anchor").agg(F.min("doc").alias("d0"), F.max("doc").alias("d1")).where("d0 < d1").select("anchor"), "anchors")
-    repeated = stored(every.join(shared, "anchor", "left_semi"), "repeated")
+    rows = every.count()
+    anchors = stored(every.groupBy("anchor").agg(F.min("doc").alias("d0"), F.max("doc").alias("d1"), F.count("*").alias("n")).where("d0 < d1").select("anchor", "n"), "anchors")
+    hot = hot_keys(anchors, ["anchor"], rows, least)
+    repeated = stored(onto(every, anchors.select("anchor"), "anchor", hot), "repeated")
     found = stored(edges(repeated), "edges")
-    whole = spans(repeated, compacted(found))
-    # written, so that both sides of the join are plain exchanges and an anchor of very many contents can be split
-    several = stored(found.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor"), "several")
-    ends = found.join(several, "anchor", "left_semi").select("anchor", "content", F.col("src").alias("doc"))
+    paths = compacted(found)
+    whole = spans(repeated, paths, hot_keys(found, ["anchor", "content"], rows, least))
+    # written, so that both sides of the join are plain exchanges
+    several = stored(found.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1"), "several")
+    ends = onto(found.select("anchor", "content", F.col("src").alias("doc")), several.select("anchor"), "anchor", hot_keys(several, ["anchor"], rows, least))
     wanted = repeated.join(ends, ["anchor", "content", "doc"], "left_semi").select("doc", "at")
-    rows = stored(window_rows(docs, wanted), "windows")
-    least = rows.groupBy("anchor", "window").agg(F.min("doc").alias("least"), F.max("doc").alias("most")).where("least < most").select("anchor", "window", "least")
-    single = rows.join(least, ["anchor", "window"]).where("doc > least")
-    # neighbouring windows as one range
-    along = Window.partitionBy("doc").orderBy("p")
-    single = single.select("doc", "p").distinct().withColumn("island", F.col("p") - F.row_number().over(along))
-    single = single.groupBy("doc", "island").agg(F.min("p").alias("start"), (F.max("p") + WINDOW).alias("end"))
-    return whole.select("doc", "start", "end").unionByName(single.select("doc", "start", "end"))
+    single = stored(window_rows(docs, wanted), "windows")
+    firsts = single.groupBy("anchor", "window").agg(F.min(F.struct("doc", "p")).alias("s"), F.max("doc").alias("most"), F.count("*").alias("n")).where("s.doc < most")
+    firsts = stored(firsts.select("anchor", "window", F.col("s.doc").alias("src"), F.col("s.p").alias("src_p"), "n"), "firsts")
+    single = onto(single, firsts.drop("n"), ["anchor", "window"], hot_keys(firsts, ["anchor", "window"], rows, least)).where("doc > src")
+    # neighbouring windows with neighbouring sources as one range
+    single = single.select("doc", "src", "p", (F.col("p") - F.col("src_p")).alias("shift")).distinct()
+    single = single.withColumn("island", F.col("p") - F.row_number().over(Window.partitionBy("doc", "src", "shift").orderBy("p")))
+    single = single.groupBy("doc", "src", "shift", "island").agg(F.min("p").alias("start"), (F.max("p") + WINDOW).alias("end"))
+    found = whole.unionByName(single.select("doc", "start", "end", "src", (F.col("start") - F.col("shift")).alias("src_start")))
+    found = stored(found.withColumn("len", F.col("end") - F.col("start")), "spans")
+    place = ["src", "src_start", "len"]
+    known = stored(sources_told(docs, found), "told")
+    popular = stored(found.groupBy(*place).agg(F.count("*").alias("n")).where(F.col("n") > least), "popular") if rows > least else None
+    return onto(found, known, place, None if popular is None else popular.select(*place))
 
 
 def keyed(docs: DataFrame, text: str, key: str) -> DataFrame:
     return docs.select(F.coalesce(F.col(key).cast("long"), F.lit(LAST)).alias("doc"), F.col(text).alias("text"))
 
 
-def remove(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFrame:
+def remove(docs: DataFrame, text: str = "text", key: str = "doc_id", least: int = HEAVY) -> DataFrame:
     """(key, n_words, n_removed, kept_text): kept words joined by one space."""
     d = keyed(docs, text, key)
-    lists = repeats(d).groupBy("doc").agg(F.collect_list(F.struct("start", "end")).alias("gone"))
+    lists = repeats(d, least).groupBy("doc").agg(F.collect_list(F.struct("start", "end", "told")).alias("gone"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -210,7 +264,8 @@ def remove(docs: DataFrame, text: str = "text", key: str = "doc_id") -> DataFram
                 if gone:
                     stay = np.ones(len(w), dtype=bool)
                     for g in gone:
-                        stay[g["start"] : g["end"]] = False
+                        if told(w[g["start"] : g["end"]]) == g["told"]:
+                            stay[g["start"] : g["end"]] = False
                     w = [x for x, s in zip(w, stay.tolist(), strict=True) if s]
                 removed.append(total[-1] - len(w))
                 kept.append(b" ".join(w).decode("utf-8", "surrogatepass"))

@@ -583,6 +583,20 @@ def test_substrings_random(spark, seed):
         want[i] = " ".join(x for x, g in zip(w, gone, strict=True) if not g)
     rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
     assert {r["doc_id"]: r["kept_text"] for r in substrings.remove(rows).collect()} == want
+    if seed == 0:  # keys above a bound, set low here, are joined apart
+        assert {r["doc_id"]: r["kept_text"] for r in substrings.remove(rows, least=3).collect()} == want
+
+
+def test_substring_spans(spark):
+    """Source coordinates hold the same words; a long passage is one path, found in rounds of doubling."""
+    passage = " ".join(f"u{i}" for i in range(3000))
+    texts = ["start " + passage, "a b c " + passage + " end", " ".join(f"n{i}" for i in range(100)), passage]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc long, text string")
+    found = substrings.repeats(docs).collect()
+    for r in found:
+        a, b = texts[r["doc"]].split()[r["start"] : r["end"]], texts[r["src"]].split()[r["src_start"] : r["src_start"] + r["len"]]
+        assert a == b and r["src"] < r["doc"] and substrings.told([x.encode() for x in a]) == bytes(r["told"])
+    assert max(r["len"] for r in found if r["doc"] == 1) > 2900 and len([r for r in found if r["doc"] == 3]) < 8
 
 
 def test_warc(spark, tmp_path):
