@@ -12,11 +12,13 @@ from collections.abc import Iterable, Sequence
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cellfleet.functions.geometry import dist2
 from cellfleet.operators import borders, pivots
+from cellfleet.operators.pivot_grid import PivotGrid
 from cellfleet.operators.pivots import Pivot
 
 SEEDS = 3
@@ -123,15 +125,21 @@ class Grid:
             yield waiting.pop()
 
 
-def is_exact(cell: Polygon, ox: float, oy: float, pid: int, piv: Sequence[Pivot], margin: float) -> bool:
-    """Whether no circle of the influence region reaches further than ``margin`` behind a border; needs the pivots alone."""
-    _, hx, hy = piv[pid]
-    for vx, vy, r in influence(cell, ox, oy):
-        home = (vx - hx) ** 2 + (vy - hy) ** 2
-        for j, px, py in piv:
-            if j != pid and ((vx - px) ** 2 + (vy - py) ** 2 - home) / (2 * math.hypot(px - hx, py - hy)) < r - margin - 1e-9:
-                return False
-    return True
+def all_exact(made: Sequence[Polygon], ox: Sequence[float], oy: Sequence[float], pids: Sequence[int], piv: Sequence[Pivot], margin: float) -> np.ndarray:
+    """Of each cell whether no circle of its influence region reaches further than ``margin`` behind a border; needs the pivots alone."""
+    out = np.ones(len(made), dtype=bool)
+    if not made:
+        return out
+    at = borders.table(piv)
+    grid = PivotGrid(np.arange(len(at)), at[:, 0], at[:, 1])
+    of = np.repeat(np.arange(len(made)), [len(c[0]) for c in made])
+    vx, vy = (np.concatenate([np.asarray(c[k], dtype=np.float64) for c in made]) for k in (0, 1))
+    x, y, home = np.asarray(ox, dtype=np.float64)[of], np.asarray(oy, dtype=np.float64)[of], np.asarray(pids, dtype=np.int64)[of]
+    r = np.hypot(vx - x, vy - y)
+    d2 = (vx - at[home, 0]) ** 2 + (vy - at[home, 1]) ** 2
+    for i, _, _ in borders.crossing(grid, at, vx, vy, home, d2, r - margin - 1e-9):
+        out[of[i]] = False
+    return out
 
 
 def places(pts: DataFrame) -> DataFrame:
@@ -161,8 +169,8 @@ def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float],
         x, y, ids = p["x"].to_numpy(), p["y"].to_numpy(), p["oid"].to_numpy()
         order = np.argsort(spread(x - x.min()) | (spread(y - y.min()) << np.uint64(1)), kind="stable")
         grid = Grid(x.astype(float), y.astype(float), ids)
-        rows = []
-        replica = p["is_replica"].to_numpy()
+        rows, made = [], []
+        replica, pids = p["is_replica"].to_numpy(), p["pid"].to_numpy()
         for at, i in enumerate(order.tolist()):
             if replica[i]:
                 continue
@@ -172,27 +180,35 @@ def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float],
                 if j != i:
                     cell = clip(cell, ox, oy, float(x[j]), float(y[j]), int(ids[j]))
             cell = refine(cell, ox, oy, grid.around(ox, oy))
-            pid = int(p["pid"].iloc[i])
-            exact = piv is not None and is_exact(cell, ox, oy, pid, piv, margin)
-            rows.append((int(ids[i]), int(x[i]), int(y[i]), pid, cell[0], cell[1], neighbours(cell, least), area(cell), exact))
-        return pd.DataFrame(rows, columns=["oid", "x", "y", "pid", "xs", "ys", "nbrs", "area", "exact"])
+            made.append(cell)
+            rows.append((int(ids[i]), int(x[i]), int(y[i]), int(pids[i]), cell[0], cell[1], neighbours(cell, least), area(cell)))
+        out = pd.DataFrame(rows, columns=["oid", "x", "y", "pid", "xs", "ys", "nbrs", "area"])
+        exact = np.zeros(len(made), dtype=bool) if piv is None else all_exact(made, out["x"], out["y"], out["pid"], piv, margin)
+        return out.assign(exact=exact)
 
     return placed.groupBy("pid").applyInPandas(one, CELL)
 
 
 def requests(inexact: DataFrame, piv: Sequence[Pivot]) -> DataFrame:
-    """(oid, pid, circles): which pieces an inexact cell asks, and the circles it asks for."""
-    home = F.get(pivots.literal(piv), F.col("pid").cast("int"))
+    """(oid, pid, circles): which pieces an inexact cell asks, and the circles it asks for. Pivots are looked up around the circles."""
+    at = borders.table(piv)
     circles = F.zip_with("xs", "ys", lambda a, b: F.struct(a.alias("cx"), b.alias("cy"), F.sqrt((a - F.col("x")) * (a - F.col("x")) + (b - F.col("y")) * (b - F.col("y"))).alias("r")))
-    d = inexact.select("oid", "pid", "x", "y", circles.alias("circles")).withColumn("home", home)
-
-    def crosses(p):
-        gap = 2 * F.sqrt(dist2(p["x"], p["y"], F.col("home.x"), F.col("home.y")).cast("double"))
-        hp = lambda c: (dist2(c["cx"], c["cy"], p["x"], p["y"]) - dist2(c["cx"], c["cy"], F.col("home.x"), F.col("home.y"))) / gap
-        return F.exists("circles", lambda c: hp(c) <= c["r"])
 
-    asked = F.filter(pivots.literal(piv), lambda p: (p["pid"] != F.col("pid")) & crosses(p))
-    return d.select("oid", "circles", F.explode(F.transform(asked, lambda p: p["pid"])).alias("pid"))
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterable[pa.RecordBatch]:
+        grid = PivotGrid(np.arange(len(at)), at[:, 0], at[:, 1])
+        for b in batches:
+            lists = b.column(2)
+            of = np.repeat(np.arange(b.num_rows), lists.value_lengths().to_numpy(zero_copy_only=False))
+            flat = lists.flatten()
+            vx, vy, r = (flat.field(k).to_numpy(zero_copy_only=False) for k in range(3))
+            home = b.column(1).to_numpy(zero_copy_only=False)[of]
+            d2 = (vx - at[home, 0]) ** 2 + (vy - at[home, 1]) ** 2
+            asked = [np.stack([of[i], j]) for i, j, _ in borders.crossing(grid, at, vx, vy, home, d2, r)]
+            i, pid = np.unique(np.concatenate(asked, axis=1), axis=1) if asked else np.zeros((2, 0), dtype=np.int64)
+            taken = b.take(pa.array(i))
+            yield pa.RecordBatch.from_arrays([taken.column(0), pa.array(pid, pa.int64()), taken.column(2)], names=["oid", "pid", "circles"])
+
+    return inexact.select("oid", "pid", circles.alias("circles")).mapInArrow(run, "oid bigint, pid bigint, circles array<struct<cx:double,cy:double,r:double>>")
 
 
 def repair(made: DataFrame, points: DataFrame, piv: Sequence[Pivot], box: Sequence[float], single: bool = False) -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from cellfleet.functions import zorder
+from cellfleet.lineage import cut
 from cellfleet.operators import kdpart
 
 
@@ -52,7 +53,7 @@ def moved(at: DataFrame, wanted: DataFrame, most: float, side: int) -> DataFrame
     rank = F.row_number().over(Window.partitionBy("pid").orderBy(F.md5(F.concat(F.lit("m:"), F.col("oid").cast("string"))), "oid"))
     step = _share("s", "oid") * most
     go = at.withColumn("rank", rank).join(F.broadcast(wanted), "pid").withColumn("tx", held(F.col("x") + step * F.cos(turn))).withColumn("ty", held(F.col("y") + step * F.sin(turn)))
-    go = go.localCheckpoint()  # the code repeats its arguments by the bit: with the steps in it, it can't be compiled
+    go = cut(go)  # the code repeats its arguments by the bit: with the steps in it, it can't be compiled
     return go.withColumn("to", F.when(F.col("rank") <= F.col("k"), zorder.encode(F.col("tx"), F.col("ty")))).drop("rank", "k", "tx", "ty")
 
 

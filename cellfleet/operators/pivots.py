@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import heapq
-from collections.abc import Iterator, Sequence
+import math
+from collections.abc import Iterator, Mapping, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -11,10 +12,13 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from cellfleet.functions.geometry import dist2
+from cellfleet.operators.pivot_grid import PivotGrid
 
 SEED = 42
-#: Pivots that are compared within generated code; beyond it a kernel compares blocks of points with a table of pivots.
+#: Pivots that are compared within generated code; beyond it a kernel looks them up in a grid of pivots.
 LITERAL_PIVOTS, MOST_PIVOTS = 16, 100_000
+#: Candidates that an election may have: they are a top-k of samples that is merged on the driver.
+MOST_CANDIDATES = 2_000_000
 Pivot = tuple[int, int, int]
 
 
@@ -40,6 +44,7 @@ def scores(cand: DataFrame, p: int, objective: str = "sum_dist") -> DataFrame:
     """(set, score) of the full sets of ``p`` candidates. ``sum_dist``: sum of pair distances; ``sum_sq``: of squared ones, by
     sums alone; ``first``: no election."""
     sets = cand.withColumn("set", F.floor((F.col("rk") - 1) / p).cast("long"))
+    sets = sets.drop("node")
     full = sets.groupBy("set").agg(F.count("*").alias("n"), F.sum(F.col("x").cast("double")).alias("sx"), F.sum(F.col("y").cast("double")).alias("sy"), F.sum((F.col("x") * F.col("x") + F.col("y") * F.col("y")).cast("double")).alias("sq")).where(F.col("n") == p)
     if objective == "first":
         return full.select("set", F.lit(0.0).alias("score"))
@@ -47,10 +52,17 @@ def scores(cand: DataFrame, p: int, objective: str = "sum_dist") -> DataFrame:
         return full.select("set", (p * F.col("sq") - F.col("sx") * F.col("sx") - F.col("sy") * F.col("sy")).alias("score"))
     if objective != "sum_dist":
         raise ValueError("objective is sum_dist, sum_sq or first")
-    a, b = sets.alias("a"), sets.alias("b")
-    pairs = a.join(b, (F.col("a.set") == F.col("b.set")) & (F.col("a.rk") < F.col("b.rk")))
-    d = F.sqrt(dist2(F.col("a.x"), F.col("a.y"), F.col("b.x"), F.col("b.y")).cast("double"))
-    return pairs.groupBy(F.col("a.set").alias("set")).agg(F.sum(d).alias("score")).join(full.select("set"), "set", "left_semi")
+
+    def pair_distances(t: pa.Table) -> pa.Table:
+        """The sum for a set, a block of rows against all later ones at a time."""
+        x, y = (t.column(c).to_numpy().astype(np.float64) for c in ("x", "y"))
+        total, step = 0.0, max(1, (1 << 22) // max(1, len(x)))
+        for s in range(0, len(x), step):
+            dx, dy = x[s : s + step, None] - x[None, s:], y[s : s + step, None] - y[None, s:]
+            total += float(np.triu(np.sqrt(dx * dx + dy * dy), 1).sum())
+        return pa.table({"set": t.column("set").slice(0, 1), "score": pa.array([total])})
+
+    return sets.join(full.select("set"), "set", "left_semi").groupBy("set").applyInArrow(pair_distances, "set bigint, score double")
 
 
 def elect(cand: DataFrame, p: int, objective: str = "sum_dist") -> DataFrame:
@@ -64,8 +76,8 @@ def elect(cand: DataFrame, p: int, objective: str = "sum_dist") -> DataFrame:
 def choose(pts: DataFrame, p: int, mult: int = 10, seed: int = SEED, objective: str = "sum_dist") -> list[Pivot]:
     """The elected pivots on the driver, in order of pid; at most ``MOST_PIVOTS``. Of pivots at one place the first stays, as
     no border lies between them."""
-    if p > MOST_PIVOTS:
-        raise ValueError(f"at most {MOST_PIVOTS} pivots")
+    if p > MOST_PIVOTS or p * mult > MOST_CANDIDATES:
+        raise ValueError(f"at most {MOST_PIVOTS} pivots and {MOST_CANDIDATES} candidates")
     found = sorted((r["pid"], r["x"], r["y"]) for r in elect(candidates(pts, p * mult, seed), p, objective).collect())
     places = dict.fromkeys((x, y) for _, x, y in found)
     return [(i, x, y) for i, (x, y) in enumerate(places)]
@@ -78,29 +90,30 @@ def literal(piv: Sequence[Pivot]) -> Column:
 
 def assign(pts: DataFrame, piv: Sequence[Pivot], method: str | None = None) -> DataFrame:
     """``pts`` with pid and d2 of the nearest pivot, ties to the least pid. No shuffle: ``literal`` compares in generated code,
-    ``kernel`` in Arrow batches."""
+    ``kernel`` looks pivots up in a grid, in Arrow batches. Coordinates whose squared distances don't fit a long raise an error."""
     n = len(piv)
     if (method or ("literal" if n <= LITERAL_PIVOTS else "kernel")) == "literal":
-        # distance and place in one long: coordinates below 2 ** 26 leave room for both
-        each = [dist2(F.col("x"), F.col("y"), F.lit(x), F.lit(y)) * n + i for i, (_, x, y) in enumerate(piv)]
-        both = F.least(*each) if n > 1 else each[0]
-        d = pts.withColumn("a_near", both)
-        at = F.col("a_near") % n
+        each = [dist2(F.col("x"), F.col("y"), F.lit(x), F.lit(y)) for _, x, y in piv]
+        # near the pivots there is room for distance and place in one long; further out the two are compared one after the other
+        _, cx, cy = piv[0]
+        spread = max(max(abs(x - cx), abs(y - cy)) for _, x, y in piv)
+        room = math.isqrt((2**62) // (2 * n)) - spread
+        close = (F.abs(F.col("x") - cx) < room) & (F.abs(F.col("y") - cy) < room)
+        packed = [e * n + i for i, e in enumerate(each)]
+        pairs = [F.struct(e.alias("d2"), F.lit(i).cast("long").alias("i")) for i, e in enumerate(each)]
+        least = lambda c: F.least(*c) if n > 1 else c[0]
+        d = pts.withColumn("a_near", F.when(close, least(packed))).withColumn("a_far", F.when(~close, least(pairs)))
+        at = F.coalesce(F.col("a_near") % n, F.col("a_far.i"))
         pid = at if [i for i, *_ in piv] == list(range(n)) else F.get(F.array(*[F.lit(i).cast("long") for i, *_ in piv]), at.cast("int"))
-        return d.select(*pts.columns, pid.alias("pid"), F.expr(f"a_near div {n}").alias("d2"))
-    ids, at = np.array([i for i, *_ in piv]), np.array([(x, y) for _, x, y in piv], dtype=np.int64)
+        return d.select(*pts.columns, pid.alias("pid"), F.coalesce(F.expr(f"a_near div {n}"), F.col("a_far.d2")).alias("d2"))
+    ids, px, py = ([p[i] for p in piv] for i in range(3))
     xi, yi = pts.columns.index("x"), pts.columns.index("y")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        grid = PivotGrid(ids, px, py)
         for b in batches:
-            x, y = b.column(xi).to_numpy(zero_copy_only=False), b.column(yi).to_numpy(zero_copy_only=False)
-            best, found = np.full(len(x), np.iinfo(np.int64).max), np.zeros(len(x), dtype=np.int64)
-            for s in range(0, len(at), 256):
-                d = (x[:, None] - at[None, s : s + 256, 0]) ** 2 + (y[:, None] - at[None, s : s + 256, 1]) ** 2
-                i = d.argmin(axis=1)
-                v = d[np.arange(len(x)), i]
-                found, best = np.where(v < best, ids[s + i], found), np.minimum(v, best)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(found, pa.int64()), pa.array(best, pa.int64())], names=[*b.schema.names, "pid", "d2"])
+            pid, d2 = grid.nearest(b.column(xi).to_numpy(zero_copy_only=False), b.column(yi).to_numpy(zero_copy_only=False))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(pid, pa.int64()), pa.array(d2, pa.int64())], names=[*b.schema.names, "pid", "d2"])
 
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pts.schema)
     return pts.mapInArrow(run, f"{kinds}, pid bigint, d2 bigint")
@@ -139,6 +152,7 @@ def group_balanced(counts: Sequence[tuple[int, int]], nodes: int) -> dict[int, i
     return out
 
 
-def distribute(assigned: DataFrame, n: int) -> DataFrame:
-    """The one large shuffle: pieces to partitions."""
-    return assigned.repartition(n, "pid")
+def distribute(assigned: DataFrame, n: int, nodes: Mapping[int, int] | None = None) -> DataFrame:
+    """The one large shuffle: each piece to the partition of its node, by default pid modulo ``n``; no two pieces meet by a hash."""
+    to = F.col("pid") if nodes is None else F.get(F.array(*[F.lit(nodes.get(i, i)) for i in range(max(nodes, default=-1) + 1)]), F.col("pid").cast("int"))
+    return assigned.repartitionById(n, F.pmod(to.cast("long"), F.lit(n)).cast("int"))

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from cellfleet.functions.geometry import dist2
 from cellfleet.operators import borders, pivots
+from cellfleet.operators.pivot_grid import PivotGrid
 from cellfleet.operators.pivots import Pivot
 
 #: Target rows that may be broadcast; a larger batch of queries is joined by shuffle.
@@ -47,28 +48,23 @@ def targets(queries: DataFrame, piv: Sequence[Pivot], stats: Sequence[tuple[int,
 
 
 def _targets_by_kernel(queries: DataFrame, piv: Sequence[Pivot], stats: Sequence[tuple[int, int]] | None, rule: str) -> DataFrame:
-    at = np.array([(x, y) for _, x, y in piv], dtype=np.int64)
-    gaps = np.sqrt(((at[:, None] - at[None]) ** 2).sum(axis=2).astype(np.float64))
+    at = borders.table(piv)
     far = np.full(len(piv), np.inf)
     if stats is not None:
-        far = np.array([math.sqrt(f) if f is not None else -np.inf for f in (dict(stats).get(i) for i in range(len(piv)))])
+        known = dict(stats)
+        far = np.array([math.sqrt(f) if (f := known.get(i)) is not None else -np.inf for i in range(len(piv))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for s in range(0, whole.num_rows, 1024):
-                b = whole.slice(s, 1024)
-                x, y, r = (b.column(i).to_numpy(zero_copy_only=False) for i in (1, 2, 3))
-                d2 = (x[:, None] - at[None, :, 0]) ** 2 + (y[:, None] - at[None, :, 1]) ** 2
-                home = d2.argmin(axis=1)
-                rows = np.arange(len(x))
-                with np.errstate(invalid="ignore", divide="ignore"):
-                    near = (d2 - d2[rows, home][:, None]) / (2.0 * gaps[home]) <= r[:, None]
-                near[rows, home] = True
-                start = np.sqrt(d2.astype(np.float64)) if rule == "far" else gaps[home]
-                near &= start <= far[None, :] + r[:, None]
-                i, pid = near.nonzero()
-                taken = b.take(pa.array(i))
-                yield pa.RecordBatch.from_arrays([*taken.columns, pa.array(home[i], pa.int64()), pa.array(pid, pa.int64())], names=["qid", "x", "y", "r", "home", "pid"])
+        grid = PivotGrid(np.arange(len(at)), at[:, 0], at[:, 1])
+        for b in batches:
+            x, y, r = (b.column(i).to_numpy(zero_copy_only=False) for i in (1, 2, 3))
+            home, d2 = grid.nearest(x, y)
+            own = (np.arange(len(x)), home, d2)
+            for i, pid, f2 in (own, *borders.crossing(grid, at, x, y, home, d2, r)):
+                start = np.sqrt((f2 if rule == "far" else ((at[home[i]] - at[pid]) ** 2).sum(axis=1)).astype(np.float64))
+                kept = start <= far[pid] + r[i]
+                taken = b.take(pa.array(i[kept]))
+                yield pa.RecordBatch.from_arrays([*taken.columns, pa.array(home[i[kept]], pa.int64()), pa.array(pid[kept], pa.int64())], names=["qid", "x", "y", "r", "home", "pid"])
 
     kind = queries.schema["qid"].dataType.simpleString()
     typed = queries.select("qid", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y"), F.col("r").cast("double").alias("r"))

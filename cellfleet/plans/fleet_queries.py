@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from cellfleet.baselines import fleets, indexes
 from cellfleet.functions.geometry import box_disk_d2, dist2, micro
+from cellfleet.lineage import cut
 from cellfleet.operators import access, costs, kdpart, maintain, packing, pivots, snapshot
 from cellfleet.plans.index_queries import MICRO, P, assigned_sql, chosen, knn_sql, ranged, range_sql, R, z_sql
 from cellfleet.plans.registry import query
@@ -346,12 +347,12 @@ def incremental_transfer(spark, d):
     of the objects are inserted or move, evenly over the pieces or by a zipf law, packed anew or placed one by one. A new object has
     the mean load of its piece and is sent once; any other is sent if its server changes."""
     pts, boxed = leaves(spark, d, CAP)
-    boxed = boxed.localCheckpoint()
-    at = kdpart.assign(pts, boxed, BITS).localCheckpoint()
+    boxed = cut(boxed)
+    at = cut(kdpart.assign(pts, boxed, BITS))
     a, rows, tiers = fleet_matrix(spark, d, "cosine", CAP)
     before = packing.agglomerate(a, rows, 4, tiers)
     deep = lambda z: F.expr(f"shiftleft(shiftright({z}, {BITS - LEVELS}), {BITS - LEVELS})").alias("z")
-    counts = at.groupBy(deep("z")).agg(F.count("*").alias("n")).localCheckpoint()
+    counts = cut(at.groupBy(deep("z")).agg(F.count("*").alias("n")))
     ids = {(r["depth"], r["prefix"]): r["pid"] for r in boxed.select("depth", "prefix", "pid").collect()}
     out = []
     for change in ("insert", "move"):
@@ -365,14 +366,14 @@ def incremental_transfer(spark, d):
                     after = at.select("pid", "z", F.lit(0).alias("new")).unionByName(new.select("pid", "z", F.lit(1).alias("new")))
                     changes = new.select(deep("z"), F.lit(1).alias("dn"))
                 else:
-                    new = maintain.moved(at, wanted, EXTENT / 100, 1 << BITS // 2).localCheckpoint()
+                    new = cut(maintain.moved(at, wanted, EXTENT / 100, 1 << BITS // 2))
                     after = new.select("pid", F.coalesce("to", "z").alias("z"), F.lit(0).alias("new"))
                     gone_from = new.where("to is not null")
                     changes = gone_from.select(deep("z"), F.lit(-1).alias("dn")).unionByName(gone_from.select(deep("to"), F.lit(1).alias("dn")))
                 counted, gone, made = maintain.apply_changes(counts, changes, CAP, LEVELS, BITS)
                 both = gone.withColumn("gone", F.lit(True)).unionByName(made.withColumn("gone", F.lit(False))).collect()
                 gone, made = (sorted((r["depth"], r["prefix"]) for r in both if r["gone"] is x) for x in (True, False))
-                now = kdpart.with_boxes(kdpart.leaves(counted, CAP, BITS, LEVELS), BITS).localCheckpoint()
+                now = cut(kdpart.with_boxes(kdpart.leaves(counted, CAP, BITS, LEVELS), BITS))
                 keys = {r["pid"]: (r["depth"], r["prefix"]) for r in now.select("pid", "depth", "prefix").collect()}
                 flow = kdpart.assign(after.withColumnRenamed("pid", "src"), now, BITS).groupBy("src", "pid", "new").agg(F.count("*").alias("n")).collect()
                 src, dst, fresh, n = (np.array(x, dtype=np.int64) for x in zip(*[(r["src"], r["pid"], r["new"], r["n"]) for r in flow]))

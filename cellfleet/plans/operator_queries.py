@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -12,6 +11,7 @@ from cellfleet.functions import udfs
 from cellfleet.functions.geometry import micro
 from cellfleet.operators import pivots, range_query
 from cellfleet.plans.index_queries import MICRO, R, chosen
+from cellfleet.lineage import shared_dir
 from cellfleet.plans.registry import query
 from cellfleet.sources import formats, views
 from cellfleet.sources.views import SQL, table
@@ -19,8 +19,8 @@ from cellfleet.streaming import positions
 
 
 def shared(spark: SparkSession, kind: str) -> str:
-    """A new folder that all executors reach: below the checkpoint folder, or below a local one where there is none (tests)."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="cellfleet-")
+    """A new folder that all executors reach, below the checkpoint folder."""
+    base = shared_dir(spark)
     return f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
 
 
