@@ -2,8 +2,8 @@
 
 Pivots are sorted by the squares of a grid with about two in each; the pivots of neighbouring squares of a grid row are then
 one slice. A block of squares around a point is read, and doubled while something outside of it may still matter, so that
-the expected work a point doesn't grow with the pivots. Squared distances are exact longs; coordinates that would overflow them
-raise an error."""
+the expected work a point doesn't grow with the pivots. Squared distances of integers are exact longs; coordinates that would
+overflow them raise an error. Points may also be doubles (the vertices of cells)."""
 
 from __future__ import annotations
 
@@ -31,13 +31,13 @@ class PivotGrid:
         self.sx, self.sy, self.sids = self.x[self.order], self.y[self.order], self.ids[self.order]
 
     def _column(self, x: np.ndarray) -> np.ndarray:
-        return np.clip(((x - self.x0) / self.w).astype(np.int64), 0, self.side - 1)
+        return np.clip((x - self.x0) / self.w, 0, self.side - 1).astype(np.int64)
 
     def _row(self, y: np.ndarray) -> np.ndarray:
-        return np.clip(((y - self.y0) / self.h).astype(np.int64), 0, self.side - 1)
+        return np.clip((y - self.y0) / self.h, 0, self.side - 1).astype(np.int64)
 
     def check(self, x: np.ndarray, y: np.ndarray) -> None:
-        if len(x) and len(self.x):
+        if len(x) and len(self.x) and np.issubdtype(x.dtype, np.integer):
             far = max(int(v.max()) - int(p.min()) for v, p in ((x, self.x), (y, self.y)))
             near = max(int(p.max()) - int(v.min()) for v, p in ((x, self.x), (y, self.y)))
             if max(far, near) > MOST_SPREAD:
@@ -104,7 +104,7 @@ class PivotGrid:
         self.check(x, y)
         if not len(x) or not len(self.ids):
             return
-        r = np.minimum(radius * (1 + 1e-9) + 1, 4.0 * MOST_SPREAD)
+        r = radius * (1 + 1e-9) + 1
         c0, c1, r0, r1 = self._column(x - r), self._column(x + r), self._row(y - r), self._row(y + r)
         for i, j in self._pairs(c0, c1, r0, r1):
             d2 = (x[i] - self.sx[j]) ** 2 + (y[i] - self.sy[j]) ** 2
