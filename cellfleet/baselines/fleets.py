@@ -32,59 +32,73 @@ def scattered(cells: DataFrame, servers: int, seed: int = 7) -> DataFrame:
 class Reactive:
     """Grid servers under an auto-scaler. Every interval: a server at or above capacity splits its pieces by half of its rows
     and, alone with one piece, moves up a tier; one under half of its capacity for six intervals moves down a tier if its rows
-    still fit; two that would have fitted into one for six intervals merge."""
+    still fit; two that would have fitted into one for six intervals merge. A new server is of the lowest tier that stores its rows."""
 
     def __init__(self, a: np.ndarray, rows: np.ndarray, tiers: Sequence[Tier], start: Sequence[Sequence[int]]):
         self.a, self.rows, self.tiers = a, rows, sorted(tiers)
-        self.servers = [[list(g), self._storage_tier(g), 0] for g in start]  # pieces, tier, intervals since it last changed
+        self.capacity, self.storage = np.array([t[1] for t in self.tiers]), np.array([t[2] for t in self.tiers])
+        self.servers = [self._server(list(g)) for g in start]  # pieces, tier, intervals since it last changed, load, rows
         self.events: list[tuple[int, str]] = []
+        self.idle, self.by_hours = 0.0, 0.0
 
-    def _storage_tier(self, pieces: Sequence[int]) -> int:
-        n = int(self.rows[list(pieces)].sum())
-        return next((i for i, t in enumerate(self.tiers) if n <= t[2]), len(self.tiers) - 1)
+    def _server(self, pieces: list[int], tier: int | None = None, since: int = 0) -> list:
+        n = int(self.rows[pieces].sum())
+        return [pieces, self._storage_tier(n) if tier is None else tier, 0, self.a[pieces].sum(axis=0), n, since]
 
-    def _window(self, pieces: Sequence[int], t: int) -> np.ndarray:
-        return self.a[list(pieces), max(0, t - WAIT + 1) : t + 1].sum(axis=0)
+    def _bill(self, s: list, t: int) -> None:
+        """A machine that is given back at ``t`` is paid by started hours."""
+        self.by_hours += -(-(t - s[5]) // 12) * self.tiers[s[1]][3]
+
+    def _storage_tier(self, n: int) -> int:
+        return min(int(np.searchsorted(self.storage, n, side="left")), len(self.tiers) - 1)
 
     def _split(self, t: int) -> None:
-        for s in list(self.servers):
-            pieces, tier, _ = s
-            if self.a[pieces, t].sum() < self.tiers[tier][1]:
+        for at, s in enumerate(list(self.servers)):
+            pieces, tier, _, load, _, since = s
+            if load[t] < self.capacity[tier]:
                 continue
             if len(pieces) == 1:
                 if tier + 1 < len(self.tiers):
-                    s[1], s[2] = tier + 1, 0
+                    self._bill(s, t)
+                    s[1], s[2], s[5] = tier + 1, 0, t
                     self.events.append((t, "up"))
                 continue
             run = np.cumsum(self.rows[pieces])
             cut = min(len(pieces) - 1, max(1, int(np.searchsorted(run, run[-1] / 2, side="left")) + 1))
-            s[0], s[2] = pieces[:cut], 0
-            self.servers.append([pieces[cut:], self._storage_tier(pieces[cut:]), 0])
+            self.servers[at] = self._server(pieces[:cut], tier, since)
+            self.servers.append(self._server(pieces[cut:], since=t))
             self.events.append((t, "split"))
 
     def _down(self, t: int) -> None:
         for s in self.servers:
-            pieces, tier, age = s
-            if tier and age >= WAIT and self._storage_tier(pieces) < tier and (self._window(pieces, t) < DOWN * self.tiers[tier][1]).all():
-                s[1], s[2] = tier - 1, 0
+            tier, age, load, n = s[1:5]
+            if tier and age >= WAIT and self._storage_tier(n) < tier and (load[max(0, t - WAIT + 1) : t + 1] < DOWN * self.capacity[tier]).all():
+                self._bill(s, t)
+                s[1], s[2], s[5] = tier - 1, 0, t
                 self.events.append((t, "down"))
 
     def _merge(self, t: int) -> None:
-        i = 0
-        while i < len(self.servers):
-            p, tier, age = self.servers[i]
-            for j in range(i + 1, len(self.servers)):
-                q, other, age2 = self.servers[j]
-                k = max(tier, other)
-                if min(age, age2) >= WAIT and self.rows[p + q].sum() <= self.tiers[k][2] and (self._window(p + q, t) < self.tiers[k][1]).all():
-                    self.servers[i] = [sorted(p + q), k, 0]
-                    del self.servers[j]
-                    self.events.append((t, "merge"))
-                    break
-            i += 1
+        window = np.array([s[3][max(0, t - WAIT + 1) : t + 1] for s in self.servers])
+        tier, age, n = (np.array([s[k] for s in self.servers]) for k in (1, 2, 4))
+        alive = np.ones(len(self.servers), dtype=bool)
+        for i in range(len(self.servers)):
+            if not alive[i] or age[i] < WAIT:
+                continue
+            k = np.maximum(tier, tier[i])
+            fits = alive & (age >= WAIT) & (np.arange(len(alive)) > i) & (n + n[i] <= self.storage[k]) & ((window + window[i]).max(axis=1) < self.capacity[k])
+            if fits.any():
+                j = int(fits.argmax())
+                # the machine whose tier the two need stays
+                stays, goes = (i, j) if tier[i] >= tier[j] else (j, i)
+                self._bill(self.servers[goes], t)
+                self.servers[i] = self._server(sorted(self.servers[i][0] + self.servers[j][0]), int(k[j]), self.servers[stays][5])
+                alive[j], age[i] = False, 0
+                self.events.append((t, "merge"))
+        self.servers = [s for s, kept in zip(self.servers, alive.tolist(), strict=True) if kept]
 
     def run(self) -> float:
-        """The cost of a day: prices of all servers by the interval."""
+        """The cost of a day: prices of all servers by the interval. ``by_hours``: the same by started hours of each machine;
+        ``idle``: capacity that wasn't used."""
         cost = 0.0
         for t in range(self.a.shape[1]):
             self._split(t)
@@ -93,16 +107,26 @@ class Reactive:
             for s in self.servers:
                 s[2] += 1
             cost += sum(self.tiers[s[1]][3] for s in self.servers) / 12
+            self.idle += sum(max(0.0, float(self.capacity[s[1]] - s[3][t])) for s in self.servers)
+        for s in self.servers:
+            self._bill(s, self.a.shape[1])
         return cost
 
 
-def static_cost(a: np.ndarray, rows: np.ndarray, plan: np.ndarray, tiers: Sequence[Tier]) -> float:
-    """A day of servers of fixed tiers, each the cheapest that carries its peak and rows; above all tiers, several of the highest."""
+def static(a: np.ndarray, rows: np.ndarray, plan: np.ndarray, tiers: Sequence[Tier]) -> tuple[int, float, float]:
+    """(servers, idle capacity, cost) of a day of servers of fixed tiers, each the cheapest that carries its peak and rows; above
+    all tiers, several of the highest."""
     top = max(tiers)
-    out = 0.0
+    servers, idle, cost = 0, 0.0, 0.0
     for s in np.unique(plan):
         load, n = a[plan == s].sum(axis=0), int(rows[plan == s].sum())
         t = _tier(float(load.max()), n, tiers)
         many = 1 if t else max(int(load.max() // top[1]) + 1, -(-n // top[2]))
-        out += many * (t or top)[3] * 24
-    return out
+        servers += many
+        idle += many * (t or top)[1] * load.size - float(load.sum())
+        cost += many * (t or top)[3] * 24
+    return servers, idle, cost
+
+
+def static_cost(a: np.ndarray, rows: np.ndarray, plan: np.ndarray, tiers: Sequence[Tier]) -> float:
+    return static(a, rows, plan, tiers)[2]

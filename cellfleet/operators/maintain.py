@@ -69,6 +69,12 @@ class Fleet:
         self.where: dict[int, int] = {}
         self.pieces: dict[int, np.ndarray] = {}
 
+    def adopt(self, plan: np.ndarray, loads: np.ndarray) -> None:
+        """Starts from a plan: the server of each piece, and the pieces' loads."""
+        self.loads = [loads[plan == s].sum(axis=0) for s in range(int(plan.max()) + 1)] if len(plan) else []
+        self.where = {i: int(s) for i, s in enumerate(plan)}
+        self.pieces = dict(enumerate(loads))
+
     def group(self, share: float) -> int:
         return max(0, min(self.groups - 1, int(share / self.capacity * self.groups)))
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
 
 import numpy as np
@@ -281,53 +282,157 @@ def snapshot_drift(spark, d):
 
 def fleet_matrix(spark: SparkSession, d: str, load: str, cap: int, pts: DataFrame | None = None) -> tuple[np.ndarray, np.ndarray, list[tuple]]:
     pts, boxed = leaves(spark, d, cap, pts)
-    if load == "real":
-        ts = views.table(spark, d, "events").select(F.col("event_id").alias("oid"), "ts").where(F.dayofweek("ts") == 2)
-        long = access.patterns(kdpart.assign(pts, boxed, BITS).join(ts, "oid").select("pid", "ts"))
-    elif load == "cosine":
-        long = access.cosine_load(boxed.select("pid", "n", F.col("x0").alias("cx")), EXTENT)
-    else:
-        long = access.zipf_load(boxed.select("pid", "n"), float(load))
+    long = access.cosine_load(boxed.select("pid", "n", F.col("x0").alias("cx")), EXTENT)
     _, a, rows = packing.matrix(access.vectors(long), boxed.select("pid", "n"))
     unit = max(float(a.max()) * 1.01, float(a.sum(axis=0).max()) / 24)
     return a, rows, costs.tiers(unit, max(1, int(rows.sum()) // 24), 0.1)
 
 
-def fleet_costs(spark: SparkSession, d: str, load: str, cap: int, pts: DataFrame | None = None) -> DataFrame:
-    """(method, servers, idle, cost) of a day for the packer with and without search and the grids."""
-    a, rows, tiers = fleet_matrix(spark, d, load, cap, pts)
+#: Pieces that the packer gets, about, and how many of them a grid server holds; zones of one load pattern, by bits of the code.
+PIECES, GRID_CAP, ZONE_BITS, SIDE_BITS = 300, 20, 10, BITS // 2
+#: A tier of the lowest kind carries this part of the total load's peak, and stores this part of the objects.
+LEAST_LOAD, LEAST_ROWS = 32, 16
+
+
+def zone_patterns(zones: np.ndarray, load: str) -> np.ndarray:
+    """The load of one object of each zone by interval: a wave whose phase is the zone's longitude, or intervals ranked by digest
+    that get rank ** -skew. It belongs to places and not to pieces, so that all fleets carry the same."""
+    t = np.arange(access.INTERVALS)
+    if load == "cosine":
+        x = sum(((zones >> 2 * i) & 1) << i for i in range(ZONE_BITS // 2)) / 2 ** (ZONE_BITS // 2)
+        return (1 + np.cos(2 * np.pi * (t[None, :] / access.INTERVALS - x[:, None]))) / 2
+    digest = [[hashlib.md5(f"{z}:{i}".encode()).digest() for i in t.tolist()] for z in zones.tolist()]
+    rank = np.array([np.argsort(np.argsort([int.from_bytes(x[:6], "big") for x in row])) + 1 for row in digest], dtype=float).reshape(len(zones), len(t))
+    return rank ** -float(load)
+
+
+def fleet_units(spark: SparkSession, d: str, load: str, pieces: int = PIECES, pts: DataFrame | None = None) -> tuple[dict[str, np.ndarray], list[tuple]]:
+    """(units, tiers): patterns and rows of the packer's pieces (``a``, ``rows``), and of the cells of a fine grid (``cells_a``,
+    ``cells_rows``, their ``prefix``) with the grid server (``grid``) they lie on. One pass over the points counts them by piece,
+    cell and zone; tables of pieces come to the driver, whatever the objects are."""
+    pts = kdpart.coded(views.skewed(spark, d) if pts is None else pts)
+    pts = cut(pts.select("oid", "x", "y", "z"))  # the code is written out once, not in each of the shifts below
+    n = pts.count()
+    cap = max(1, n // pieces)
+    boxed = cut(kdpart.with_boxes(kdpart.build(pts, cap, BITS, LEVELS), BITS))
+    if boxed.count() > packing.MOST_PIECES:
+        raise ValueError(f"at most {packing.MOST_PIECES} pieces at a time: pack by regions")
+    depth = lambda c: fleets.grid_cells(pts, c, BITS, LEVELS).agg(F.max("depth")).first()[0] or 0
+    fine, coarse = depth(cap), depth(cap * GRID_CAP)
+    at = kdpart.assign(pts, boxed, BITS).withColumn("cell", F.expr(f"shiftright(z, {BITS - fine})"))
+    if load == "real":
+        ts = views.table(spark, d, "events").select(F.col("event_id").alias("oid"), "ts").where(F.dayofweek("ts") == 2)
+        at = at.join(ts, "oid", "left").withColumn("by", access.interval(F.col("ts")))
+    else:
+        at = at.withColumn("by", F.expr(f"shiftright(z, {BITS - ZONE_BITS})").cast("int"))
+    got = at.groupBy("pid", "cell", "by").agg(F.count("*").alias("n")).toPandas()
+    by = got["by"].fillna(-1).astype(int).to_numpy()
+    if load == "real":
+        one = np.eye(access.INTERVALS + 1)[by]  # no access: the last column
+        of = one[:, :-1] * got["n"].to_numpy()[:, None]
+    else:
+        zones, which = np.unique(by, return_inverse=True)
+        of = zone_patterns(zones, load)[which] * got["n"].to_numpy()[:, None]
+
+    def summed(key: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        names, i = np.unique(key, return_inverse=True)
+        a, rows = np.zeros((len(names), access.INTERVALS)), np.zeros(len(names), dtype=np.int64)
+        np.add.at(a, i, of)
+        np.add.at(rows, i, got["n"].to_numpy())
+        return names, a, rows
+
+    _, a, rows = summed(got["pid"].to_numpy())
+    prefix, cells_a, cells_rows = summed(got["cell"].to_numpy())
+    units = {"a": a, "rows": rows, "cells_a": cells_a, "cells_rows": cells_rows, "prefix": prefix, "grid": np.unique(prefix >> (fine - coarse), return_inverse=True)[1]}
+    return units, costs.tiers(float(a.sum(axis=0).max()) / LEAST_LOAD, max(1, n // LEAST_ROWS), 0.1)
+
+
+def grid_plans(units: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
+    """Servers of the fine cells: that of their place, and any of as many, by digest."""
+    servers = int(units["grid"].max()) + 1
+    return {"grid": units["grid"], "grid_scattered": np.array([int(hashlib.md5(f"7:{p}".encode()).hexdigest()[:7], 16) % servers for p in units["prefix"].tolist()])}
+
+
+def fleet_costs(spark: SparkSession, d: str, load: str, pieces: int = PIECES, pts: DataFrame | None = None) -> DataFrame:
+    """(method, servers, idle, cost) of a day: a grid server for each place, the same number of servers with fine cells dealt at
+    random, grid servers under the auto-scaler (paid by the interval, and by started hours), and the packer with and without
+    search; tiers are the same for all."""
+    units, tiers = fleet_units(spark, d, load, pieces, pts)
+    a, rows, cells_a, cells_rows = (units[k] for k in ("a", "rows", "cells_a", "cells_rows"))
+    out = [(name, *fleets.static(cells_a, cells_rows, plan, tiers)) for name, plan in grid_plans(units).items()]
+    reactive = fleets.Reactive(cells_a, cells_rows, tiers, [np.flatnonzero(units["grid"] == s).tolist() for s in range(int(units["grid"].max()) + 1)])
+    cost = reactive.run()
+    out += [("grid_reactive", len(reactive.servers), reactive.idle, cost), ("grid_reactive_by_hours", len(reactive.servers), reactive.idle, reactive.by_hours)]
     wanted = max(2, int(np.ceil(max(a.sum(axis=0).max() / tiers[-1][1], rows.sum() / tiers[-1][2]))) + 1)
-    out = []
     for name, search in (("packer", False), ("packer_search", True)):
-        plan = packing.pack(a, rows, wanted, tiers, search)
-        out.append((name, len(np.unique(plan)), float(packing.total_idle(plan, a, rows, tiers)), fleets.static_cost(a, rows, plan, tiers)))
-    own = np.arange(len(a))
-    out.append(("piece_each", len(a), float(packing.total_idle(own, a, rows, tiers)), fleets.static_cost(a, rows, own, tiers)))
-    scattered = own * 7919 % wanted
-    out.append(("scattered", len(np.unique(scattered)), float(packing.total_idle(scattered, a, rows, tiers)), fleets.static_cost(a, rows, scattered, tiers)))
-    reactive = fleets.Reactive(a, rows, tiers, [[i] for i in own.tolist()])
-    cost = reactive.run()
-    out.append(("reactive", len(reactive.servers), 0.0, cost))
-    return spark.createDataFrame([(m, s, math.floor(min(i, 1e15) * 1e3) / 1e3, math.floor(c * 1e4) / 1e4) for m, s, i, c in out], "method string, servers int, idle double, cost double")
+        out.append((name, *fleets.static(a, rows, packing.pack(a, rows, wanted, tiers, search), tiers)))
+    return spark.createDataFrame([(m, s, math.floor(i * 1e3 + 0.5) / 1e3, math.floor(c * 1e4 + 0.5) / 1e4) for m, s, i, c in out], "method string, servers int, idle double, cost double")
+
+
+#: The same cells, loads and tiers in SQL: a day of the grid and of scattered cells.
+_FINE = f"""pts as ({SQL['skewed']}), zz as (select {leaves_sql().split('zz as (select oid, x, y, ')[1].split(' as z from pts')[0]} as z from pts), m as (select greatest(1, count(*) // {PIECES}) as cap, greatest(1, count(*) // {LEAST_ROWS}) as storage from zz),
+    gc as (select d.depth, z >> ({BITS} - d.depth) as prefix, count(*) as n from zz, (select unnest(range(0, {LEVELS + 1}, 2)) as depth) d group by all), gm as (select depth, max(n) as most from gc group by depth),
+    dp as (select coalesce(min(depth) filter (most <= cap), {LEVELS}) as fine, coalesce(min(depth) filter (most <= cap * {GRID_CAP}), {LEVELS}) as coarse from gm, m),
+    cz as (select z >> ({BITS} - fine) as cell, z >> ({BITS} - coarse) as gp, z >> ({BITS - ZONE_BITS}) as zone, count(*) as n from zz, dp group by all),
+    sv as (select count(distinct gp) as servers from cz),
+    pl as (select 'grid' as method, gp as server, zone, n from cz union all select 'grid_scattered', ('0x' || substr(md5('7:' || cell), 1, 7))::bigint % servers, zone, n from cz, sv),
+    zo as (select distinct zone, ({' + '.join(f'(((zone >> {2 * i}) & 1) << {i})' for i in range(ZONE_BITS // 2))}) / {2.0 ** (ZONE_BITS // 2)!r}::double as phase from cz),
+    wv as (select zone, t, (1 + cos({2 * math.pi!r}*(t/288.0::double - phase)))/2 as w from zo, (select unnest(range(288)) as t) g),
+    zn as (select method, server, zone, sum(n) as n from pl group by all), ld as (select method, server, t, sum(n*w) as load from zn join wv using (zone) group by all),
+    unit as (select max(load)/{LEAST_LOAD} as capacity from (select t, sum(load) as load from ld where method = 'grid' group by t)),
+    rw as (select method, server, sum(n)::bigint as rows from zn group by all), lo as (select method, server, max(load) as peak, sum(load) as used from ld group by all),
+    tr as (select tier, k*unit.capacity as capacity, k*m.storage as storage, k*0.1 as price from (values (0, 1), (1, 2), (2, 4), (3, 8)) v(tier, k), unit, m),
+    tp as (select max(capacity) as capacity, max(storage) as storage, max(price) as price from tr),
+    ch as (select method, server, peak, used, rows, min(tr.price) as price, min(tr.capacity) as capacity from lo join rw using (method, server) left join tr on peak < tr.capacity and rows <= tr.storage group by all),
+    mn as (select method, used, coalesce(ch.price, tp.price) as price, coalesce(ch.capacity, tp.capacity) as capacity, case when ch.price is null then greatest(floor(peak/tp.capacity)::bigint + 1, (rows + tp.storage - 1)//tp.storage) else 1 end as many from ch, tp)"""
+
+
+@query("grid_costs_cosine", f"with {_FINE} select method, sum(many)::bigint as servers, {MICRO.format('1 - sum(used)/sum(many*capacity*288)')} as idle, floor(sum(many*price*24)*1e4+0.5)/1e4 as cost from mn group by method")
+def grid_costs(spark, d):
+    """(method, servers, idle, cost) of the grid fleets of fixed tiers; idle as a share of their capacity."""
+    units, tiers = fleet_units(spark, d, "cosine")
+    rows, used = [], float(units["cells_a"].sum())
+    for name, plan in grid_plans(units).items():
+        servers, idle, cost = fleets.static(units["cells_a"], units["cells_rows"], plan, tiers)
+        rows.append((name, servers, math.floor((1 - used / (used + idle)) * 1e6 + 0.5) / 1e6, math.floor(cost * 1e4 + 0.5) / 1e4))
+    return spark.createDataFrame(rows, "method string, servers long, idle double, cost double")
+
+
+for _load in ("real", "cosine"):
+
+    @query(f"fleet_costs_{_load}")
+    def fleet_costs_query(spark, d, load=_load):
+        return fleet_costs(spark, d, load)
 
 
-for _load in ("real", "cosine", "0.0", "1.0", "2.0", "3.0"):
+for _skew in range(4):
 
-    @query(f"fleet_costs_{'zipf_' + _load[0] if _load[0].isdigit() else _load}")
-    def fleet_costs_query(spark, d, load=_load):
-        return fleet_costs(spark, d, load, CAP)
+    @query(f"fleet_costs_zipf_{_skew}")
+    def fleet_costs_zipf(spark, d, skew=_skew):
+        """Server cost by the skew of the load, from even to peaked, on 1,000 hotspots."""
+        return fleet_costs(spark, d, str(float(skew)), PIECES, views.hotspots(spark, d, 1000))
 
 
-@query("fleet_costs_by_pieces")
-def fleet_costs_by_pieces(spark, d):
-    """Server cost as pieces get smaller."""
+def by_pieces(spark: SparkSession, d: str, pts: DataFrame | None = None) -> DataFrame:
     out = None
-    for cap in (2000, 1000, 500, 200):
-        r = fleet_costs(spark, d, "cosine", cap).withColumn("cap", F.lit(cap))
+    for pieces in (10, 50, 100, 300, 600):
+        r = fleet_costs(spark, d, "cosine", pieces, pts).withColumn("pieces", F.lit(pieces))
         out = r if out is None else out.unionByName(r)
     return out
 
 
+@query("fleet_costs_by_pieces")
+def fleet_costs_by_pieces(spark, d):
+    """Server cost as pieces get smaller."""
+    return by_pieces(spark, d)
+
+
+@query("fleet_costs_by_pieces_hotspots")
+def fleet_costs_by_pieces_hotspots(spark, d):
+    """Server cost as pieces get smaller, on 1,000 hotspots."""
+    return by_pieces(spark, d, views.hotspots(spark, d, 1000))
+
+
 def rows_kept(old: np.ndarray, new: np.ndarray, rows: np.ndarray) -> int:
     """Rows that stay when the new servers are named after the old ones, the largest common share first."""
     names, labels = np.unique(old, return_inverse=True)[1], np.unique(new, return_inverse=True)[1]
@@ -384,7 +489,8 @@ def incremental_transfer(spark, d):
                 plan = packing.agglomerate(load, size, 4, tiers)
                 repacked = sent + int(n[old].sum()) - rows_kept(before[src[old]], plan[dst[old]], n[old])
                 fleet = maintain.Fleet(max(t[1] for t in tiers))
-                first = fleet.place_all({i: a[i] for i in range(len(a))})
+                fleet.adopt(before, a)  # both start from one plan
+                first = dict(fleet.where)
                 for key in gone:
                     fleet.remove(ids[key])
                 name = {i: ids.get(keys[i], len(a) + i) for i in keys}
@@ -404,8 +510,7 @@ for _n in (10, 100, 1000):
         @query(f"fleet_costs_hotspots_{_n}{'_varied' if _varied else ''}")
         def fleet_costs_hotspots(spark, d, n=_n, varied=_varied):
             """Server cost by the number of hotspots, of one size or of varied ones."""
-            pts = views.hotspots(spark, d, n, varied)
-            return fleet_costs(spark, d, "cosine", max(50, pts.count() // 100), pts)
+            return fleet_costs(spark, d, "cosine", PIECES, views.hotspots(spark, d, n, varied))
 
 
 @query("plan_servers_touched", f"with {leaves_sql()}, {_QS}, b as (select pid, depth, {'+'.join(f'((z0 >> {2 * i} & 1) << {i})' for i in range(16))} as x0, {'+'.join(f'((z0 >> {2 * i + 1} & 1) << {i})' for i in range(16))} as y0, ((prefix + 1) << ({BITS} - depth)) - 1 as z1 from num), c as (select pid, x0, y0, {'+'.join(f'((z1 >> {2 * i} & 1) << {i})' for i in range(16))} as x1, {'+'.join(f'((z1 >> {2 * i + 1} & 1) << {i})' for i in range(16))} as y1 from b), m as (select qid, pid from q, c where power(greatest(x0 - x, x - x1, 0), 2) + power(greatest(y0 - y, y - y1, 0), 2) <= 5000.0*5000.0) select qid, count(*) as pieces, count(distinct pid % {SERVERS}) as dealt, count(distinct pid // ((select count(*) from num) // {SERVERS} + 1)) as runs from m group by qid")

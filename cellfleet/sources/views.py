@@ -44,6 +44,7 @@ def gaussian(spark: SparkSession, d: str) -> DataFrame:
 def hotspots(spark: SparkSession, d: str, n: int, varied: bool = False, sigma: float = 800.0) -> DataFrame:
     """Points in ``n`` Gaussian hotspots within 65,536 x 65,536: centres from customers in digest order, offsets by the polar
     method on digests of order lines. ``varied``: the first hotspots are far larger than the last ones."""
+    n = min(n, table(spark, d, "customer").count())  # as many hotspots as there are centres, so that no point is without one
     c = customers(spark, d).orderBy(F.md5(F.concat(F.lit("h:"), F.col("oid").cast("string"))), "oid").limit(n)
     c = c.select((F.row_number().over(Window.orderBy(F.md5(F.concat(F.lit("h:"), F.col("oid").cast("string"))), "oid")) - 1).alias("k"), ((F.col("x") + 100_000) / 1_100_000 * 60_000 + 2_500).alias("cx"), (F.col("y") / 1_000_000 * 60_000 + 2_500).alias("cy"))
     u = lambda a: (F.conv(F.substring(F.md5(F.concat(F.lit("g:"), F.col("oid").cast("string"))), a, 7), 16, 10).cast("double") + 1) / (16.0**7 + 1)

@@ -40,3 +40,30 @@ def test_incremental_transfer(spark, d):
     rows = catalogue.queries()["incremental_transfer"](spark, d).collect()
     assert {(r["change"], r["skew"], r["share"]) for r in rows} == {(c, s, h) for c in ("insert", "move") for s in (0.0, 1.0) for h in (0.01, 0.05, 0.10)}
     assert all(0 <= r["incremental"] <= 1 and 0 <= r["repacked"] <= 1 for r in rows)
+
+
+def test_relabelled_plan_moves_nothing():
+    plan = np.array([0, 0, 1, 2, 2, 2, 1])
+    rows = np.array([4, 1, 7, 2, 2, 9, 1])
+    renamed = np.array([5, 9, 1])[plan]
+    assert fq.rows_kept(plan, renamed, rows) == rows.sum()
+    assert fq.rows_kept(plan, np.zeros(7, dtype=int), rows) == 13  # only the largest common share keeps its name
+    fleet = maintain.Fleet(100.0, width=3)
+    loads = np.ones((7, 3))
+    fleet.adopt(plan, loads)
+    assert [load.tolist() for load in fleet.loads] == [[2.0] * 3, [2.0] * 3, [3.0] * 3] and fleet.where == dict(enumerate(plan.tolist()))
+    fleet.remove(5)
+    assert fleet.loads[2].tolist() == [2.0] * 3
+
+
+def test_grid_fleets(spark, d):
+    """The same objects and loads on the grid's servers, scattered ones and pieces."""
+    units, tiers = fq.fleet_units(spark, d, "cosine", 50)
+    n = fq.views.skewed(spark, d).count()
+    assert units["rows"].sum() == units["cells_rows"].sum() == n and np.allclose(units["a"].sum(axis=0), units["cells_a"].sum(axis=0))
+    assert units["cells_rows"].max() <= max(1, n // 50) and len(np.unique(units["grid"])) < len(units["prefix"])
+    cells = np.bincount(units["grid"], weights=units["cells_rows"])
+    assert cells.max() <= fq.GRID_CAP * (n // 50)
+    got = {r["method"]: r for r in fq.fleet_costs(spark, d, "cosine", 50).collect()}
+    assert set(got) == {"grid", "grid_scattered", "grid_reactive", "grid_reactive_by_hours", "packer", "packer_search"}
+    assert got["packer_search"]["idle"] <= got["packer"]["idle"] and got["grid_reactive"]["cost"] <= got["grid_reactive_by_hours"]["cost"] + 1e-6
