@@ -387,7 +387,7 @@ _FINE = f"""pts as ({SQL['skewed']}), zz as (select {leaves_sql().split('zz as (
     mn as (select method, used, coalesce(ch.price, tp.price) as price, coalesce(ch.capacity, tp.capacity) as capacity, case when ch.price is null then greatest(floor(peak/tp.capacity)::bigint + 1, (rows + tp.storage - 1)//tp.storage) else 1 end as many from ch, tp)"""
 
 
-@query("grid_costs_cosine", f"with {_FINE} select method, sum(many)::bigint as servers, {MICRO.format('1 - sum(used)/sum(many*capacity*288)')} as idle, floor(sum(many*price*24)*1e4+0.5)/1e4 as cost from mn group by method")
+@query("grid_costs_cosine", f"with {_FINE} select method, sum(many)::bigint as servers, {MICRO.format('(1 - sum(used)/sum(many*capacity*288))')} as idle, floor(sum(many*price*24)*1e4+0.5)/1e4 as cost from mn group by method")
 def grid_costs(spark, d):
     """(method, servers, idle, cost) of the grid fleets of fixed tiers; idle as a share of their capacity."""
     units, tiers = fleet_units(spark, d, "cosine")
