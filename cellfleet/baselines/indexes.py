@@ -1,4 +1,5 @@
-"""Competing indexes: random distribution, hashed snapshot, tree overlay, ring quadtree, router tree."""
+"""Competing indexes: random distribution, packed leaves, messages of an overlay and of a ring, a router tree. Searches of the
+hashed snapshot are in ``hashed``, those of the tree overlay in ``trees``."""
 
 from __future__ import annotations
 
@@ -7,9 +8,7 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from cellfleet.functions import zorder
-from cellfleet.functions.geometry import box_disk_d2, dist2
-from cellfleet.operators import knn
+from cellfleet.functions.geometry import box_disk_d2
 
 
 def random_distribution(pts: DataFrame, n: int, seed: int) -> DataFrame:
@@ -18,26 +17,6 @@ def random_distribution(pts: DataFrame, n: int, seed: int) -> DataFrame:
     return pts.withColumn("pid", h % n)
 
 
-def hashed_snapshot(pts: DataFrame, n: int) -> DataFrame:
-    """Objects to nodes by id, each node's in Z-order."""
-    return pts.withColumn("node", F.pmod(F.xxhash64("oid"), F.lit(n))).withColumn("z", zorder.encode(F.col("x"), F.col("y"))).repartition(n, "node").sortWithinPartitions("node", "z")
-
-
-def hashed_range(snapshot: DataFrame, queries: DataFrame) -> DataFrame:
-    """(qid, oid, d2): every query goes to every node, so the query table is broadcast; it is the batch the caller chose."""
-    q = queries.select("qid", F.col("x").alias("qx"), F.col("y").alias("qy"), "r")
-    d2 = dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy"))
-    return snapshot.join(F.broadcast(q), (F.abs(F.col("x") - F.col("qx")) <= F.col("r")) & (F.abs(F.col("y") - F.col("qy")) <= F.col("r"))).withColumn("d2", d2).where(F.col("d2") <= F.col("r") * F.col("r")).select("qid", "oid", "d2")
-
-
-def hashed_knn(snapshot: DataFrame, queries: DataFrame, k: int) -> DataFrame:
-    """Each node's k best, then the k best of those."""
-    q = queries.select("qid", F.col("x").alias("qx"), F.col("y").alias("qy"))
-    found = snapshot.join(F.broadcast(q)).withColumn("d2", dist2(F.col("x"), F.col("y"), F.col("qx"), F.col("qy")))
-    own = F.row_number().over(Window.partitionBy("node", "qid").orderBy("d2", "oid"))
-    return knn.nearest(found.withColumn("own", own).where(F.col("own") <= k).select("qid", "oid", "d2"), k)
-
-
 #: Strips of x in which rows are ranked; a strip is what one task sorts.
 STRIPS = 4096
 

@@ -9,7 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellfleet.baselines import fleets, indexes
+from cellfleet.baselines import fleets, hashed, indexes, trees
 from cellfleet.functions.geometry import box_disk_d2, dist2, micro
 from cellfleet.lineage import cut
 from cellfleet.operators import access, costs, kdpart, maintain, packing, pivots, snapshot
@@ -241,12 +241,27 @@ def break_even(spark, d):
 
 @query("range_hashed", f"{range_sql(R)} select * from ans")
 def range_hashed(spark, d):
-    return indexes.hashed_range(indexes.hashed_snapshot(views.uniform(spark, d), P), ranged(spark, d))
+    return hashed.range_(hashed.snapshot(views.uniform(spark, d), P), ranged(spark, d))
 
 
 @query("knn_hashed_8", f"{knn_sql(8)} select qid, rank, oid, d2 from r")
 def knn_hashed(spark, d):
-    return indexes.hashed_knn(indexes.hashed_snapshot(views.uniform(spark, d), P), views.uniform_queries(spark, d), 8)
+    return hashed.nearest(hashed.snapshot(views.uniform(spark, d), P), views.uniform_queries(spark, d), 8)
+
+
+@query("range_tree", f"{range_sql(R)} select * from ans")
+def range_tree(spark, d):
+    return trees.search(cut(trees.build(views.uniform(spark, d), 4, 4)), ranged(spark, d))
+
+
+@query("knn_tree_8", f"{knn_sql(8)} select qid, rank, oid, d2 from r")
+def knn_tree(spark, d):
+    return trees.nearest(cut(trees.build(views.uniform(spark, d), 4, 4)), views.uniform_queries(spark, d), 8)
+
+
+@query("tree_nodes", f"with pts as ({SQL['uniform']}), s as (select *, ntile(4) over (order by x, oid) as slice from pts), t as (select *, ntile(4) over (partition by slice order by y, oid) as tile from s) select (slice - 1)*4 + tile - 1 as node, count(*) as n, min(x) as x0, min(y) as y0, max(x) as x1, max(y) as y1 from t group by all")
+def tree_nodes(spark, d):
+    return trees.boxes(trees.build(views.uniform(spark, d), 4, 4), "node")
 
 
 _TILES = f"with pts as ({SQL['uniform']}), s as (select *, ntile(8) over (order by x, oid) as slice from pts), t as (select *, ntile(8) over (partition by slice order by y, oid) as tile from s), lv as (select slice::int as slice, tile::int as tile, count(*) as n, min(x) as x0, min(y) as y0, max(x) as x1, max(y) as y1 from t group by all)"
