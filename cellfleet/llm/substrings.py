@@ -114,7 +114,7 @@ def last_window(at: Column) -> Column:
     return F.floor(at / PACK) + F.pmod(at, F.lit(PACK))
 
 
-NONE = "named_struct('anchor', 0L, 'content', 0L)"
+NODE = ["anchor", "content"]
 
 
 def edges(repeated: DataFrame) -> DataFrame:
@@ -123,18 +123,21 @@ def edges(repeated: DataFrame) -> DataFrame:
 
     A neighbour that isn't a repeated run, or is none, counts as a branch."""
     along = Window.partitionBy("doc").orderBy("at")
-    node = F.struct("anchor", "content")
-    near = repeated.distinct().select(
-        "*",
-        F.when(F.lag(last_window(F.col("at"))).over(along) + 1 == first_window(F.col("at")), F.lag(node).over(along)).otherwise(F.expr(NONE)).alias("b"),
-        F.when(F.lead(first_window(F.col("at"))).over(along) == last_window(F.col("at")) + 1, F.lead(node).over(along)).otherwise(F.expr(NONE)).alias("a"),
-    )
-    found = near.groupBy("anchor", "content").agg(
+    joins = F.lag(last_window(F.col("at"))).over(along) + 1 == first_window(F.col("at"))
+    leads = F.lead(first_window(F.col("at"))).over(along) == last_window(F.col("at")) + 1
+    near = repeated.distinct().select("*", *[F.when(joins, F.lag(c).over(along)).otherwise(0).alias(f"b_{c}") for c in NODE], *[F.when(leads, F.lead(c).over(along)).otherwise(0).alias(f"a_{c}") for c in NODE])
+    sides = [f"{side}_{c}" for side in "ba" for c in NODE]
+    found = near.groupBy(*NODE).agg(
         F.min(F.struct("doc", "at")).alias("s"), F.max("doc").alias("last_doc"), F.count("*").alias("n"),
-        F.min("b").alias("b0"), F.max("b").alias("b1"), F.min("a").alias("a0"), F.max("a").alias("a1"),
+        *[f(c).alias(f"{c}{i}") for c in sides for i, f in enumerate((F.min, F.max))],
     )
-    one = lambda x, y: F.when((F.col(x) == F.col(y)) & (F.col(x) != F.expr(NONE)), F.col(x))
-    return found.select("anchor", "content", F.col("s.doc").alias("src"), F.col("s.at").alias("src_at"), "last_doc", "n", one("b0", "b1").alias("before"), one("a0", "a1").alias("after"))
+
+    def one(side: str) -> Column:
+        same = (F.col(f"{side}_anchor0") == F.col(f"{side}_anchor1")) & (F.col(f"{side}_content0") == F.col(f"{side}_content1"))
+        some = (F.col(f"{side}_anchor0") != 0) | (F.col(f"{side}_content0") != 0)
+        return F.when(same & some, F.struct(*[F.col(f"{side}_{c}0").alias(c) for c in NODE]))
+
+    return found.select(*NODE, F.col("s.doc").alias("src"), F.col("s.at").alias("src_at"), "last_doc", "n", one("b").alias("before"), one("a").alias("after"))
 
 
 def compacted(found: DataFrame) -> DataFrame:
@@ -197,18 +200,22 @@ def told(w: list[bytes]) -> bytes:
     return hashlib.blake2b(b" ".join(w), digest_size=16).digest()
 
 
+def flat(lists: pa.ListArray) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Where each list begins in the flattened ones, and their fields of longs; nulls are empty lists."""
+    items = lists.flatten()
+    sizes = lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+    return np.concatenate([[0], sizes.cumsum()]), [items.field(k).to_numpy(zero_copy_only=False) for k in range(2)]
+
+
 def sources_told(docs: DataFrame, found: DataFrame) -> DataFrame:
     """(src, src_start, len, told): the digest of the words at the source's coordinates, for the different ones among ``found`` spans."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows: list[tuple] = []
-            for doc, t, places in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist(), strict=True):
-                w = words(t.as_py())
-                rows += [(doc, p["src_start"], p["len"], told(w[p["src_start"] : p["src_start"] + p["len"]])) for p in places]
-            if rows:
-                columns = zip(*rows, strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int64(), pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["src", "src_start", "len", "told"])
+            bounds, (start, size) = flat(b.column(2))
+            digests = pa.array((told(w[s : s + n]) for t, i, j in zip(b.column(1), bounds, bounds[1:], strict=False) for w in [words(t.as_py())] for s, n in zip(start[i:j].tolist(), size[i:j].tolist(), strict=True)), pa.binary())
+            docs_ = np.repeat(b.column(0).to_numpy(), np.diff(bounds))
+            yield pa.RecordBatch.from_arrays([pa.array(docs_), pa.array(start), pa.array(size), digests], names=["src", "src_start", "len", "told"])
 
     lists = found.select(F.col("src").alias("doc"), "src_start", "len").distinct().groupBy("doc").agg(F.collect_list(F.struct("src_start", "len")).alias("places"))
     # doc is a key: of rows that repeat it, one is enough
@@ -231,9 +238,13 @@ def repeats(docs: DataFrame, least: int = HEAVY) -> DataFrame:
     ends = onto(found.select("anchor", "content", F.col("src").alias("doc")), several.select("anchor"), "anchor", hot_keys(several, ["anchor"], rows, least))
     wanted = repeated.join(ends, ["anchor", "content", "doc"], "left_semi").select("doc", "at")
     single = stored(window_rows(docs, wanted), "windows")
-    firsts = single.groupBy("anchor", "window").agg(F.min(F.struct("doc", "p")).alias("s"), F.max("doc").alias("most"), F.count("*").alias("n")).where("s.doc < most")
-    firsts = stored(firsts.select("anchor", "window", F.col("s.doc").alias("src"), F.col("s.p").alias("src_p"), "n"), "firsts")
-    single = onto(single, firsts.drop("n"), ["anchor", "window"], hot_keys(firsts, ["anchor", "window"], rows, least)).where("doc > src")
+    window = ["anchor", "window"]
+    least_docs = single.groupBy(*window).agg(F.min("doc").alias("src"), F.max("doc").alias("most"), F.count("*").alias("n")).where("src < most")
+    least_docs = stored(least_docs.drop("most"), "firsts")
+    hot_windows = hot_keys(least_docs, window, rows, least)
+    single = stored(onto(single, least_docs.drop("n"), window, hot_windows), "repeated-windows")
+    firsts = single.where("doc = src").groupBy(*window).agg(F.min("p").alias("src_p"))
+    single = onto(single.where("doc > src"), firsts, window, hot_windows)
     # neighbouring windows with neighbouring sources as one range
     single = single.select("doc", "src", "p", (F.col("p") - F.col("src_p")).alias("shift")).distinct()
     single = single.withColumn("island", F.col("p") - F.row_number().over(Window.partitionBy("doc", "src", "shift").orderBy("p")))
@@ -258,14 +269,15 @@ def remove(docs: DataFrame, text: str = "text", key: str = "doc_id", least: int
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             total, removed, kept = [], [], []
-            for t, gone in zip(b.column(1), b.column(2).to_pylist(), strict=True):
+            (bounds, (start, end)), digests = flat(b.column(2)), b.column(2).flatten().field(2)
+            for t, i, j in zip(b.column(1), bounds.tolist(), bounds[1:].tolist(), strict=False):
                 w = words(t.as_py())
                 total.append(len(w))
-                if gone:
+                if i < j:
                     stay = np.ones(len(w), dtype=bool)
-                    for g in gone:
-                        if told(w[g["start"] : g["end"]]) == g["told"]:
-                            stay[g["start"] : g["end"]] = False
+                    for g in range(i, j):
+                        if told(w[start[g] : end[g]]) == digests[g].as_py():
+                            stay[start[g] : end[g]] = False
                     w = [x for x, s in zip(w, stay.tolist(), strict=True) if s]
                 removed.append(total[-1] - len(w))
                 kept.append(b" ".join(w).decode("utf-8", "surrogatepass"))
