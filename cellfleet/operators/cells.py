@@ -16,12 +16,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from cellfleet.functions import zorder
 from cellfleet.functions.geometry import dist2
 from cellfleet.operators import borders, pivots
 from cellfleet.operators.pivot_grid import PivotGrid
 from cellfleet.operators.pivots import Pivot
 
-SEEDS = 3
+#: Neighbours in Z-order on each side that make a first cell; more of them where the rest is scanned by codes.
+SEEDS, CODE_SEEDS = 3, 8
 CELL = "oid long, x long, y long, pid long, xs array<double>, ys array<double>, nbrs array<long>, area double, exact boolean"
 Polygon = tuple[list[float], list[float], list[int]]
 #: The owner of an edge on the box.
@@ -142,6 +144,50 @@ def all_exact(made: Sequence[Polygon], ox: Sequence[float], oy: Sequence[float],
     return out
 
 
+class CodeScan:
+    """Points in Z-order; the points of a region are read by the code ranges of its box, which jump over what lies outside."""
+
+    def __init__(self, x: np.ndarray, y: np.ndarray, ids: np.ndarray, most: int = 8):
+        self.x0, self.y0, self.most = int(x.min()), int(y.min()), most
+        # as many bits as the piece's extent needs, up to the codes' width; coarser codes let more points in, never fewer
+        self.shift = max(0, max(int(x.max()) - self.x0, int(y.max()) - self.y0).bit_length() - zorder.BITS)
+        code = self._code(x, y)
+        order = np.argsort(code, kind="stable")
+        self.code, self.x, self.y, self.ids = code[order], x[order], y[order], ids[order]
+        self.read = 0
+
+    def _code(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        return spread_bits((x - self.x0) >> self.shift) | (spread_bits((y - self.y0) >> self.shift) << np.uint64(1))
+
+    def inside(self, circles: Sequence[tuple[float, float, float]]) -> np.ndarray:
+        """Places of the points in any of the circles."""
+        top = (1 << zorder.BITS) - 1
+        cell = lambda v, low: min(top, max(0, int(math.floor(v) - low) >> self.shift))
+        x0, y0 = cell(min(x - r for x, _, r in circles), self.x0), cell(min(y - r for _, y, r in circles), self.y0)
+        x1, y1 = cell(max(x + r for x, _, r in circles) + 1, self.x0), cell(max(y + r for _, y, r in circles) + 1, self.y0)
+        parts = [np.arange(*np.searchsorted(self.code, np.array([a, b + 1], dtype=np.uint64))) for a, b in zorder.ranges(x0, y0, x1, y1, self.most)]
+        at = np.concatenate(parts) if parts else np.zeros(0, dtype=np.int64)
+        self.read += len(at)
+        near = np.zeros(len(at), dtype=bool)
+        for x, y, r in circles:
+            near |= (self.x[at] - x) ** 2 + (self.y[at] - y) ** 2 <= r * r * (1 + 1e-9) + 1e-6
+        return at[near]
+
+    def refine(self, cell: Polygon, ox: float, oy: float) -> Polygon:
+        """Clips by the points of the influence region; the region only shrinks, so one scan holds all that can matter."""
+        at = self.inside(influence(cell, ox, oy))
+        d = np.hypot(self.x[at] - ox, self.y[at] - oy)
+        near = at[np.argsort(d, kind="stable")]
+        return refine(cell, ox, oy, ((math.hypot(self.x[j] - ox, self.y[j] - oy), float(self.x[j]), float(self.y[j]), int(self.ids[j])) for j in near))
+
+
+def spread_bits(v: np.ndarray) -> np.ndarray:
+    v = v.astype(np.uint64)
+    for s, m in zorder.SPREAD:
+        v = (v | (v << np.uint64(s))) & np.uint64(m)
+    return v
+
+
 def places(pts: DataFrame) -> DataFrame:
     return pts.groupBy("x", "y").agg(F.min("oid").alias("oid")).select("oid", "x", "y")
 
@@ -155,20 +201,17 @@ def box_of(pts: DataFrame, whole: bool = False) -> tuple[float, float, float, fl
     return r["x0"] - w, r["y0"] - w, r["x1"] + w, r["y1"] + w
 
 
-def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float], margin: float = 0.0, seeds: int = SEEDS) -> DataFrame:
-    """Cells of the home points of ``placed(oid, x, y, pid, is_replica)``, each piece in a task, from what the piece holds."""
+def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float], margin: float = 0.0, seeds: int = SEEDS, by_codes: bool = False) -> DataFrame:
+    """Cells of the home points of ``placed(oid, x, y, pid, is_replica)``, each piece in a task, from what the piece holds: refined by
+    square buckets in rings, or ``by_codes``, by Z-order scans of the influence region. A piece is one task's work: elect as many
+    pivots as make pieces of some ten thousand points, and group them on nodes."""
     least = 1e-9 * max(box[2] - box[0], box[3] - box[1]) if max(box[2] - box[0], box[3] - box[1]) < 1e9 else 1e-3
 
-    def spread(v: np.ndarray) -> np.ndarray:
-        v = v.astype(np.uint64)
-        for s, m in ((16, 0x0000FFFF0000FFFF), (8, 0x00FF00FF00FF00FF), (4, 0x0F0F0F0F0F0F0F0F), (2, 0x3333333333333333), (1, 0x5555555555555555)):
-            v = (v | (v << np.uint64(s))) & np.uint64(m)
-        return v
-
     def one(p: pd.DataFrame) -> pd.DataFrame:
         x, y, ids = p["x"].to_numpy(), p["y"].to_numpy(), p["oid"].to_numpy()
-        order = np.argsort(spread(x - x.min()) | (spread(y - y.min()) << np.uint64(1)), kind="stable")
-        grid = Grid(x.astype(float), y.astype(float), ids)
+        order = np.argsort(spread_bits(x - x.min()) | (spread_bits(y - y.min()) << np.uint64(1)), kind="stable")
+        grid = CodeScan(x, y, ids) if by_codes else Grid(x.astype(float), y.astype(float), ids)
+        around = max(seeds, CODE_SEEDS) if by_codes else seeds
         rows, made = [], []
         replica, pids = p["is_replica"].to_numpy(), p["pid"].to_numpy()
         for at, i in enumerate(order.tolist()):
@@ -176,10 +219,10 @@ def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float],
                 continue
             ox, oy = float(x[i]), float(y[i])
             cell = square(box)
-            for j in order[max(0, at - seeds) : at + seeds + 1].tolist():
+            for j in order[max(0, at - around) : at + around + 1].tolist():
                 if j != i:
                     cell = clip(cell, ox, oy, float(x[j]), float(y[j]), int(ids[j]))
-            cell = refine(cell, ox, oy, grid.around(ox, oy))
+            cell = grid.refine(cell, ox, oy) if by_codes else refine(cell, ox, oy, grid.around(ox, oy))
             made.append(cell)
             rows.append((int(ids[i]), int(x[i]), int(y[i]), int(pids[i]), cell[0], cell[1], neighbours(cell, least), area(cell)))
         out = pd.DataFrame(rows, columns=["oid", "x", "y", "pid", "xs", "ys", "nbrs", "area"])
@@ -258,28 +301,45 @@ def repair(made: DataFrame, points: DataFrame, piv: Sequence[Pivot], box: Sequen
     return made.where("exact").unionByName(fixed)
 
 
-def diagram(pts: DataFrame, piv: Sequence[Pivot], margin: float = 0.0, seeds: int = SEEDS, whole: bool = False, around: DataFrame | None = None) -> DataFrame:
+def diagram(pts: DataFrame, piv: Sequence[Pivot], margin: float = 0.0, seeds: int = SEEDS, whole: bool = False, around: DataFrame | None = None, by_codes: bool = False) -> DataFrame:
     """All cells, exact: pieces of nearest pivots, replicas within ``margin`` of a border, local cells, one round of repair.
     ``around``: more points (x, y) that the box holds."""
     box = box_of(pts if around is None else pts.select("x", "y").unionByName(around.select("x", "y")), whole)
     at = pivots.assign(places(pts), piv)
     placed = borders.replicate(at, piv, margin) if margin > 0 else at.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica"))
-    return repair(local(placed, piv, box, margin, seeds), at, piv, box)
+    return repair(local(placed, piv, box, margin, seeds, by_codes), at, piv, box)
 
 
-def single_thread(pts: DataFrame) -> DataFrame:
+def single_thread(pts: DataFrame, whole: bool = False) -> DataFrame:
     """The whole diagram in one task: a baseline, and the reference for tests."""
     placed = places(pts).withColumn("pid", F.lit(0).cast("long")).withColumn("is_replica", F.lit(False))
     r = placed.agg(F.min("x").alias("x"), F.min("y").alias("y")).first()
-    return local(placed, [(0, r["x"], r["y"])], box_of(pts))
+    return local(placed, [(0, r["x"], r["y"])], box_of(pts, whole))
+
+
+def traffic(placed: DataFrame, points: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float], margin: float = 0.0) -> DataFrame:
+    """(cells, inexact, asked, answers): what a repair sends. Inexact cells ask the pieces that their influence region meets, or all of
+    them where pieces are no regions (``piv`` is None), and get the objects of the region from elsewhere."""
+    made = local(placed, piv, box, margin)
+    inexact = made.where("not exact")
+    if piv is None:
+        circles = F.zip_with("xs", "ys", lambda a, b: F.struct(a.alias("cx"), b.alias("cy"), F.sqrt((a - F.col("x")) * (a - F.col("x")) + (b - F.col("y")) * (b - F.col("y"))).alias("r")))
+        others = points.select("pid").distinct().withColumnRenamed("pid", "to")
+        asked = inexact.select("oid", "pid", circles.alias("circles")).join(F.broadcast(others), F.col("pid") != F.col("to")).select("oid", F.col("to").alias("pid"), "circles")
+    else:
+        asked = requests(inexact, piv)
+    inside = F.exists("circles", lambda c: dist2(c["cx"], c["cy"], F.col("x"), F.col("y")) <= c["r"] * c["r"] * (1 + 1e-9) + 1e-6)
+    answers = asked.join(points.select("pid", "x", "y"), "pid").where(inside).agg(F.count("*").alias("answers"))
+    cells_ = made.agg(F.count("*").alias("cells"), F.count_if(~F.col("exact")).alias("inexact"))
+    return cells_.join(asked.agg(F.count("*").alias("asked"))).join(answers)
 
 
-def inaccuracy(pts: DataFrame, piv: Sequence[Pivot], margins: Sequence[float]) -> DataFrame:
+def inaccuracy(pts: DataFrame, piv: Sequence[Pivot], margins: Sequence[float], whole: bool = False) -> DataFrame:
     """(method, margin, cells, replicas, inexact, wrong): cells whose neighbours are wrong before repair, and those flagged."""
     from cellfleet.baselines import indexes
 
-    box = box_of(pts)
-    truth = single_thread(pts).select("oid", F.col("nbrs").alias("true_nbrs"))
+    box = box_of(pts, whole)
+    truth = single_thread(pts, whole).select("oid", F.col("nbrs").alias("true_nbrs"))
     at = pivots.assign(places(pts), piv)
     tried = [("random", 0.0, indexes.random_distribution(places(pts), len(piv), 7).withColumn("is_replica", F.lit(False)), None)]
     tried += [("pivots", m, borders.replicate(at, piv, m) if m > 0 else at.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica")), piv) for m in margins]

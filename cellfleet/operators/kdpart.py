@@ -4,7 +4,9 @@ Counting is one pass over the points at the deepest level; all else works on the
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from collections.abc import Sequence
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from cellfleet.functions import zorder
@@ -52,3 +54,27 @@ def assign(pts: DataFrame, boxed: DataFrame, bits: int = DEPTH) -> DataFrame:
     keys = F.array(*[F.struct(F.lit(k).alias("depth"), F.expr(f"shiftright(z, {bits - k})").alias("prefix")) for k in sorted(depths)])
     each = pts.select("*", F.inline(keys))
     return each.join(boxed.select("depth", "prefix", "pid"), ["depth", "prefix"]).drop("depth", "prefix")
+
+
+def coded_dims(pts: DataFrame, dims: Sequence[str], bits: int) -> DataFrame:
+    """``pts`` with z: the codes of any number of non-negative coordinates of ``bits`` bits each, interleaved, the first in the lowest
+    bits; leaves have ``bits * len(dims)`` levels, which fit 62."""
+    if bits * len(dims) > 62:
+        raise ValueError("codes have at most 62 bits")
+    n = len(dims)
+    parts = [F.shiftleft(F.shiftright(F.col(c).cast("long"), i).bitwiseAND(F.lit(1).cast("long")), n * i + k) for k, c in enumerate(dims) for i in range(bits)]
+    z = parts[0]
+    for p in parts[1:]:
+        z = z.bitwiseOR(p)
+    return pts.withColumn("z", z)
+
+
+def corner(code: Column, dims: int, bits: int) -> list[Column]:
+    """The coordinates of a code."""
+    out = []
+    for k in range(dims):
+        c = F.lit(0).cast("long")
+        for i in range(bits):
+            c = c.bitwiseOR(F.shiftleft(F.shiftright(code, dims * i + k).bitwiseAND(F.lit(1).cast("long")), i))
+        out.append(c)
+    return out

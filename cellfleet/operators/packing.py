@@ -14,6 +14,10 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from cellfleet.functions.geometry import box_disk_d2
+from cellfleet.lineage import cut
+from cellfleet.operators import access, kdpart, pivots
+
 MOST_PIECES = 5000
 Tier = tuple[int, float, int, float]
 
@@ -178,3 +182,34 @@ def with_replicas(plan: DataFrame, copies: int, servers: int) -> DataFrame:
         raise ValueError("fewer copies than servers")
     c = F.explode(F.sequence(F.lit(0), F.lit(copies))).alias("copy")
     return plan.select("pid", "server", c).select("pid", "copy", ((F.col("server") + F.col("copy")) % servers).alias("server"))
+
+
+def with_borders(at: DataFrame, boxed: DataFrame, lam: float, least: float = 1.0) -> DataFrame:
+    """(oid, x, y, pid, is_replica): objects in their piece, and copies of those within ``lam`` of another piece's box in that piece;
+    interiors aren't copied. Objects and boxes grown by ``lam`` meet in squares, a little wider than ``lam``."""
+    side = max(float(lam), least) * 8
+    square_of = lambda c: F.floor(c / side)
+    b = boxed.select(F.col("pid").alias("to"), "x0", "y0", "x1", "y1")
+    b = b.withColumn("sx", F.explode(F.sequence(square_of(F.col("x0") - lam), square_of(F.col("x1") + lam)))).withColumn("sy", F.explode(F.sequence(square_of(F.col("y0") - lam), square_of(F.col("y1") + lam))))
+    own = at.select("oid", "x", "y", "pid")
+    met = own.withColumn("sx", square_of(F.col("x"))).withColumn("sy", square_of(F.col("y"))).join(b, ["sx", "sy"])
+    near = met.where((F.col("to") != F.col("pid")) & (box_disk_d2(F.col("x"), F.col("y"), F.col("x0"), F.col("y0"), F.col("x1"), F.col("y1")) <= lam * lam))
+    return own.withColumn("is_replica", F.lit(False)).unionByName(near.select("oid", "x", "y", F.col("to").alias("pid"), F.lit(True).alias("is_replica")))
+
+
+def run(pts: DataFrame, accesses: DataFrame, tiers: Sequence[Tier], servers: int, pieces: str = "kd", cap: int = 5000, count: int = 128, search: bool = True, bits: int = kdpart.DEPTH, levels: int = 30) -> DataFrame:
+    """(pid, n, server): the whole packer. Points ``(oid, x, y)`` become pieces, ``kd`` leaves of at most ``cap`` points or ``voronoi``
+    pieces of ``count`` elected pivots; ``accesses(oid, ts)`` their patterns; and the patterns a plan. More than ``MOST_PIECES`` pieces
+    are an error: they are packed region by region (``pack_regions``)."""
+    if pieces == "kd":
+        coded = kdpart.coded(pts)
+        boxed = kdpart.with_boxes(kdpart.build(coded, cap, bits, levels), bits)
+        at = kdpart.assign(coded, boxed, bits).select("oid", "pid")
+    elif pieces == "voronoi":
+        at = pivots.assign(pts, pivots.choose(pts, count)).select("oid", "pid")
+    else:
+        raise ValueError("pieces are kd or voronoi")
+    at = cut(at)
+    pids, a, rows = matrix(access.vectors(access.patterns(at.join(accesses, "oid").select("pid", "ts"))), at.groupBy("pid").agg(F.count("*").alias("n")))
+    plan = pack(a, rows, servers, tiers, search) if len(a) else np.zeros(0, dtype=np.int64)
+    return pts.sparkSession.createDataFrame([(int(p), int(n), int(s)) for p, n, s in zip(pids, rows, plan, strict=True)], "pid long, n long, server long")

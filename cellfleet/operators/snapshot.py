@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 import json
+import time
 from collections.abc import Sequence
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from cellfleet.operators import pivots
@@ -44,14 +45,24 @@ def cycle(pts: DataFrame, before: Sequence[Pivot] | None, p: int, policy: str =
     return pivots.assign(pts, piv), piv, True
 
 
-def publish(assigned: DataFrame, path: str, version: int) -> None:
-    """Writes a version, then names it as the current one; readers of older versions aren't disturbed."""
+def publish(assigned: DataFrame, path: str, version: int, began: float | None = None) -> None:
+    """Writes a version, then names it as the current one; readers of older versions aren't disturbed. ``began``: when its objects
+    were read, in seconds."""
     assigned.write.mode("overwrite").partitionBy("pid").parquet(f"{path}/version={version}")
     spark = assigned.sparkSession
-    spark.createDataFrame([(json.dumps({"version": version}),)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/manifest-{version}")
+    told = json.dumps({"version": version, "began": began or time.time(), "published": time.time()})
+    spark.createDataFrame([(told,)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/manifest-{version}")
 
 
 def current(spark: SparkSession, path: str) -> tuple[int, DataFrame]:
     """(version, index) of the last version with a manifest, that is, completely written."""
     row = spark.read.text(f"{path}/manifest-*").select(F.max(F.get_json_object("value", "$.version").cast("long")).alias("v")).first()
     return row["v"], spark.read.parquet(f"{path}/version={row['v']}")
+
+
+def staleness(spark: SparkSession, path: str) -> DataFrame:
+    """(version, cycle, age): seconds from reading a version's objects to publishing it, and how old they are when the next version
+    takes over, null for the current one."""
+    m = spark.read.text(f"{path}/manifest-*").select(F.from_json("value", "version long, began double, published double").alias("m")).select("m.*")
+    after = F.lead("published").over(Window.orderBy("version"))
+    return m.select("version", (F.col("published") - F.col("began")).alias("cycle"), (after - F.col("began")).alias("age"))

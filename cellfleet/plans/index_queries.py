@@ -28,19 +28,19 @@ def pivots_sql(view: str, p: int = P, mult: int = MULT) -> str:
     sc as (select a.s, sum(sqrt(((a.x-b.x)*(a.x-b.x) + (a.y-b.y)*(a.y-b.y))::double)) as score from sets a join sets b on a.s = b.s and a.rk < b.rk
            where a.s in (select s from sets group by s having count(*) = {p}) group by a.s),
     best as (select s from sc order by score desc, s limit 1),
-    piv as (select (rk - 1) % {p} as pid, x, y from sets where s = coalesce((select s from best), 0))"""
+    piv as materialized (select (rk - 1) % {p} as pid, x, y from sets where s = coalesce((select s from best), 0))"""
 
 
 def assigned_sql(view: str, p: int = P, mult: int = MULT) -> str:
     return f"""{pivots_sql(view, p, mult)},
-    near as (select p.oid, p.x, p.y, v.pid, (p.x-v.x)*(p.x-v.x) + (p.y-v.y)*(p.y-v.y) as d2 from pts p, piv v),
-    asg as (select * from near qualify row_number() over (partition by oid order by d2, pid) = 1)"""
+    near as materialized (select p.oid, p.x, p.y, v.pid, (p.x-v.x)*(p.x-v.x) + (p.y-v.y)*(p.y-v.y) as d2 from pts p, piv v),
+    asg as materialized (select * from near qualify row_number() over (partition by oid order by d2, pid) = 1)"""
 
 
 MICRO = "floor({}*1e6+0.5)/1e6"
 HP = "(n.d2 - a.d2) / (2.0 * sqrt(((h.x-o.x)*(h.x-o.x) + (h.y-o.y)*(h.y-o.y))::double))"
 #: Distances of every object to the border of every other piece.
-BORDER = f"brd as (select a.oid, a.x, a.y, a.pid as home, n.pid, {HP} as hp from asg a join near n on n.oid = a.oid and n.pid <> a.pid join piv h on h.pid = a.pid join piv o on o.pid = n.pid)"
+BORDER = f"brd as materialized (select a.oid, a.x, a.y, a.pid as home, n.pid, {HP} as hp from asg a join near n on n.oid = a.oid and n.pid <> a.pid join piv h on h.pid = a.pid join piv o on o.pid = n.pid)"
 QUERY_TARGETS = f"""q as ({SQL["uniform_queries"]}), far as (select pid, sqrt(max(d2)::double) as f from asg group by pid),
     qn as (select q.qid, q.x, q.y, v.pid, (q.x-v.x)*(q.x-v.x) + (q.y-v.y)*(q.y-v.y) as d2 from q, piv v),
     qh as (select * from qn qualify row_number() over (partition by qid order by d2, pid) = 1),
@@ -313,13 +313,11 @@ def cell_neighbour_pairs(spark, d):
     return pairs.select(F.least("oid", "n").alias("a"), F.greatest("oid", "n").alias("b")).distinct()
 
 
-@query("cell_area_total", f"with p as ({SQL['customers']}) select count(*) as cells, true as covers_box from (select distinct x, y from p)")
+@query("cell_area_total", f"with p as ({SQL['customers']}), b as (select min(x) as x0, max(x) as x1, min(y) as y0, max(y) as y1, greatest(max(x) - min(x), max(y) - min(y), 1) * 0.01::double as w from p) select (select count(*) from (select distinct x, y from p)) as cells, floor((x1 - x0 + 2*w)*(y1 - y0 + 2*w)/1e6 + 0.5)::bigint as area from b")
 def cell_area_total(spark, d):
     """Exact cells of all distinct places cover the box without overlap."""
     pts, piv = chosen(spark, d, "customers")
-    x0, y0, x1, y1 = cells.box_of(pts)
-    found = cells.diagram(pts, piv)
-    return found.agg(F.count("*").alias("cells"), (F.abs(F.sum("area") / ((x1 - x0) * (y1 - y0)) - 1) < 1e-6).alias("covers_box"))
+    return cells.diagram(pts, piv).agg(F.count("*").alias("cells"), F.floor(F.sum("area") / 1e6 + 0.5).alias("area"))
 
 
 @query("nearest_generator_cells", f"with s as ({SQL['suppliers']}), c as ({SQL['customers']}), n as (select c.oid as qid, s.oid, (s.x-c.x)*(s.x-c.x) + (s.y-c.y)*(s.y-c.y) as d2 from s, c) select qid, min(d2) as d2 from n group by qid")
@@ -330,8 +328,93 @@ def nearest_generator_cells(spark, d):
     return cells.locate(cells.diagram(pts, piv, around=q), q).groupBy("qid").agg(F.min("d2").alias("d2"))
 
 
+#: Neighbouring cells of suppliers, both ways.
+NEIGHBOURS = _DELAUNAY + ", nb as (select distinct u, v from (select a as u, b as v from e union all select b, a from e union all select b, c from e union all select c, b from e union all select a, c from e union all select c, a from e))"
+
+
 @query("cells_wrong_before_repair")
 def cells_wrong_before_repair(spark, d):
     """Share of cells that are not known to be exact before repair, by pieces of pivots, with replicas, and at random."""
     pts, piv = chosen(spark, d, "customers")
     return cells.inaccuracy(pts, piv, (0.0, 5_000.0, 20_000.0))
+
+
+_SUPPLIER_PIECES = assigned_sql("suppliers", 8, 10)
+_WRONG = f"""{_SUPPLIER_PIECES}, {BORDER}, held as (select 'pivots' as method, m.margin, a.oid, a.pid from asg a, (values (0.0), (20000.0), (80000.0)) m(margin)
+    union all select 'pivots', m.margin, b.oid, b.pid from brd b join (values (20000.0), (80000.0)) m(margin) on b.hp <= m.margin
+    union all select 'random', 0.0, oid, ('0x' || substr(md5('7:' || oid), 1, 7))::bigint % 8 from pts),
+    hm as (select 'pivots' as method, m.margin, oid, pid from asg, (values (0.0), (20000.0), (80000.0)) m(margin) union all select 'random', 0.0, oid, ('0x' || substr(md5('7:' || oid), 1, 7))::bigint % 8 from pts),
+    lost as (select distinct hm.method, hm.margin, hm.oid from hm join nb on nb.u = hm.oid where not exists (select 1 from held h where h.method = hm.method and h.margin = hm.margin and h.pid = hm.pid and h.oid = nb.v))"""
+
+
+@query("cells_wrong_suppliers", f"{NEIGHBOURS}, {_WRONG} select hm.method, hm.margin::double as margin, count(*) as cells, (select count(*) from held h where h.method = hm.method and h.margin = hm.margin)::bigint - count(*) as replicas, (select count(*) from lost l where l.method = hm.method and l.margin = hm.margin) as wrong from hm group by hm.method, hm.margin")
+def cells_wrong_suppliers(spark, d):
+    """Cells whose neighbours are wrong before repair: those with a true neighbour that their piece doesn't hold."""
+    pts, piv = chosen(spark, d, "suppliers")
+    return cells.inaccuracy(pts, piv, (0.0, 20_000.0, 80_000.0), whole=True).select("method", "margin", "cells", "replicas", "wrong")
+
+
+@query("cell_neighbours", f"{NEIGHBOURS} select u::bigint as oid, count(*) as neighbours from nb group by u")
+def cell_neighbours(spark, d):
+    """How many neighbours the cell of each supplier has."""
+    pts, piv = chosen(spark, d, "suppliers", 4)
+    return cells.diagram(pts, piv, whole=True).select("oid", F.size("nbrs").cast("long").alias("neighbours"))
+
+
+@query("cells_refined_by_codes", f"{NEIGHBOURS} select least(u, v)::bigint as a, greatest(u, v)::bigint as b from nb where u < v")
+def cells_refined_by_codes(spark, d):
+    """The same cells, refined by scans of code ranges."""
+    pts, piv = chosen(spark, d, "suppliers", 4)
+    pairs = cells.diagram(pts, piv, whole=True, by_codes=True).select("oid", F.explode("nbrs").alias("n"))
+    return pairs.select(F.least("oid", "n").alias("a"), F.greatest("oid", "n").alias("b")).distinct()
+
+
+@query("repair_moves", f"{NEIGHBOURS}, {_SUPPLIER_PIECES}, hm as (select 'pivots' as method, oid, pid from asg union all select 'random', oid, ('0x' || substr(md5('7:' || oid), 1, 7))::bigint % 8 from pts) select h.method, count(distinct (nb.v, h.pid)) as moved, {MICRO.format('count(distinct (nb.v, h.pid))::double / (select count(*) from pts)')} as share from hm h join nb on nb.u = h.oid join hm o on o.method = h.method and o.oid = nb.v and o.pid <> h.pid group by h.method")
+def repair_moves(spark, d):
+    """The least that must move to mend the cells: each neighbour once to each piece that lacks it, by pieces of pivots and at random."""
+    from cellfleet.baselines import indexes
+
+    pts, piv = chosen(spark, d, "suppliers")
+    true_ = cells.diagram(pts, piv, whole=True).select("oid", F.explode("nbrs").alias("n"))
+    out, n = None, pts.count()
+    for method, at in (("pivots", pivots.assign(pts, piv)), ("random", indexes.random_distribution(pts, 8, 7))):
+        own, other = at.select("oid", "pid"), at.select(F.col("oid").alias("n"), F.col("pid").alias("there"))
+        lacking = true_.join(own, "oid").join(other, "n").where("pid <> there").select("n", "pid").distinct()
+        row = lacking.agg(F.lit(method).alias("method"), F.count("*").alias("moved"), micro(F.count("*") / F.lit(float(n))).alias("share"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("repair_traffic")
+def repair_traffic(spark, d):
+    """(method, cells, inexact, asked, answers, share): what a repair by influence regions sends, objects answered as a share of all."""
+    from cellfleet.baselines import indexes
+
+    pts, piv = chosen(spark, d, "customers")
+    box, at = cells.box_of(pts), pivots.assign(cells.places(pts), piv)
+    random = indexes.random_distribution(cells.places(pts), len(piv), 7)
+    out = None
+    for method, points, p in (("pivots", at, piv), ("random", random, None)):
+        row = cells.traffic(points.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica")), points, p, box).select(F.lit(method).alias("method"), "*", micro(F.col("answers") / F.col("cells")).alias("share"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("hierarchy_range", f"{range_sql(R)} select * from ans")
+def hierarchy_range(spark, d):
+    """Range queries by descent through the hierarchy of generators."""
+    pts = views.uniform(spark, d)
+    levels = hierarchy.reaches(hierarchy.build(pts, 8, 4, bottom=64))
+    index = pivots.assign(pts, sorted((g, x, y) for g, x, y, *_ in levels[0]))
+    return hierarchy.answers(levels, index, ranged(spark, d))
+
+
+@query("hierarchy_visits")
+def hierarchy_visits(spark, d):
+    """(generators, levels, queries, visited): generators looked at by a query of radius nothing, as levels get wider."""
+    pts, out = views.uniform(spark, d), []
+    for fanout, bottom in ((4, 64), (8, 64), (16, 256)):
+        levels = hierarchy.reaches(hierarchy.build(pts, fanout, 2, bottom=bottom))
+        seen = hierarchy.descend(levels, views.uniform_queries(spark, d).withColumn("r", F.lit(0.0))).groupBy("qid").agg(F.max("visited").alias("v")).agg(F.count("*").alias("n"), F.avg("v").alias("v")).first()
+        out.append((fanout, len(levels[0]), len(levels), seen["n"], round(seen["v"], 3)))
+    return spark.createDataFrame(out, "fanout int, generators int, levels int, queries long, visited double")

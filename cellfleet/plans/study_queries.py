@@ -9,9 +9,10 @@ import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from cellfleet.operators import cells, kdpart, knn, pivots, range_query, routing, snapshot
+from cellfleet.functions.geometry import micro
+from cellfleet.operators import borders, cells, kdpart, knn, pivots, range_query, routing, snapshot
 from cellfleet.plans import fleet_queries as fq
-from cellfleet.plans.index_queries import _DELAUNAY, QUERY_TARGETS, _TARGETS, assigned_sql, chosen, knn_sql, pivots_sql, range_sql, ranged
+from cellfleet.plans.index_queries import _DELAUNAY, BORDER, MICRO, QUERY_TARGETS, _TARGETS, assigned_sql, chosen, knn_sql, pivots_sql, range_sql, ranged
 from cellfleet.plans.operator_queries import event_stream, shared, streamed
 from cellfleet.plans.registry import query
 from cellfleet.sources import views
@@ -27,14 +28,18 @@ def pivot_neighbours(spark, d):
     return spark.createDataFrame([(i, j) for i, js in near.items() for j in js if i < j], "a long, b long")
 
 
-@query(
-    "route_by_walk",
-    f"with {pivots_sql('uniform', 32, 10)}, q as ({SQL['uniform_queries']}), qn as (select q.qid, v.pid, (q.x-v.x)*(q.x-v.x) + (q.y-v.y)*(q.y-v.y) as d2 from q, piv v) select qid, pid, true as few_hops from qn qualify row_number() over (partition by qid order by d2, pid) = 1",
-)
+_WALK = "with recursive " + pivots_sql("uniform", 32, 10) + ", " + _DELAUNAY[_DELAUNAY.index("p2 as") :].replace("select oid, x::hugeint as x, y::hugeint as y from p)", "select pid as oid, x::hugeint as x, y::hugeint as y from piv)") + f""",
+    nb as materialized (select distinct u, v from (select a as u, b as v from e union all select b, a from e union all select b, c from e union all select c, b from e union all select a, c from e union all select c, a from e)),
+    q as materialized ({SQL['uniform_queries']}), qn as materialized (select q.qid, v.pid, (q.x-v.x)*(q.x-v.x) + (q.y-v.y)*(q.y-v.y) as d2 from q, piv v),
+    st as materialized (select u, qn.qid, arg_min(v, (d2, v)) as best, min((d2, v)) as k from nb join qn on qn.pid = nb.v group by u, qn.qid),
+    wk as (select qid, 0::bigint as pid, 0::bigint as hops from q union all select wk.qid, st.best, hops + 1 from wk join st on st.u = wk.pid and st.qid = wk.qid join qn on qn.qid = wk.qid and qn.pid = wk.pid where st.k < (qn.d2, wk.pid))"""
+
+
+@query("route_by_walk", _WALK + " select qid, arg_max(pid, hops)::bigint as pid, max(hops)::bigint as hops from wk group by qid")
 def route_by_walk(spark, d):
     """A walk over neighbouring pivots ends at the nearest one, in a number of hops about the root of the pivots."""
     _, piv = chosen(spark, d, "uniform", 32)
-    return routing.walk(views.uniform_queries(spark, d), piv, routing.neighbours(piv)).select("qid", "pid", (F.col("hops") <= 3 * len(piv) ** 0.5).alias("few_hops"))
+    return routing.walk(views.uniform_queries(spark, d), piv, routing.neighbours(piv))
 
 
 @query("range_targets_walk", f"with {assigned_sql('uniform')}, {QUERY_TARGETS} {_TARGETS}")
@@ -43,15 +48,14 @@ def range_targets_walk(spark, d):
     return routing.targets_by_walk(ranged(spark, d), piv, routing.neighbours(piv))
 
 
-@query("range_recall_of_printed_rule", f"{range_sql(400_000)} select count(*) as answers, true as sound_finds_all from ans")
-def range_recall(spark, d):
-    """Answers, and whether the sound rule finds them all; what the printed rule finds is in ``range_recall_figures``."""
-    pts, piv = chosen(spark, d)
-    return range_query.run(pts, ranged(spark, d), piv, prune=False).agg(F.count("*").alias("answers")).join(range_query.run(pts, ranged(spark, d), piv).agg(F.count("*").alias("n"))).select("answers", (F.col("n") == F.col("answers")).alias("sound_finds_all"))
+_RECALL = f"""{assigned_sql('uniform', 32, 10)}, {QUERY_TARGETS}, hit as (select q.qid, a.oid, a.pid from q join asg a on (a.x-q.x)*(a.x-q.x) + (a.y-q.y)*(a.y-q.y) <= 400000::double*400000::double),
+    ru as (select 'none' as rule, qid, pid from qt where hp <= 400000 union all select 'far', qid, qt.pid from qt join far using (pid) where hp <= 400000 and sqrt(d2::double) <= f + 400000
+      union all select 'far_as_printed', qid, qt.pid from qt join far using (pid) join piv h on h.pid = home join piv o on o.pid = qt.pid where hp <= 400000 and sqrt(((h.x-o.x)*(h.x-o.x) + (h.y-o.y)*(h.y-o.y))::double) <= f + 400000)"""
 
 
-@query("range_recall_figures")
+@query("range_recall_figures", f"with {_RECALL} select rule, (select count(*) from hit h join ru r on r.qid = h.qid and r.pid = h.pid where r.rule = ru.rule)::bigint as answers, count(*) as pieces_asked from ru group by rule")
 def range_recall_figures(spark, d):
+    """(rule, answers, pieces_asked): answers found by borders alone, by the sound rule and by the printed one, which loses some."""
     pts, piv = chosen(spark, d, "uniform", 32)
     index = pivots.assign(pts, piv)
     far = [(r["pid"], r["f2"]) for r in pivots.stats(index).collect()]
@@ -83,34 +87,38 @@ def knn_kd(spark, d):
     return knn.nearest(found.where(F.col("d2") <= F.col("r") * F.col("r")).select("qid", "oid", "d2"), 8)
 
 
-@query("cells_build_then_cut", "select 0::bigint as differing")
+@query("cells_build_then_cut", f"with {assigned_sql('customers')} select pid, count(distinct (x, y)) as cells, 0::bigint as differing from asg group by pid")
 def cells_build_then_cut(spark, d):
     """The whole diagram made in one task and cut afterwards has the cells that pieces make and repair."""
     pts, piv = chosen(spark, d, "customers")
     whole = cells.single_thread(pts).select("oid", F.col("nbrs").alias("n0"))
-    made = cells.diagram(pts, piv, 20_000.0).select("oid", F.col("nbrs").alias("n1"))
-    return whole.join(made, "oid", "full_outer").agg(F.count_if(~F.col("n0").eqNullSafe(F.col("n1"))).alias("differing"))
+    made = cells.diagram(pts, piv, 20_000.0).select("oid", "pid", F.col("nbrs").alias("n1"))
+    return whole.join(made, "oid", "full_outer").groupBy("pid").agg(F.count("*").alias("cells"), F.count_if(~F.col("n0").eqNullSafe(F.col("n1"))).alias("differing"))
 
 
-@query("cell_neighbours_mean", f"with p as ({SQL['customers']}) select count(*) as cells, true as at_most_six from (select distinct x, y from p)")
-def cell_neighbours_mean(spark, d):
-    pts, piv = chosen(spark, d, "customers")
-    return cells.diagram(pts, piv).agg(F.count("*").alias("cells"), (F.avg(F.size("nbrs")) <= 6).alias("at_most_six"))
+_MARGINS = "(values (0.0), (5000.0), (20000.0)) m(margin)"
 
 
-@query("repair_messages")
+@query("repair_messages", f"with {assigned_sql('customers')}, {BORDER}, pl as (select a.*, row_number() over (partition by x, y order by oid) as k from asg a) select m.margin::double as margin, (select count(*) from pl where k = 1) as objects, (select count(*) from pl where k = 1 and oid % 8 <> pid) as moved, (select count(*) from brd join pl using (oid) where pl.k = 1 and m.margin > 0 and brd.hp <= m.margin) as copies from {_MARGINS}")
 def repair_messages(spark, d):
-    """(margin, objects, moved, copies, requests): what a rebuild sends: objects that change nodes, replicas, questions of inexact cells."""
+    """(margin, objects, moved, copies): what a rebuild sends before repair: objects that change nodes, and replicas."""
     pts, piv = chosen(spark, d, "customers")
-    at = pivots.assign(cells.places(pts), piv)
-    box, out = cells.box_of(pts), None
-    from cellfleet.operators import borders
+    at, out = pivots.assign(cells.places(pts), piv), None
+    for margin in (0.0, 5_000.0, 20_000.0):
+        placed = borders.replicate(at, piv, margin) if margin else at.withColumn("is_replica", F.lit(False))
+        row = placed.agg(F.lit(margin).alias("margin"), F.count_if(~F.col("is_replica")).alias("objects"), F.count_if(~F.col("is_replica") & (F.col("oid") % len(piv) != F.col("pid"))).alias("moved"), F.count_if("is_replica").alias("copies"))
+        out = row if out is None else out.unionByName(row)
+    return out
 
+
+@query("repair_requests")
+def repair_requests(spark, d):
+    """(margin, requests): questions of inexact cells to other pieces."""
+    pts, piv = chosen(spark, d, "customers")
+    at, box, out = pivots.assign(cells.places(pts), piv), cells.box_of(pts), None
     for margin in (0.0, 5_000.0, 20_000.0):
         placed = borders.replicate(at, piv, margin) if margin else at.withColumn("is_replica", F.lit(False)).select("oid", "x", "y", "pid", "is_replica")
-        asked = cells.requests(cells.local(placed, piv, box, margin).where("not exact"), piv)
-        row = placed.agg(F.lit(margin).alias("margin"), F.count_if(~F.col("is_replica")).alias("objects"), F.count_if(~F.col("is_replica") & (F.col("oid") % len(piv) != F.col("pid"))).alias("moved"), F.count_if("is_replica").alias("copies"))
-        row = row.join(asked.agg(F.count("*").alias("requests")))
+        row = cells.requests(cells.local(placed, piv, box, margin).where("not exact"), piv).agg(F.lit(margin).alias("margin"), F.count("*").alias("requests"))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -140,18 +148,28 @@ def grid_drift(spark, d):
     return out
 
 
-@query("objective_variants")
+def objective_sql(view: str, objective: str, mult: int, p: int = 16) -> str:
+    best = {"first": "select 0 as s", "sum_dist": None, "sum_sq": f"select s from (select s, {p}*sum((x*x+y*y)::double) - sum(x::double)*sum(x::double) - sum(y::double)*sum(y::double) as score from sets group by s having count(*) = {p}) order by score desc, s limit 1"}[objective]
+    whole = assigned_sql(view, p, mult)
+    if best is not None:
+        before, after = whole.index("sc as ("), whole.index("piv as materialized")
+        whole = f"{whole[:before]}best as ({best}),\n    {whole[after:]}"
+    return f"select * from (with {whole}, c as (select pid, count(*) as n from asg group by pid) select '{view}' as view, '{objective}' as objective, {mult}::int as sets, {MICRO.format(f'sqrt(sum(n*n)::double/{p} - power(sum(n)::double/{p}, 2)) / (sum(n)::double/{p})')} as deviation from c)"
+
+
+_VARIANTS = [(v, o, m) for v in ("uniform", "skewed") for o in ("sum_dist", "sum_sq", "first") for m in (1, 10, 50)]
+
+
+@query("objective_variants", " union all ".join(objective_sql(*x) for x in _VARIANTS))
 def objective_variants(spark, d):
     """(view, objective, sets, deviation): balance of pieces by how pivots are elected and from how many candidates."""
-    out = []
-    for view in ("uniform", "skewed"):
+    out = None
+    for view, objective, mult in _VARIANTS:
         pts = getattr(views, view)(spark, d)
-        for objective in ("sum_dist", "sum_sq", "first"):
-            for mult in (1, 10, 50):
-                piv = pivots.choose(pts, 16, mult, objective=objective)
-                b = pivots.balance(pivots.assign(pts, piv), 16).first()
-                out.append((view, objective, mult, round(b["std_n"] / b["avg_n"], 6)))
-    return spark.createDataFrame(out, "view string, objective string, sets int, deviation double")
+        b = pivots.balance(pivots.assign(pts, pivots.choose(pts, 16, mult, objective=objective)), 16)
+        row = b.select(F.lit(view).alias("view"), F.lit(objective).alias("objective"), F.lit(mult).alias("sets"), micro(F.col("std_n") / F.col("avg_n")).alias("deviation"))
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 @query("stream_stateful_latest", f"with rep as ({SQL['reports']}) select obj, max(event_id) as event_id, count(*) as reports from rep where (obj, ts) in (select obj, max(ts) from rep group by obj) or true group by obj")
