@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cellfleet.plans import batch_queries, fleet_queries, index_queries, operator_queries, study_queries  # noqa: F401  (they register themselves)
+from cellfleet.plans import batch_queries, fleet_queries, index_queries, operator_queries, study_queries, variant_queries  # noqa: F401  (they register themselves)
 from cellfleet.plans.registry import ORACLES, QUERIES
 
 

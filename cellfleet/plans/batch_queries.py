@@ -7,7 +7,7 @@ from __future__ import annotations
 
 from functools import wraps
 
-from cellfleet.plans import fleet_queries, index_queries, operator_queries, study_queries  # noqa: F401  (they register what is batched here)
+from cellfleet.plans import fleet_queries, index_queries, operator_queries, study_queries, variant_queries  # noqa: F401  (they register what is batched here)
 from cellfleet.plans.registry import ORACLES, QUERIES, Query, query
 from cellfleet.sources import views
 from cellfleet.sources.views import SQL

@@ -149,6 +149,9 @@ def plan_transfer(spark, d):
     return t.select("moved", "total", micro(F.col("ratio")).alias("ratio"))
 
 
+#: Boxes of kd leaves.
+_F_BOXES = f"""b0 as (select pid, depth, {'+'.join(f'((z0 >> {2 * i} & 1) << {i})' for i in range(16))} as x0, {'+'.join(f'((z0 >> {2 * i + 1} & 1) << {i})' for i in range(16))} as y0, ((prefix + 1) << ({BITS} - depth)) - 1 as z1 from num),
+    bx as (select pid, x0, y0, {'+'.join(f'((z1 >> {2 * i} & 1) << {i})' for i in range(16))} as x1, {'+'.join(f'((z1 >> {2 * i + 1} & 1) << {i})' for i in range(16))} as y1 from b0)"""
 _QS = "q as (select c_custkey as qid, cast(floor((c_acctbal+1000)*5) as bigint) as x, (c_custkey % 1000)*49 as y from customer where c_custkey <= 200)"
 
 

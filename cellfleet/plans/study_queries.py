@@ -7,7 +7,7 @@ from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import functions as F
-from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
 from cellfleet.functions.geometry import micro
 from cellfleet.operators import borders, cells, kdpart, knn, pivots, range_query, routing, snapshot
@@ -18,6 +18,7 @@ from cellfleet.plans.registry import query
 from cellfleet.sources import views
 from cellfleet.sources.views import SQL
 
+PROVIDER = "spark.sql.streaming.stateStore.providerClass"
 _PIVOT_DELAUNAY = "with " + pivots_sql("uniform", 16, 10) + ", " + _DELAUNAY[_DELAUNAY.index("p2 as") :].replace("select oid, x::hugeint as x, y::hugeint as y from p)", "select pid as oid, x::hugeint as x, y::hugeint as y from piv)")
 
 
@@ -172,20 +173,39 @@ def objective_variants(spark, d):
     return out
 
 
-@query("stream_stateful_latest", f"with rep as ({SQL['reports']}) select obj, max(event_id) as event_id, count(*) as reports from rep where (obj, ts) in (select obj, max(ts) from rep group by obj) or true group by obj")
+class LastReport(StatefulProcessor):
+    """Keeps the last report of an object by (ts, event_id), and how many it has had."""
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.kept = handle.getValueState("kept", "us long, event_id long, x long, y long, n long")
+
+    def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timers: object) -> Iterator[pd.DataFrame]:
+        last, n = None, 0
+        if self.kept.exists():
+            *last, n = self.kept.get()
+        for b in rows:
+            at = b.sort_values(["us", "event_id"]).iloc[-1]
+            new = [int(at[c]) for c in ("us", "event_id", "x", "y")]
+            last, n = (new if last is None else max(list(last), new)), n + len(b)
+        self.kept.update((*last, n))
+        yield pd.DataFrame({"obj": [key[0]], "event_id": [last[1]], "x": [last[2]], "y": [last[3]], "reports": [n]})
+
+    def close(self) -> None:
+        pass
+
+
+@query("stream_stateful_latest", f"with rep as ({SQL['reports']}) select obj, arg_max(event_id, (ts, event_id)) as event_id, arg_max(x, (ts, event_id)) as x, arg_max(y, (ts, event_id)) as y, count(*) as reports from rep group by obj")
 def stream_stateful_latest(spark, d):
-    """The last report and the number of reports of each object, kept in state by a function of its own."""
-
-    def keep(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        last, n = state.get if state.exists else (-1, 0)
-        for b in batches:
-            last, n = max(last, int(b["event_id"].max())), n + len(b)
-        state.update((last, n))
-        yield pd.DataFrame({"obj": [key[0]], "event_id": [last], "reports": [n]})
-
-    s = event_stream(spark, d).groupBy("obj").applyInPandasWithState(keep, "obj long, event_id long, reports long", "last long, n long", "update", GroupStateTimeout.NoTimeout)
-    got = streamed(spark, s, "update")
-    return got.groupBy("obj").agg(F.max("event_id").alias("event_id"), F.max("reports").alias("reports"))
+    """The last report of each object, by time and not by arrival, and the number of its reports, kept in state by a processor of its own."""
+    before = spark.conf.get(PROVIDER, None)
+    spark.conf.set(PROVIDER, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        s = event_stream(spark, d).select("obj", "event_id", "x", "y", F.unix_micros("ts").alias("us"))
+        kept = s.groupBy("obj").transformWithStateInPandas(LastReport(), "obj long, event_id long, x long, y long, reports long", "Update", "None")
+        got = streamed(spark, kept, "update")
+    finally:
+        spark.conf.unset(PROVIDER) if before is None else spark.conf.set(PROVIDER, before)
+    return got.groupBy("obj").agg(F.max_by(F.struct("event_id", "x", "y", "reports"), "reports").alias("b")).select("obj", "b.*")
 
 
 @query("stream_stream_join", "select a.event_id as a, b.event_id as b from events a join events b on a.user_id = b.user_id and a.event_type = 'signup' and b.event_type = 'error' and b.ts between a.ts and a.ts + interval 6 hour")
