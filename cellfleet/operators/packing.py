@@ -19,6 +19,8 @@ from cellfleet.lineage import cut
 from cellfleet.operators import access, kdpart, pivots
 
 MOST_PIECES = 5000
+#: The weight of peaks beside idle time, and the least improvement that keeps a search going.
+LEVEL, LEAST = 0.05, 1e-5
 Tier = tuple[int, float, int, float]
 
 
@@ -44,14 +46,15 @@ def total_idle(plan: np.ndarray, a: np.ndarray, rows: np.ndarray, tiers: Sequenc
 
 def agglomerate(a: np.ndarray, rows: np.ndarray, servers: int, tiers: Sequence[Tier]) -> np.ndarray:
     """The server of each piece: the feasible pair of clusters that is flattest together is merged until ``servers`` are left
-    or no pair is feasible. Each cluster keeps its best partner, so that a merge costs one row of pairs."""
+    or no pair is feasible. Each cluster keeps its best partner, so that a merge costs one row of pairs; one whose partner is gone
+    can only have a worse one, or the merged cluster, and looks for it when its turn comes."""
     p = len(a)
     if p > MOST_PIECES:
         raise ValueError(f"at most {MOST_PIECES} pieces at a time")
     load, size = a.astype(np.float64).copy(), rows.astype(np.int64).copy()
     alive, plan = np.ones(p, dtype=bool), np.arange(p)
     capacity, storage = max(t[1] for t in tiers), max(t[2] for t in tiers)
-    best, partner = np.full(p, np.inf), np.full(p, -1)
+    best, partner, stale = np.full(p, np.inf), np.full(p, -1), np.zeros(p, dtype=bool)
 
     def refresh(i: int) -> None:
         j = np.flatnonzero(alive[i + 1 :]) + i + 1
@@ -61,6 +64,7 @@ def agglomerate(a: np.ndarray, rows: np.ndarray, servers: int, tiers: Sequence[T
             d = np.where((both.max(axis=1) < capacity) & (size[i] + size[j] <= storage), variation(both), np.inf)
             k = int(d.argmin())
             best[i], partner[i] = d[k], j[k]
+        stale[i] = False
 
     for i in range(p):
         refresh(i)
@@ -69,30 +73,32 @@ def agglomerate(a: np.ndarray, rows: np.ndarray, servers: int, tiers: Sequence[T
         i = int(np.where(alive, best, np.inf).argmin())
         if not np.isfinite(best[i]):
             break
+        if stale[i]:
+            refresh(i)
+            continue
         j = int(partner[i])
         load[i] += load[j]
         size[i] += size[j]
         alive[j] = False
         plan[plan == j] = i
         left -= 1
-        stale = [k for k in np.flatnonzero(alive).tolist() if k == i or partner[k] in (i, j)]
-        for k in stale:
-            refresh(k)
+        stale |= alive & ((partner == i) | (partner == j))
+        refresh(i)
         before = np.flatnonzero(alive[:i])
         if len(before):  # the merged cluster may be a better partner for those before it
             both = load[before] + load[i]
             d = np.where((both.max(axis=1) < capacity) & (size[before] + size[i] <= storage), variation(both), np.inf)
-            for k, v in zip(before.tolist(), d.tolist(), strict=True):
-                if v < best[k]:
-                    best[k], partner[k] = v, i
+            better = d < best[before]
+            best[before[better]], partner[before[better]], stale[before[better]] = d[better], i, False
     return np.unique(plan, return_inverse=True)[1]
 
 
-def tabu(plan: np.ndarray, a: np.ndarray, rows: np.ndarray, tiers: Sequence[Tier], eta: float = 50.0, list_size: int = 20, patience: int = 50, seed: int = 1, fragments: int = 16, neighbourhood: str = "move", apart: Sequence[Sequence[int]] = ()) -> np.ndarray:
-    """A plan with no more idle time. Each iteration draws fragments and for each a random other server (``swap``: and one of
+def tabu(plan: np.ndarray, a: np.ndarray, rows: np.ndarray, tiers: Sequence[Tier], eta: float = 50.0, list_size: int = 20, patience: int | None = None, seed: int = 1, fragments: int = 24, neighbourhood: str = "move", apart: Sequence[Sequence[int]] = ()) -> np.ndarray:
+    """A plan with no more idle time. Idle time changes by steps, from tier to tier, so that plans are also compared by the sum of
+    their servers' peaks, with the small weight ``LEVEL``: it leads over plateaus towards a tier less. Each iteration draws fragments and for each a random other server (``swap``: and one of
     its fragments, to change places); moves that change both servers' flatness by less than ``eta`` percent and fit some tier are
     admissible. The best one is taken even if it is worse; what it undoes is tabu while listed, unless it beats the best plan
-    so far. Stops after ``patience`` iterations without improvement. ``apart``: groups of pieces that never share a server."""
+    so far. Stops after ``patience`` iterations (200, or as many as there are pieces) without an improvement by ``LEAST`` of the whole. ``apart``: groups of pieces that never share a server."""
     rng = random.Random(seed)
     plan = plan.copy()
     k = int(plan.max()) + 1 if len(plan) else 0
@@ -102,7 +108,10 @@ def tabu(plan: np.ndarray, a: np.ndarray, rows: np.ndarray, tiers: Sequence[Tier
     size = np.array([int(rows[plan == s].sum()) for s in range(k)])
     group = {p: i for i, g in enumerate(apart) for p in g}
     idle = [cost_idle(load[s], size[s], tiers) for s in range(k)]
-    now, best, kept = sum(idle), sum(idle), plan.copy()
+    level = [LEVEL * a.shape[1] * float(x.max()) for x in load]
+    now = sum(idle) + sum(level)
+    patience = max(200, len(plan)) if patience is None else patience
+    best, mark, least, kept = now, now, sum(idle), plan.copy()
     listed: deque[tuple[int, int]] = deque(maxlen=list_size)
     waited = 0
     while waited < patience:
@@ -128,24 +137,28 @@ def tabu(plan: np.ndarray, a: np.ndarray, rows: np.ndarray, tiers: Sequence[Tier
             if (np.abs(d1 - d0) > eta / 100 * np.maximum(d0, 1e-12)).any():
                 continue
             a0, a1 = cost_idle(np.maximum(ls, 0.0), size[s] - count, tiers), cost_idle(lt, size[t] + count, tiers)
-            then = now - idle[s] - idle[t] + a0 + a1
+            p0, p1 = LEVEL * a.shape[1] * float(ls.max()), LEVEL * a.shape[1] * float(lt.max())
+            then = now - idle[s] - idle[t] - level[s] - level[t] + a0 + a1 + p0 + p1
             tabu_move = (p, t) in listed or q is not None and (q, s) in listed
             if np.isfinite(then) and (not tabu_move or then < best - 1e-9):
-                options.append((then, p, q, s, t, ls, lt, a0, a1, count))
+                options.append((then, p, q, s, t, ls, lt, a0, a1, p0, p1, count))
         waited += 1
         if not options:
             continue
-        then, p, q, s, t, ls, lt, a0, a1, count = min(options, key=lambda o: o[0])
+        then, p, q, s, t, ls, lt, a0, a1, p0, p1, count = min(options, key=lambda o: o[0])
         plan[p], now = t, then
         listed.append((p, s))
         if q is not None:
             plan[q] = s
             listed.append((q, t))
-        load[s], load[t], idle[s], idle[t] = ls, lt, a0, a1
+        load[s], load[t], idle[s], idle[t], level[s], level[t] = ls, lt, a0, a1, p0, p1
         size[s] -= count
         size[t] += count
-        if now < best - 1e-9:
-            best, kept, waited = now, plan.copy(), 0
+        best = min(best, now)
+        if now < mark - LEAST * abs(mark):
+            mark, waited = now, 0
+        if (total := sum(idle)) < least - 1e-9 or total <= least + 1e-9 and now <= best:
+            least, kept = min(least, total), plan.copy()
     return kept
 
 
