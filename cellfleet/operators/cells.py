@@ -318,8 +318,9 @@ def single_thread(pts: DataFrame, whole: bool = False) -> DataFrame:
 
 
 def traffic(placed: DataFrame, points: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float], margin: float = 0.0) -> DataFrame:
-    """(cells, inexact, asked, answers): what a repair sends. Inexact cells ask the pieces that their influence region meets, or all of
-    them where pieces are no regions (``piv`` is None), and get the objects of the region from elsewhere."""
+    """(cells, inexact, asked, answers, sent): what a repair sends. Inexact cells ask the pieces that their influence region meets, or all of
+    them where pieces are no regions (``piv`` is None), and get the objects of the region from elsewhere; ``sent`` counts an object once
+    for each piece that needs it, however many of its cells do."""
     made = local(placed, piv, box, margin)
     inexact = made.where("not exact")
     if piv is None:
@@ -329,7 +330,9 @@ def traffic(placed: DataFrame, points: DataFrame, piv: Sequence[Pivot] | None, b
     else:
         asked = requests(inexact, piv)
     inside = F.exists("circles", lambda c: dist2(c["cx"], c["cy"], F.col("x"), F.col("y")) <= c["r"] * c["r"] * (1 + 1e-9) + 1e-6)
-    answers = asked.join(points.select("pid", "x", "y"), "pid").where(inside).agg(F.count("*").alias("answers"))
+    home = made.select("oid", F.col("pid").alias("home"))
+    there = points.select("pid", F.col("oid").alias("other"), "x", "y")
+    answers = asked.join(home, "oid").join(there, "pid").where(inside).agg(F.count("*").alias("answers"), F.countDistinct("home", "other").alias("sent"))
     cells_ = made.agg(F.count("*").alias("cells"), F.count_if(~F.col("exact")).alias("inexact"))
     return cells_.join(asked.agg(F.count("*").alias("asked"))).join(answers)
 

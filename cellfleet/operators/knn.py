@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -39,35 +41,63 @@ def bounds(queries: DataFrame, piv: Sequence[Pivot], stats: Sequence[tuple[int,
     return queries.withColumn("r", r * (1 + 1e-12) + 1e-6)
 
 
-#: Squares to a side of the grid of counts that bounds a query's radius: one row of at most its square of them is broadcast.
-GRID = 64
+#: Squares to a side of the grid of counts that bounds a query's radius: at most its square of them come to the driver.
+GRID = 128
 
 
-Squares = tuple[DataFrame, float, float]
+class Counts:
+    """How many objects are in each square of a grid, as running sums along both axes: a block of squares is counted by four of them."""
 
+    def __init__(self, x0: float, y0: float, sx: float, sy: float, counts: np.ndarray):
+        self.x0, self.y0, self.sx, self.sy, self.side = x0, y0, sx, sy, len(counts)
+        self.sums = np.zeros((self.side + 1, self.side + 1), dtype=np.int64)
+        self.sums[1:, 1:] = counts.cumsum(axis=0).cumsum(axis=1)
 
-def count_grid(pts: DataFrame, side: int = GRID) -> Squares:
-    """(one row with the array of squares, their width, their height): counts that serve all batches of a snapshot."""
+    def bound(self, x: np.ndarray, y: np.ndarray, k: int) -> np.ndarray:
+        """A radius within which every point has k objects, or all there are: that of the furthest corner of the smallest block of
+        squares around it that holds as many. The block's width is found by halving."""
+        last = self.side - 1
+        cx, cy = np.clip((x - self.x0) // self.sx, 0, last).astype(np.int64), np.clip((y - self.y0) // self.sy, 0, last).astype(np.int64)
+        k = min(k, int(self.sums[-1, -1]))
+
+        def block(m: np.ndarray) -> tuple[np.ndarray, ...]:
+            return np.maximum(cx - m, 0), np.maximum(cy - m, 0), np.minimum(cx + m, last) + 1, np.minimum(cy + m, last) + 1
+
+        low, high = np.zeros(len(x), dtype=np.int64), np.full(len(x), last)
+        while (low < high).any():
+            middle = (low + high) // 2
+            a, b, c, e = block(middle)
+            enough = self.sums[c, e] - self.sums[a, e] - self.sums[c, b] + self.sums[a, b] >= k
+            low, high = np.where(enough, low, np.minimum(middle + 1, high)), np.where(enough, middle, high)
+        a, b, c, e = block(low)
+        dx = np.maximum(np.abs(x - (self.x0 + a * self.sx)), np.abs(x - (self.x0 + c * self.sx)))
+        dy = np.maximum(np.abs(y - (self.y0 + b * self.sy)), np.abs(y - (self.y0 + e * self.sy)))
+        return np.hypot(dx, dy) * (1 + 1e-12) + 1e-6
+
+
+def count_grid(pts: DataFrame, side: int = GRID) -> Counts:
+    """Counts that serve all batches of a snapshot: two aggregations of the points."""
     e = pts.agg(F.min("x").alias("x0"), F.min("y").alias("y0"), F.max("x").alias("x1"), F.max("y").alias("y1")).first()
     x0, y0 = e["x0"] or 0, e["y0"] or 0
     sx, sy = ((e["x1"] or 0) - x0 + 1) / side, ((e["y1"] or 0) - y0 + 1) / side
-    counts = pts.groupBy(F.floor((F.col("x") - x0) / sx).alias("gx"), F.floor((F.col("y") - y0) / sy).alias("gy")).agg(F.count("*").alias("n"))
-    low_x, low_y = F.col("gx") * sx + x0, F.col("gy") * sy + y0
-    return counts.agg(F.collect_list(F.struct(low_x.alias("x"), low_y.alias("y"), F.col("n").alias("n"))).alias("squares")), sx, sy
+    square = lambda c, low, size: F.least(F.lit(side - 1), F.floor((F.col(c) - low) / size)).cast("int")
+    counts = np.zeros((side, side), dtype=np.int64)
+    for r in pts.groupBy(square("x", x0, sx).alias("gx"), square("y", y0, sy).alias("gy")).agg(F.count("*").alias("n")).collect():
+        counts[r["gx"], r["gy"]] = r["n"]
+    return Counts(float(x0), float(y0), sx, sy, counts)
 
 
-def grid_bounds(queries: DataFrame, grid: Squares, k: int) -> DataFrame:
-    """``queries`` with r from counts of a grid: squares in order of their furthest corner, up to the first that makes k."""
-    whole, sx, sy = grid
+def grid_bounds(queries: DataFrame, grid: Counts, k: int) -> DataFrame:
+    """(qid, x, y, r) from counts of a grid."""
+    kind = queries.schema["qid"].dataType.simpleString()
 
-    def far(c: Column) -> Column:
-        dx = F.greatest(F.abs(F.col("x") - c["x"]), F.abs(F.col("x") - c["x"] - sx))
-        dy = F.greatest(F.abs(F.col("y") - c["y"]), F.abs(F.col("y") - c["y"] - sy))
-        return F.struct((dx * dx + dy * dy).alias("d2"), c["n"].alias("n"))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            x, y = (b.column(i).to_numpy(zero_copy_only=False).astype(np.float64) for i in (1, 2))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(grid.bound(x, y, k))], names=["qid", "x", "y", "r"])
 
-    start = F.struct(F.lit(0).cast("long").alias("n"), F.lit(0.0).alias("d2"))
-    enough = F.aggregate(F.sort_array(F.transform("squares", far)), start, lambda a, p: F.when(a["n"] >= k, a).otherwise(F.struct((a["n"] + p["n"]).alias("n"), p["d2"].alias("d2"))), lambda a: a["d2"])
-    return queries.join(F.broadcast(whole)).withColumn("r", F.sqrt(enough) * (1 + 1e-12) + 1e-6).drop("squares")
+    typed = queries.select("qid", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y"))
+    return typed.mapInArrow(run, f"qid {kind}, x bigint, y bigint, r double")
 
 
 def run(pts: DataFrame, queries: DataFrame, piv: Sequence[Pivot], k: int, bound: str = "grid") -> DataFrame:

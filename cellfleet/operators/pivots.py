@@ -16,7 +16,7 @@ from cellfleet.operators.pivot_grid import PivotGrid
 
 SEED = 42
 #: Pivots that are compared within generated code; beyond it a kernel looks them up in a grid of pivots.
-LITERAL_PIVOTS, MOST_PIVOTS = 16, 100_000
+LITERAL_PIVOTS, MOST_PIVOTS = 8, 100_000
 #: Candidates that an election may have: they are a top-k of samples that is merged on the driver.
 MOST_CANDIDATES = 2_000_000
 Pivot = tuple[int, int, int]

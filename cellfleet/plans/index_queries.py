@@ -387,7 +387,7 @@ def repair_moves(spark, d):
 
 @query("repair_traffic")
 def repair_traffic(spark, d):
-    """(method, cells, inexact, asked, answers, share): what a repair by influence regions sends, objects answered as a share of all."""
+    """(method, cells, inexact, asked, answers, sent, share): what a repair by influence regions sends, objects sent as a share of all."""
     from cellfleet.baselines import indexes
 
     pts, piv = chosen(spark, d, "customers")
@@ -395,7 +395,7 @@ def repair_traffic(spark, d):
     random = indexes.random_distribution(cells.places(pts), len(piv), 7)
     out = None
     for method, points, p in (("pivots", at, piv), ("random", random, None)):
-        row = cells.traffic(points.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica")), points, p, box).select(F.lit(method).alias("method"), "*", micro(F.col("answers") / F.col("cells")).alias("share"))
+        row = cells.traffic(points.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica")), points, p, box).select(F.lit(method).alias("method"), "*", micro(F.col("sent") / F.col("cells")).alias("share"))
         out = row if out is None else out.unionByName(row)
     return out
 
