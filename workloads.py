@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from cellfleet.baselines import hashed, indexes, trees
 from cellfleet.lineage import cut
-from cellfleet.operators import cells, knn, pivots, range_query, snapshot
+from cellfleet.operators import borders, cells, knn, pivots, range_query, snapshot
 from cellfleet.plans import variant_queries
 from cellfleet.sources import views
 
@@ -72,12 +72,18 @@ def construction(spark: SparkSession, d: str, view: str) -> None:
     few = pivots.choose(some, 32)
     at = cut(pivots.assign(cells.places(some), few))
     box = cells.box_of(some)
+    alpha = math.inf
+    for ratio in (0.0, 0.05, 0.2, 0.4):
+        margin = borders.lambda_for(at, few, ratio) if ratio else 0.0
+        placed = cut(borders.replicate(at, few, margin) if ratio else at.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica")))
+        told, copies = cells.traffic(placed, at, few, box, margin).first(), placed.where("is_replica").count()
+        moved = (told["sent"] + copies) / max(1, told["cells"])
+        say(workload="cells", view=view, cells=told["cells"], replicated=ratio, copies=copies, inexact=told["inexact"], answers=told["answers"], sent=told["sent"], share=round(moved, 4))
+        alpha = min(alpha, moved)
     placed = at.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica"))
     made = cut(cells.local(placed, few, box))
-    told = cells.traffic(placed, at, few, box).first()
-    alpha = told["sent"] / max(1, told["cells"])
     beta = pivots.assign(pts, piv).agg(F.avg((F.pmod(F.col("oid"), F.lit(32)) != F.col("pid")).cast("int"))).first()[0]
-    say(workload="cells", view=view, cells=told["cells"], inexact=told["inexact"], answers=told["answers"], sent=told["sent"], local=timed(lambda: run(cells.local(placed, few, box))), repair=timed(lambda: run(cells.repair(made, at, few, box))))
+    say(workload="cell times", view=view, cells=told["cells"], local=timed(lambda: run(cells.local(placed, few, box))), repair=timed(lambda: run(cells.repair(made, at, few, box))))
     for share in (0.01, 0.02, 0.04, 0.06, 0.08, 0.10):
         index = cut(trees.build(pts, 4, 8))
         moves = cut(variant_queries.steps(pts, share, SIDE / 1e9 if view == "uniform" else 0.05))
