@@ -4,8 +4,10 @@ Counting is one pass over the points at the deepest level; all else works on the
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -48,12 +50,35 @@ def with_boxes(found: DataFrame, bits: int = DEPTH) -> DataFrame:
     return d.select(pid.alias("pid"), "depth", "prefix", "n", "z0", "z1", x0.alias("x0"), y0.alias("y0"), x1.alias("x1"), y1.alias("y1"))
 
 
-def assign(pts: DataFrame, boxed: DataFrame, bits: int = DEPTH) -> DataFrame:
-    """``pts`` with z and their leaf's pid: an equi-join on (depth, prefix) for the few depths that leaves have."""
-    depths = [r["depth"] for r in boxed.select("depth").distinct().collect()]
-    keys = F.array(*[F.struct(F.lit(k).alias("depth"), F.expr(f"shiftright(z, {bits - k})").alias("prefix")) for k in sorted(depths)])
-    each = pts.select("*", F.inline(keys))
-    return each.join(boxed.select("depth", "prefix", "pid"), ["depth", "prefix"]).drop("depth", "prefix")
+#: Leaves whose code ranges are sent to all tasks, 24 bytes each; more are joined.
+MOST_LEAVES = 1_000_000
+
+
+def assign(pts: DataFrame, boxed: DataFrame, bits: int = DEPTH, most: int = MOST_LEAVES) -> DataFrame:
+    """``pts`` with z and their leaf's pid; points where there is no leaf are left out. Leaves are disjoint ranges of codes: a kernel
+    searches the sorted ranges, without a shuffle. More than ``most`` leaves are joined on (depth, prefix) for the depths that
+    leaves have."""
+    found = boxed.select("z0", "z1", "pid").limit(most + 1).toArrow()
+    if found.num_rows > most:
+        depths = [r["depth"] for r in boxed.select("depth").distinct().collect()]
+        keys = F.array(*[F.struct(F.lit(k).alias("depth"), F.expr(f"shiftright(z, {bits - k})").alias("prefix")) for k in sorted(depths)])
+        each = pts.select("*", F.inline(keys))
+        return each.join(boxed.select("depth", "prefix", "pid"), ["depth", "prefix"]).drop("depth", "prefix")
+    z0, z1, pid = (found.column(c).to_numpy() for c in ("z0", "z1", "pid"))
+    order = np.argsort(z0, kind="stable")
+    z0, z1, pid = z0[order], z1[order], pid[order]
+    at = pts.columns.index("z")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            z = b.column(at).to_numpy(zero_copy_only=False)
+            i = np.searchsorted(z0, z, side="right") - 1
+            held = (i >= 0) & (z <= z1[i]) if len(z0) else np.zeros(len(z), dtype=bool)
+            rows = b if held.all() else b.filter(pa.array(held))
+            yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(pid[i[held]], pa.int64())], names=[*b.schema.names, "pid"])
+
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pts.schema)
+    return pts.mapInArrow(run, f"{kinds}, pid bigint")
 
 
 def coded_dims(pts: DataFrame, dims: Sequence[str], bits: int) -> DataFrame:

@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from cellfleet.functions.geometry import dist2
+from cellfleet.lineage import cut
 from cellfleet.operators import pivots, range_query
 from cellfleet.operators.pivots import Pivot
 
@@ -117,13 +118,17 @@ def rounds(found: DataFrame, k: int, step: float) -> DataFrame:
 
 
 def incremental(pts: DataFrame, queries: DataFrame, piv: Sequence[Pivot], k: int, step: float, most_rounds: int = 1000) -> DataFrame:
-    """The growing range query as such: one job a round, and (qid, rank, oid, d2) when every query has k objects."""
-    index = pivots.assign(pts, piv)
-    n = pts.count()
-    q = queries.select("qid", "x", "y")
+    """The growing range query as such: (qid, rank, oid, d2). Each round asks the queries that haven't k objects yet, with a radius a
+    step wider, and is written once."""
+    index = cut(pivots.assign(pts, piv).select("oid", "x", "y", "pid"))
+    wanted = min(k, index.count())
+    q, done = cut(queries.select("qid", "x", "y")), None
     for i in range(1, most_rounds + 1):
-        found = range_query.answers(index, range_query.targets(q.withColumn("r", F.lit(i * step)), piv))
-        enough = found.groupBy("qid").agg(F.count("*").alias("n")).where(F.col("n") >= min(k, n)).count()
-        if enough == q.count():
-            return nearest(found, k)
+        found = cut(range_query.answers(index, range_query.targets(q.withColumn("r", F.lit(float(i * step))), piv)))
+        full = found.groupBy("qid").agg(F.count("*").alias("n")).where(F.col("n") >= wanted).select("qid")
+        best = nearest(found.join(full, "qid", "left_semi"), k)
+        done = best if done is None else done.unionByName(best)
+        q = cut(q.join(full, "qid", "left_anti"))
+        if q.isEmpty():
+            return done
     raise RuntimeError(f"fewer than {k} objects after {most_rounds} rounds")

@@ -30,20 +30,34 @@ def neighbours(piv: Sequence[Pivot]) -> dict[int, list[int]]:
 
 def walk(queries: DataFrame, piv: Sequence[Pivot], near: Mapping[int, Sequence[int]]) -> DataFrame:
     """(qid, pid, hops): from the first pivot always to the neighbour that is nearest to the query, until none is nearer."""
-    at = {i: (x, y) for i, x, y in piv}
-    first = piv[0][0]
+    ids = sorted(i for i, *_ in piv)
+    place = {i: k for k, i in enumerate(ids)}
+    at = np.zeros((len(ids), 2), dtype=np.int64)
+    for i, x, y in piv:
+        at[place[i]] = x, y
+    # neighbours in rows of one width, filled up with the pivot itself
+    width = max(1, max((len(near[i]) for i in ids), default=1))
+    around = np.array([[*(place[j] for j in near[i]), *[place[i]] * (width - len(near[i]))] for i in ids], dtype=np.int64)
+    first = place[piv[0][0]]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = np.array(ids, dtype=np.int64)
         for b in batches:
-            found, hops = [], []
-            for x, y in zip(b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
-                d = lambda i: ((at[i][0] - x) ** 2 + (at[i][1] - y) ** 2, i)
-                here, n = d(first), 0
-                while (best := min((d(j) for j in near[here[1]]), default=here)) < here:
-                    here, n = best, n + 1
-                found.append(here[1])
-                hops.append(n)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.int64()), pa.array(hops, pa.int64())], names=["qid", "pid", "hops"])
+            xy = np.stack([b.column(i).to_numpy(zero_copy_only=False) for i in (1, 2)], axis=1)
+            here, hops = np.full(len(xy), first), np.zeros(len(xy), dtype=np.int64)
+            d2 = ((at[here] - xy) ** 2).sum(axis=1)
+            todo = np.arange(len(xy))
+            while len(todo):
+                options = np.sort(around[here[todo]], axis=1)  # ties go to the least pivot
+                d = ((at[options] - xy[todo, None, :]) ** 2).sum(axis=2)
+                best = d.argmin(axis=1)
+                rows = np.arange(len(todo))
+                to, least = options[rows, best], d[rows, best]
+                goes = (least < d2[todo]) | (least == d2[todo]) & (to < here[todo])
+                todo, to, least = todo[goes], to[goes], least[goes]
+                here[todo], d2[todo] = to, least
+                hops[todo] += 1
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(names[here]), pa.array(hops)], names=["qid", "pid", "hops"])
 
     return queries.select("qid", "x", "y").mapInArrow(run, "qid bigint, pid bigint, hops bigint")
 

@@ -81,3 +81,14 @@ def test_pieces_on_partitions(spark):
     nodes = pivots.group_balanced([(i, 10 + i) for i in range(12)], 4)
     got = pivots.distribute(pts, 4, nodes).select("pid", F.spark_partition_id().alias("p")).distinct().collect()
     assert {(r["pid"], r["p"]) for r in got} == set(nodes.items())
+
+
+def test_leaves_by_ranges_and_by_join(spark):
+    from cellfleet.operators import kdpart
+
+    rng = np.random.default_rng(5)
+    pts = kdpart.coded(spark.createDataFrame([(i, int(a), int(b)) for i, (a, b) in enumerate(rng.integers(0, 4000, (500, 2)))], "oid long, x long, y long"))
+    boxed = kdpart.with_boxes(kdpart.build(pts.where("x < 2000"), 20))
+    rows = lambda df: sorted((r["oid"], r["pid"]) for r in df.collect())
+    by_range = rows(kdpart.assign(pts, boxed))
+    assert by_range == rows(kdpart.assign(pts, boxed, most=0)) and len(by_range) < 500
