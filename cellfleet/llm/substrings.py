@@ -140,21 +140,22 @@ def edges(repeated: DataFrame) -> DataFrame:
     return found.select(*NODE, F.col("s.doc").alias("src"), F.col("s.at").alias("src_at"), "last_doc", "n", one("b").alias("before"), one("a").alias("after"))
 
 
-def compacted(found: DataFrame) -> DataFrame:
+def compacted(found: DataFrame, rows: int | None = None) -> DataFrame:
     """``found`` contents of two documents or more with ``path``: the first window, in their source, of the path they are on.
 
     A content whose one neighbour before has it as its one neighbour after points there. Each round, all that don't know their
     head yet take over the pointer, or the head, of what they point to: the reach doubles, and no two point to the same. A path
-    begins where its source document, or the repeated part of it, does: there are no rings."""
+    begins where its source document, or the repeated part of it, does: there are no rings. ``rows``: of ``found``, if known: rounds
+    are written in as few files as they need."""
     shared = found.where("last_doc > src")
     ends = shared.where("after is not null").select(F.col("after.anchor").alias("anchor"), F.col("after.content").alias("content"), F.struct("anchor", "content").alias("up"))
     joined = shared.where("before is not null").select("anchor", "content", "before").join(ends, ["anchor", "content"]).where("before = up").select("anchor", "content", "up")
     start = shared.select("anchor", "content", "src", "src_at", "n").join(joined, ["anchor", "content"], "left")
-    state = stored(start.withColumn("path", F.when(F.col("up").isNull(), first_window(F.col("src_at")))), "paths")
+    state = stored(start.withColumn("path", F.when(F.col("up").isNull(), first_window(F.col("src_at")))), "paths", rows)
     while not state.where("up is not null").isEmpty():
         there = state.select(F.struct("anchor", "content").alias("up"), F.col("up").alias("next"), F.col("path").alias("head"))
         moved = state.where("up is not null").drop("path").join(there, "up").select("anchor", "content", "src", "src_at", "n", F.col("next").alias("up"), F.col("head").alias("path"))
-        state = stored(state.where("up is null").unionByName(moved), "paths")
+        state = stored(state.where("up is null").unionByName(moved), "paths", rows)
     return state.drop("up")
 
 
@@ -231,10 +232,11 @@ def repeats(docs: DataFrame, least: int = HEAVY) -> DataFrame:
     hot = hot_keys(anchors, ["anchor"], rows, least)
     repeated = stored(onto(every, anchors.select("anchor"), "anchor", hot), "repeated")
     found = stored(edges(repeated), "edges")
-    paths = compacted(found)
+    nodes = found.count()
+    paths = compacted(found, nodes)
     whole = spans(repeated, paths, hot_keys(found, ["anchor", "content"], rows, least))
     # written, so that both sides of the join are plain exchanges
-    several = stored(found.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1"), "several")
+    several = stored(found.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1"), "several", nodes)
     ends = onto(found.select("anchor", "content", F.col("src").alias("doc")), several.select("anchor"), "anchor", hot_keys(several, ["anchor"], rows, least))
     wanted = repeated.join(ends, ["anchor", "content", "doc"], "left_semi").select("doc", "at")
     single = stored(window_rows(docs, wanted), "windows")
