@@ -35,3 +35,8 @@ def same(spark, larger, name):
 @pytest.mark.parametrize("name", ["idle_time", "tier_choice", "day_cost"])
 def test_servers_over_all_tiers(spark, larger, name):
     same(spark, larger, name)
+
+
+@pytest.mark.parametrize("name", ["border_copies_kd", "availability_rows", "plan_query_work_small", "plan_query_work_middle_batch", "plan_query_work_large"])
+def test_values_beyond_the_codes(spark, larger, name):
+    same(spark, larger, name)
