@@ -40,3 +40,8 @@ def test_servers_over_all_tiers(spark, larger, name):
 @pytest.mark.parametrize("name", ["border_copies_kd", "availability_rows", "plan_query_work_small", "plan_query_work_middle_batch", "plan_query_work_large"])
 def test_values_beyond_the_codes(spark, larger, name):
     same(spark, larger, name)
+
+
+@pytest.mark.parametrize("name", ["pivot_assign", "partition_counts", "partition_stats_8_10", "partition_stats_32_10", "partition_stats_8_250", "partition_stats_32_250"])
+def test_order_lines_alike(spark, larger, name):
+    same(spark, larger, name)
