@@ -68,3 +68,8 @@ def test_columns_are_pruned(spark, d):
 
 def test_entry(spark, d):
     assert catalogue.entry(spark, d).count() > 0
+
+
+@pytest.mark.parametrize("name", ["op_recursive", "update_messages"])
+def test_reads_a_table(spark, d, name):
+    assert catalogue.queries()[name](spark, d).inputFiles()
