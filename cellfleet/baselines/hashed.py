@@ -24,10 +24,10 @@ def snapshot(pts: DataFrame, n: int) -> DataFrame:
     return pts.withColumn("node", F.pmod(F.xxhash64("oid"), F.lit(n)).cast("int")).withColumn("z", zorder.encode(F.col("x"), F.col("y"))).repartitionById(n, "node").sortWithinPartitions("node", "z")
 
 
-def sent(queries: DataFrame, *columns: str) -> pa.Table:
-    """The batch on the driver, from where it goes to all nodes."""
-    got = queries.select(*columns).limit(MOST_QUERIES + 1).toArrow()
-    if got.num_rows > MOST_QUERIES:
+def sent(queries: DataFrame, *columns: str, each: int = 1) -> pa.Table:
+    """The batch on the driver, from where it goes to all nodes; a query has up to ``each`` rows."""
+    got = queries.select(*columns).limit(MOST_QUERIES * each + 1).toArrow()
+    if got.num_rows > MOST_QUERIES * each or each > 1 and len(got.column("qid").unique()) > MOST_QUERIES:
         raise ValueError(f"at most {MOST_QUERIES} queries go to all nodes at once")
     return got
 
@@ -67,7 +67,7 @@ def slices(lo: np.ndarray, hi: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndar
 
 def range_(held: DataFrame, queries: DataFrame) -> DataFrame:
     """(qid, oid, d2) within r, from each node's sorted codes."""
-    asked = sent(code_ranges(queries), "qid", "x", "y", "r", "lo", "hi")
+    asked = sent(code_ranges(queries), "qid", "x", "y", "r", "lo", "hi", each=CODE_RANGES)
     kind = queries.schema["qid"].dataType.simpleString()
     whole = held.sparkSession.sparkContext.broadcast(asked)
 
@@ -101,14 +101,15 @@ def interleaved(x: np.ndarray, y: np.ndarray) -> np.ndarray:
 
 
 def nearest(held: DataFrame, queries: DataFrame, k: int) -> DataFrame:
-    """(qid, rank, oid, d2): each node's k best by a bound from the neighbouring codes, then the k best of those."""
-    asked = sent(queries.select("qid", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y")), "qid", "x", "y")
+    """(qid, rank, oid, d2): each node's k best by a bound from the neighbouring codes, then the k best of those. A grid of counts of
+    the whole snapshot bounds every query once: codes too far from it are passed over."""
+    asked = sent(knn.grid_bounds(queries.select("qid", "x", "y"), knn.count_grid(held), k), "qid", "x", "y", "r")
     kind = queries.schema["qid"].dataType.simpleString()
     whole = held.sparkSession.sparkContext.broadcast(asked)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = whole.value
-        all_x, all_y, ids = t.column("x").to_numpy(), t.column("y").to_numpy(), t.column("qid").combine_chunks()
+        whole_x, whole_y, whole_r, whole_ids = (*(t.column(c).to_numpy() for c in ("x", "y", "r")), t.column("qid").combine_chunks())
         for b in batches:
             if not b.num_rows:
                 continue
@@ -118,6 +119,9 @@ def nearest(held: DataFrame, queries: DataFrame, k: int) -> DataFrame:
             first = np.arange(0, len(z), BLOCK)
             x0, y0, x1, y1 = (f.reduceat(v, first) for f, v in ((np.minimum, px), (np.minimum, py), (np.maximum, px), (np.maximum, py)))
             last = np.append(first[1:], len(z))
+            away_x, away_y = (np.maximum(np.maximum(low.min() - v, v - high.max()), 0).astype(np.float64) for v, low, high in ((whole_x, x0, x1), (whole_y, y0, y1)))
+            near = np.flatnonzero(away_x * away_x + away_y * away_y <= whole_r * whole_r)
+            all_x, all_y, most, ids = whole_x[near], whole_y[near], np.ceil(whole_r[near] ** 2).astype(np.int64), whole_ids.take(pa.array(near))
             for s in range(0, len(all_x), max(1, PAIRS // max(len(first), 2 * k))):
                 part = slice(s, s + max(1, PAIRS // max(len(first), 2 * k)))
                 x, y = all_x[part], all_y[part]
@@ -126,7 +130,7 @@ def nearest(held: DataFrame, queries: DataFrame, k: int) -> DataFrame:
                 inside = (around >= 0) & (around < len(z))
                 j = np.clip(around, 0, len(z) - 1)
                 d2 = np.where(inside, (px[j] - x[:, None]) ** 2 + (py[j] - y[:, None]) ** 2, np.iinfo(np.int64).max)
-                bound = np.partition(d2, min(k, 2 * k) - 1, axis=1)[:, k - 1]
+                bound = np.minimum(np.partition(d2, min(k, 2 * k) - 1, axis=1)[:, k - 1], most[part])
                 dx = np.maximum(np.maximum(x0[None, :] - x[:, None], x[:, None] - x1[None, :]), 0)
                 dy = np.maximum(np.maximum(y0[None, :] - y[:, None], y[:, None] - y1[None, :]), 0)
                 q, block = (dx * dx + dy * dy <= bound[:, None]).nonzero()

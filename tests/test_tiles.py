@@ -47,3 +47,15 @@ def test_growing_ranges_reach_far_queries(spark, points):
     assert len(got) == 3 * len(q)
     for i, a, b, _ in q:
         assert [r["oid"] for r in sorted((r for r in got if r["qid"] == i), key=lambda r: r["rank"])] == [o for _, o in sorted(((x - a) ** 2 + (y - b) ** 2, o) for o, x, y in p)[:3]]
+
+
+def test_ranges_of_codes_are_not_counted_as_queries(spark, points, monkeypatch):
+    from cellfleet.baselines import hashed
+
+    p, q, pts, asked = points
+    monkeypatch.setattr(hashed, "MOST_QUERIES", len(q))
+    assert hashed.code_ranges(asked).count() > len(q)
+    assert {tuple(r) for r in hashed.range_(hashed.snapshot(pts, 2), asked).collect()} == brute(p, q)
+    monkeypatch.setattr(hashed, "MOST_QUERIES", len(q) // 2)
+    with pytest.raises(ValueError):
+        hashed.range_(hashed.snapshot(pts, 2), asked)
