@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from cellfleet.functions.geometry import dist2
-from cellfleet.operators import pivots
+from cellfleet.operators import pivots, tiles
 
 
 def build(pts: DataFrame, fanout: int, mult: int = 10, seed: int = pivots.SEED, bottom: int | None = None) -> list[DataFrame]:
@@ -109,9 +109,7 @@ def descend(levels: Sequence[Sequence[tuple[int, int, int, int | None, float]]],
 
 def answers(levels: Sequence[Sequence[tuple[int, int, int, int | None, float]]], index: DataFrame, queries: DataFrame) -> DataFrame:
     """(qid, oid, d2) within r, from an ``index(oid, x, y, pid)`` by the lowest level's generators."""
-    from cellfleet.operators import range_query
-
-    return range_query.answers(index, descend(levels, queries).withColumnRenamed("gid", "pid"))
+    return tiles.answers(index, descend(levels, queries).withColumnRenamed("gid", "pid"), tiles.over(index))
 
 
 def search(top: Sequence[tuple[int, int, int, int]], pts: DataFrame, queries: DataFrame) -> DataFrame:

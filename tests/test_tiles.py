@@ -59,3 +59,9 @@ def test_ranges_of_codes_are_not_counted_as_queries(spark, points, monkeypatch):
     monkeypatch.setattr(hashed, "MOST_QUERIES", len(q) // 2)
     with pytest.raises(ValueError):
         hashed.range_(hashed.snapshot(pts, 2), asked)
+
+
+def test_ranges_are_joined_by_tiles(spark, d):
+    for name in ("range_query_batch", "hierarchy_range_batch", "sql_surface_batch"):
+        p = catalogue.queries()[name](spark, d)._jdf.queryExecution().executedPlan().toString()
+        assert "ShuffledHashJoin" in p and "tile" in p and "SortMergeJoin" not in p
