@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 
 from cellfleet.functions import zorder
 from cellfleet.functions.geometry import dist2
+from cellfleet.lineage import cut
 from cellfleet.operators import borders, pivots
 from cellfleet.operators.pivot_grid import PivotGrid
 from cellfleet.operators.pivots import Pivot
@@ -201,6 +202,16 @@ def box_of(pts: DataFrame, whole: bool = False) -> tuple[float, float, float, fl
     return r["x0"] - w, r["y0"] - w, r["x1"] + w, r["y1"] + w
 
 
+#: Partitions that pieces are dealt to, at least.
+TASKS = 64
+
+
+def apart(placed: DataFrame, piv: Sequence[Pivot] | None = None) -> DataFrame:
+    """``placed`` by pieces, in a number of partitions that is kept: pieces are small in bytes and long in work, and partitions that are
+    small in bytes are put together by adaptive execution until one task makes all cells."""
+    return placed.repartition(max(TASKS, 4 * len(piv or ())), "pid")
+
+
 def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float], margin: float = 0.0, seeds: int = SEEDS, by_codes: bool = False) -> DataFrame:
     """Cells of the home points of ``placed(oid, x, y, pid, is_replica)``, each piece in a task, from what the piece holds: refined by
     square buckets in rings, or ``by_codes``, by Z-order scans of the influence region. A piece is one task's work: elect as many
@@ -229,7 +240,7 @@ def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float],
         exact = np.zeros(len(made), dtype=bool) if piv is None else all_exact(made, out["x"], out["y"], out["pid"], piv, margin)
         return out.assign(exact=exact)
 
-    return placed.groupBy("pid").applyInPandas(one, CELL)
+    return apart(placed, piv).groupBy("pid").applyInPandas(one, CELL)
 
 
 def requests(inexact: DataFrame, piv: Sequence[Pivot]) -> DataFrame:
@@ -254,13 +265,47 @@ def requests(inexact: DataFrame, piv: Sequence[Pivot]) -> DataFrame:
     return inexact.select("oid", "pid", circles.alias("circles")).mapInArrow(run, "oid bigint, pid bigint, circles array<struct<cx:double,cy:double,r:double>>")
 
 
+#: Circles that a kernel looks up at once.
+CIRCLES = 1 << 13
+
+
+def inside_circles(asked: DataFrame, points: DataFrame, piv: Sequence[Pivot] | None = None) -> DataFrame:
+    """(oid, other, x, y): the points of ``points(oid, x, y, pid)`` that lie in any of the circles that a cell of ``asked(oid, pid,
+    circles)`` asks that piece for, each once. A piece's points are looked up in a grid and not compared with every cell."""
+
+    def one(there: pa.Table, cells_: pa.Table) -> pa.Table:
+        out = []
+        if there.num_rows and cells_.num_rows:
+            oid, x, y = (there.column(c).to_numpy() for c in ("oid", "x", "y"))
+            grid, lists = PivotGrid(oid, x, y), cells_.column("circles").combine_chunks()
+            names, flat = cells_.column("oid").to_numpy(), lists.flatten()
+            of = np.repeat(np.arange(len(names)), lists.value_lengths().to_numpy(zero_copy_only=False))
+            cx, cy, r = (flat.field(k).to_numpy(zero_copy_only=False) for k in range(3))
+            s = 0
+            while s < len(of):  # whole cells at a time, so that no point is named twice
+                e = max(int(np.searchsorted(of, of[s], side="right")), int(np.searchsorted(of, of[min(len(of) - 1, s + CIRCLES)], side="left")))
+                pairs = []
+                for i, j, _ in grid.within(cx[s:e], cy[s:e], r[s:e]):
+                    d2, r2 = (cx[s:e][i] - x[j]) ** 2 + (cy[s:e][i] - y[j]) ** 2, r[s:e][i] * r[s:e][i]
+                    ok = d2 <= r2 * (1 + 1e-9) + 1e-6
+                    pairs.append(np.unique(of[s:e][i[ok]] * len(x) + j[ok]))
+                if pairs:
+                    found = np.unique(np.concatenate(pairs))
+                    i, j = found // len(x), found % len(x)
+                    out.append(pa.table({"oid": pa.array(names[i]), "other": pa.array(oid[j]), "x": pa.array(x[j]), "y": pa.array(y[j])}))
+                s = e
+        return pa.concat_tables(out) if out else pa.table({c: pa.array([], pa.int64()) for c in ("oid", "other", "x", "y")})
+
+    there = apart(points.select("oid", "x", "y", "pid"), piv)
+    return there.groupBy("pid").cogroup(apart(asked.select("oid", "circles", "pid"), piv).groupBy("pid")).applyInArrow(one, "oid bigint, other bigint, x bigint, y bigint")
+
+
 def repair(made: DataFrame, points: DataFrame, piv: Sequence[Pivot], box: Sequence[float], single: bool = False) -> DataFrame:
     """``made`` cells with the inexact ones clipped by what other pieces answer. ``single``: in one task, as a baseline."""
     least = 1e-9 * max(box[2] - box[0], box[3] - box[1]) if max(box[2] - box[0], box[3] - box[1]) < 1e9 else 1e-3
     inexact = made.where("not exact")
     asked = requests(inexact, piv)
-    inside = F.exists("circles", lambda c: dist2(c["cx"], c["cy"], F.col("x"), F.col("y")) <= c["r"] * c["r"] * (1 + 1e-9) + 1e-6)
-    answers = asked.join(points.select("pid", F.col("oid").alias("other"), "x", "y"), "pid").where(inside)
+    answers = inside_circles(asked, points, piv)
     lists = answers.groupBy("oid").agg(F.collect_list(F.struct(F.col("x").alias("x"), F.col("y").alias("y"), F.col("other").alias("o"))).alias("near"))
     todo = inexact.join(lists, "oid", "left")
     if single:
@@ -321,7 +366,7 @@ def traffic(placed: DataFrame, points: DataFrame, piv: Sequence[Pivot] | None, b
     """(cells, inexact, asked, answers, sent): what a repair sends. Inexact cells ask the pieces that their influence region meets, or all of
     them where pieces are no regions (``piv`` is None), and get the objects of the region from elsewhere; ``sent`` counts an object once
     for each piece that needs it, however many of its cells do."""
-    made = local(placed, piv, box, margin)
+    made = cut(local(placed, piv, box, margin))  # read four times
     inexact = made.where("not exact")
     if piv is None:
         circles = F.zip_with("xs", "ys", lambda a, b: F.struct(a.alias("cx"), b.alias("cy"), F.sqrt((a - F.col("x")) * (a - F.col("x")) + (b - F.col("y")) * (b - F.col("y"))).alias("r")))
@@ -329,10 +374,8 @@ def traffic(placed: DataFrame, points: DataFrame, piv: Sequence[Pivot] | None, b
         asked = inexact.select("oid", "pid", circles.alias("circles")).join(F.broadcast(others), F.col("pid") != F.col("to")).select("oid", F.col("to").alias("pid"), "circles")
     else:
         asked = requests(inexact, piv)
-    inside = F.exists("circles", lambda c: dist2(c["cx"], c["cy"], F.col("x"), F.col("y")) <= c["r"] * c["r"] * (1 + 1e-9) + 1e-6)
     home = made.select("oid", F.col("pid").alias("home"))
-    there = points.select("pid", F.col("oid").alias("other"), "x", "y")
-    answers = asked.join(home, "oid").join(there, "pid").where(inside).agg(F.count("*").alias("answers"), F.countDistinct("home", "other").alias("sent"))
+    answers = inside_circles(asked, points, piv).join(home, "oid").agg(F.count("*").alias("answers"), F.countDistinct("home", "other").alias("sent"))
     cells_ = made.agg(F.count("*").alias("cells"), F.count_if(~F.col("exact")).alias("inexact"))
     return cells_.join(asked.agg(F.count("*").alias("asked"))).join(answers)
 

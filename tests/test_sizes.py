@@ -4,7 +4,9 @@ import tracemalloc
 
 import numpy as np
 
-from cellfleet.operators import access
+from pyspark.sql import functions as F
+
+from cellfleet.operators import access, cells
 from cellfleet.plans import fleet_queries
 
 
@@ -22,3 +24,19 @@ def test_counts_become_loads_without_wide_rows():
         mine = (key == names[k]) & (by < access.INTERVALS)
         assert (a[k] == np.bincount(by[mine], weights=n[mine], minlength=access.INTERVALS)).all()
         assert rows[k] == n[key == names[k]].sum() == b[k].sum()
+
+
+def test_circles_are_looked_up(spark):
+    rng = np.random.default_rng(4)
+    p = [(i, int(x), int(y), i % 3) for i, (x, y) in enumerate(rng.integers(0, 1_000, (300, 2)))]
+    c = [(1_000 + i, i % 3, [(float(a), float(b), float(r)) for a, b, r in rng.integers(0, 1_000, (4, 3)) * (1, 1, 0.2 if i else 9)]) for i in range(20)]
+    pts = spark.createDataFrame(p, "oid long, x long, y long, pid long")
+    asked = spark.createDataFrame(c, "oid long, pid long, circles array<struct<cx:double,cy:double,r:double>>")
+    got = [tuple(r) for r in cells.inside_circles(asked, pts).collect()]
+    assert sorted(got) == sorted((o, i, x, y) for o, pid, around in c for i, x, y, at in p if at == pid and any((a - x) ** 2 + (b - y) ** 2 <= r * r * (1 + 1e-9) + 1e-6 for a, b, r in around))
+
+
+def test_pieces_of_cells_are_not_put_in_one_task(spark):
+    placed = spark.range(600).select(F.col("id").alias("oid"), (F.col("id") * 37 % 1_000).alias("x"), (F.col("id") * 91 % 997).alias("y"), (F.col("id") % 6).alias("pid"), F.lit(False).alias("is_replica"))
+    made = cells.local(placed, None, (-10.0, -10.0, 1_010.0, 1_010.0)).withColumn("task", F.spark_partition_id())
+    assert made.select("task").distinct().count() > 3
