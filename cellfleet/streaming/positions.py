@@ -7,12 +7,15 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cellfleet.operators import pivots, range_query, snapshot
+from cellfleet.operators import pivots, range_query, snapshot, tiles
 from cellfleet.operators.pivots import Pivot
 from cellfleet.sources.views import fixed
 
 SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
+#: Tiles to a side over standing queries.
+SIDE = 64
+
 
 def read(spark: SparkSession, path: str, files: int = 1) -> DataFrame:
     """(obj, event_id, ts, x, y, event_type) from a folder of event files."""
@@ -42,9 +45,11 @@ def latest(stream: DataFrame) -> DataFrame:
 
 
 def inside(stream: DataFrame, queries: DataFrame, piv: Sequence[Pivot]) -> DataFrame:
-    """(qid, oid, d2): reports that fall into standing range queries, by a join with their targets."""
+    """(qid, oid, d2): reports that fall into standing range queries, by a join with their targets in tiles over the queries."""
     at = pivots.assign(stream.withColumnRenamed("event_id", "oid"), piv)
-    return range_query.answers(at.select("oid", "x", "y", "pid"), range_query.targets(queries, piv))
+    box = queries.agg(F.min("x"), F.min("y"), F.max("x"), F.max("y")).first()
+    over = tiles.Tiles(*(v or 0 for v in box), n=SIDE * SIDE, per=1.0, most=SIDE)
+    return tiles.answers(at.select("oid", "x", "y", "pid"), range_query.targets(queries, piv), over)
 
 
 def rebuild(path: str, p: int, policy: str = "auto"):

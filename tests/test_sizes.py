@@ -40,3 +40,12 @@ def test_pieces_of_cells_are_not_put_in_one_task(spark):
     placed = spark.range(600).select(F.col("id").alias("oid"), (F.col("id") * 37 % 1_000).alias("x"), (F.col("id") * 91 % 997).alias("y"), (F.col("id") % 6).alias("pid"), F.lit(False).alias("is_replica"))
     made = cells.local(placed, None, (-10.0, -10.0, 1_010.0, 1_010.0)).withColumn("task", F.spark_partition_id())
     assert made.select("task").distinct().count() > 3
+
+
+def test_standing_ranges_are_joined_by_tiles(spark, d):
+    from cellfleet.plans.operator_queries import event_stream
+    from cellfleet.streaming import positions
+
+    q = spark.createDataFrame([(1, 500, 500, 2_000.0), (2, 40_000, 9_000, 90_000.0)], "qid long, x long, y long, r double")
+    plan = positions.inside(event_stream(spark, d), q, [(0, 0, 0), (1, 9_000, 9_000)])._jdf.queryExecution().analyzed().toString()
+    assert "tile" in plan
