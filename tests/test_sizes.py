@@ -49,3 +49,13 @@ def test_standing_ranges_are_joined_by_tiles(spark, d):
     q = spark.createDataFrame([(1, 500, 500, 2_000.0), (2, 40_000, 9_000, 90_000.0)], "qid long, x long, y long, r double")
     plan = positions.inside(event_stream(spark, d), q, [(0, 0, 0), (1, 9_000, 9_000)])._jdf.queryExecution().analyzed().toString()
     assert "tile" in plan
+
+
+def test_pairs_of_patterns_are_compared_in_blocks(spark, monkeypatch):
+    monkeypatch.setattr(access, "PAIR_BLOCK", 7)
+    rng = np.random.default_rng(6)
+    v = {i * 3 + 1: rng.integers(0, 9, access.INTERVALS).astype(float) for i in range(40)}
+    vecs = spark.createDataFrame([(i, x.tolist()) for i, x in v.items()], "pid long, v array<double>")
+    got = access.pair_flatness(vecs)
+    assert "NestedLoop" not in got._jdf.queryExecution().executedPlan().toString()
+    assert {tuple(r) for r in got.collect()} == {(a, b, float(np.abs(np.diff(v[a] + v[b])).sum())) for a in v for b in v if a < b}
