@@ -45,3 +45,8 @@ def test_values_beyond_the_codes(spark, larger, name):
 @pytest.mark.parametrize("name", ["pivot_assign", "partition_counts", "partition_stats_8_10", "partition_stats_32_10", "partition_stats_8_250", "partition_stats_32_250"])
 def test_order_lines_alike(spark, larger, name):
     same(spark, larger, name)
+
+
+@pytest.mark.parametrize("name", ["plan_query_work_large_batch"])
+def test_other_batches_beyond_the_codes(spark, larger, name):
+    same(spark, larger, name)
