@@ -47,6 +47,6 @@ def test_order_lines_alike(spark, larger, name):
     same(spark, larger, name)
 
 
-@pytest.mark.parametrize("name", ["plan_query_work_large_batch"])
+@pytest.mark.parametrize("name", ["plan_query_work_large_batch", "plan_query_work_middle"])
 def test_other_batches_beyond_the_codes(spark, larger, name):
     same(spark, larger, name)
