@@ -53,3 +53,15 @@ def test_updates_in_place(spark, cloud):
     places = {i: at[i][:2] for i in at}
     want = {(i, o) for i, x, y, r in asked(spark)[0] for o, (a, b) in places.items() if (a - x) ** 2 + (b - y) ** 2 <= r * r}
     assert {(r["qid"], r["oid"]) for r in trees.search(after, q).collect()} == want
+
+
+def test_neighbours_of_placed_nodes(spark, cloud):
+    """Nodes told by cuts are those of the built trees, and neighbours are found without pairs of queries and leaves in the plan."""
+    xy, pts = cloud
+    at = trees.placed(pts, 2, 3)
+    assert {tuple(r) for r in at.select("oid", "node").collect()} == {tuple(r) for r in trees.build(pts, 2, 3).select("oid", "node").collect()}
+    assert "Exchange" not in at._jdf.queryExecution().executedPlan().toString()
+    rows, q = asked(spark)
+    for k in (1, 40, 900):
+        got = [(r["qid"], r["rank"], r["oid"]) for r in trees.nearest(at, q, k).orderBy("qid", "rank").collect()]
+        assert got == [(i, n + 1, o) for i, x, y, _ in rows for n, (_, o) in enumerate(sorted(((a - x) ** 2 + (b - y) ** 2, o) for o, (a, b) in enumerate(xy.tolist()))[:k])]
