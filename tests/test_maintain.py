@@ -67,3 +67,30 @@ def test_grid_fleets(spark, d):
     got = {r["method"]: r for r in fq.fleet_costs(spark, d, "cosine", 50).collect()}
     assert set(got) == {"grid", "grid_scattered", "grid_reactive", "grid_reactive_by_hours", "packer", "packer_search"}
     assert got["packer_search"]["idle"] <= got["packer"]["idle"] and got["grid_reactive"]["cost"] <= got["grid_reactive_by_hours"]["cost"] + 1e-6
+
+
+def test_few_pairs_are_compared(monkeypatch):
+    """Merging looks at few pairs in full and makes the plan that all pairs make."""
+    from cellfleet.operators import costs, packing
+
+    rng = np.random.default_rng(3)
+    p, t = 80, np.arange(288)
+    rows = rng.integers(20, 500, p)
+    a = rows[:, None] * (1 + np.cos(2 * np.pi * (t / 288 - rng.integers(0, 64, p)[:, None] / 64))) / 2
+    tiers = costs.tiers(max(float(a.max()) * 1.01, float(a.sum(axis=0).max()) / 24), max(1, int(rows.sum()) // 24), 0.1)
+    capacity, storage = max(x[1] for x in tiers), max(x[2] for x in tiers)
+    load, size, want, alive = a.copy(), rows.copy(), np.arange(p), list(range(p))
+    while len(alive) > 4:
+        pairs = [(float(packing.variation(load[i] + load[j])), i, j) for n, i in enumerate(alive) for j in alive[n + 1 :] if (load[i] + load[j]).max() < capacity and size[i] + size[j] <= storage]
+        if not pairs:
+            break
+        _, i, j = min(pairs)
+        load[i] += load[j]
+        size[i] += size[j]
+        want[want == j] = i
+        alive.remove(j)
+    looked, plain = [], packing.variation
+    monkeypatch.setattr(packing, "variation", lambda x: looked.append(len(x) if x.ndim > 1 else 1) or plain(x))
+    assert packing.agglomerate(a, rows, 4, tiers).tolist() == np.unique(want, return_inverse=True)[1].tolist()
+    new = sum(looked)
+    assert new < p * p
