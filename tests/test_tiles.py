@@ -65,3 +65,10 @@ def test_ranges_are_joined_by_tiles(spark, d):
     for name in ("range_query_batch", "hierarchy_range_batch", "sql_surface_batch"):
         p = catalogue.queries()[name](spark, d)._jdf.queryExecution().executedPlan().toString()
         assert "ShuffledHashJoin" in p and "tile" in p and "SortMergeJoin" not in p
+
+
+def test_objects_are_assigned_once(spark, points, monkeypatch):
+    p, q, pts, asked = points
+    monkeypatch.setattr(pivots, "stats", lambda index: pytest.fail("a pass over all objects for what a grid bounds"))
+    got = {(r["qid"], r["rank"], r["oid"]) for r in knn.run(pts, asked, pivots.choose(pts, 5), 6).collect()}
+    assert got == {(i, n + 1, o) for i, a, b, _ in q for n, (_, o) in enumerate(sorted(((x - a) ** 2 + (y - b) ** 2, o) for o, x, y in p)[:6])}
