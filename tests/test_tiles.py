@@ -72,3 +72,11 @@ def test_objects_are_assigned_once(spark, points, monkeypatch):
     monkeypatch.setattr(pivots, "stats", lambda index: pytest.fail("a pass over all objects for what a grid bounds"))
     got = {(r["qid"], r["rank"], r["oid"]) for r in knn.run(pts, asked, pivots.choose(pts, 5), 6).collect()}
     assert got == {(i, n + 1, o) for i, a, b, _ in q for n, (_, o) in enumerate(sorted(((x - a) ** 2 + (y - b) ** 2, o) for o, x, y in p)[:6])}
+
+
+def test_growing_ranges_write_no_copy_of_the_objects(spark, points, monkeypatch):
+    p, q, pts, asked = points
+    written, cut = [], knn.cut
+    monkeypatch.setattr(knn, "cut", lambda df: written.append(n := cut(df)) or n)
+    knn.incremental(pts, asked.where("qid < 5").select("qid", "x", "y"), pivots.choose(pts, 5), 3, 100.0)
+    assert written and max(df.count() for df in written) < len(p)
