@@ -80,3 +80,16 @@ def test_growing_ranges_write_no_copy_of_the_objects(spark, points, monkeypatch)
     monkeypatch.setattr(knn, "cut", lambda df: written.append(n := cut(df)) or n)
     knn.incremental(pts, asked.where("qid < 5").select("qid", "x", "y"), pivots.choose(pts, 5), 3, 100.0)
     assert written and max(df.count() for df in written) < len(p)
+
+
+def test_candidates_are_drawn_once(spark, points, monkeypatch):
+    p, q, pts, asked = points
+    drawn = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for b in batches:
+            drawn.add(b.num_rows)
+            yield b
+
+    assert len(pivots.choose(pts.mapInArrow(count, pts.schema), 5)) == 5
+    assert drawn.value == len(p)
