@@ -2,11 +2,12 @@
 
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from cellfleet import catalogue
-from cellfleet.operators import knn, pivots, range_query, tiles
+from cellfleet.operators import knn, pivot_grid, pivots, range_query, tiles
 
 
 @pytest.fixture(scope="module")
@@ -93,3 +94,17 @@ def test_candidates_are_drawn_once(spark, points, monkeypatch):
 
     assert len(pivots.choose(pts.mapInArrow(count, pts.schema), 5)) == 5
     assert drawn.value == len(p)
+
+
+def test_few_pivots_are_compared_without_a_grid():
+    rng = np.random.default_rng(8)
+    few, x, y = rng.integers(0, 60, (pivot_grid.FEW, 3)), rng.integers(-50, 110, 3_000), rng.integers(-50, 110, 3_000)
+    ids = rng.permutation(1_000)[: len(few)]
+    grid, but = pivot_grid.PivotGrid(ids, few[:, 1], few[:, 2]), rng.choice(ids, len(x))
+    places = {j: (int(a), int(b)) for j, (_, a, b) in zip(ids.tolist(), few.tolist(), strict=True)}
+    for without in (None, but):
+        pid, d2 = grid.nearest(x, y, without)
+        want = [min(((a - int(u)) ** 2 + (b - int(v)) ** 2, j) for j, (a, b) in places.items() if without is None or j != without[n]) for n, (u, v) in enumerate(zip(x, y, strict=True))]
+        assert [(int(d), int(j)) for d, j in zip(d2, pid, strict=True)] == want
+    pid, d2 = pivot_grid.PivotGrid([7], [3], [4]).nearest(x[:2], y[:2], np.array([7, 7]))
+    assert pid.tolist() == [-1, -1] and (d2 == np.iinfo(np.int64).max).all()
