@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterable, Sequence
+from typing import Any
 
 import numpy as np
 import pandas as pd
@@ -145,6 +146,10 @@ def all_exact(made: Sequence[Polygon], ox: Sequence[float], oy: Sequence[float],
     return out
 
 
+#: Squares to a side of a scanned box, as a power of two.
+BOX_BITS = 5
+
+
 class CodeScan:
     """Points in Z-order; the points of a region are read by the code ranges of its box, which jump over what lies outside."""
 
@@ -166,7 +171,10 @@ class CodeScan:
         cell = lambda v, low: min(top, max(0, int(math.floor(v) - low) >> self.shift))
         x0, y0 = cell(min(x - r for x, _, r in circles), self.x0), cell(min(y - r for _, y, r in circles), self.y0)
         x1, y1 = cell(max(x + r for x, _, r in circles) + 1, self.x0), cell(max(y + r for _, y, r in circles) + 1, self.y0)
-        parts = [np.arange(*np.searchsorted(self.code, np.array([a, b + 1], dtype=np.uint64))) for a, b in zorder.ranges(x0, y0, x1, y1, self.most)]
+        # the box is covered by squares of a size that puts at most some 32 on its side: finer ones would cost more than they leave out
+        s = max(0, max(x1 - x0, y1 - y0).bit_length() - BOX_BITS)
+        found = zorder.ranges(x0 >> s, y0 >> s, x1 >> s, y1 >> s, self.most, zorder.BITS - s)
+        parts = [np.arange(*np.searchsorted(self.code, np.array([a << 2 * s, (b + 1) << 2 * s], dtype=np.uint64))) for a, b in found]
         at = np.concatenate(parts) if parts else np.zeros(0, dtype=np.int64)
         self.read += len(at)
         near = np.zeros(len(at), dtype=bool)
@@ -323,7 +331,13 @@ def repair(made: DataFrame, points: DataFrame, piv: Sequence[Pivot], box: Sequen
                 rows.append((r.oid, r.x, r.y, r.pid, cell[0], cell[1], neighbours(cell, least), area(cell), True))
             yield pd.DataFrame(rows, columns=["oid", "x", "y", "pid", "xs", "ys", "nbrs", "area", "exact"])
 
-    # the owner of each edge: the neighbour that is as far as the generator from the edge's middle, or nobody on the box
+    x0, y0, x1, y1 = map(float, box)
+
+    def on_box(r: Any, i: int, j: int) -> bool:
+        return r.xs[i] == r.xs[j] in (x0, x1) or r.ys[i] == r.ys[j] in (y0, y1)
+
+    # the owner of each edge: the neighbour that is as far as the generator from the edge's middle, or nobody on the box, which is so far
+    # away that all neighbours seem as far from it
     known = points.select(F.col("oid").alias("n_id"), F.col("x").alias("n_x"), F.col("y").alias("n_y"))
     near_at = inexact.select("oid", F.explode("nbrs").alias("n_id")).join(known, "n_id").groupBy("oid").agg(F.collect_list(F.struct("n_id", "n_x", "n_y")).alias("around"))
     todo = todo.join(near_at, "oid", "left")
@@ -338,7 +352,7 @@ def repair(made: DataFrame, points: DataFrame, piv: Sequence[Pivot], box: Sequen
                     mx, my = (r.xs[i] + r.xs[(i + 1) % n]) / 2, (r.ys[i] + r.ys[(i + 1) % n]) / 2
                     d = math.hypot(mx - r.x, my - r.y)
                     best = min(((abs(math.hypot(mx - a["n_x"], my - a["n_y"]) - d), int(a["n_id"])) for a in around), default=(math.inf, NOBODY))
-                    own.append(best[1] if best[0] <= 1e-6 * (d + 1) else NOBODY)
+                    own.append(best[1] if best[0] <= 1e-6 * (d + 1) and not on_box(r, i, (i + 1) % n) else NOBODY)
                 found.append(own)
             yield from run([b.assign(owners=found)])
 
@@ -352,7 +366,7 @@ def diagram(pts: DataFrame, piv: Sequence[Pivot], margin: float = 0.0, seeds: in
     box = box_of(pts if around is None else pts.select("x", "y").unionByName(around.select("x", "y")), whole)
     at = pivots.assign(places(pts), piv)
     placed = borders.replicate(at, piv, margin) if margin > 0 else at.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica"))
-    return repair(local(placed, piv, box, margin, seeds, by_codes), at, piv, box)
+    return repair(cut(local(placed, piv, box, margin, seeds, by_codes)), at, piv, box)  # read four times
 
 
 def single_thread(pts: DataFrame, whole: bool = False) -> DataFrame:
