@@ -94,3 +94,27 @@ def test_few_pairs_are_compared(monkeypatch):
     assert packing.agglomerate(a, rows, 4, tiers).tolist() == np.unique(want, return_inverse=True)[1].tolist()
     new = sum(looked)
     assert new < p * p
+
+
+def test_more_pieces_than_a_region_has(spark):
+    """A plan, and the loads it is made of, have no limit of pieces (before, 5,000)."""
+    from cellfleet.operators import packing
+
+    n = 5_002
+    a = np.random.default_rng(5).random((n, 3))
+    assert len(np.unique(packing.agglomerate(a, np.ones(n, dtype=np.int64), n - 3, [(0, 100.0, 100, 1.0)]))) == n - 3
+    rows = spark.range(n).select(F.col("id").alias("pid"), F.lit(2).cast("long").alias("n"))
+    vecs = rows.where("pid % 2 = 1").select("pid", F.array(F.col("pid").cast("double"), F.lit(1.0)).alias("v"))
+    pids, v, held = packing.matrix(vecs, rows)
+    assert pids.tolist() == list(range(n)) and held.sum() == 2 * n and v[:4].tolist() == [[0.0, 0.0], [1.0, 1.0], [0.0, 0.0], [3.0, 1.0]]
+
+
+def test_loads_that_are_carried(monkeypatch):
+    monkeypatch.setattr(fq, "FLOWS", 7)
+    rng = np.random.default_rng(2)
+    a, rows, src, dst, n = rng.random((5, 4)), np.array([3, 4, 5, 6, 7]), rng.integers(0, 5, 40), rng.integers(0, 9, 40), rng.integers(1, 4, 40)
+    load, size = np.zeros((9, 4)), np.zeros(9, dtype=np.int64)
+    np.add.at(load, dst, a[src] * (n / rows[src])[:, None])
+    np.add.at(size, dst, n)
+    got = fq.carried(a, rows, src, dst, n, 9)
+    assert np.allclose(got[0], load) and got[1].tolist() == size.tolist()
