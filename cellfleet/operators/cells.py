@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterable, Sequence
+from itertools import islice
 from typing import Any
 
 import numpy as np
@@ -26,6 +27,8 @@ from cellfleet.operators.pivots import Pivot
 
 #: Neighbours in Z-order on each side that make a first cell; more of them where the rest is scanned by codes.
 SEEDS, CODE_SEEDS = 3, 8
+#: Home points that a cell meets before the replicas.
+NEAREST = 24
 CELL = "oid long, x long, y long, pid long, xs array<double>, ys array<double>, nbrs array<long>, area double, exact boolean"
 Polygon = tuple[list[float], list[float], list[int]]
 #: The owner of an edge on the box.
@@ -229,10 +232,13 @@ def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float],
     def one(p: pd.DataFrame) -> pd.DataFrame:
         x, y, ids = p["x"].to_numpy(), p["y"].to_numpy(), p["oid"].to_numpy()
         order = np.argsort(spread_bits(x - x.min()) | (spread_bits(y - y.min()) << np.uint64(1)), kind="stable")
-        grid = CodeScan(x, y, ids) if by_codes else Grid(x.astype(float), y.astype(float), ids)
+        replica, pids = p["is_replica"].to_numpy(), p["pid"].to_numpy()
+        if by_codes:
+            scan = CodeScan(x, y, ids)
+        else:  # replicas are far fewer to the square than home points
+            homes, others = (Grid(x[of].astype(float), y[of].astype(float), ids[of]) if of.any() else None for of in (~replica, replica))
         around = max(seeds, CODE_SEEDS) if by_codes else seeds
         rows, made = [], []
-        replica, pids = p["is_replica"].to_numpy(), p["pid"].to_numpy()
         for at, i in enumerate(order.tolist()):
             if replica[i]:
                 continue
@@ -241,7 +247,14 @@ def local(placed: DataFrame, piv: Sequence[Pivot] | None, box: Sequence[float],
             for j in order[max(0, at - around) : at + around + 1].tolist():
                 if j != i:
                     cell = clip(cell, ox, oy, float(x[j]), float(y[j]), int(ids[j]))
-            cell = grid.refine(cell, ox, oy) if by_codes else refine(cell, ox, oy, grid.around(ox, oy))
+            if by_codes:
+                cell = scan.refine(cell, ox, oy)
+            else:
+                near = homes.around(ox, oy)
+                if others is not None:  # the nearest first, then replicas: they hold the cells of the border in
+                    cell = refine(cell, ox, oy, islice(near, NEAREST))
+                    cell = refine(cell, ox, oy, others.around(ox, oy))
+                cell = refine(cell, ox, oy, near)
             made.append(cell)
             rows.append((int(ids[i]), int(x[i]), int(y[i]), int(pids[i]), cell[0], cell[1], neighbours(cell, least), area(cell)))
         out = pd.DataFrame(rows, columns=["oid", "x", "y", "pid", "xs", "ys", "nbrs", "area"])
@@ -360,12 +373,26 @@ def repair(made: DataFrame, points: DataFrame, piv: Sequence[Pivot], box: Sequen
     return made.where("exact").unionByName(fixed)
 
 
+#: Scouts are at most so many places, and at most one of so many.
+SCOUTS, SCOUT_OF = 1 << 14, 16
+
+
+def with_scouts(placed: DataFrame, at: DataFrame, piv: Sequence[Pivot]) -> DataFrame:
+    """``placed`` with scouts, some places ``at(oid, x, y, pid)`` from everywhere, as replicas in all other pieces. A cell at the border of
+    its piece would reach to the box without them, and its influence region would ask for nearly all objects of all pieces."""
+    k = max(SCOUT_OF, -(-at.count() // SCOUTS))
+    others = F.broadcast(at.sparkSession.createDataFrame([(i,) for i, *_ in piv], "to long"))
+    few = at.where(F.pmod(F.xxhash64("x", "y"), F.lit(k)) == 0).join(others, F.col("pid") != F.col("to"))
+    return placed.unionByName(few.select("oid", "x", "y", F.col("to").alias("pid"), F.lit(True).alias("is_replica")))
+
+
 def diagram(pts: DataFrame, piv: Sequence[Pivot], margin: float = 0.0, seeds: int = SEEDS, whole: bool = False, around: DataFrame | None = None, by_codes: bool = False) -> DataFrame:
-    """All cells, exact: pieces of nearest pivots, replicas within ``margin`` of a border, local cells, one round of repair.
+    """All cells, exact: pieces of nearest pivots, replicas within ``margin`` of a border, scouts, local cells, one round of repair.
     ``around``: more points (x, y) that the box holds."""
     box = box_of(pts if around is None else pts.select("x", "y").unionByName(around.select("x", "y")), whole)
     at = pivots.assign(places(pts), piv)
     placed = borders.replicate(at, piv, margin) if margin > 0 else at.select("oid", "x", "y", "pid", F.lit(False).alias("is_replica"))
+    placed = with_scouts(placed.select("oid", "x", "y", "pid", "is_replica"), at, piv)
     return repair(cut(local(placed, piv, box, margin, seeds, by_codes)), at, piv, box)  # read four times
 
 

@@ -285,3 +285,14 @@ def test_kernel_finds_the_same_targets(spark, cloud, rule, monkeypatch):
     in_plan = rows()
     monkeypatch.setattr(pivots, "LITERAL_PIVOTS", 4)
     assert rows() == in_plan
+
+
+def test_cells_at_a_border_ask_for_few(spark, monkeypatch):
+    """Without scouts a cell at the border of its piece reaches to the box and asks for nearly all objects of the others."""
+    asked, plain = [], cells.inside_circles
+    monkeypatch.setattr(cells, "inside_circles", lambda *a: asked.append(plain(*a)) or asked[-1])
+    pts = spark.range(3000).selectExpr("id as oid", "cast(conv(substring(md5(cast(id as string)), 1, 5), 16, 10) as bigint) as x", "cast(conv(substring(md5(cast(id as string)), 6, 5), 16, 10) as bigint) as y")
+    piv = pivots.choose(pts, 8)
+    got = {r["oid"]: (r["nbrs"], round(r["area"])) for r in cells.diagram(pts, piv).collect()}
+    assert got == {r["oid"]: (r["nbrs"], round(r["area"])) for r in cells.single_thread(pts).collect()}
+    assert asked[0].count() < 20 * 3000
