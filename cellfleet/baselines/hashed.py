@@ -32,6 +32,17 @@ def sent(queries: DataFrame, *columns: str, each: int = 1) -> pa.Table:
     return got
 
 
+#: Squares to a side of a covered box, as a power of two.
+BOX_BITS = 5
+
+
+def cover(x0: int, y0: int, x1: int, y1: int, most: int = CODE_RANGES) -> list[tuple[int, int]]:
+    """Code ranges, at most ``most``, that cover a box by squares of a size that puts some 32 on its side: finer ones would be joined again."""
+    s = max(0, max(x1 - x0, y1 - y0).bit_length() - BOX_BITS)
+    found = zorder.ranges(x0 >> s, y0 >> s, x1 >> s, y1 >> s, 1 << 2 * BOX_BITS, zorder.BITS - s)
+    return [(a << 2 * s, ((b + 1) << 2 * s) - 1) for a, b in zorder.bridged(found, most)]
+
+
 def code_ranges(queries: DataFrame, most: int = CODE_RANGES) -> DataFrame:
     """(qid, x, y, r, lo, hi): the code ranges that cover the box of each query's circle; none if it lies outside of all codes."""
     top = (1 << zorder.BITS) - 1
@@ -41,7 +52,7 @@ def code_ranges(queries: DataFrame, most: int = CODE_RANGES) -> DataFrame:
             at, lo, hi = [], [], []
             for i, (x, y, r) in enumerate(zip(*(c.to_pylist() for c in b.columns[1:]), strict=True)):
                 x0, y0, x1, y1 = max(0, int(x - r)), max(0, int(y - r)), min(top, int(x + r) + 1), min(top, int(y + r) + 1)
-                for a, e in zorder.ranges(x0, y0, x1, y1, most) if x0 <= x1 and y0 <= y1 else ():
+                for a, e in cover(x0, y0, x1, y1, most) if x0 <= x1 and y0 <= y1 else ():
                     at.append(i)
                     lo.append(a)
                     hi.append(e)
@@ -65,16 +76,25 @@ def slices(lo: np.ndarray, hi: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndar
         s = e
 
 
+def packed(asked: pa.Table) -> tuple[pa.Array, ...]:
+    """(qid, x, y, r) of each query, and (query, lo, hi) of each of its code ranges: every task holds the whole batch, so that it is kept small."""
+    x, y, r, lo, hi = (asked.column(c).to_numpy() for c in ("x", "y", "r", "lo", "hi"))
+    qid = asked.column("qid").combine_chunks()
+    codes = qid.dictionary_encode().indices.to_numpy(zero_copy_only=False)
+    new = np.ones(len(x), dtype=bool)
+    new[1:] = (np.diff(codes) != 0) | (np.diff(x) != 0) | (np.diff(y) != 0) | (np.diff(r) != 0)
+    first = np.flatnonzero(new)
+    return qid.take(pa.array(first)), x[first], y[first], r[first], (np.cumsum(new) - 1).astype(np.int32), lo, hi
+
+
 def range_(held: DataFrame, queries: DataFrame) -> DataFrame:
     """(qid, oid, d2) within r, from each node's sorted codes."""
     asked = sent(code_ranges(queries), "qid", "x", "y", "r", "lo", "hi", each=CODE_RANGES)
     kind = queries.schema["qid"].dataType.simpleString()
-    whole = held.sparkSession.sparkContext.broadcast(asked)
+    whole = held.sparkSession.sparkContext.broadcast(packed(asked))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        t = whole.value
-        x, y, r, lo, hi = (t.column(c).to_numpy() for c in ("x", "y", "r", "lo", "hi"))
-        qid = t.column("qid").combine_chunks()
+        qid, x, y, r, of, lo, hi = whole.value
         for b in batches:  # consecutive codes of a node
             oid, px, py, z = b.column(0), *(b.column(i).to_numpy(zero_copy_only=False) for i in (1, 2, 3))
             if not len(z) or (np.diff(z) < 0).any():
@@ -82,7 +102,7 @@ def range_(held: DataFrame, queries: DataFrame) -> DataFrame:
                 oid, px, py, z = oid.take(pa.array(order)), px[order], py[order], z[order]
             near = np.flatnonzero((hi >= z[0]) & (lo <= z[-1])) if len(z) else np.zeros(0, dtype=np.int64)
             for i, j in slices(np.searchsorted(z, lo[near]), np.searchsorted(z, hi[near], side="right")):
-                i = near[i]
+                i = of[near[i]]
                 d2 = (px[j] - x[i]) ** 2 + (py[j] - y[i]) ** 2
                 ok = d2 <= r[i] * r[i]
                 yield pa.RecordBatch.from_arrays([qid.take(pa.array(i[ok])), oid.take(pa.array(j[ok])), pa.array(d2[ok], pa.int64())], names=["qid", "oid", "d2"])

@@ -108,3 +108,39 @@ def test_few_pivots_are_compared_without_a_grid():
         assert [(int(d), int(j)) for d, j in zip(d2, pid, strict=True)] == want
     pid, d2 = pivot_grid.PivotGrid([7], [3], [4]).nearest(x[:2], y[:2], np.array([7, 7]))
     assert pid.tolist() == [-1, -1] and (d2 == np.iinfo(np.int64).max).all()
+
+
+def test_boxes_are_covered_by_few_squares():
+    """A box's cover looks at squares of a thirty-second of its side, not at finer ones that are joined again."""
+    import sys
+
+    from cellfleet.baselines import hashed
+    from cellfleet.functions import zorder
+
+    rng, looked = random.Random(4), 0
+    for side in (0, 1, 700, 90_000, 800_000):
+        for _ in range(20):
+            x0, y0 = rng.randrange(9_000_000), rng.randrange(9_000_000)
+            found = hashed.cover(x0, y0, x0 + side, y0 + side)
+            assert 1 <= len(found) <= hashed.CODE_RANGES and all(a <= b for a, b in found) and all(b < c for (_, b), (c, _) in zip(found, found[1:], strict=False))
+            for x, y in [(x0, y0), (x0 + side, y0 + side), *((x0 + rng.randint(0, side), y0 + rng.randint(0, side)) for _ in range(50))]:
+                z = sum((x >> i & 1) << 2 * i | (y >> i & 1) << 2 * i + 1 for i in range(zorder.BITS))
+                assert any(a <= z <= b for a, b in found)
+    lines = [0]
+    sys.settrace(lambda frame, event, arg: (lambda f, e, a: lines.__setitem__(0, lines[0] + (e == "line"))) if frame.f_code is zorder.ranges.__code__ else None)
+    try:
+        hashed.cover(2_345_678, 3_456_789, 2_345_678 + 800_001, 3_456_789 + 800_001)
+    finally:
+        sys.settrace(None)
+    assert 0 < lines[0] < 4_000
+
+
+def test_a_batch_is_sent_once_for_its_ranges():
+    import pyarrow as pa
+
+    from cellfleet.baselines import hashed
+
+    t = pa.table({"qid": [7, 7, 7, 3, 3, 9], "x": [1, 1, 1, 2, 2, 1], "y": [5] * 6, "r": [2.0] * 6, "lo": [0, 4, 8, 1, 5, 2], "hi": [1, 5, 9, 2, 6, 3]})
+    qid, x, y, r, of, lo, hi = hashed.packed(pa.concat_tables([t.slice(0, 2), t.slice(2)]))
+    assert qid.to_pylist() == [7, 3, 9] and x.tolist() == [1, 2, 1] and y.tolist() == [5] * 3 and r.tolist() == [2.0] * 3
+    assert of.tolist() == [0, 0, 0, 1, 1, 2] and lo.tolist() == t.column("lo").to_pylist() and hi.tolist() == t.column("hi").to_pylist()
