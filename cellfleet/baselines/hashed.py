@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from cellfleet.functions import zorder
 from cellfleet.operators import knn
 
-MOST_QUERIES, CODE_RANGES, BLOCK, PAIRS = 200_000, 16, 64, 1 << 21
+MOST_QUERIES, CODE_RANGES, BLOCK, PAIRS = 200_000, 16, 64, 1 << 19
 
 
 def snapshot(pts: DataFrame, n: int) -> DataFrame:
@@ -89,9 +89,8 @@ def packed(asked: pa.Table) -> tuple[pa.Array, ...]:
 
 def range_(held: DataFrame, queries: DataFrame) -> DataFrame:
     """(qid, oid, d2) within r, from each node's sorted codes."""
-    asked = sent(code_ranges(queries), "qid", "x", "y", "r", "lo", "hi", each=CODE_RANGES)
     kind = queries.schema["qid"].dataType.simpleString()
-    whole = held.sparkSession.sparkContext.broadcast(packed(asked))
+    whole = held.sparkSession.sparkContext.broadcast(packed(sent(code_ranges(queries), "qid", "x", "y", "r", "lo", "hi", each=CODE_RANGES)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         qid, x, y, r, of, lo, hi = whole.value
